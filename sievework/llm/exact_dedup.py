@@ -33,7 +33,8 @@ def frequent_keys(df: DataFrame, key: str, capacity: int = CAPACITY) -> DataFram
     parts = df.groupBy((F.spark_partition_id() % SKETCH_GROUPS).alias("part")).agg(
         F.expr(f"approx_top_k_accumulate({key}, {2 * capacity})").alias("sketch")
     )
-    top = parts.agg(F.expr(f"approx_top_k_estimate(approx_top_k_combine(sketch), {capacity})").alias("top"))
+    # Grouped, if by one value only: a task without sketches then sends none (an empty sketch can't be merged).
+    top = parts.groupBy((F.col("part") < 0).alias("all")).agg(F.expr(f"approx_top_k_estimate(approx_top_k_combine(sketch), {capacity})").alias("top"))
     return top.select(F.explode("top").alias("t")).where("t.count > 1").select(F.col("t.item").alias(key))
 
 
