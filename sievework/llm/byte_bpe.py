@@ -21,9 +21,9 @@ from pyspark.sql import functions as F
 
 from .common import map_arrow, table
 
-MAX_TRANSITIONS = 200_000
+MAX_TRANSITIONS = 500_000
 MAX_PAIRS = 400_000
-MAX_PIECES = 300_000
+MAX_PIECES = 400_000
 MEMO_CHARS = 48
 START = -1
 
@@ -41,6 +41,8 @@ class Transducer:
         self.max_transitions = max_transitions
         self.width = max(map(len, ranks))
         self.bytes_of = {i: b for b, i in ranks.items()}
+        self.size_of = {i: len(b) for b, i in ranks.items()}
+        self.reachable: dict[int, bool] = {}
         self.pairs: dict[tuple[int, int], bool] = {}
         self.split: dict[int, tuple[int, int] | None] = {}
         self.trie: list[dict[int, int]] = [{}]
@@ -84,7 +86,7 @@ class Transducer:
         return self.split[token]
 
     def fits(self, left: int, right: int) -> bool:
-        """Whether ``right`` may follow ``left`` (START: begin a piece) in a canonical sequence.
+        """Whether ``right`` may follow ``left`` in a canonical sequence.
 
         The last merges of both sides are undone, latest first: the pair fails if a merge across the border
         would have come before the merge that is being undone.
@@ -94,11 +96,7 @@ class Transducer:
         if known is None:
             if len(self.pairs) >= MAX_PAIRS:
                 self.pairs.clear()
-            if left == START:
-                known = self.merged(self.bytes_of[right]) == [right]
-            else:
-                known = self._apart(left, right)
-            self.pairs[key] = known
+            self.pairs[key] = known = self._apart(left, right)
         return known
 
     def _apart(self, left: int, right: int) -> bool:
@@ -118,14 +116,25 @@ class Transducer:
     def move(self, state: int, byte: int) -> tuple[int, int]:
         """Determinise one transition: the next state, and the token that ends here."""
         live, last = [], None
-        for before, node in self.states[state]:
-            child = self.trie[node].get(byte)
+        trie, token_at, pairs = self.trie, self.token_at, self.pairs
+        for config in self.states[state]:
+            before, node = config
+            child = trie[node].get(byte)
             if child is None:
                 continue
-            token = self.token_at[child]
-            if token != START and last is None and self.fits(START, token) and (before == START or self.fits(before, token)):
-                last = token
-            if self.trie[child]:
+            if last is None:
+                token = token_at[child]
+                if token != START:
+                    alone = self.reachable.get(token)
+                    if alone is None:
+                        alone = self.reachable[token] = self.merged(self.bytes_of[token]) == [token]
+                    if alone:
+                        fit = before == START or pairs.get((before, token))
+                        if fit is None:
+                            fit = self.fits(before, token)
+                        if fit:
+                            last = token
+            if trie[child]:
                 live.append((before, child))
         if last is None:
             raise ValueError(f"the vocabulary has no token for byte {byte}")
@@ -144,6 +153,8 @@ class Transducer:
             return [whole]
         if len(self.moves) > self.max_transitions:
             self.reset()
+        if len(data) <= 8 * self.width:
+            return self._encode_short(data)
         out: list[int] = []
         length, moves = self.bytes_of, self.moves
         state, base, ends = 0, 0, [START]
@@ -169,6 +180,23 @@ class Transducer:
         out.extend(reversed(tail))
         return out
 
+    def _encode_short(self, data: bytes) -> list[int]:
+        """A piece within the window: one walk, then the tokens from its end."""
+        moves, size, state, ends = self.moves, self.size_of, 0, [START]
+        for byte in data:
+            found = moves.get(state << 8 | byte)
+            if found is None:
+                found = self.move(state, byte)
+            state, last = found
+            ends.append(last)
+        tail, at = [], len(data)
+        while at:
+            last = ends[at]
+            tail.append(last)
+            at -= size[last]
+        tail.reverse()
+        return tail
+
     def _commit(self, state: int, at: int, base: int, ends: list[int], out: list[int]):
         """Emit what all live configurations share and keep the window behind it."""
         depth = self._depths(state)
@@ -224,20 +252,26 @@ class Utf8Machine:
 
 
 class PieceMemo(dict):
-    """piece -> its ids as little-endian unsigned 32-bit integers; bounded, filled by the transducer."""
+    """piece -> its ids as little-endian unsigned 32-bit integers, filled by the transducer.
+
+    Two generations of at most ``limit`` pieces: a full one becomes the old one, whose pieces move up when met again.
+    """
 
     def __init__(self, transducer: Transducer, limit: int = MAX_PIECES):
         super().__init__()
-        self.transducer, self.limit = transducer, limit
+        self.transducer, self.limit, self.old = transducer, limit, {}
+        self.packed = {i: i.to_bytes(4, "little") for i in transducer.bytes_of}
 
     def __missing__(self, piece: str) -> bytes:
-        ids = self.transducer.encode(piece.encode())
-        packed = b"".join(i.to_bytes(4, "little") for i in ids)
+        ids = self.old.get(piece)
+        if ids is None:
+            ids = b"".join(map(self.packed.__getitem__, self.transducer.encode(piece.encode())))
         if len(piece) <= MEMO_CHARS:
             if len(self) >= self.limit:
+                self.old = dict(self)
                 self.clear()
-            self[piece] = packed
-        return packed
+            self[piece] = ids
+        return ids
 
 
 class Codec:
