@@ -8,6 +8,7 @@ from collections.abc import Callable, Iterator
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 #: Rows of one inner batch; bounds what a Python worker holds beside the Arrow batch that Spark sends.
 INNER_ROWS = 512
@@ -48,7 +49,7 @@ def drop_staging(spark: SparkSession) -> None:
 
 
 def map_arrow(
-    df: DataFrame, make: Callable[[], Callable[[pa.RecordBatch], pa.RecordBatch]], schema: str
+    df: DataFrame, make: Callable[[], Callable[[pa.RecordBatch], pa.RecordBatch]], schema
 ) -> DataFrame:
     """``mapInArrow`` in inner batches of ``INNER_ROWS``; ``make()`` builds the row-wise function once per task."""
 
@@ -67,7 +68,7 @@ def with_score(df: DataFrame, text_col: str, make: Callable, name: str) -> DataF
     ``make()`` returns list-of-texts -> list-of-floats. A column already called ``name`` is replaced.
     """
     df = df.drop(name)
-    schema = df.schema.add(name, "double")
+    schema = T.StructType([*df.schema.fields, T.StructField(name, T.DoubleType())])
 
     def build():
         fn = make()
