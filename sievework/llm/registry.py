@@ -6,6 +6,7 @@ from .byte_bpe import op1_byte_bpe
 from .exact_dedup import OP2_SQL, op2_exact_dedup
 from .packing import op7_best_fit_packing
 from .quality import op4_quality
+from .search import op8_topk_search
 from .sharding import op9_sharding
 from .simhash import op5_simhash
 from .token_files import op6_token_files
@@ -20,6 +21,7 @@ QUERIES = {
     "op5_simhash": op5_simhash,
     "op6_token_files": op6_token_files,
     "op7_best_fit_packing": op7_best_fit_packing,
+    "op8_topk_search": op8_topk_search,
     "op9_sharding": op9_sharding,
     "op10_toxicity": op10_toxicity,
 }
