@@ -1,7 +1,8 @@
 """Token ids as Arrow IPC files of fixed-size lists, with masks and a document index.
 
 Documents are range-partitioned and sorted by id; each range becomes one token file (record batches of
-``fixed_size_list<uint32>`` sequences and ``fixed_size_list<uint8>`` masks, the last sequence padded) and one index
+``fixed_size_list`` sequences of 16-bit ids, or 32-bit for a vocabulary over 65,536, and of mask bits; the last
+sequence is padded) and one index
 file (doc_id, start in the file, n_tokens). Files are named by task attempt; only those in the manifest count, which
 Spark commits, so a lost or repeated task leaves at most an unused file. Any store that Arrow knows can hold them.
 """
@@ -20,7 +21,7 @@ from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from .common import shared_dir, stage, table
-from .tokens import token_ids
+from .tokens import token_ids, tokenizer
 
 SEQUENCE = 1024
 BATCH_SEQUENCES = 256
@@ -28,16 +29,17 @@ END_ID = 1
 MANIFEST = "range int, tokens string, docs string, n_docs long, n_tokens long"
 
 
-def token_schema(length: int) -> pa.Schema:
-    return pa.schema([("ids", pa.list_(pa.uint32(), length)), ("mask", pa.list_(pa.uint8(), length))])
+def token_schema(length: int, wide: bool) -> pa.Schema:
+    return pa.schema([("ids", pa.list_(pa.uint32() if wide else pa.uint16(), length)), ("mask", pa.list_(pa.bool_(), length))])
 
 
 class TokenWriter:
     """Streams ids into equal-length sequences; holds one record batch."""
 
-    def __init__(self, sink, length: int = SEQUENCE):
-        self.length, self.block = length, length * BATCH_SEQUENCES
-        self.out = ipc.new_file(sink, token_schema(length))
+    def __init__(self, sink, length: int = SEQUENCE, wide: bool = False):
+        self.length, self.block, self.kind = length, length * BATCH_SEQUENCES, np.uint32 if wide else np.uint16
+        self.schema = token_schema(length, wide)
+        self.out = ipc.new_file(sink, self.schema)
         self.held, self.size, self.total = [], 0, 0
 
     def add(self, ids: np.ndarray) -> None:
@@ -53,10 +55,10 @@ class TokenWriter:
     def _flush(self) -> None:
         if self.size:
             rows = -(-self.size // self.length)
-            values, mask = np.zeros(rows * self.length, np.uint32), np.zeros(rows * self.length, np.uint8)
-            values[: self.size], mask[: self.size] = np.concatenate(self.held), 1
+            values, mask = np.zeros(rows * self.length, self.kind), np.zeros(rows * self.length, bool)
+            values[: self.size], mask[: self.size] = np.concatenate(self.held), True
             lists = [pa.FixedSizeListArray.from_arrays(pa.array(x), self.length) for x in (values, mask)]
-            self.out.write_batch(pa.RecordBatch.from_arrays(lists, schema=token_schema(self.length)))
+            self.out.write_batch(pa.RecordBatch.from_arrays(lists, schema=self.schema))
             self.held, self.size = [], 0
 
     def close(self) -> None:
@@ -65,7 +67,7 @@ class TokenWriter:
 
 
 class TokenFile:
-    """Random access to a token file: sequences and masks are views of the file's buffers (memory-mapped where local)."""
+    """Random access to a token file: sequences and masks are slices of the file's buffers (memory-mapped where local)."""
 
     def __init__(self, uri: str):
         store, path = fs.FileSystem.from_uri(uri)
@@ -77,26 +79,27 @@ class TokenFile:
         n = self.file.num_record_batches
         return (n - 1) * BATCH_SEQUENCES + self.file.get_batch(n - 1).num_rows if n else 0
 
-    def _row(self, name: str, i: int) -> np.ndarray:
+    def _row(self, name: str, i: int) -> pa.Array:
         batch = self.file.get_batch(i // BATCH_SEQUENCES)
-        at = i % BATCH_SEQUENCES * self.length
-        return batch.column(name).flatten().to_numpy()[at : at + self.length]
+        return batch.column(name).flatten().slice(i % BATCH_SEQUENCES * self.length, self.length)
 
     def sequence(self, i: int) -> np.ndarray:
-        return self._row("ids", i)
+        """A view of the ids of sequence ``i``; nothing is copied."""
+        return self._row("ids", i).to_numpy()
 
-    def mask(self, i: int) -> np.ndarray:
+    def mask(self, i: int) -> pa.BooleanArray:
+        """A slice of the mask bits of sequence ``i``; nothing is copied."""
         return self._row("mask", i)
 
     def blocks(self) -> Iterator[np.ndarray]:
         """The ids of each record batch, without padding."""
         for i in range(self.file.num_record_batches):
             batch = self.file.get_batch(i)
-            yield batch.column("ids").flatten().to_numpy()[: int(batch.column("mask").flatten().to_numpy().sum(dtype=np.int64))]
+            yield batch.column("ids").flatten().to_numpy()[: batch.column("mask").flatten().true_count]
 
     def spans(self, bounds: Iterator[tuple[int, int]]) -> Iterator[Iterator[np.ndarray]]:
         """For each (start, length), in ascending order and end to end, the arrays that make it up."""
-        blocks, block = self.blocks(), np.zeros(0, np.uint32)
+        blocks, block = self.blocks(), np.zeros(0, np.uint16)
         for _, n in bounds:
             parts = []
             while n:
@@ -134,7 +137,7 @@ def write_tokens(
                 store, path = fs.FileSystem.from_uri(name)
                 store.create_dir(path.rpartition("/")[0], recursive=True)
                 sink, side = store.open_output_stream(f"{path}.arrow"), store.open_output_stream(f"{path}.docs.arrow")
-                writer = TokenWriter(sink, length)
+                writer = TokenWriter(sink, length, tokenizer(tokenizer_file).library.get_vocab_size() > 1 << 16 or end_id >= 1 << 16)
                 index = ipc.new_file(side, pa.schema([("doc_id", pa.int64()), ("start", pa.int64()), ("n_tokens", pa.int64())]))
             for at in range(0, batch.num_rows, 512):
                 part = batch.slice(at, 512)
@@ -179,7 +182,7 @@ def read_documents(manifest: DataFrame) -> DataFrame:
                         for _ in range(docs.num_rows):
                             crc = 0
                             for part in next(spans):
-                                crc = zlib.crc32(part, crc)
+                                crc = zlib.crc32(part.astype(np.uint32), crc)
                             sums.append(crc)
                         starts = docs.column("start").to_numpy() + row["base"]
                         yield pa.RecordBatch.from_arrays(
