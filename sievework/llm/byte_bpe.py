@@ -20,6 +20,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from .common import map_arrow, table
+from .tokens import PLAIN, plain_pattern
 
 MAX_TRANSITIONS = 500_000
 MAX_PAIRS = 400_000
@@ -282,13 +283,17 @@ class Codec:
 
         ranks = load_ranks(rank_file)
         self.pieces = regex.compile(pattern).findall
+        self.plain_pieces = plain_pattern(pattern).findall
         self.memo = PieceMemo(Transducer(ranks))
         self.table = [b""] * (max(ranks.values()) + 1)
         for b, i in ranks.items():
             self.table[i] = b
 
     def encode(self, text: str | None) -> bytes:
-        return b"".join(map(self.memo.__getitem__, self.pieces(text))) if text else b""
+        if not text:
+            return b""
+        pieces = self.pieces if PLAIN.search(text) else self.plain_pieces
+        return b"".join(map(self.memo.__getitem__, pieces(text)))
 
     def decode(self, packed: bytes, chunk: int = 1 << 16) -> str:
         machine, out = Utf8Machine(), []
