@@ -3,9 +3,12 @@
 A shard is a bounded run of documents of one task, indexed by term hash (64 bits of XXH64). Statistics (rows, mean length,
 document frequencies) are global, so scores of different shards compare and their top-k lists merge exactly. In a shard,
 documents with alike frequent words stand together in blocks of BLOCK; each term has its largest impact in each block.
-Queries of a chunk go over the shard together: the sum of the block maxima bounds every score in a block; blocks are taken
-from the highest bound down, and a block whose bound doesn't reach the query's k-th best score is never scored. Bounds and
-scores are matrix products for terms that many of the shard's documents hold, and sums over postings for the others.
+Queries of a chunk go over the shard together. Postings of rare terms are added up; for frequent terms the block maxima bound
+what they can add, and both together bound every score in a block. Blocks are taken from the highest bound down, and one
+whose bound reaches no query's k-th best score so far is never scored on the frequent terms (a matrix product).
+
+A fixed share of the shards is searched first; the k-th best score found there is where the search of the others starts from,
+so that these skip nearly all blocks and send on only documents that may be among the best of all.
 """
 
 from __future__ import annotations
@@ -30,7 +33,11 @@ BLOCK = 32
 CHUNK = 64
 QUERY_SET = 4096
 #: A term in over this share of a shard's documents is kept as a dense row.
-DENSE = 0.02
+DENSE = 0.05
+#: Terms whose frequencies travel as one row.
+SLICE = 4096
+#: One in so many shards is searched first.
+FIRST = 8
 #: Slack for single-precision bounds; what is within it is scored in double precision.
 SLACK = 1e-4
 DIGITS = 6
@@ -181,12 +188,6 @@ class Shard:
         padded = np.zeros((len(dense), self.blocks * BLOCK), np.float32)
         padded[:, :n] = self.dense32
         self.dense_max = padded.reshape(len(dense), self.blocks, BLOCK).max(2)
-        # Largest impact of each (term, block) that has postings; postings of a term are sorted by document.
-        key = np.repeat(np.arange(len(size), dtype=np.int64), size) * self.blocks + self.doc // BLOCK
-        heads = np.flatnonzero(np.diff(key, prepend=-1))
-        self.max_block = (key[heads] % max(self.blocks, 1)).astype(np.int32)
-        self.max_impact = np.maximum.reduceat(self.impact, heads) if len(heads) else np.zeros(0)
-        self.max_begin = np.searchsorted(heads, self.begin)
 
 
 def _spans(begin: np.ndarray, terms: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
@@ -195,57 +196,55 @@ def _spans(begin: np.ndarray, terms: np.ndarray) -> tuple[np.ndarray, np.ndarray
     return np.repeat(begin[terms] - np.concatenate([[0], np.cumsum(size)[:-1]]), size) + np.arange(size.sum()), size
 
 
-def search_shard(shard: Shard, queries: Queries, top: int) -> Iterator[tuple[np.ndarray, np.ndarray, np.ndarray, int]]:
-    """(query ids, document ids, scores, blocks scored) of each chunk: the shard's best ``top`` of each query."""
-    n = len(shard.ids)
+def search_shard(shard: Shard, queries: Queries, top: int, start: np.ndarray | None = None) -> Iterator[tuple[np.ndarray, np.ndarray, np.ndarray, int]]:
+    """(query ids, document ids, scores, blocks scored) of each chunk: the shard's best ``top`` of each query, of those that
+    reach the query's ``start`` score."""
+    n, wide = len(shard.ids), shard.blocks * BLOCK
+    start = np.zeros(len(queries.ids)) if start is None else start
     # Chunks of queries with alike words share the blocks they need.
     lead = np.array([int(queries.terms[queries.which[a:b][np.argmax(queries.counts[a:b])]] >> np.uint64(1)) if b > a else 0 for a, b in zip(queries.cuts, queries.cuts[1:], strict=False)])
     order = np.argsort(lead, kind="stable")
+    steps = np.unique([0, shard.blocks // 16, shard.blocks // 4, shard.blocks])
     for at in range(0, len(order), CHUNK):
         chunk = order[at : at + CHUNK]
         flat, size = _spans(queries.cuts, chunk)
         who, term, count = np.repeat(np.arange(len(chunk)), size), queries.which[flat], queries.counts[flat].astype(float)
         rows = shard.row_of[term]
         thick = rows >= 0
-        weight = np.zeros((len(chunk), len(shard.dense)))
-        weight[who[thick], rows[thick]] = count[thick]
+        used, place = np.unique(rows[thick], return_inverse=True)
+        weight = np.zeros((len(chunk), len(used)))
+        weight[who[thick], place] = count[thick]
         weight32 = weight.astype(np.float32)
         thin = ~thick & (shard.size[term] > 0)
-        t_who, t_term, t_count = who[thin], term[thin], count[thin]
-        pos, reps = _spans(shard.max_begin, t_term)
-        where = np.repeat(t_who, reps) * shard.blocks + shard.max_block[pos]
-        bound = np.bincount(where, np.repeat(t_count, reps) * shard.max_impact[pos], len(chunk) * shard.blocks).reshape(len(chunk), -1)
-        bound += weight32 @ shard.dense_max
-        pos, reps = _spans(shard.begin, t_term)
-        where = np.repeat(t_who, reps) * n + shard.doc[pos]
-        sparse = np.bincount(where, np.repeat(t_count, reps) * shard.impact[pos], len(chunk) * n).reshape(len(chunk), n)
-        scores = np.full((len(chunk), n), -1.0)
-        todo = np.ones(shard.blocks, bool)
-        floor = np.zeros(len(chunk))
+        pos, reps = _spans(shard.begin, term[thin])
+        where = np.repeat(who[thin], reps) * wide + shard.doc[pos]
+        sparse = np.bincount(where, np.repeat(count[thin], reps) * shard.impact[pos], len(chunk) * wide).reshape(len(chunk), wide)
+        bound = sparse.reshape(len(chunk), shard.blocks, BLOCK).max(2) + weight32 @ shard.dense_max[used]
+        scores = np.zeros((len(chunk), wide))
+        floor = start[chunk] * (1 - SLACK)
         ranked = np.argsort(-bound.max(0))
         scored = 0
-        step = max(4, shard.blocks // 16)
-        for a in range(0, shard.blocks, step):
-            now = ranked[a : a + step]
-            now = now[(bound[:, now] * (1 + SLACK) >= floor[:, None]).any(0) & (bound[:, now] > 0).any(0) & todo[now]]
+        for a, b in zip(steps, steps[1:], strict=False):
+            now = ranked[a:b]
+            now = now[((bound[:, now] * (1 + SLACK) >= floor[:, None]) & (bound[:, now] > 0)).any(0)]
             if not len(now):
                 continue
             scored += len(now)
             cols = (now[:, None] * BLOCK + np.arange(BLOCK)).ravel()
             cols = cols[cols < n]
-            scores[:, cols] = weight32 @ shard.dense32[:, cols] + sparse[:, cols]
-            if n > top:
-                floor = np.maximum(np.partition(scores, n - top, 1)[:, n - top] * (1 - SLACK), 0.0)
-        cut = np.partition(scores, n - top, 1)[:, n - top] if n > top else np.zeros(len(chunk))
-        near = (scores >= (cut * (1 - SLACK))[:, None]) & (scores > 0)
+            scores[:, cols] = weight32 @ shard.dense32[np.ix_(used, cols)] + sparse[:, cols]
+            if len(cols) > top and b < shard.blocks:
+                floor = np.maximum(floor, np.partition(scores[:, cols], len(cols) - top, 1)[:, len(cols) - top] * (1 - SLACK))
+        near = (scores >= floor[:, None]) & (scores > 0)
         out_q, out_d, out_s = [], [], []
-        for q in range(len(chunk)):
+        for q in np.flatnonzero(near.any(1)):
             d = np.flatnonzero(near[q])
-            if not len(d):
-                continue
-            exact = np.round(weight[q] @ shard.dense[:, d] + sparse[q, d], DIGITS)
+            if len(d) > 4 * top:  # all within the slack of the k-th best, ties included
+                kth = np.partition(scores[q, d], len(d) - top)[len(d) - top]
+                d = d[scores[q, d] >= kth * (1 - SLACK)]
+            exact = np.round(weight[q] @ shard.dense[np.ix_(used, d)] + sparse[q, d], DIGITS)
             best = np.lexsort((shard.ids[d], -exact))[:top]
-            best = best[exact[best] > 0]
+            best = best[(exact[best] > 0) & (exact[best] >= start[chunk[q]])]
             out_q.append(np.full(len(best), queries.ids[chunk[q]]))
             out_d.append(shard.ids[d[best]])
             out_s.append(exact[best])
@@ -253,7 +252,7 @@ def search_shard(shard: Shard, queries: Queries, top: int) -> Iterator[tuple[np.
             yield np.concatenate(out_q), np.concatenate(out_d), np.concatenate(out_s), scored
 
 
-def _gather(bags: list, frequencies: DataFrame | None, n_docs: int, mean: float) -> Queries:
+def _gather(bags: list, mean: float) -> Queries:
     ids = np.array([r["id"] for r in bags], np.int64)
     each = [np.frombuffer(r["terms"], np.uint64) for r in bags]
     flat = np.concatenate(each) if each else np.zeros(0, np.uint64)
@@ -264,22 +263,33 @@ def _gather(bags: list, frequencies: DataFrame | None, n_docs: int, mean: float)
 
 
 def _frequencies(index: DataFrame, queries: Queries) -> np.ndarray:
-    """Document frequency of each term of the set, over all shards."""
-    terms = index.sparkSession.sparkContext.broadcast(queries.terms)
+    """Document frequency of each term of the set over all shards: every task adds up its shards, then slices of the sums are
+    added in two levels, so that rows grow with tasks and not with tasks times terms."""
+    n, terms = len(queries.terms), index.sparkSession.sparkContext.broadcast(queries.terms)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        total = np.zeros(n, np.int64)
         for batch in batches:
             for row in batch.to_pylist():
                 own, cuts = np.frombuffer(row["terms"], np.uint64), np.frombuffer(row["cuts"], np.int64)
-                if not len(own):
-                    continue
-                at = np.minimum(np.searchsorted(own, terms.value), len(own) - 1)
-                hit = np.flatnonzero(own[at] == terms.value)
-                yield pa.RecordBatch.from_arrays([pa.array(hit, pa.int64()), pa.array(cuts[at[hit] + 1] - cuts[at[hit]], pa.int64())], ["term", "df"])
-
-    sums = index.select("terms", "cuts").mapInArrow(run, "term long, df long").groupBy("term").agg(F.sum("df").alias("df")).toPandas()
-    out = np.zeros(len(queries.terms))
-    out[sums["term"].to_numpy(int)] = sums["df"].to_numpy(float)
+                if len(own):
+                    at = np.minimum(np.searchsorted(own, terms.value), len(own) - 1)
+                    hit = np.flatnonzero(own[at] == terms.value)
+                    total[hit] += cuts[at[hit] + 1] - cuts[at[hit]]
+        if total.any():
+            parts = [total[a : a + SLICE].tobytes() for a in range(0, n, SLICE)]
+            yield pa.RecordBatch.from_arrays([pa.array(range(len(parts)), pa.int32()), pa.array(parts, pa.binary())], ["slice", "sums"])
+
+    def add(group):  # no hints: Spark would try to infer another kind of function from them
+        sums = sum(np.frombuffer(x, np.int64) for x in group.column("sums").to_pylist())
+        return pa.table({"slice": pa.array([group.column("slice")[0].as_py()], pa.int32()), "sums": pa.array([sums.tobytes()], pa.binary())})
+
+    parts = index.select("terms", "cuts").mapInArrow(run, "slice int, sums binary").withColumn("part", F.spark_partition_id() % 64)
+    level = parts.groupBy("slice", "part").applyInArrow(add, "slice int, sums binary")
+    out = np.zeros(n)
+    for r in level.groupBy("slice").applyInArrow(add, "slice int, sums binary").collect():  # one number a term of the set
+        own = np.frombuffer(r["sums"], np.int64)
+        out[r["slice"] * SLICE : r["slice"] * SLICE + len(own)] = own
     return out
 
 
@@ -296,24 +306,36 @@ def search(index: DataFrame, queries: DataFrame, top: int = TOP, id_col: str = "
     total = index.agg(F.sum("n_docs"), F.sum("n_words")).first()
     n_docs, mean = total[0] or 0, (total[1] or 0) / max(total[0] or 0, 1)
     sets = max(1, -(-bags.count() // QUERY_SET))
-    hits = None
+    hits, early = None, F.pmod(F.xxhash64("ids"), F.lit(FIRST)) == 0
     for k in range(sets):
-        own = _gather(bags.where(F.pmod(F.xxhash64("id"), F.lit(sets)) == k).collect(), None, n_docs, mean)  # bounded set
+        own = _gather(bags.where(F.pmod(F.xxhash64("id"), F.lit(sets)) == k).collect(), mean)  # bounded set
         df = _frequencies(index, own)
         own.idf = np.log(1 + (n_docs - df + 0.5) / (df + 0.5))
-        shared = spark.sparkContext.broadcast(own)
+        first = stage(_best(_hits(index.where(early), own, np.zeros(len(own.ids)), top), top), "first-hits")
+        kth = {r["query_id"]: r["score"] for r in first.where(F.col("rank") == top).collect()}  # one number a query of the set
+        start = np.array([kth.get(int(q), 0.0) for q in own.ids])
+        part = first.drop("rank").unionAll(_hits(index.where(~early), own, start, top))
+        hits = part if hits is None else hits.unionAll(part)
+    return _best(hits, top).select("query_id", "rank", "doc_id", "score")
 
-        def run(batches: Iterator[pa.RecordBatch], shared=shared) -> Iterator[pa.RecordBatch]:
-            for batch in batches:
-                for at in range(batch.num_rows):
-                    shard = Shard(batch.slice(at, 1).to_pylist()[0], shared.value)
-                    for q, d, s, scored in search_shard(shard, shared.value, top):
-                        yield pa.RecordBatch.from_arrays([pa.array(q), pa.array(d), pa.array(s)], ["query_id", "doc_id", "score"])
 
-        part = index.mapInArrow(run, "query_id long, doc_id long, score double")
-        hits = part if hits is None else hits.unionAll(part)
-    order = Window.partitionBy("query_id").orderBy(F.desc("score"), "doc_id")  # top rows of each shard
-    return hits.withColumn("rank", F.row_number().over(order)).where(F.col("rank") <= top).select("query_id", "rank", "doc_id", "score")
+def _best(hits: DataFrame, top: int) -> DataFrame:
+    order = Window.partitionBy("query_id").orderBy(F.desc("score"), "doc_id")  # at most ``top`` rows of each shard
+    return hits.withColumn("rank", F.row_number().over(order)).where(F.col("rank") <= top)
+
+
+def _hits(index: DataFrame, queries: Queries, start: np.ndarray, top: int) -> DataFrame:
+    shared = index.sparkSession.sparkContext.broadcast((queries, start))
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for at in range(batch.num_rows):
+                own, floor = shared.value
+                shard = Shard(batch.slice(at, 1).to_pylist()[0], own)
+                for q, d, s, _ in search_shard(shard, own, top, floor):
+                    yield pa.RecordBatch.from_arrays([pa.array(q), pa.array(d), pa.array(s)], ["query_id", "doc_id", "score"])
+
+    return index.mapInArrow(run, "query_id long, doc_id long, score double")
 
 
 def op8_topk_search(spark: SparkSession, sf_dir: str) -> DataFrame:
