@@ -1,6 +1,1043 @@
-"""All queries of the engine with the SQL that checks them."""
+"""All queries of the engine with the SQL that checks them: name -> (spark, sf_dir) -> DataFrame, and name -> SQL."""
 
 from __future__ import annotations
 
-QUERIES: dict = {}
-ORACLES: dict = {}
+from collections.abc import Callable
+
+from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
+
+from . import oracles as O
+from .functions import constants as C
+from .functions.text import distance, h32, jaccard, shingles, tokens, unit
+from .operators import filters, fuzzy, ingest, measures, relational, rules, sampling, semantic, signals
+from .operators.components import star_forest
+from .plans import pipeline, replay
+from .plans.staging import stage
+from .sources.tables import assemble_conversations, load, union_snapshots
+from .streaming import monitor
+
+QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {}
+ORACLES: dict[str, str] = {}
+
+
+def query(sql: str | None = None, name: str | None = None):
+    def add(f):
+        QUERIES[name or f.__name__] = f
+        if sql:
+            ORACLES[name or f.__name__] = sql
+        return f
+
+    return add
+
+
+def docs(spark: SparkSession, d: str) -> DataFrame:
+    return load(spark, d, "documents")
+
+
+def rounded(df: DataFrame, *columns: str, digits: int = 6) -> DataFrame:
+    return df.withColumns({c: F.round(c, digits) for c in columns})
+
+
+# --- ingest --------------------------------------------------------------------------------------
+
+
+@query("SELECT sha256(coalesce(text, '')) digest, min(doc_id) keep, count(*) copies FROM documents GROUP BY 1")
+def exact_dedup_groups(spark, d):
+    return ingest.exact_groups(docs(spark, d))
+
+
+@query("SELECT min(doc_id) doc_id, count(*) copies FROM documents GROUP BY sha256(coalesce(text, ''))")
+def exact_dedup_survivors(spark, d):
+    return ingest.exact_dedup(docs(spark, d)).select("doc_id", "copies")
+
+
+@query("""SELECT min_by(doc_id, (-n_chars, doc_id)) doc_id, count(*) copies FROM documents GROUP BY sha256(trim(regexp_replace(coalesce(text, ''), '\\s+', ' ', 'g')))""")
+def exact_dedup_whitespace(spark, d):
+    return ingest.exact_dedup(docs(spark, d), normalize="whitespace", order=-F.col("n_chars")).select("doc_id", "copies")
+
+
+@query(O.cte(O.language()) + " SELECT lang_guess, count(*) n, count(CASE WHEN lang_conf > 0.5 THEN 1 END) confident, count(CASE WHEN lang_guess = lang THEN 1 END) agree FROM lang JOIN documents USING (doc_id) GROUP BY 1")
+def language_counts(spark, d):
+    marked = ingest.detect_language(docs(spark, d))
+    one = lambda c: F.sum(F.when(c, 1).otherwise(0))
+    return marked.groupBy("lang_guess").agg(F.count("*").alias("n"), one(F.col("lang_conf") > 0.5).alias("confident"), one(F.col("lang_guess") == F.col("lang")).alias("agree"))
+
+
+@query()
+def language_model(spark, d):
+    """Character n-gram model: accuracy on the rows it wasn't fitted on."""
+    rows = docs(spark, d).select("doc_id", "text", "lang")
+    model = ingest.fit_language_model(rows.where("doc_id % 5 <> 0"))
+    out = model.transform(rows.where("doc_id % 5 = 0"))
+    return out.groupBy("lang").agg(F.count("*").alias("n"), F.avg((F.col("prediction") == F.col("__y")).cast("double")).alias("accuracy"))
+
+
+HOSTS_SQL = "blocked(host) AS (VALUES " + ", ".join(f"('{h}')" for h in C.BLOCKED_HOSTS) + ")"
+
+
+@query(
+    f"""WITH {HOSTS_SQL}, h AS (SELECT page_id, url, regexp_extract(lower(url), '^[a-z][a-z0-9+.-]*://(?:[^/?#@]*@)?([^/?#:]*)', 1) host FROM pages)
+SELECT page_id, CASE WHEN EXISTS (SELECT 1 FROM blocked b WHERE h.host = b.host OR h.host LIKE '%.' || b.host) THEN 'host' WHEN regexp_matches(lower(url), '{"|".join(C.BLOCKED_WORDS)}') THEN 'pattern' END reason FROM h"""
+)
+def url_block_hits(spark, d):
+    hosts = spark.createDataFrame([(h,) for h in C.BLOCKED_HOSTS], "host string")
+    return ingest.block_urls(load(spark, d, "pages"), hosts, C.BLOCKED_WORDS).select("page_id", "reason")
+
+
+def _strip_sql() -> str:
+    out = "regexp_replace(coalesce(html, ''), '(?s)<!--.*?-->', ' ', 'g')"
+    for n in ingest.DROPPED:
+        out = f"regexp_replace({out}, '(?is)<{n}\\b.*?</{n}\\s*>', ' ', 'g')"
+    out = f"regexp_replace({out}, '(?s)<[^>]*>', ' ', 'g')"
+    for code, char in ingest.ENTITIES:
+        out = f"replace({out}, '{code}', '{char.replace(chr(39), chr(39) * 2)}')"
+    return f"trim(regexp_replace({out}, '[ \\t\\r\\n]+', ' ', 'g'))"
+
+
+@query(f"SELECT page_id, md5({_strip_sql()}) text_md5, length({_strip_sql()}) text_len FROM pages")
+def html_strip_text(spark, d):
+    text = ingest.extract_main_text(load(spark, d, "pages"), "strip_all")
+    return text.select("page_id", F.md5("text").alias("text_md5"), F.length("text").alias("text_len"))
+
+
+@query()
+def html_density_text(spark, d):
+    return ingest.extract_main_text(load(spark, d, "pages"), "density").select("page_id", F.length("text").alias("text_len"), "title", "n_removed")
+
+
+@query()
+def html_article_text(spark, d):
+    return ingest.extract_main_text(load(spark, d, "pages"), "article_first").select("page_id", F.length("text").alias("text_len"), "title")
+
+
+@query(
+    """WITH a AS (SELECT page_id, regexp_replace(url, '#.*$', '') u FROM pages),
+b AS (SELECT page_id, regexp_replace(regexp_extract(lower(u), '^[a-z][a-z0-9+.-]*://(?:[^/?#@]*@)?([^/?#:]*)', 1), '^(www|m)\\.', '') host,
+ regexp_replace(regexp_extract(u, '^[^:]*://[^/?]*([^?]*)', 1), '/+$', '') path,
+ array_to_string(list_sort(list_filter(string_split(regexp_extract(u, '\\?(.*)$', 1), '&'), lambda p: p <> '' AND NOT starts_with(p, 'utm_'))), '&') q FROM a)
+SELECT host || path || CASE WHEN q <> '' THEN '?' || q ELSE '' END url_key, count(*) crawls, min(page_id) "first" FROM b GROUP BY 1"""
+)
+def url_keys(spark, d):
+    return load(spark, d, "pages").groupBy(ingest.normalize_url("url").alias("url_key")).agg(F.count("*").alias("crawls"), F.min("page_id").alias("first"))
+
+
+@query()
+def page_funnel(spark, d):
+    """Extraction, URL blacklist, exact dedup of pages."""
+    pages = load(spark, d, "pages")
+    hosts = spark.createDataFrame([(h,) for h in C.BLOCKED_HOSTS], "host string")
+    text = ingest.extract_main_text(pages, "density").withColumn("n_words", F.size(tokens(F.col("text"))))
+    kept = ingest.block_urls(text, hosts, C.BLOCKED_WORDS, mode="filter")
+    return measures.funnel({"extracted": text, "url": kept, "exact": ingest.exact_dedup(kept, "page_id")})
+
+
+@query("SELECT source, count(*) n, count(lang) with_lang FROM (SELECT 'documents' source, doc_id, lang FROM documents UNION ALL SELECT 'pages', page_id, NULL FROM pages) GROUP BY 1")
+def snapshot_union(spark, d):
+    a = docs(spark, d).select(F.lit("documents").alias("source"), "doc_id", "lang")
+    b = load(spark, d, "pages").select(F.lit("pages").alias("source"), F.col("page_id").alias("doc_id"))
+    return union_snapshots([a, b]).groupBy("source").agg(F.count("*").alias("n"), F.count("lang").alias("with_lang"))
+
+
+@query("SELECT conv_id, count(*) turns, md5(string_agg(role || ': ' || coalesce(text, ''), chr(10) ORDER BY turn, role, text)) text_md5 FROM conversations GROUP BY 1")
+def conversation_documents(spark, d):
+    return assemble_conversations(load(spark, d, "conversations")).select("conv_id", "turns", F.md5("text").alias("text_md5"))
+
+
+# --- signals -------------------------------------------------------------------------------------
+
+SCORES = ", ".join(C.SCORES)
+
+
+@query(O.cte(O.shapes()) + f" SELECT doc_id, n_words, {SCORES} FROM signals")
+def quality_signals(spark, d):
+    return signals.annotate_quality(docs(spark, d))
+
+
+@query(O.cte(O.TAGS) + " SELECT domain_l1, domain_l2, count(*) n FROM tags GROUP BY ALL")
+def domain_tags(spark, d):
+    l1, l2 = signals.domain_columns()
+    return docs(spark, d).groupBy(l1.alias("domain_l1"), l2.alias("domain_l2")).agg(F.count("*").alias("n"))
+
+
+_PAIRS = [(a, b) for i, a in enumerate(C.FOUR_POINT) for b in C.FOUR_POINT[i + 1 :]]
+
+
+@query(O.cte(O.shapes()) + " UNION ALL ".join(f" SELECT '{a}' x, '{b}' y, round(CASE WHEN isnan(corr({a}, {b})) THEN NULL ELSE corr({a}, {b}) END, 6) r FROM signals" for a, b in _PAIRS))
+def signal_pearson(spark, d):
+    return rounded(signals.signal_correlation(signals.annotate_quality(docs(spark, d))), "r")
+
+
+@query(O.cte(O.shapes()) + ", c AS (" + " UNION ALL ".join(f"SELECT corr({a}, {b}) r FROM signals" for a, b in _PAIRS) + ") SELECT round(max(abs(r)), 6) max_abs, round(avg(abs(r)), 6) mean_abs FROM c WHERE NOT isnan(r)")
+def signal_collinearity(spark, d):
+    return rounded(signals.collinearity(signals.signal_correlation(signals.annotate_quality(docs(spark, d)))), "max_abs", "mean_abs")
+
+
+@query(
+    f"""WITH c AS (SELECT lang, count(*) n FROM documents GROUP BY 1), w AS (SELECT lang, n, sqrt(n) w FROM c),
+r AS (SELECT lang, least(1.0, 200 * w / (SELECT sum(w) FROM w) / n) rate FROM w)
+SELECT d.doc_id, d.lang FROM documents d JOIN r USING (lang) WHERE ({O.h32("d.doc_id || ':s'")} + 0.5) / 4294967296.0 < rate"""
+)
+def stratified_sample(spark, d):
+    return signals.stratified_sample(docs(spark, d).select("doc_id", "lang"), "lang", 200, allocation="sqrt")
+
+
+@query()
+def student_agreement(spark, d):
+    """The two-head student, distilled from the rule teacher: per-class agreement on rows it wasn't fitted on."""
+    rows = signals.annotate_quality(docs(spark, d), keep=("doc_id",)).join(docs(spark, d).select("doc_id", "text", "lang"), "doc_id")
+    rows = stage(rows.select("doc_id", "text", "writing", "knowledge", "lang"), "teacher")
+    student, _ = signals.fit_student(rows.where("doc_id % 5 <> 0"), ("writing", "knowledge", "lang"))
+    scored = signals.score_student(rows.where("doc_id % 5 = 0"), student)
+    out = None
+    for t in student.tasks:
+        one = signals.agreement(scored, t, f"student_{t}").withColumn("task", F.lit(t))
+        out = one if out is None else out.unionAll(one)
+    return out
+
+
+# --- rules ---------------------------------------------------------------------------------------
+
+_FEATURES = ("median_word_len", "required_words", "text_len", "bullet_frac", "ellipsis_frac", "word_count", "symbol_ratio", "alpha_ratio", "alpha_nonspace", "alpha_word", "mean_word_len", "dup_line_frac", "punct_density", "special_ratio", "short_line_frac")
+
+
+@query(O.cte(O.features()) + " SELECT doc_id, " + ", ".join(f"round({f}, 6) {f}" if f not in ("required_words", "text_len", "word_count") else f for f in _FEATURES) + " FROM rf")
+def rule_features(spark, d):
+    return rounded(rules.rule_features(docs(spark, d)), *[f for f in _FEATURES if f not in ("required_words", "text_len", "word_count")])
+
+
+def _hits(rs):
+    def run(spark, d):
+        rows = rules.rule_features(docs(spark, d)).select("doc_id", rules.hits(rs).alias("h"))
+        return rows.select("doc_id", F.array_join("h", ",").alias("rule_hits"))
+
+    return run, O.cte(O.features()) + f" SELECT doc_id, array_to_string({O.rule_hits(rs)}, ',') rule_hits FROM rf"
+
+
+for _n, _rs in (("rules_original_hits", rules.ORIGINAL), ("rules_optimized_hits", rules.OPTIMIZED), ("rules_unchanged_hits", rules.UNCHANGED)):
+    _f, _sql = _hits(_rs)
+    query(_sql, _n)(_f)
+
+_ARMS = [(n, u, rules.with_alpha_unit(rs, u)) for n, rs in (("original", rules.ORIGINAL), ("optimized", rules.OPTIMIZED)) for u in ("char", "nonspace", "word")]
+
+
+@query(
+    O.cte(O.features(), "l AS (SELECT rf.*, d.lang FROM rf JOIN documents d USING (doc_id))")
+    + " UNION ALL ".join(
+        f" SELECT '{n}' ruleset, '{u}' unit, scope, count(*) docs, count(CASE WHEN len({O.rule_hits(rs)}) = 0 THEN 1 END) kept, round(count(CASE WHEN len({O.rule_hits(rs)}) = 0 THEN 1 END) / count(*), 6) share FROM (SELECT *, 'all' scope FROM l UNION ALL SELECT *, 'en' FROM l WHERE lang = 'en') GROUP BY scope"
+        for n, u, rs in _ARMS
+    )
+)
+def rule_retention(spark, d):
+    """Documents that each rule set keeps, by unit of the alphabetic rule and by scope; one pass over the text."""
+    rows = rules.rule_features(docs(spark, d), keep=("doc_id", "lang"))
+    kept = [F.count(F.when(F.size(rules.hits(rs)) == 0, 1)).alias(f"{n}_{u}") for n, u, rs in _ARMS]
+    scopes = F.explode(F.when(F.col("lang") == "en", F.array(F.lit("all"), F.lit("en"))).otherwise(F.array(F.lit("all"))))
+    by = rows.withColumn("scope", scopes).groupBy("scope").agg(F.count("*").alias("docs"), *kept)
+    stacked = ", ".join(f"'{n}', '{u}', {n}_{u}" for n, u, _ in _ARMS)
+    flat = by.selectExpr("scope", "docs", f"stack({len(_ARMS)}, {stacked}) AS (ruleset, unit, kept)")
+    return flat.withColumn("share", F.round(F.col("kept") / F.col("docs"), 6))
+
+
+@query(
+    O.cte(
+        O.features(),
+        *[
+            f"""h{i} AS (SELECT doc_id, {O.rule_hits(rs)} h FROM rf), m{i} AS (SELECT h, quality FROM h{i} LEFT JOIN labels USING (doc_id)),
+x{i} AS (SELECT unnest(list_concat(['all'], h)) rule, quality FROM m{i} WHERE len(h) > 0)"""
+            for i, rs in enumerate((rules.ORIGINAL, rules.OPTIMIZED))
+        ],
+    )
+    + " UNION ALL ".join(
+        f""" SELECT '{n}' ruleset, rule, count(*) removed, count(quality) labelled, round(count(CASE WHEN quality = 0 THEN 1 END) / nullif(count(quality), 0), 6) "precision",
+ round(1 - count(CASE WHEN quality = 1 THEN 1 END) / nullif((SELECT count(CASE WHEN quality = 1 THEN 1 END) FROM m{i}), 0), 6) hq_recall FROM x{i} GROUP BY rule"""
+        for i, n in enumerate(("original", "optimized"))
+    )
+)
+def rule_precision(spark, d):
+    feats, labels = rules.rule_features(docs(spark, d)), load(spark, d, "labels")
+    parts = [rules.rule_accuracy(feats.select("doc_id", rules.hits(rs).alias("rule_hits")), labels).withColumn("ruleset", F.lit(n)) for n, rs in (("original", rules.ORIGINAL), ("optimized", rules.OPTIMIZED))]
+    return rounded(parts[0].unionAll(parts[1]), "precision", "hq_recall")
+
+
+@query(
+    O.cte(O.features(), O.TAGS)
+    + f""" SELECT domain_l1 IN {O.in_list(C.BYPASS)} bypassed, count(*) docs, count(CASE WHEN domain_l1 IN {O.in_list(C.BYPASS)} OR len({O.rule_hits(rules.OPTIMIZED)}) = 0 THEN 1 END) kept,
+ count(CASE WHEN len({O.rule_hits(rules.OPTIMIZED)}) = 0 THEN 1 END) kept_without FROM rf JOIN tags USING (doc_id) GROUP BY 1"""
+)
+def rule_bypass(spark, d):
+    feats = rules.rule_features(docs(spark, d).withColumn("domain_l1", signals.domain_columns()[0]), keep=("doc_id", "domain_l1"))
+    a = rules.apply_rules(feats, rules.OPTIMIZED, C.BYPASS, mode="annotate").withColumn("plain", rules.hits(rules.OPTIMIZED))
+    one = lambda c: F.sum(F.when(c, 1).otherwise(0))
+    return a.groupBy("bypassed").agg(F.count("*").alias("docs"), one(F.size("rule_hits") == 0).alias("kept"), one(F.size("plain") == 0).alias("kept_without"))
+
+
+_CUTS = (("Shopping", "word_count", 100.0), ("Arts", "word_count", 10.0), ("Arts", "symbol_ratio", 0.1))
+
+
+@query(
+    O.cte(O.features(), O.TAGS, "cuts(domain, rule, value) AS (VALUES " + ", ".join(f"('{a}', '{b}', {c})" for a, b, c in _CUTS) + ")")
+    + " SELECT doc_id, array_to_string(list_filter(["
+    + ", ".join(f"CASE WHEN {r.feature} {r.op} coalesce((SELECT value FROM cuts WHERE domain = domain_l1 AND rule = '{r.name}'), {r.cut}) THEN '{r.name}' END" for r in rules.OPTIMIZED)
+    + "], lambda x: x IS NOT NULL), ',') rule_hits FROM rf JOIN tags USING (doc_id)"
+)
+def rule_domain_thresholds(spark, d):
+    feats = rules.rule_features(docs(spark, d).withColumn("domain_l1", signals.domain_columns()[0]), keep=("doc_id", "domain_l1"))
+    cuts = spark.createDataFrame(list(_CUTS), "domain string, rule string, value double")
+    return rules.apply_rules(feats, rules.OPTIMIZED, mode="annotate", thresholds=cuts).select("doc_id", F.array_join("rule_hits", ",").alias("rule_hits"))
+
+
+_GRID = (0.3, 0.4, 0.5, 0.6, 0.7, 0.75, 0.8, 0.85)
+_CURVE = O.cte(O.features(), "lab AS (SELECT rf.*, quality FROM rf JOIN labels USING (doc_id))", "curve AS (" + " UNION ALL ".join(
+    f"SELECT {g} cut, count(CASE WHEN alpha_ratio < {g} AND quality = 0 THEN 1 END) bad, count(CASE WHEN alpha_ratio < {g} AND quality = 1 THEN 1 END) good, count(CASE WHEN quality = 1 THEN 1 END) allg FROM lab" for g in _GRID) + ")")
+
+
+@query(_CURVE + ' SELECT CAST(cut AS DOUBLE) cut, bad + good removed, bad, good, round(bad / nullif(bad + good, 0), 6) "precision", round(1 - good / nullif(allg, 0), 6) hq_recall FROM curve')
+def rule_calibration(spark, d):
+    lab = rules.rule_features(docs(spark, d)).join(load(spark, d, "labels").select("doc_id", "quality"), "doc_id")
+    return rounded(rules.calibration_curve(lab, rules.ORIGINAL[-1], _GRID), "precision", "hq_recall")
+
+
+@query(_CURVE + " SELECT CAST(cut AS DOUBLE) cut, bad + good removed FROM curve WHERE bad / nullif(bad + good, 0) >= 0.5 AND 1 - good / nullif(allg, 0) >= 0.9 AND bad + good > 0 ORDER BY 2 DESC, 1 LIMIT 1")
+def rule_calibrated_cut(spark, d):
+    lab = rules.rule_features(docs(spark, d)).join(load(spark, d, "labels").select("doc_id", "quality"), "doc_id")
+    return rules.calibrate(rules.calibration_curve(lab, rules.ORIGINAL[-1], _GRID), 0.5, 0.9).select("cut", "removed")
+
+
+@query()
+def rule_retirement(spark, d):
+    """Original rules whose labelled precision stays under one half."""
+    feats = rules.rule_features(docs(spark, d)).select("doc_id", rules.hits(rules.ORIGINAL).alias("rule_hits"))
+    return rules.retire_rules(rules.rule_accuracy(feats, load(spark, d, "labels")), 0.5)
+
+
+@query(
+    O.cte(O.features())
+    + " SELECT quality, count(*) n, count(CASE WHEN 1 / (1 + exp(-(-4.0 + 8 * special_ratio + 6 * dup_line_frac + 2 * short_line_frac + 10 * greatest(0.0, 0.7 - alpha_ratio)))) > 0.5 THEN 1 END) flagged FROM rf JOIN labels USING (doc_id) GROUP BY 1"
+)
+def template_classifier(spark, d):
+    lab = rules.rule_features(docs(spark, d)).join(load(spark, d, "labels").select("doc_id", "quality"), "doc_id")
+    return lab.groupBy("quality").agg(F.count("*").alias("n"), F.sum(F.when(rules.template_score(lab) > 0.5, 1).otherwise(0)).alias("flagged"))
+
+
+# --- model filter --------------------------------------------------------------------------------
+
+_PASS = "writing >= 1 AND coherence >= 1 AND completeness >= 1 AND safety >= 1"
+
+
+@query(O.cte(O.shapes()) + f" SELECT doc_id FROM signals WHERE {_PASS}")
+def model_filter(spark, d):
+    return filters.model_filter(signals.annotate_quality(docs(spark, d))).select("doc_id")
+
+
+@query(O.cte(O.shapes()) + " SELECT CASE WHEN writing < 1 THEN 'writing' WHEN coherence < 1 THEN 'coherence' WHEN completeness < 1 THEN 'completeness' WHEN safety < 1 THEN 'safety' END first_failure, count(*) n FROM signals GROUP BY 1")
+def model_filter_reasons(spark, d):
+    return filters.model_filter(signals.annotate_quality(docs(spark, d)), mode="annotate").groupBy("first_failure").agg(F.count("*").alias("n"))
+
+
+_ARMS_SQL = {
+    "rule_only": "n_hits = 0", "model_only": _PASS, "rule_model": f"n_hits = 0 AND {_PASS}", "original_rules": "n_orig = 0",
+    "single_score": "writing >= 2", "mean_score": "(writing + coherence + completeness + safety) / 4.0 >= 1.5",
+}
+
+
+@query(
+    O.cte(O.shapes(), O.features(), f"s AS (SELECT signals.*, len({O.rule_hits(rules.OPTIMIZED)}) n_hits, len({O.rule_hits(rules.ORIGINAL)}) n_orig, quality FROM signals JOIN rf USING (doc_id) LEFT JOIN labels USING (doc_id))")
+    + " UNION ALL ".join(f" SELECT '{k}' arm, count(*) docs, CAST(sum(n_words) AS BIGINT) words, count(quality) labelled, round(avg(CAST(quality AS DOUBLE)), 6) hq_share FROM s WHERE {c}" for k, c in _ARMS_SQL.items())
+)
+def filter_ablation(spark, d):
+    """Rule only, model only, both, original rules, one score, mean score."""
+    sig = signals.annotate_quality(docs(spark, d))
+    feats = rules.rule_features(docs(spark, d)).select("doc_id", rules.hits(rules.OPTIMIZED).alias("rule_hits"), F.size(rules.hits(rules.ORIGINAL)).alias("n_orig"))
+    s = stage(sig.join(feats, "doc_id").join(load(spark, d, "labels").select("doc_id", "quality"), "doc_id", "left"), "arms")
+    arms = {
+        "rule_only": filters.cascade(s, ("rule",)), "model_only": filters.cascade(s, ("model",)), "rule_model": filters.cascade(s), "original_rules": s.where("n_orig = 0"),
+        "single_score": filters.single_score_filter(s, "writing", 2), "mean_score": filters.model_filter(s, combine="mean", cut=1.5),
+    }
+    out = None
+    for k, a in arms.items():
+        one = a.agg(F.lit(k).alias("arm"), F.count("*").alias("docs"), F.sum("n_words").alias("words"), F.count("quality").alias("labelled"), F.round(F.avg("quality"), 6).alias("hq_share"))
+        out = one if out is None else out.unionAll(one)
+    return out
+
+
+# --- fuzzy dedup ---------------------------------------------------------------------------------
+
+
+@query(O.cte(O.shingle_sets("documents", 5)) + " SELECT doc_id, len(s) n, list_min(s) least FROM sh")
+def shingle_sets(spark, d):
+    return fuzzy.shingle_sets(docs(spark, d)).select("doc_id", F.size("sh").alias("n"), F.array_min("sh").alias("least"))
+
+
+_SIG = O.fuzzy_pairs("documents")
+
+
+@query(O.cte(_SIG) + " SELECT doc_id, md5(string_agg(CAST(m AS VARCHAR), ',' ORDER BY i)) sig_md5 FROM sig GROUP BY 1")
+def minhash_signature(spark, d):
+    return fuzzy.minhash(fuzzy.shingle_sets(docs(spark, d))).select("doc_id", F.md5(F.array_join("sig", ",")).alias("sig_md5"))
+
+
+@query(O.cte(O.fuzzy_pairs("documents", perms=8, bands=2)) + " SELECT doc_id, string_agg(CAST(m AS VARCHAR), ',' ORDER BY i) sig FROM sig GROUP BY 1")
+def minhash_native(spark, d):
+    return fuzzy.minhash_native(stage(fuzzy.shingle_sets(docs(spark, d)), "sets"), 8).select("doc_id", F.array_join("sig", ",").alias("sig"))
+
+
+@query(O.cte(_SIG) + " SELECT u, v FROM cands")
+def lsh_candidates(spark, d):
+    sigs = fuzzy.minhash(fuzzy.shingle_sets(docs(spark, d)))
+    return fuzzy.star_candidates(fuzzy.lsh_bands(sigs))
+
+
+@query(O.cte(_SIG) + " SELECT u, v, round(jaccard, 6) jaccard FROM links")
+def fuzzy_links(spark, d):
+    return rounded(fuzzy.fuzzy_links(docs(spark, d)), "jaccard")
+
+
+@query(O.cte(_SIG, O.components("links")) + " SELECT d.doc_id, coalesce(c.root, d.doc_id) component FROM documents d LEFT JOIN comp c USING (doc_id)")
+def fuzzy_components(spark, d):
+    links = stage(fuzzy.fuzzy_links(docs(spark, d)), "links")
+    return fuzzy.fuzzy_components(docs(spark, d), links)
+
+
+@query(O.cte(_SIG, O.components("links")) + " SELECT doc_id FROM documents WHERE doc_id NOT IN (SELECT doc_id FROM comp WHERE root <> doc_id)")
+def fuzzy_dedup(spark, d):
+    return fuzzy.fuzzy_dedup(docs(spark, d)).select("doc_id")
+
+
+@query(O.cte(_SIG) + " SELECT doc_id FROM documents WHERE doc_id NOT IN (SELECT v FROM links)")
+def fuzzy_dedup_greedy(spark, d):
+    return fuzzy.fuzzy_dedup(docs(spark, d), closure="greedy").select("doc_id")
+
+
+@query(
+    O.cte(O.shingle_sets("documents", 3), "f AS (SELECT doc_id, unnest(s) g FROM sh)", "p AS (SELECT a.doc_id u, b.doc_id v, count(*) c FROM f a JOIN f b USING (g) WHERE a.doc_id < b.doc_id GROUP BY ALL)")
+    + " SELECT u, v, round(c / CAST(len(x.s) + len(y.s) - c AS DOUBLE), 6) jaccard FROM p JOIN sh x ON x.doc_id = u JOIN sh y ON y.doc_id = v WHERE c / CAST(len(x.s) + len(y.s) - c AS DOUBLE) >= 0.5"
+)
+def shingle_jaccard_pairs(spark, d):
+    """All pairs of word 3-gram Jaccard >= 0.5, by prefix filtering."""
+    return rounded(fuzzy.exact_jaccard_pairs(stage(fuzzy.shingle_sets(docs(spark, d), 3), "sets"), 0.5), "jaccard")
+
+
+@query()
+def minhash_estimate_error(spark, d):
+    """Estimated against exact Jaccard of the candidate pairs."""
+    sets = stage(fuzzy.shingle_sets(docs(spark, d)), "sets")
+    sigs = stage(fuzzy.minhash(sets), "sigs")
+    pairs = stage(fuzzy.star_candidates(fuzzy.lsh_bands(sigs)), "pairs")
+    both = fuzzy.estimate(pairs, sigs).join(fuzzy.verify(pairs, sets, 0.0), ["u", "v"])
+    return both.agg(F.count("*").alias("pairs"), F.avg(F.abs(F.col("estimate") - F.col("jaccard"))).alias("mean_error"))
+
+
+@query("SELECT i / 20.0 s, round(1 - power(1 - power(i / 20.0, 4), 16), 6) detected FROM range(21) r(i)")
+def lsh_curve(spark, d):
+    return rounded(fuzzy.lsh_curve(spark), "detected")
+
+
+# --- semantic dedup ------------------------------------------------------------------------------
+
+_VEC = (O.vectors("documents"), O.clusters(16), O.edges())
+
+
+def _clustered(spark, d) -> tuple[DataFrame, DataFrame]:
+    return pipeline.semantic_parts(docs(spark, d), pipeline.Config())
+
+
+@query(O.cte(O.vectors("documents")) + " SELECT doc_id, round(v[1], 6) first, round(list_max(v), 6) top, len(list_filter(v, lambda x: x <> 0)) filled FROM vec")
+def hashed_vectors(spark, d):
+    v = semantic.hashed_vectors(docs(spark, d))
+    return v.select("doc_id", F.round(F.col("vec")[0], 6).alias("first"), F.round(F.array_max("vec"), 6).alias("top"), F.size(F.filter("vec", lambda x: x != 0)).alias("filled"))
+
+
+@query(O.cte(O.vectors("documents"), O.clusters(16)) + " SELECT doc_id, cluster FROM assign")
+def cluster_assign_seeds(spark, d):
+    v = stage(semantic.hashed_vectors(docs(spark, d)), "vectors")
+    return semantic.assign_nearest(v, stage(semantic.seed_centroids(v, 16), "seeds")).select("doc_id", "cluster")
+
+
+@query(O.cte(*_VEC) + " SELECT u, v, round(sim, 6) sim, weight FROM edges")
+def cosine_edges(spark, d):
+    return rounded(_clustered(spark, d)[1], "sim")
+
+
+@query(O.cte(*_VEC) + " SELECT weight, count(*) n, round(min(sim), 6) low, round(max(sim), 6) high FROM edges GROUP BY 1")
+def band_histogram(spark, d):
+    return rounded(_clustered(spark, d)[1].groupBy("weight").agg(F.count("*").alias("n"), F.min("sim").alias("low"), F.max("sim").alias("high")), "low", "high")
+
+
+@query(O.cte(*_VEC, O.votes()) + " SELECT id, score, edges, redundant FROM votes")
+def soft_vote_all_edges(spark, d):
+    return semantic.soft_vote(_clustered(spark, d)[1])
+
+
+@query(O.cte(*_VEC) + " SELECT id, CAST(sum(CASE WHEN other < id THEN weight ELSE 0 END) AS BIGINT) score, count(*) edges, sum(CASE WHEN other < id THEN weight ELSE 0 END) > 10 redundant FROM dir GROUP BY 1")
+def soft_vote_ranked(spark, d):
+    return semantic.soft_vote(_clustered(spark, d)[1], policy="ranked")
+
+
+@query()
+def soft_vote_retained(spark, d):
+    return semantic.soft_vote(_clustered(spark, d)[1], policy="retained")
+
+
+@query(O.cte(*_VEC, O.votes()) + " SELECT id FROM votes WHERE redundant")
+def soft_vote_pruned(spark, d):
+    """The decisions from at most six edges a document."""
+    cut = semantic.prune_edges(_clustered(spark, d)[1])
+    return cut.groupBy("id").agg(F.sum("weight").alias("score")).where(F.col("score") > C.TARGET).select("id")
+
+
+@query(O.cte(*_VEC, O.votes(), O.removed()) + " SELECT doc_id FROM documents WHERE doc_id NOT IN (SELECT doc_id FROM gone)")
+def soft_dedup_survivors(spark, d):
+    _, e = _clustered(spark, d)
+    votes = stage(semantic.soft_vote(e), "votes")
+    return semantic.remove_redundant(docs(spark, d), votes, e).select("doc_id")
+
+
+@query(O.cte(*_VEC) + " SELECT DISTINCT v id FROM edges WHERE sim >= 0.95")
+def hard_dedup(spark, d):
+    return semantic.hard_removed(_clustered(spark, d)[1])
+
+
+_TARGETS = (4, 6, 7, 8, 10, 12, 16)
+
+
+@query(O.cte(*_VEC, O.votes()) + " UNION ALL ".join(f" SELECT CAST({t} AS DOUBLE) target, count(CASE WHEN score > {t} THEN 1 END) redundant, round(count(CASE WHEN score > {t} THEN 1 END) / count(*), 6) share FROM votes" for t in _TARGETS))
+def target_sweep(spark, d):
+    return rounded(semantic.sweep_target(_clustered(spark, d)[1], _TARGETS), "share")
+
+
+_TRUTH = (O.shingle_sets("documents", 3), "truth AS (SELECT e.u, e.v, coalesce(len(list_intersect(a.s, b.s)) / nullif(CAST(len(a.s) + len(b.s) - len(list_intersect(a.s, b.s)) AS DOUBLE), 0), 0) >= 0.5 dup FROM edges e JOIN sh a ON a.doc_id = e.u JOIN sh b ON b.doc_id = e.v)")
+_FPR = ("marked AS (SELECT e.*, dup, u IN (SELECT id FROM votes WHERE redundant) OR v IN (SELECT id FROM votes WHERE redundant) multi FROM edges e JOIN truth USING (u, v))",)
+
+
+def pair_truth(spark, d, edges: DataFrame, theta: float = 0.5) -> DataFrame:
+    """(u, v, dup) of the edges: exact Jaccard of word 3-grams."""
+    sets = stage(fuzzy.shingle_sets(docs(spark, d), 3), "truth-sets")
+    return fuzzy.verify(edges.select("u", "v"), sets, 0.0).select("u", "v", (F.col("jaccard") >= theta).alias("dup"))
+
+
+@query(
+    O.cte(*_VEC, O.votes(), *_TRUTH, *_FPR)
+    + " SELECT weight, count(*) n_edge, round(avg(CASE WHEN dup THEN 0.0 ELSE 1.0 END), 6) fpr_edge, count(CASE WHEN multi THEN 1 END) n_multi, round(avg(CASE WHEN multi THEN CASE WHEN dup THEN 0.0 ELSE 1.0 END END), 6) fpr_multi FROM marked GROUP BY 1"
+)
+def band_fpr(spark, d):
+    _, e = _clustered(spark, d)
+    return rounded(semantic.band_fpr(e, pair_truth(spark, d, e), semantic.soft_vote(e)), "fpr_edge", "fpr_multi")
+
+
+@query(
+    O.cte(*_VEC, O.votes(), *_TRUTH, *_FPR, "f AS (SELECT weight, avg(CASE WHEN dup THEN 0.0 ELSE 1.0 END) fpr_edge FROM marked GROUP BY 1)", "m AS (SELECT *, max(fpr_edge) OVER (ORDER BY weight DESC ROWS UNBOUNDED PRECEDING) fpr_mono FROM f)")
+    + " SELECT weight, round(fpr_edge, 6) fpr_edge, round(fpr_mono, 6) fpr_mono, CAST(2 + round(CASE WHEN max(fpr_mono) OVER () > min(fpr_mono) OVER () THEN (max(fpr_mono) OVER () - fpr_mono) / (max(fpr_mono) OVER () - min(fpr_mono) OVER ()) ELSE 1 END * 6) AS INT) new_weight FROM m"
+)
+def band_calibration(spark, d):
+    _, e = _clustered(spark, d)
+    return rounded(semantic.calibrate_bands(semantic.band_fpr(e, pair_truth(spark, d, e), semantic.soft_vote(e))), "fpr_edge", "fpr_mono")
+
+
+@query(
+    O.cte(*_VEC, O.votes(), *_TRUTH, *_FPR, "f AS (SELECT weight, avg(CASE WHEN dup THEN 0.0 ELSE 1.0 END) fpr_edge FROM marked GROUP BY 1)")
+    + " SELECT id, count(*) edges, round(CASE WHEN min(fpr_edge) = 0 THEN 0.0 ELSE exp(sum(ln(CASE WHEN fpr_edge > 0 THEN fpr_edge END))) END, 6) expected FROM dir JOIN f USING (weight) GROUP BY 1"
+)
+def joint_error(spark, d):
+    _, e = _clustered(spark, d)
+    return rounded(semantic.joint_error(e, semantic.band_fpr(e, pair_truth(spark, d, e), semantic.soft_vote(e))), "expected")
+
+
+@query()
+def embedding_benchmark(spark, d):
+    """Four providers over [0.90, 1.00]: error by step, rank correlation; the prefix provider is built to fail."""
+    out = None
+    for p in ("word", "bigram", "char", "prefix"):
+        v = stage(semantic.hashed_vectors(docs(spark, d), p), "provider")
+        e = stage(semantic.weighted(semantic.similarity_edges(semantic.assign_nearest(v, stage(semantic.seed_centroids(v, 16), "seeds")))), "provider-edges")
+        one = semantic.embedding_quality(semantic.similarity_benchmark(e, pair_truth(spark, d, e))).withColumn("provider", F.lit(p))
+        out = one if out is None else out.unionAll(one)
+    return rounded(out, "mean_fpr", "spearman")
+
+
+@query(O.cte(*_VEC, *_TRUTH) + " SELECT CAST(least(floor((sim - 0.9) / 0.01 + 1e-9), 9) AS INT) step, count(*) n, round(avg(CASE WHEN dup THEN 0.0 ELSE 1.0 END), 6) fpr FROM edges JOIN truth USING (u, v) GROUP BY 1")
+def similarity_steps(spark, d):
+    _, e = _clustered(spark, d)
+    return rounded(semantic.similarity_benchmark(e, pair_truth(spark, d, e)), "fpr")
+
+
+@query(
+    O.cte(*_VEC, O.votes())
+    + " SELECT a.cluster, count(*) members, coalesce(any_value(e.n), 0) edges, round(any_value(e.m), 6) mean_sim, count(CASE WHEN redundant THEN 1 END) redundant, round(count(CASE WHEN redundant THEN 1 END) / count(*), 6) rate FROM assign a LEFT JOIN votes ON id = doc_id LEFT JOIN (SELECT cluster, count(*) n, avg(sim) m FROM edges JOIN assign ON doc_id = u GROUP BY 1) e ON e.cluster = a.cluster GROUP BY 1"
+)
+def cluster_profile(spark, d):
+    c, e = _clustered(spark, d)
+    return rounded(semantic.cluster_profile(e, c, semantic.soft_vote(e)), "mean_sim", "rate")
+
+
+@query("SELECT md5(regexp_replace(regexp_replace(lower(coalesce(text, '')), '[0-9]+', '0', 'g'), '(\\p{L})\\p{L}*', '\\1', 'g')) skeleton, count(*) n FROM documents GROUP BY 1 HAVING count(*) > 1")
+def template_skeletons(spark, d):
+    return docs(spark, d).groupBy(semantic.skeleton().alias("skeleton")).agg(F.count("*").alias("n")).where("n > 1")
+
+
+@query("WITH a AS (SELECT vec_id, label, CAST(embedding AS DOUBLE[]) v FROM embeddings), p AS (SELECT a.vec_id, b.vec_id other, round(list_dot_product(a.v, b.v), 9) sim FROM a JOIN a b ON a.label = b.label AND a.vec_id <> b.vec_id) SELECT vec_id, other, sim FROM (SELECT *, row_number() OVER (PARTITION BY vec_id ORDER BY sim DESC, other) r FROM p) WHERE r <= 3")
+def embedding_pairs_topk(spark, d):
+    """Three nearest of the same label, by tiles of bounded size."""
+    rows = load(spark, d, "embeddings").select(F.col("vec_id").alias("doc_id"), F.col("label").alias("cluster"), F.col("embedding").cast("array<double>").alias("vec"))
+    e = semantic.similarity_edges(rows, floor=-1.0)
+    both = e.select(F.col("u").alias("vec_id"), F.col("v").alias("other"), F.round("sim", 9).alias("sim")).unionAll(e.select(F.col("v").alias("vec_id"), F.col("u").alias("other"), F.round("sim", 9).alias("sim")))
+    return relational.top_per_group(both, "vec_id", [F.desc("sim"), "other"], 3).select("vec_id", "other", "sim")
+
+
+@query()
+def kmeans_fit(spark, d):
+    rows = load(spark, d, "embeddings").select("vec_id", F.col("embedding").alias("vec"))
+    return semantic.kmeans(rows, 10, key="vec_id").groupBy("cluster").agg(F.count("*").alias("members"))
+
+
+@query()
+def kmeans_two_level(spark, d):
+    rows = load(spark, d, "embeddings").select("vec_id", F.col("embedding").alias("vec"))
+    return semantic.kmeans_two_level(rows, 4, 4, key="vec_id").groupBy("cluster").agg(F.count("*").alias("members"))
+
+
+# --- sampling ------------------------------------------------------------------------------------
+
+_FRAME = (
+    O.shapes(), O.TAGS,
+    "em AS (SELECT vec_id doc_id, label cluster, CAST(embedding AS DOUBLE[]) v FROM embeddings)",
+    "cf AS (SELECT cluster, i, avg(x) m FROM (SELECT cluster, unnest(v) x, unnest(range(len(v))) i FROM em) GROUP BY ALL)",
+    "cen AS (SELECT cluster, list(m ORDER BY i) c FROM cf GROUP BY cluster)",
+    "intra AS (SELECT cluster, count(*) members, avg(list_distance(v, c)) intra FROM em JOIN cen USING (cluster) GROUP BY ALL)",
+    "inter AS (SELECT a.cluster, avg(list_distance(a.c, b.c)) inter, min(list_distance(a.c, b.c)) nearest FROM cen a JOIN cen b ON a.cluster <> b.cluster GROUP BY ALL)",
+    "dv AS (SELECT cluster, members, intra, inter, nearest, intra * inter d FROM intra JOIN inter USING (cluster))",
+    "base AS (SELECT s.*, domain_l1, domain_l2, cluster, d, CAST(knowledge + education + helpfulness + reasoning AS DOUBLE) q, CASE WHEN least(writing, coherence, completeness, logicality) <= 0 THEN 0.0 ELSE 4 / (1.0 / writing + 1.0 / coherence + 1.0 / completeness + 1.0 / logicality) END wq FROM signals s JOIN em USING (doc_id) JOIN dv USING (cluster) JOIN tags USING (doc_id))",
+    "n1 AS (SELECT *, (q - min(q) OVER ()) / (max(q) OVER () - min(q) OVER ()) q_n, (d - min(d) OVER ()) / (max(d) OVER () - min(d) OVER ()) d_n FROM base)",
+    "n2 AS (SELECT *, 0.6 * q_n + 0.4 * d_n s FROM n1)",
+    "n3 AS (SELECT *, (s - min(s) OVER ()) / (max(s) OVER () - min(s) OVER ()) x FROM n2)",
+    "pw AS (SELECT *, w / sum(w) OVER () p FROM (SELECT *, power(x, 2) / (1 + exp(-10 * (x - 0.5))) w FROM n3))",
+)
+
+
+def frame(spark, d, quality: str = "value", alpha: float = C.ALPHA) -> DataFrame:
+    """Documents with an embedding: signals, tags, diversity of their label's cluster, score."""
+    vectors = load(spark, d, "embeddings").select(F.col("vec_id").alias("doc_id"), F.col("label").alias("cluster"), F.col("embedding").alias("vec"))
+    centers = sampling.label_centroids(vectors)
+    dv = sampling.cluster_diversity(vectors, centers).select("cluster", "d")
+    rows = signals.annotate(docs(spark, d)).join(vectors.select("doc_id", "cluster"), "doc_id").join(F.broadcast(dv), "cluster")
+    return stage(sampling.sampling_score(rows, alpha, quality), "frame")
+
+
+@query(O.cte(*_FRAME[2:5], "s AS (SELECT em.*, arg_max(cen.cluster, (round(list_dot_product(v, c), 12), -cen.cluster)) own FROM em, cen GROUP BY ALL)") + " SELECT own cluster, count(*) n, count(CASE WHEN own = cluster THEN 1 END) agree FROM s GROUP BY 1")
+def cluster_assign_fixed(spark, d):
+    vectors = load(spark, d, "embeddings").select(F.col("vec_id").alias("doc_id"), F.col("label"), F.col("embedding").cast("array<double>").alias("vec"))
+    centers = sampling.label_centroids(vectors.withColumnRenamed("label", "cluster")).select(F.col("cluster").cast("bigint").alias("cluster_id"), "center")
+    return semantic.assign_nearest(vectors, centers).groupBy("cluster").agg(F.count("*").alias("n"), F.sum(F.when(F.col("cluster") == F.col("label"), 1).otherwise(0)).alias("agree"))
+
+
+@query(O.cte(*_FRAME[2:8]) + " SELECT cluster, members, round(intra, 6) intra, round(inter, 6) inter, round(d, 6) d, round(intra * nearest, 6) d_nearest FROM dv")
+def diversity_scores(spark, d):
+    vectors = load(spark, d, "embeddings").select(F.col("label").alias("cluster"), F.col("embedding").alias("vec"))
+    centers = sampling.label_centroids(vectors)
+    near = sampling.cluster_diversity(vectors, centers, "nearest").select("cluster", F.col("d").alias("d_nearest"))
+    return rounded(sampling.cluster_diversity(vectors, centers).join(near, "cluster"), "intra", "inter", "d", "d_nearest")
+
+
+@query(O.cte(O.shapes()) + " SELECT doc_id, CAST(knowledge + education + helpfulness + reasoning AS DOUBLE) q FROM signals")
+def content_value(spark, d):
+    return signals.annotate_quality(docs(spark, d)).select("doc_id", sampling.content_value().alias("q"))
+
+
+@query(O.cte(O.shapes()) + " SELECT doc_id, round(CASE WHEN least(writing, coherence, completeness, logicality) <= 0 THEN 0.0 ELSE 4 / (1.0 / writing + 1.0 / coherence + 1.0 / completeness + 1.0 / logicality) END, 6) w FROM signals")
+def writing_quality_harmonic(spark, d):
+    return signals.annotate_quality(docs(spark, d)).select("doc_id", F.round(sampling.writing_quality(), 6).alias("w"))
+
+
+@query(O.cte(O.shapes()) + " SELECT doc_id FROM signals WHERE knowledge + education + helpfulness + reasoning > 1")
+def value_filter(spark, d):
+    return sampling.value_filter(signals.annotate_quality(docs(spark, d))).select("doc_id")
+
+
+@query(O.cte(*_FRAME) + " SELECT doc_id, round(q_n, 6) q_n, round(d_n, 6) d_n, round(s, 6) s FROM n2")
+def sampling_score(spark, d):
+    return rounded(frame(spark, d).select("doc_id", "q_n", "d_n", "s"), "q_n", "d_n", "s")
+
+
+@query(O.cte(*_FRAME[:9], "c AS (SELECT doc_id, d, wq * q q FROM base)") + " SELECT doc_id, round(0.6 * (q - min(q) OVER ()) / (max(q) OVER () - min(q) OVER ()) + 0.4 * (d - min(d) OVER ()) / (max(d) OVER () - min(d) OVER ()), 6) s FROM c")
+def sampling_score_combined(spark, d):
+    return rounded(frame(spark, d, "combined").select("doc_id", "s"), "s")
+
+
+@query(O.cte(*_FRAME[:9], "c AS (SELECT doc_id, d, writing + coherence + completeness + logicality + q q FROM base)") + " SELECT doc_id, round(0.6 * (q - min(q) OVER ()) / (max(q) OVER () - min(q) OVER ()) + 0.4 * (d - min(d) OVER ()) / (max(d) OVER () - min(d) OVER ()), 6) s FROM c")
+def sampling_score_linear(spark, d):
+    return rounded(frame(spark, d, "linear_all").select("doc_id", "s"), "s")
+
+
+@query(O.cte(*_FRAME) + " SELECT doc_id, round(x, 6) x, round(p, 9) p FROM pw")
+def power_probabilities(spark, d):
+    return sampling.power_probabilities(frame(spark, d)).select("doc_id", F.round("x", 6).alias("x"), F.round("p", 9).alias("p"))
+
+
+@query(O.cte(*_FRAME) + " SELECT doc_id, round(exp((x - 1) / 0.1) / sum(exp((x - 1) / 0.1)) OVER (), 9) p FROM n3")
+def softmax_probabilities(spark, d):
+    return sampling.softmax_probabilities(frame(spark, d)).select("doc_id", F.round("p", 9).alias("p"))
+
+
+@query(O.cte(*_FRAME[2:3]) + " SELECT doc_id, round(1.0 / count(*) OVER (), 9) p FROM em")
+def uniform_probabilities(spark, d):
+    return sampling.uniform_probabilities(frame(spark, d)).select("doc_id", F.round("p", 9).alias("p"))
+
+
+_PROFILE = "round(sum(CASE WHEN p > 0 THEN -p * log2(p) ELSE 0 END), 6) entropy_bits, round(1 / sum(p * p), 6) effective_size, round(max(p), 6) top_p, count(*) AS rows"
+
+
+@query(
+    O.cte(*_FRAME)
+    + f" SELECT 'power' sampler, {_PROFILE} FROM pw UNION ALL SELECT 'softmax', {_PROFILE} FROM (SELECT exp((x - 1) / 0.1) / sum(exp((x - 1) / 0.1)) OVER () p FROM n3) UNION ALL SELECT 'uniform', {_PROFILE} FROM (SELECT 1.0 / count(*) OVER () p FROM n3)"
+)
+def sampler_sharpness(spark, d):
+    f, out = frame(spark, d), None
+    for name, fn in (("power", sampling.power_probabilities), ("softmax", sampling.softmax_probabilities), ("uniform", sampling.uniform_probabilities)):
+        one = sampling.sampler_profile(fn(f)).withColumn("sampler", F.lit(name))
+        out = one if out is None else out.unionAll(one)
+    return rounded(out, "entropy_bits", "effective_size", "top_p")
+
+
+_DRAW = "dr AS (SELECT *, 100000.0 / sum(p * n_words) OVER () * p expected FROM pw), cp AS (SELECT *, CAST(floor(expected) + CASE WHEN (" + O.h32("doc_id || ':draw'") + " + 0.5) / 4294967296.0 < expected - floor(expected) THEN 1 ELSE 0 END AS INT) copies FROM dr)"
+
+
+@query(O.cte(*_FRAME, _DRAW) + " SELECT doc_id, round(expected, 6) expected, copies FROM cp")
+def draw_copies(spark, d):
+    return rounded(sampling.draw_copies(sampling.power_probabilities(frame(spark, d)), 100000).select("doc_id", "expected", "copies"), "expected")
+
+
+@query(
+    O.cte(
+        *_FRAME,
+        f"r AS (SELECT doc_id, n_words, CAST(floor(4096 * (1 - exp(ln(({O.h32(chr(40) + 'doc_id || ' + chr(39) + ':draw' + chr(39) + chr(41))} + 0.5) / 4294967296.0) / p / (SELECT count(*) FROM pw WHERE p > 0)))) AS INT) cell FROM pw WHERE p > 0)",
+        "t AS (SELECT cell, sum(sum(n_words)) OVER (ORDER BY cell) upto FROM r GROUP BY cell)",
+    )
+    + " SELECT doc_id FROM r JOIN t USING (cell) WHERE upto <= 50000"
+)
+def draw_without_replacement(spark, d):
+    return sampling.draw_without_replacement(sampling.power_probabilities(frame(spark, d)), 50000).select("doc_id")
+
+
+@query(
+    O.cte(*_FRAME, "pc AS (SELECT cluster, sum(p) a, sum(p * n_words) b FROM pw GROUP BY 1)", f"x2 AS (SELECT doc_id, 100000.0 * a * p / b e, ({O.h32('doc_id || ' + chr(39) + ':cluster' + chr(39))} + 0.5) / 4294967296.0 u FROM pw JOIN pc USING (cluster))")
+    + " SELECT doc_id, round(e, 6) expected, CAST(floor(e) + CASE WHEN u < e - floor(e) THEN 1 ELSE 0 END AS INT) copies FROM x2"
+)
+def draw_by_cluster(spark, d):
+    return rounded(sampling.cluster_allocation(sampling.power_probabilities(frame(spark, d)), 100000).select("doc_id", "expected", "copies"), "expected")
+
+
+@query(
+    O.cte(*_FRAME, "nw AS (SELECT domain_l1, sum(p) now FROM pw GROUP BY 1)", "ft AS (SELECT domain_l1, (1.0 / (SELECT count(*) FROM nw)) / now f FROM nw)")
+    + " SELECT doc_id, round(p * f / sum(p * f) OVER (), 9) p FROM pw JOIN ft USING (domain_l1)"
+)
+def domain_reweighted(spark, d):
+    """Probabilities moved to equal domain shares."""
+    p = stage(sampling.power_probabilities(frame(spark, d)), "p")
+    domains = p.select("domain_l1").distinct()
+    target = domains.crossJoin(F.broadcast(domains.agg((1 / F.count("*")).alias("share"))))
+    return sampling.domain_factor(p, target).select("doc_id", F.round("p", 9).alias("p"))
+
+
+# --- the funnel and its measures -----------------------------------------------------------------
+
+_STAGES = O.funnel_ctes()
+
+
+def staged(spark, d) -> DataFrame:
+    return stage(pipeline.stage_table(pipeline.run_pipeline(docs(spark, d))), "stages")
+
+
+@query(
+    O.cte(_STAGES, "f AS (SELECT pos, stage, count(*) docs, CAST(sum(n_words) AS BIGINT) words FROM stage_docs GROUP BY ALL)")
+    + " SELECT pos, stage, docs, CAST(words AS BIGINT) words, round(coalesce(docs / lag(docs) OVER (ORDER BY pos), 1), 6) kept, round(1 - coalesce(docs / lag(docs) OVER (ORDER BY pos), 1), 6) removed, round(docs / first_value(docs) OVER (ORDER BY pos), 6) cumulative FROM f"
+)
+def cascade_funnel(spark, d):
+    s = staged(spark, d)
+    return rounded(measures.funnel({n: s.where(F.col("stage") == n) for n in pipeline.STAGES}), "kept", "removed", "cumulative")
+
+
+@query(
+    O.cte(_STAGES, "a AS (SELECT stage, domain_l1 k, sum(copies) n FROM stage_docs GROUP BY ALL)", "b AS (SELECT stage, domain_l2 k, sum(copies) n FROM stage_docs GROUP BY ALL)")
+    + " SELECT x.stage, round(x.h, 6) h_l1, round(y.h, 6) h_l2 FROM (SELECT stage, -sum(p * log2(p)) h FROM (SELECT stage, n / sum(n) OVER (PARTITION BY stage) p FROM a) GROUP BY 1) x JOIN (SELECT stage, -sum(p * log2(p)) h FROM (SELECT stage, n / sum(n) OVER (PARTITION BY stage) p FROM b) GROUP BY 1) y USING (stage)"
+)
+def entropy_by_stage(spark, d):
+    return rounded(measures.entropy_by(staged(spark, d)), "h_l1", "h_l2")
+
+
+@query(O.cte(_STAGES) + " SELECT stage, round(avg(education), 6) education, round(avg(knowledge), 6) knowledge, round(avg(helpfulness), 6) helpfulness, round(avg(reasoning), 6) reasoning, round(avg((education + knowledge + helpfulness + reasoning) / 12.0), 6) composite FROM stage_docs, range(copies) GROUP BY 1")
+def value_profile(spark, d):
+    return rounded(measures.value_profile(staged(spark, d), ("stage",), "copies"), "education", "knowledge", "helpfulness", "reasoning", "composite")
+
+
+@query(O.cte(_STAGES) + " SELECT stage, " + ", ".join(f"round(sum(CASE WHEN domain_l1 IN {O.in_list(v)} THEN copies ELSE 0 END) / sum(copies), 6) {k}" for k, v in C.DOMAIN_SETS.items()) + " FROM stage_docs GROUP BY 1")
+def stem_ratio(spark, d):
+    return rounded(measures.domain_ratio(staged(spark, d), by=("stage",), weight="copies"), *C.DOMAIN_SETS)
+
+
+_HQ = ("Computer Science", "Programming", "Mathematics", "Physics")
+
+
+@query(
+    O.cte(_STAGES, f"h AS (SELECT domain_l1 \"domain\", count(*) docs, avg(CASE WHEN education >= 2 THEN 1.0 ELSE 0.0 END) rate FROM stage_docs WHERE stage = 'value' AND domain_l1 IN {O.in_list(_HQ)} GROUP BY 1)")
+    + " SELECT \"domain\", docs, round(rate, 6) rate FROM h UNION ALL SELECT 'mean', CAST(coalesce(sum(docs), 0) AS BIGINT), round(avg(rate), 6) FROM h"
+)
+def hq_retention(spark, d):
+    return rounded(measures.hq_retention(staged(spark, d).where("stage = 'value'"), _HQ), "rate")
+
+
+_SHIFT = """b AS (SELECT domain_l1 k, count(*) n FROM stage_docs WHERE stage = '{0}' GROUP BY 1), a AS (SELECT domain_l1 k, count(*) n FROM stage_docs WHERE stage = '{1}' GROUP BY 1),
+j AS (SELECT coalesce(a.k, b.k) "domain", coalesce(b.n, 0) / (SELECT sum(n) FROM b) sb, coalesce(a.n, 0) / (SELECT sum(n) FROM a) sa, coalesce(1 - coalesce(a.n, 0) / nullif(b.n, 0), 1) fr, 1 - (SELECT sum(n) FROM a) / (SELECT sum(n) FROM b) ov FROM b FULL JOIN a ON a.k = b.k)"""
+
+
+@query(O.cte(_STAGES, _SHIFT.format("exact", "model")) + ' SELECT "domain", round(sb, 6) share_before, round(sa, 6) share_after, round(sa - sb, 6) delta, round(coalesce((sa - sb) / nullif(sb, 0), 0), 6) rel_change, round(fr, 6) filter_rate, round(coalesce(fr / nullif(ov, 0), 0), 6) rate_vs_overall FROM j')
+def domain_shift(spark, d):
+    s = staged(spark, d)
+    out = measures.domain_shift(s.where("stage = 'exact'"), s.where("stage = 'model'"))
+    return rounded(out, "share_before", "share_after", "delta", "rel_change", "filter_rate", "rate_vs_overall")
+
+
+@query(
+    O.cte(_STAGES, "m AS (SELECT domain_l2 \"domain\", count(*) n, CAST(sum(coalesce(c.copies, 0)) AS BIGINT) m FROM stage_docs v LEFT JOIN st_sampled c USING (doc_id) WHERE stage = 'value' GROUP BY 1)", 'r AS (SELECT "domain", n / sum(n) OVER () share, m / sum(m) OVER () share_after FROM m)')
+    + ' SELECT "domain", round(share, 6) share, round(share_after, 6) share_after, round(share_after / share, 6) ratio FROM r ORDER BY round(share_after / share, 9) DESC, "domain" LIMIT 20'
+)
+def upsample_topk(spark, d):
+    s = staged(spark, d)
+    drawn = s.where("stage = 'sampled'").select("doc_id", F.col("copies").alias("m"))
+    base = s.where("stage = 'value'").drop("copies").join(drawn, "doc_id", "left").withColumn("copies", F.coalesce("m", F.lit(0)))
+    return rounded(measures.upsampling(base), "share", "share_after", "ratio")
+
+
+@query(
+    O.cte(_STAGES, "g AS (SELECT DISTINCT stage, doc_id, copies FROM stage_docs)", f"tk AS (SELECT doc_id, unnest({O.toks('text')}) w FROM documents)")
+    + " SELECT x.stage, docs, coalesce(total, 0) total, coalesce(n, 0) \"unique\", round(n / nullif(total, 0), 6) r_n, round(coalesce(total, 0) / docs, 6) per_doc FROM (SELECT stage, CAST(sum(copies) AS BIGINT) docs FROM g GROUP BY 1) x LEFT JOIN (SELECT stage, CAST(sum(copies) AS BIGINT) total, count(DISTINCT w) n FROM g JOIN tk USING (doc_id) GROUP BY 1) y USING (stage)"
+)
+def lexical_diversity(spark, d):
+    s = staged(spark, d).select("stage", "doc_id", "copies").join(docs(spark, d).select("doc_id", "text"), "doc_id")
+    return rounded(measures.lexical_diversity(s, 1, weight="copies", by=("stage",)), "r_n", "per_doc")
+
+
+def _grams_sql(n: int) -> str:
+    return f"SELECT {n} n, unnest(list_transform(range(1, len(k) - {n - 2}), lambda i: array_to_string(k[i:i + {n - 1}], ' '))) g FROM kk"
+
+
+@query(O.cte(f"kk AS (SELECT {O.toks('text')} k FROM documents)", "gg AS (" + " UNION ALL ".join(map(_grams_sql, (1, 2, 3))) + ")") + " SELECT n, (SELECT count(*) FROM documents) docs, count(*) total, count(DISTINCT g) \"unique\", round(count(DISTINCT g) / count(*), 6) r_n FROM gg GROUP BY n")
+def ngram_diversity(spark, d):
+    out = None
+    for n in (1, 2, 3):
+        one = measures.lexical_diversity(docs(spark, d), n).withColumn("n", F.lit(n))
+        out = one if out is None else out.unionAll(one)
+    return rounded(out, "r_n").drop("per_doc")
+
+
+@query()
+def lexical_diversity_sketch(spark, d):
+    return measures.lexical_diversity(docs(spark, d), 2, approx=True)
+
+
+@query(O.cte(O.TAGS) + " SELECT round(-sum(p * log2(p)), 6) h_bits, count(*) domains, round(log2(count(*)), 6) h_max FROM (SELECT count(*) / sum(count(*)) OVER () p FROM tags GROUP BY domain_l1)")
+def domain_entropy(spark, d):
+    return rounded(measures.entropy(docs(spark, d).withColumn("domain_l1", signals.domain_columns()[0])), "h_bits", "h_max")
+
+
+@query(O.cte(O.TAGS, "s AS (SELECT domain_l1, count(*) / sum(count(*)) OVER () p FROM tags GROUP BY 1)", "t AS (SELECT p FROM s ORDER BY p DESC, domain_l1 LIMIT 3)") + f" SELECT round(sum(p), 6) top_share, round(1 - sum(p), 6) longtail_share, (SELECT round(sum(p), 6) FROM s WHERE domain_l1 IN {O.in_list(C.BYPASS)}) niche_share FROM t")
+def top3_share(spark, d):
+    rows = docs(spark, d).withColumn("domain_l1", signals.domain_columns()[0])
+    out = measures.top_share(rows).select("top_share").crossJoin(measures.longtail_share(rows)).crossJoin(measures.longtail_share(rows, niche=C.BYPASS).withColumnRenamed("longtail_share", "niche_share"))
+    return rounded(out, "top_share", "longtail_share", "niche_share")
+
+
+@query()
+def mean_pair_jaccard(spark, d):
+    return fuzzy.mean_jaccard(docs(spark, d))
+
+
+@query(
+    O.cte(O.TAGS, _SIG, O.components("links"), "fz AS (SELECT doc_id FROM comp WHERE root <> doc_id)", *_VEC, O.votes(), O.removed())
+    + " SELECT domain_l1 \"domain\", count(fz.doc_id) fuzzy, count(CASE WHEN g.doc_id IS NOT NULL AND fz.doc_id IS NULL THEN 1 END) extra, count(*) docs FROM tags LEFT JOIN fz USING (doc_id) LEFT JOIN gone g USING (doc_id) GROUP BY 1"
+)
+def semantic_beyond_fuzzy(spark, d):
+    """Duplicates by fuzzy dedup, and those that only the vote finds, by domain."""
+    rows = docs(spark, d)
+    links = stage(fuzzy.fuzzy_links(rows), "links")
+    fz = star_forest(links.select("u", "v")).select(F.col("u").alias("doc_id"), F.lit(1).alias("f"))
+    _, e = _clustered(spark, d)
+    votes = stage(semantic.soft_vote(e), "votes")
+    gone = semantic.redundant_ids(votes, e).select(F.col("id").alias("doc_id"), F.lit(1).alias("g"))
+    tagged = rows.select("doc_id", signals.domain_columns()[0].alias("domain")).join(fz, "doc_id", "left").join(gone, "doc_id", "left")
+    return tagged.groupBy("domain").agg(F.count("f").alias("fuzzy"), F.sum(F.when(F.col("g").isNotNull() & F.col("f").isNull(), 1).otherwise(0)).alias("extra"), F.count("*").alias("docs"))
+
+
+@query(
+    O.cte(
+        f"dk AS (SELECT doc_id, {O.toks('text')} k FROM documents), bk AS (SELECT item_id, {O.toks('text')} k FROM benchmark)",
+        *[f"{t}g AS (SELECT DISTINCT {i}, g FROM (SELECT {i}, unnest(list_transform(range(1, len(k) - 6), lambda i: array_to_string(k[i:i + 7], ' '))) g FROM {t}k))" for t, i in (("d", "doc_id"), ("b", "item_id"))],
+    )
+    + " SELECT doc_id, item_id, count(*) grams FROM dg JOIN bg USING (g) GROUP BY ALL"
+)
+def benchmark_overlap(spark, d):
+    return measures.overlap(docs(spark, d), load(spark, d, "benchmark"))
+
+
+# --- ablations and comparison corpora ------------------------------------------------------------
+
+
+@query()
+def dedup_ablation(spark, d):
+    """None, exact, fuzzy, hard and soft semantic dedup: documents, yield, unique words, entropy."""
+    return replay.dedup_ablation(docs(spark, d))
+
+
+@query()
+def sampler_ablation(spark, d):
+    """Uniform, softmax, power, quality only, diversity only, linear sum, combined: value, entropy, sharpness."""
+    return replay.sampler_ablation(frame(spark, d), {"quality_only": frame(spark, d, alpha=1.0), "diversity_only": frame(spark, d, alpha=0.0), "linear_sum": frame(spark, d, "linear_all"), "combined": frame(spark, d, "combined")})
+
+
+@query()
+def budget_scaling(spark, d):
+    return replay.budget_scaling(sampling.power_probabilities(frame(spark, d)), (1, 2, 5))
+
+
+@query()
+def isolated_pipeline(spark, d):
+    """The funnel without shared signals."""
+    stages = pipeline.run_pipeline(docs(spark, d), pipeline.Config(shared_signals=False, bypass=()))
+    return measures.funnel({n: stages[n] for n in pipeline.STAGES})
+
+
+@query()
+def corpus_balance(spark, d):
+    """Equal-size corpora: top-3 share and entropy of source tags, unique-word ratio."""
+    return replay.corpus_balance(spark, d)
+
+
+@query()
+def proxy_cross_entropy(spark, d):
+    """Interpolated bigram models of the filter arms on the benchmark items; overlapping documents are left out."""
+    return replay.proxy_language_models(spark, d)
+
+
+@query(replay.PAPER_SQL)
+def paper_funnel_replay(spark, d):
+    return replay.paper_funnel(spark)
+
+
+@query(replay.MACRO_SQL)
+def paper_macro_average(spark, d):
+    return replay.paper_macro(spark)
+
+
+# --- star schema and events ----------------------------------------------------------------------
+
+
+@query(
+    O.cte(
+        "o AS (SELECT o_orderkey, o_orderpriority, (o_totalprice - min(o_totalprice) OVER ()) / (max(o_totalprice) OVER () - min(o_totalprice) OVER ()) x FROM orders)",
+        "w AS (SELECT *, power(x, 2) / (1 + exp(-10 * (x - 0.5))) w FROM o)", "p AS (SELECT *, w / sum(w) OVER () p FROM w)",
+    )
+    + " SELECT o_orderpriority, count(*) n, round(sum(p), 6) share_after, round(count(*) / (SELECT count(*) FROM o), 6) share FROM p GROUP BY 1"
+)
+def orders_power_sampling(spark, d):
+    p = sampling.power_probabilities(load(spark, d, "orders").select("o_orderkey", "o_orderpriority", F.col("o_totalprice").alias("s")))
+    total = p.agg(F.count("*").alias("all"))
+    return p.groupBy("o_orderpriority").agg(F.count("*").alias("n"), F.round(F.sum("p"), 6).alias("share_after")).crossJoin(F.broadcast(total)).select("o_orderpriority", "n", "share_after", F.round(F.col("n") / F.col("all"), 6).alias("share"))
+
+
+@query("SELECT r_name, n_name, count(*) n, CAST(grouping(n_name) AS INT) lvl FROM customer JOIN nation ON n_nationkey = c_nationkey JOIN region ON r_regionkey = n_regionkey GROUP BY ROLLUP (r_name, n_name)".replace("CAST(grouping(n_name) AS INT) lvl", "CAST(grouping(r_name) + grouping(n_name) AS INT) lvl"))
+def customer_geo_rollup(spark, d):
+    n, r = load(spark, d, "nation"), load(spark, d, "region")
+    joined = load(spark, d, "customer").join(n, F.col("n_nationkey") == F.col("c_nationkey")).join(r, F.col("r_regionkey") == F.col("n_regionkey"))
+    return joined.rollup("r_name", "n_name").agg(F.count("*").alias("n"), (F.grouping("r_name").cast("int") + F.grouping("n_name").cast("int")).alias("lvl"))
+
+
+@query("SELECT round(-sum(p * log2(p)), 6) h_bits, count(*) domains, round(log2(count(*)), 6) h_max FROM (SELECT count(*) / sum(count(*)) OVER () p FROM customer GROUP BY c_nationkey)")
+def customer_geo_entropy(spark, d):
+    return rounded(measures.entropy(load(spark, d, "customer"), "c_nationkey"), "h_bits", "h_max")
+
+
+_NUM = ("l_quantity", "l_extendedprice", "l_discount", "l_tax")
+
+
+@query(" UNION ALL ".join(f"SELECT '{a}' x, '{b}' y, round(corr({a}, {b}), 6) r FROM lineitem" for i, a in enumerate(_NUM) for b in _NUM[i + 1 :]))
+def lineitem_pearson(spark, d):
+    return rounded(signals.signal_correlation(load(spark, d, "lineitem"), _NUM), "r")
+
+
+@query("SELECT l_returnflag, count(DISTINCT l_partkey) parts FROM lineitem GROUP BY 1")
+def lineitem_distinct(spark, d):
+    return load(spark, d, "lineitem").groupBy("l_returnflag").agg(F.count_distinct("l_partkey").alias("parts"))
+
+
+@query(
+    """WITH b AS (SELECT p_brand "domain", count(*) n, sum(q) m FROM part JOIN (SELECT l_partkey, sum(l_quantity) q FROM lineitem GROUP BY 1) ON l_partkey = p_partkey GROUP BY 1),
+r AS (SELECT "domain", n / sum(n) OVER () share, m / sum(m) OVER () share_after FROM b)
+SELECT "domain", round(share, 6) share, round(share_after, 6) share_after, round(share_after / share, 6) ratio FROM r ORDER BY round(share_after / share, 9) DESC, "domain" LIMIT 20"""
+)
+def brand_upsampling(spark, d):
+    q = load(spark, d, "lineitem").groupBy("l_partkey").agg(F.sum("l_quantity").alias("copies"))
+    rows = load(spark, d, "part").join(q, F.col("p_partkey") == F.col("l_partkey"))
+    return rounded(measures.upsampling(rows, "p_brand"), "share", "share_after", "ratio")
+
+
+def events(spark, d) -> DataFrame:
+    return load(spark, d, "events").withColumn("ts", F.col("ts").cast("timestamp"))
+
+
+@query("SELECT CAST(date_trunc('day', ts) AS TIMESTAMP) \"start\", event_type, count(*) n, round(sum(value), 4) total FROM events GROUP BY ALL")
+def events_window_counts(spark, d):
+    out = monitor.window_counts(events(spark, d))
+    return out.select(F.col("start").cast("timestamp_ntz").alias("start"), "event_type", "n", F.round("total", 4).alias("total"))
+
+
+@query(
+    """WITH e AS (SELECT user_id, ts, CASE WHEN lag(ts) OVER w IS NULL OR ts >= lag(ts) OVER w + INTERVAL 30 MINUTE THEN 1 ELSE 0 END new FROM events WINDOW w AS (PARTITION BY user_id ORDER BY ts)),
+s AS (SELECT *, sum(new) OVER (PARTITION BY user_id ORDER BY ts ROWS UNBOUNDED PRECEDING) g FROM e)
+SELECT user_id, min(ts) "start", max(ts) + INTERVAL 30 MINUTE "end", count(*) n FROM s GROUP BY user_id, g"""
+)
+def events_sessions(spark, d):
+    out = monitor.sessions(events(spark, d))
+    return out.withColumns({c: F.col(c).cast("timestamp_ntz") for c in ("start", "end")})
+
+
+@query("SELECT e.event_id, p.ts as_ts, p.value as_value FROM events e ASOF LEFT JOIN (SELECT user_id, ts, max(value) value FROM events WHERE event_type = 'purchase' GROUP BY ALL) p ON e.user_id = p.user_id AND e.ts >= p.ts")
+def events_asof_purchase(spark, d):
+    e = load(spark, d, "events")
+    return relational.asof_join(e.select("user_id", "ts", "event_id"), e.where("event_type = 'purchase'"), "user_id", "ts", "value").select("event_id", "as_ts", "as_value")
+
+
+@query("SELECT a.event_id click, b.event_id purchase FROM events a JOIN events b ON a.user_id = b.user_id AND b.ts >= a.ts AND b.ts <= a.ts + INTERVAL 1 HOUR WHERE a.event_type = 'click' AND b.event_type = 'purchase'")
+def events_interval_join(spark, d):
+    e = load(spark, d, "events")
+    a = e.where("event_type = 'click'").select("user_id", F.col("ts").alias("a_ts"), F.col("event_id").alias("click"))
+    b = e.where("event_type = 'purchase'").select("user_id", F.col("ts").alias("b_ts"), F.col("event_id").alias("purchase"))
+    return relational.interval_join(a, b, "user_id", "a_ts", "b_ts", 3600).select("click", "purchase")
+
+
+_PRICE = [(i * 50000.0, (i + 1) * 50000.0, f"b{i}") for i in range(12)]
+
+
+@query("WITH b(lo, hi, band) AS (VALUES " + ", ".join(f"({a}, {b}, '{c}')" for a, b, c in _PRICE) + ") SELECT band, count(*) n FROM orders JOIN b ON o_totalprice >= lo AND o_totalprice < hi GROUP BY 1")
+def orders_range_join(spark, d):
+    bands = spark.createDataFrame(_PRICE, "lo double, hi double, band string")
+    return relational.range_join(load(spark, d, "orders").select("o_totalprice"), bands, "o_totalprice", "lo", "hi", 25000.0).groupBy("band").agg(F.count("*").alias("n"))
+
+
+@query("SELECT c_mktsegment, count(*) n, round(sum(o_totalprice), 2) total FROM orders JOIN customer ON c_custkey = o_custkey GROUP BY 1")
+def orders_salted_join(spark, d):
+    o = load(spark, d, "orders").select(F.col("o_custkey").alias("custkey"), "o_totalprice", "o_orderkey")
+    c = load(spark, d, "customer").select(F.col("c_custkey").alias("custkey"), "c_mktsegment")
+    return relational.salted_join(o, c, "custkey", 4, F.col("o_orderkey")).groupBy("c_mktsegment").agg(F.count("*").alias("n"), F.round(F.sum("o_totalprice"), 2).alias("total"))
+
+
+@query("SELECT CAST(date_trunc('day', ts) AS TIMESTAMP) \"start\", event_type, count(*) n, round(sum(value), 4) total FROM events GROUP BY ALL")
+def streaming_funnel(spark, d):
+    """The window counts from a stream of the same file, all available input; equals the batch."""
+    schema = load(spark, d, "events").schema
+    s = monitor.read_stream(spark, f"{d.rstrip('/')}/events.parquet", schema, "ts")
+    return monitor.run_once(monitor.window_counts(s), "complete", "funnel").select(F.col("start").cast("timestamp_ntz").alias("start"), "event_type", "n", F.round("total", 4).alias("total"))
+
+
+@query("SELECT sha256(coalesce(text, '')) digest FROM documents GROUP BY 1")
+def streaming_exact_dedup(spark, d):
+    s = monitor.read_stream(spark, f"{d.rstrip('/')}/documents.parquet", docs(spark, d).schema)
+    return monitor.run_once(monitor.dedup_stream(s, within=False).select("digest"), "append", "dedup")
