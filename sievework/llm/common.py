@@ -2,51 +2,20 @@
 
 from __future__ import annotations
 
-import uuid
 from collections.abc import Callable, Iterator
 
 import pyarrow as pa
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-#: Rows of one inner batch; bounds what a Python worker holds beside the Arrow batch that Spark sends.
-INNER_ROWS = 512
-
-_staging: dict[str, str] = {}
-
-
-def shared_dir(spark: SparkSession) -> str:
-    """Folder that driver and executors share: ``spark.checkpoint.dir``; a local default only in local mode."""
-    base = spark.conf.get("spark.checkpoint.dir", None)
-    if not base:
-        if not spark.sparkContext.master.startswith("local"):
-            raise ValueError("set spark.checkpoint.dir to a folder that all executors share")
-        base = "file:///tmp/checkpoints"
-    app = spark.sparkContext.applicationId
-    return _staging.setdefault(f"{base}|{app}", f"{base.rstrip('/')}/sievework-{app}-{uuid.uuid4().hex[:8]}")
-
-
-def stage(df: DataFrame, name: str) -> DataFrame:
-    """Write ``df`` to the shared folder and read it back: lineage ends there and a lost executor costs nothing.
-
-    The schema is kept (no inference); every call gets its own path.
-    """
-    spark = df.sparkSession
-    path = f"{shared_dir(spark)}/{name}-{uuid.uuid4().hex[:12]}"
-    df.write.parquet(path)
-    return spark.read.schema(df.schema).parquet(path)
-
-
-def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
-    return spark.read.parquet(f"{sf_dir.rstrip('/')}/{name}.parquet")
+from ..plans.staging import shared_dir, stage
+from ..sources.tables import load as table
 
+__all__ = ["held_out", "map_arrow", "shared_dir", "stage", "table", "with_score"]
 
-def drop_staging(spark: SparkSession) -> None:
-    """Delete this application's staged tables; DataFrames that read them become invalid."""
-    root = spark._jvm.org.apache.hadoop.fs.Path(shared_dir(spark))
-    root.getFileSystem(spark._jsc.hadoopConfiguration()).delete(root, True)
-
+#: Rows of one inner batch; bounds what a Python worker holds beside the Arrow batch that Spark sends.
+INNER_ROWS = 512
 
 def map_arrow(
     df: DataFrame, make: Callable[[], Callable[[pa.RecordBatch], pa.RecordBatch]], schema

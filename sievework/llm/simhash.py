@@ -26,8 +26,8 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from ..operators.components import star_forest
 from .common import map_arrow, stage, table
-from .components import star_forest
 
 BITS = 64
 SEED = 42
