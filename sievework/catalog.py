@@ -469,6 +469,12 @@ def soft_vote_all_edges(spark, d):
     return semantic.soft_vote(_clustered(spark, d)[1])
 
 
+@query(O.cte(*_VEC, O.votes()) + " SELECT id, score, edges, redundant FROM votes")
+def soft_vote_collapsed(spark, d):
+    """The same votes with equal texts counted, not paired."""
+    return semantic.collapsed_vote(docs(spark, d))
+
+
 @query(O.cte(*_VEC) + " SELECT id, CAST(sum(CASE WHEN other < id THEN weight ELSE 0 END) AS BIGINT) score, count(*) edges, sum(CASE WHEN other < id THEN weight ELSE 0 END) > 10 redundant FROM dir GROUP BY 1")
 def soft_vote_ranked(spark, d):
     return semantic.soft_vote(_clustered(spark, d)[1], policy="ranked")
@@ -596,6 +602,63 @@ def kmeans_two_level(spark, d):
     return semantic.kmeans_two_level(rows, 4, 4, key="vec_id").groupBy("cluster").agg(F.count("*").alias("members"))
 
 
+_LOW = tuple((round(0.40 - 0.05 * i, 2), 8 - i) for i in range(7))
+
+
+@query(
+    """WITH a AS (SELECT vec_id, label, CAST(embedding AS DOUBLE[]) v FROM embeddings), p AS (SELECT a.label = b.label dup, round(list_dot_product(a.v, b.v), 9) sim FROM a JOIN a b ON a.vec_id < b.vec_id),
+w AS (SELECT dup, CASE """ + " ".join(f"WHEN sim >= {lo} THEN {w}" for lo, w in _LOW) + """ ELSE 0 END weight FROM p WHERE sim >= 0.1)
+SELECT weight, count(*) n_edge, round(avg(CASE WHEN dup THEN 0.0 ELSE 1.0 END), 6) fpr_edge FROM w WHERE weight > 0 GROUP BY 1"""
+)
+def embedding_band_fpr(spark, d):
+    """The given vectors with bands moved to where their similarities lie; truth is the label. One cluster, cut into tiles."""
+    rows = load(spark, d, "embeddings").select(F.col("vec_id").alias("doc_id"), "label", F.lit(0).alias("cluster"), F.col("embedding").cast("array<double>").alias("vec"))
+    e = semantic.similarity_edges(rows, floor=0.1, tile=512).withColumn("sim", F.round("sim", 9))
+    label = rows.select(F.col("doc_id").alias("u"), F.col("label").alias("lu"))
+    tagged = semantic.weighted(e, _LOW).join(label, "u").join(label.select(F.col("u").alias("v"), F.col("lu").alias("lv")), "v")
+    return tagged.groupBy("weight").agg(F.count("*").alias("n_edge"), F.round(F.avg(F.when(F.col("lu") == F.col("lv"), 0.0).otherwise(1.0)), 6).alias("fpr_edge"))
+
+
+@query()
+def embedding_choice(spark, d):
+    """The provider chosen by the benchmark."""
+    return semantic.select_embedding(QUERIES["embedding_benchmark"](spark, d))
+
+
+@query()
+def embedding_auc(spark, d):
+    _, e = _clustered(spark, d)
+    return rounded(semantic.auc(e.join(pair_truth(spark, d, e), ["u", "v"])), "auc")
+
+
+@query()
+def word2vec_edges(spark, d):
+    v = stage(semantic.word2vec_vectors(docs(spark, d)), "w2v")
+    e = semantic.weighted(semantic.similarity_edges(semantic.assign_nearest(v, stage(semantic.seed_centroids(v, 16), "seeds"))))
+    return e.groupBy("weight").agg(F.count("*").alias("n"))
+
+
+@query()
+def minhash_library_pairs(spark, d):
+    """pyspark.ml MinHashLSH on the same shingles: a cross-check of the links."""
+    from pyspark.ml.feature import MinHashLSH
+    from pyspark.ml.linalg import SparseVector, VectorUDT
+
+    vector = F.udf(lambda s: SparseVector(1 << 20, sorted({x % (1 << 20) for x in s}), [1.0] * len({x % (1 << 20) for x in s})), VectorUDT())
+    sets = stage(fuzzy.shingle_sets(docs(spark, d)), "ml-sets").where(F.size("sh") > 0).select("doc_id", vector("sh").alias("f"))
+    model = MinHashLSH(inputCol="f", outputCol="h", numHashTables=5, seed=1).fit(sets)
+    pairs = model.approxSimilarityJoin(sets, sets, 0.2, "distance").where("datasetA.doc_id < datasetB.doc_id")
+    return pairs.select(F.col("datasetA.doc_id").alias("u"), F.col("datasetB.doc_id").alias("v"), F.round(1 - F.col("distance"), 6).alias("jaccard"))
+
+
+@query()
+def redundant_crawls(spark, d):
+    """Addresses crawled again whose texts slip under the LSH threshold."""
+    pages = ingest.extract_main_text(load(spark, d, "pages"), "strip_all")
+    pages = stage(pages.select("page_id", "url", "text"), "pages-text")
+    return rounded(ingest.near_identical_crawls(pages, semantic.hashed_vectors(pages, key="page_id"), fuzzy.shingle_sets(pages, key="page_id")), "jaccard", "sim")
+
+
 # --- sampling ------------------------------------------------------------------------------------
 
 _FRAME = (
@@ -846,6 +909,15 @@ def top3_share(spark, d):
     return rounded(out, "top_share", "longtail_share", "niche_share")
 
 
+@query(
+    O.cte(O.shingle_sets("documents", 3), "f AS (SELECT doc_id, unnest(s) g FROM sh)", "p AS (SELECT a.doc_id u, b.doc_id v, count(*) c FROM f a JOIN f b USING (g) WHERE a.doc_id < b.doc_id GROUP BY ALL)", "n AS (SELECT CAST(count(*) AS DOUBLE) n FROM documents)")
+    + " SELECT round(coalesce(sum(c / CAST(len(x.s) + len(y.s) - c AS DOUBLE)), 0) / (any_value(n) * (any_value(n) - 1) / 2), 9) mean_jaccard FROM p JOIN sh x ON x.doc_id = u JOIN sh y ON y.doc_id = v, n"
+)
+def mean_pair_jaccard_exact(spark, d):
+    """Over all pairs, from those that share a shingle (others add nothing); for tables of moderate size."""
+    return fuzzy.mean_jaccard_exact(docs(spark, d)).select(F.round("mean_jaccard", 9).alias("mean_jaccard"))
+
+
 @query()
 def mean_pair_jaccard(spark, d):
     return fuzzy.mean_jaccard(docs(spark, d))
@@ -1037,6 +1109,22 @@ def streaming_funnel(spark, d):
     return monitor.run_once(monitor.window_counts(s), "complete", "funnel").select(F.col("start").cast("timestamp_ntz").alias("start"), "event_type", "n", F.round("total", 4).alias("total"))
 
 
+@query("""WITH c AS (SELECT CAST(date_trunc('day', ts) AS TIMESTAMP) "start", event_type, count(*) n FROM events GROUP BY ALL)
+SELECT "start", round(-sum(p * log2(p)), 6) h_bits FROM (SELECT "start", n / sum(n) OVER (PARTITION BY "start") p FROM c) GROUP BY 1""")
+def events_window_entropy(spark, d):
+    out = monitor.window_entropy(monitor.window_counts(events(spark, d)))
+    return out.select(F.col("start").cast("timestamp_ntz").alias("start"), F.round("h_bits", 6).alias("h_bits"))
+
+
+@query("SELECT h AS host, count(*) n FROM (SELECT regexp_extract(lower(url), '^[a-z][a-z0-9+.-]*://(?:[^/?#@]*@)?([^/?#:]*)', 1) h FROM pages) WHERE h NOT IN " + O.in_list(C.BLOCKED_HOSTS) + " GROUP BY 1")
+def streaming_blacklist(spark, d):
+    """Pages as a stream against a static host list, counted from the sink."""
+    s = monitor.read_stream(spark, f"{d.rstrip('/')}/pages.parquet", load(spark, d, "pages").schema)
+    hosts = spark.createDataFrame([(h,) for h in C.BLOCKED_HOSTS], "host string")
+    kept = monitor.block_stream(s.select(ingest.host_of("url").alias("host")), hosts)
+    return monitor.run_once(kept, "append", "blacklist").groupBy("host").agg(F.count("*").alias("n"))
+
+
 @query("SELECT sha256(coalesce(text, '')) digest FROM documents GROUP BY 1")
 def streaming_exact_dedup(spark, d):
     s = monitor.read_stream(spark, f"{d.rstrip('/')}/documents.parquet", docs(spark, d).schema)

@@ -147,3 +147,15 @@ def mean_jaccard(df: DataFrame, n: int = 3, key: str = "doc_id", text: str = "te
     right = cell.crossJoin(F.broadcast(total)).withColumn("slot", h32(F.concat_ws(":", F.lit(seed), "k", "v", F.lit("r"))) % slots)
     pairs = left.join(right.drop("n"), ["k", "slot"]).where("u <> v")
     return pairs.agg(F.avg(jaccard(F.col("a"), F.col("b"))).alias("mean_jaccard"), F.count("*").alias("pairs"))
+
+
+def mean_jaccard_exact(df: DataFrame, n: int = 3, key: str = "doc_id", text: str = "text") -> DataFrame:
+    """Mean over all pairs: only pairs that share a shingle add to the sum. Costs the sum of squared shingle frequencies, so
+    for tables of moderate size, or after dedup, when few shingles are shared; otherwise ``mean_jaccard``."""
+    sets = stage(shingle_sets(df, n, key, text), "jaccard-sets")
+    flat = sets.select(key, F.size("sh").alias("n"), F.explode("sh").alias("g"))
+    a, b = flat.select(F.col(key).alias("u"), F.col("n").alias("nu"), "g"), flat.select(F.col(key).alias("v"), F.col("n").alias("nv"), "g")
+    shared = a.join(b, "g").where("u < v").groupBy("u", "v", "nu", "nv").agg(F.count("*").alias("c"))
+    total = sets.agg(F.count("*").cast("double").alias("all"))
+    summed = shared.agg(F.coalesce(F.sum(F.col("c") / (F.col("nu") + F.col("nv") - F.col("c"))), F.lit(0.0)).alias("s"))
+    return summed.crossJoin(F.broadcast(total)).select((F.col("s") / F.nullif(F.col("all") * (F.col("all") - 1) / 2, F.lit(0.0))).alias("mean_jaccard"))

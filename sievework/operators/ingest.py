@@ -205,3 +205,19 @@ def redundant_crawls(pages: DataFrame, url: str = "url", key: str = "page_id") -
 def text_share(extracted: DataFrame, pages: DataFrame) -> DataFrame:
     """Share of a page's bytes that is main text, by mode of extraction."""
     return extracted.join(pages.select("page_id", "html"), "page_id").agg(ratio(F.sum(F.length("text")), F.sum(F.length("html"))).alias("text_share"))
+
+
+def near_identical_crawls(pages: DataFrame, vectors: DataFrame, sets: DataFrame, theta: float = 0.8, floor: float = 0.9) -> DataFrame:
+    """(url_key, u, v, jaccard, sim): crawls of one address that stay under the LSH threshold though their vectors are alike.
+
+    Each crawl is held against the first of its address (a star), so an address with many crawls costs as many rows.
+    """
+    from ..functions.text import dot, jaccard
+
+    keyed = pages.select("page_id", normalize_url("url").alias("url_key"))
+    first = keyed.groupBy("url_key").agg(F.min("page_id").alias("u"), F.count("*").alias("n")).where("n > 1").drop("n")
+    pairs = keyed.join(first, "url_key").where("page_id > u").select("url_key", "u", F.col("page_id").alias("v"))
+    for side in "uv":
+        pairs = pairs.join(vectors.select(F.col("page_id").alias(side), F.col("vec").alias(f"vec_{side}")), side).join(sets.select(F.col("page_id").alias(side), F.col("sh").alias(f"sh_{side}")), side)
+    scored = pairs.select("url_key", "u", "v", jaccard(F.col("sh_u"), F.col("sh_v")).alias("jaccard"), dot(F.col("vec_u"), F.col("vec_v")).alias("sim"))
+    return scored.where((F.col("jaccard") < theta) & (F.col("sim") >= floor))
