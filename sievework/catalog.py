@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import uuid
 from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
@@ -13,7 +14,7 @@ from .functions.text import distance, h32, jaccard, shingles, tokens, unit
 from .operators import filters, fuzzy, ingest, measures, relational, rules, sampling, semantic, signals
 from .operators.components import star_forest
 from .plans import pipeline, replay
-from .plans.staging import stage
+from .plans.staging import shared_dir, stage
 from .sources.tables import assemble_conversations, load, union_snapshots
 from .streaming import monitor
 
@@ -1129,3 +1130,100 @@ def streaming_blacklist(spark, d):
 def streaming_exact_dedup(spark, d):
     s = monitor.read_stream(spark, f"{d.rstrip('/')}/documents.parquet", docs(spark, d).schema)
     return monitor.run_once(monitor.dedup_stream(s, within=False).select("digest"), "append", "dedup")
+
+
+# --- surrounding operators on the same tables ----------------------------------------------------
+
+
+def tagged(spark, d) -> DataFrame:
+    return docs(spark, d).select("doc_id", "lang", "n_chars", signals.domain_columns()[0].alias("domain_l1"))
+
+
+@query(O.cte(O.TAGS) + " SELECT domain_l1, " + ", ".join(f"count(CASE WHEN lang = '{x}' THEN 1 END) {x}" for x in ("en", "de", "fr", "es")) + " FROM tags JOIN documents USING (doc_id) GROUP BY 1")
+def domain_language_pivot(spark, d):
+    return tagged(spark, d).groupBy("domain_l1").pivot("lang", ["en", "de", "fr", "es"]).count().fillna(0)
+
+
+@query(O.cte(O.TAGS) + " SELECT lang, domain_l1, CAST(2 * grouping(lang) + grouping(domain_l1) AS BIGINT) lvl, count(*) n, CAST(sum(n_chars) AS BIGINT) chars FROM tags JOIN documents USING (doc_id) GROUP BY CUBE (lang, domain_l1)")
+def language_domain_cube(spark, d):
+    return tagged(spark, d).cube("lang", "domain_l1").agg(F.grouping_id().cast("bigint").alias("lvl"), F.count("*").alias("n"), F.sum("n_chars").alias("chars"))
+
+
+@query(O.cte(O.features()) + f" SELECT doc_id FROM documents EXCEPT SELECT doc_id FROM rf WHERE len({O.rule_hits(rules.ORIGINAL)}) = 0")
+def removed_by_rules(spark, d):
+    kept = rules.apply_rules(rules.rule_features(docs(spark, d)), rules.ORIGINAL).select("doc_id")
+    return docs(spark, d).select("doc_id").subtract(kept)
+
+
+@query(O.cte(O.shingle_sets("documents", 5), "f AS (SELECT unnest(s) g FROM sh)") + " SELECT g, count(*) docs FROM f GROUP BY 1 ORDER BY 2 DESC, 1 LIMIT 20")
+def heavy_shingles(spark, d):
+    """The shingles that most documents share: where LSH buckets and joins grow hot."""
+    sets = stage(fuzzy.shingle_sets(docs(spark, d)), "sets")
+    return sets.select(F.explode("sh").alias("g")).groupBy("g").agg(F.count("*").alias("docs")).orderBy(F.desc("docs"), "g").limit(20)
+
+
+@query()
+def heavy_shingles_sketch(spark, d):
+    """The same by a frequent-items sketch of fixed size."""
+    sets = stage(fuzzy.shingle_sets(docs(spark, d)), "sets")
+    return sets.select(F.explode("sh").alias("g")).agg(F.expr("approx_top_k(g, 20, 4096)").alias("top")).select(F.explode("top").alias("t")).select(F.col("t.item").alias("g"), F.col("t.count").alias("docs"))
+
+
+@query()
+def unique_words_sketch(spark, d):
+    """Distinct words by mergeable sketches: one a domain, merged over all, as one would over snapshots."""
+    rows = docs(spark, d).select(signals.domain_columns()[0].alias("domain_l1"), F.explode(tokens(F.col("text"))).alias("w"))
+    each = rows.groupBy("domain_l1").agg(F.hll_sketch_agg("w", 12).alias("s"))
+    return each.agg(F.hll_sketch_estimate(F.hll_union_agg("s")).alias("unique_words"))
+
+
+@query()
+def length_quantiles(spark, d):
+    return docs(spark, d).agg(F.percentile_approx("n_chars", [0.1, 0.5, 0.9], 10000).alias("q")).select(F.posexplode("q").alias("pos", "chars"))
+
+
+@query(" UNION ALL ".join(f"SELECT l_returnflag, '{c}' measure, round(avg({c}), 6) mean FROM lineitem GROUP BY 1" for c in _NUM))
+def lineitem_unpivot(spark, d):
+    means = load(spark, d, "lineitem").groupBy("l_returnflag").agg(*[F.round(F.avg(c), 6).alias(c) for c in _NUM])
+    return means.unpivot("l_returnflag", list(_NUM), "measure", "mean")
+
+
+@query("SELECT o_custkey, o_orderkey, CAST(rank AS INT) rank FROM (SELECT o_custkey, o_orderkey, row_number() OVER (PARTITION BY o_custkey ORDER BY o_totalprice DESC, o_orderkey) rank FROM orders) WHERE rank <= 2")
+def orders_top_per_customer(spark, d):
+    o = load(spark, d, "orders").select("o_custkey", "o_orderkey", "o_totalprice")
+    return relational.top_per_group(o, "o_custkey", [F.desc("o_totalprice"), "o_orderkey"], 2).select("o_custkey", "o_orderkey", "rank")
+
+
+@query("SELECT event_id, count(*) OVER (PARTITION BY user_id ORDER BY epoch_us(ts) RANGE BETWEEN 86400000000 PRECEDING AND CURRENT ROW) day_events FROM events")
+def events_moving_rate(spark, d):
+    from pyspark.sql import Window
+
+    micros = F.unix_micros(F.col("ts").cast("timestamp"))
+    w = Window.partitionBy("user_id").orderBy(micros).rangeBetween(-86_400_000_000, 0)
+    return load(spark, d, "events").select("event_id", F.count("*").over(w).alias("day_events"))
+
+
+@query("SELECT json_extract_string(props, '$.k') k, event_type, count(*) n FROM events GROUP BY ALL")
+def events_json_key(spark, d):
+    return load(spark, d, "events").groupBy(F.get_json_object("props", "$.k").alias("k"), "event_type").agg(F.count("*").alias("n"))
+
+
+@query("SELECT o_orderpriority, CAST(ntile AS INT) bucket, count(*) n, round(min(x), 2) low FROM (SELECT o_orderpriority, o_totalprice x, ntile(10) OVER (PARTITION BY o_orderpriority ORDER BY o_totalprice, o_orderkey) ntile FROM orders) GROUP BY ALL")
+def orders_deciles(spark, d):
+    from pyspark.sql import Window
+
+    w = Window.partitionBy("o_orderpriority").orderBy("o_totalprice", "o_orderkey")
+    rows = load(spark, d, "orders").select("o_orderpriority", F.col("o_totalprice").alias("x"), F.ntile(10).over(w).alias("bucket"))
+    return rows.groupBy("o_orderpriority", "bucket").agg(F.count("*").alias("n"), F.round(F.min("x"), 2).alias("low"))
+
+
+@query()
+def streaming_soft_vote(spark, d):
+    """Weighted edges as a stream; each document is sent once, when its votes pass the target (needs the RocksDB state store)."""
+    _, e = _clustered(spark, d)
+    path = f"{shared_dir(spark)}/vote-stream-{uuid.uuid4().hex[:8]}"
+    semantic.directed(e).select("id", "weight").write.parquet(path)
+    if "RocksDB" not in spark.conf.get("spark.sql.streaming.stateStore.providerClass", ""):
+        spark.conf.set("spark.sql.streaming.stateStore.providerClass", "org.apache.spark.sql.execution.streaming.state.RocksDBStateStoreProvider")
+    s = monitor.read_stream(spark, path, spark.read.parquet(path).schema, files=1000)
+    return monitor.run_once(monitor.soft_vote_stream(s), "update", "vote")
