@@ -39,11 +39,11 @@ class Config:
 
 
 def signals_table(docs: DataFrame, config: Config = Config()) -> DataFrame:
-    """One row a document, no text: tags, nine scores, rule hits, language guess, digest."""
-    tagged = signals.annotate(ingest.detect_language(docs), keep=("doc_id", "lang_guess", "lang_conf"))
-    found = rules.rule_features(docs).select("doc_id", rules.hits(config.ruleset).alias("__hits"))
-    digests = docs.select("doc_id", ingest.digest().alias("digest"))
-    joined = tagged.join(found, "doc_id").join(digests, "doc_id")
+    """One row a document, no text: tags, nine scores, rule hits, language guess, digest. One scan, no join, no shuffle."""
+    rows = ingest.detect_language(docs).withColumn("digest", ingest.digest())
+    own = ("lang_guess", "lang_conf", "digest")
+    ruled = rules.rule_features(rows, keep=("doc_id", "text", "source", *own)).withColumn("__hits", rules.hits(config.ruleset))
+    joined = signals.annotate(ruled.select("doc_id", "text", "source", *own, "__hits"), keep=("doc_id", *own, "__hits"))
     skip = F.col("domain_l1").isin(*config.bypass) if config.bypass else F.lit(False)
     return joined.withColumn("bypassed", skip).withColumn("rule_hits", F.when(skip, F.array().cast("array<string>")).otherwise(F.col("__hits"))).drop("__hits")
 
