@@ -288,9 +288,11 @@ def near_groups(df: DataFrame, id_col: str = "doc_id", text_col: str = "text", s
     tree = star_forest(near_links(fps, tau, cap))
     roots = tree.select(F.col("u").alias("fp"), F.col("v").alias("root"))
     roots = stage(roots.unionAll(tree.select(F.col("v").alias("fp"), F.col("v").alias("root")).distinct()), "roots")
-    named = fps.join(roots, "fp", "left").select("fp", "first", F.coalesce("root", "fp").alias("root"))
-    least = named.groupBy("root").agg(F.min("first").alias("component_id"))
-    classes = stage(named.join(least, "root").select("fp", "component_id"), "classes")
+    linked = stage(fps.join(roots, "fp"), "linked")
+    # Staged, so that both sides of the join are plain exchanges and a component with very many members can be split.
+    least = stage(linked.groupBy("root").agg(F.min("first").alias("component_id")), "least")
+    of = linked.join(least, "root").select("fp", "component_id")
+    classes = stage(fps.join(of, "fp", "left").select("fp", F.coalesce("component_id", "first").alias("component_id")), "classes")
     return docs.join(classes, "fp").select(id_col, "fp", "component_id")
 
 
