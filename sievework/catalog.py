@@ -737,7 +737,7 @@ def power_probabilities(spark, d):
     return sampling.power_probabilities(frame(spark, d)).select("doc_id", F.round("x", 6).alias("x"), F.round("p", 9).alias("p"))
 
 
-@query(O.cte(*_FRAME) + " SELECT doc_id, round(exp((x - 1) / 0.1) / sum(exp((x - 1) / 0.1)) OVER (), 9) p FROM n3")
+@query(O.cte(*_FRAME) + " SELECT doc_id, round(exp((x - 1) / 1.0) / sum(exp((x - 1) / 1.0)) OVER (), 9) p FROM n3")
 def softmax_probabilities(spark, d):
     return sampling.softmax_probabilities(frame(spark, d)).select("doc_id", F.round("p", 9).alias("p"))
 
@@ -752,7 +752,7 @@ _PROFILE = "round(sum(CASE WHEN p > 0 THEN -p * log2(p) ELSE 0 END), 6) entropy_
 
 @query(
     O.cte(*_FRAME)
-    + f" SELECT 'power' sampler, {_PROFILE} FROM pw UNION ALL SELECT 'softmax', {_PROFILE} FROM (SELECT exp((x - 1) / 0.1) / sum(exp((x - 1) / 0.1)) OVER () p FROM n3) UNION ALL SELECT 'uniform', {_PROFILE} FROM (SELECT 1.0 / count(*) OVER () p FROM n3)"
+    + f" SELECT 'power' sampler, {_PROFILE} FROM pw UNION ALL SELECT 'softmax', {_PROFILE} FROM (SELECT exp((x - 1) / 1.0) / sum(exp((x - 1) / 1.0)) OVER () p FROM n3) UNION ALL SELECT 'uniform', {_PROFILE} FROM (SELECT 1.0 / count(*) OVER () p FROM n3)"
 )
 def sampler_sharpness(spark, d):
     f, out = frame(spark, d), None

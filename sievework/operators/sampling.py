@@ -78,7 +78,7 @@ def power_probabilities(df: DataFrame, n: float = C.POWER["n"], k: float = C.POW
     return _normalised(x, power * sigmoid(k * (F.col("x") - a)))
 
 
-def softmax_probabilities(df: DataFrame, tau: float = 0.1, s: str = "s") -> DataFrame:
+def softmax_probabilities(df: DataFrame, tau: float = 1.0, s: str = "s") -> DataFrame:
     x = min_max(df, (s,)).withColumnRenamed(f"{s}_n", "x")
     return _normalised(x, F.exp((F.col("x") - 1.0) / tau))  # the largest x is 1
 
