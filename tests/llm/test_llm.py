@@ -166,6 +166,15 @@ def test_scores_of_odd_texts(spark):
     assert toxicity.score_toxicity(odd(spark).where("false"), lex).count() == 0
 
 
+def test_learning_without_or_with_few_labels(spark):
+    docs = odd(spark)
+    labels = spark.createDataFrame([(1, 1, 0), (2, 1, 0)], "doc_id long, quality int, toxic int")
+    for own in (labels, labels.where("false"), labels.withColumn("quality", F.lit(None).cast("int")).withColumn("toxic", F.lit(None).cast("int"))):
+        scores = {r["score"] for r in quality.score_quality(docs, quality.learn_quality(docs, own)).collect()}
+        assert all(s > 0.9 for s in scores)
+        assert all(r["score"] < 0.5 for r in toxicity.score_toxicity(docs, toxicity.learn_lexicon(docs, own)).collect())
+
+
 def test_folding_and_exceptions():
     lex = toxicity.Lexicon({"idiot": 5.0, "clown": 4.0})
     hits = lambda t: round(float(np.expm1(lex.features([t])[0, 1])))
