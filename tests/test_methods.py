@@ -259,6 +259,11 @@ def test_stream_vote(spark, tmp_path):
     assert got == {1: 15.0, 2: 14.0, 3: 16.0}
 
 
+def test_pipeline_of_nothing(spark, sf):
+    stages = pipeline.run_pipeline(load(spark, sf, "documents").where("doc_id < 0"))
+    assert all(stages[n].count() == 0 for n in pipeline.STAGES)
+
+
 def test_pipeline_stages_shrink(spark, sf):
     stages = pipeline.run_pipeline(load(spark, sf, "documents"))
     ids = [{r[0] for r in stages[n].select("doc_id").collect()} for n in pipeline.STAGES]
