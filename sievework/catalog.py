@@ -257,7 +257,8 @@ x{i} AS (SELECT unnest(list_concat(['all'], h)) rule, quality FROM m{i} WHERE le
 )
 def rule_precision(spark, d):
     feats, labels = rules.rule_features(docs(spark, d)), load(spark, d, "labels")
-    parts = [rules.rule_accuracy(feats.select("doc_id", rules.hits(rs).alias("rule_hits")), labels).withColumn("ruleset", F.lit(n)) for n, rs in (("original", rules.ORIGINAL), ("optimized", rules.OPTIMIZED))]
+    found = stage(feats.select("doc_id", rules.hits(rules.ORIGINAL).alias("original"), rules.hits(rules.OPTIMIZED).alias("optimized")), "rule-hits")
+    parts = [rules.rule_accuracy(found.select("doc_id", F.col(n).alias("rule_hits")), labels).withColumn("ruleset", F.lit(n)) for n in ("original", "optimized")]
     return rounded(parts[0].unionAll(parts[1]), "precision", "hq_recall")
 
 
