@@ -30,6 +30,8 @@ PREFIXES = (4, 5, 6, 7, 8, 10, 12)
 CLOSED = 0.9
 MAX_WEIGHT = 6.0
 CUT = 0.5
+#: Highest log odds of a text without matches.
+NO_MATCH = -1.0
 #: Look-alikes, one letter each, and the Latin letters they stand for.
 LOOKALIKES = ("аеорсхуіѕјһԁґоαειορυνκτ", "aeopcxyisjhdroaeiopuvkt")
 #: Digits and signs written for letters.
@@ -175,7 +177,9 @@ def learn_lexicon(docs: DataFrame, labels: DataFrame, label: str = "toxic", mod:
             yield pa.RecordBatch.from_arrays([pa.array(x[:, 0]), pa.array(x[:, 1]), batch.column(1)], ["a", "b", "y"])
 
     points = sample.mapInArrow(measure, "a double, b double, y int").toPandas()  # two numbers a sampled row
-    lexicon.logistic = fit_logistic(points[["a", "b"]].to_numpy(), points["y"].to_numpy()).tolist()
+    w = fit_logistic(points[["a", "b"]].to_numpy(), points["y"].to_numpy())
+    # Matches never lower a score, and a text without any isn't toxic, also where the sample taught no entries.
+    lexicon.logistic = [max(w[0], 0.0), max(w[1], 0.0), min(w[2], NO_MATCH)]
     return lexicon
 
 

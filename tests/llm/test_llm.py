@@ -393,6 +393,13 @@ def test_pipeline_filters_what_it_should(spark):
     assert pieces.select("doc_id").distinct().count() == at.count()
 
 
+def test_pipeline_keeps_rows_of_the_smallest_table(spark, sf):
+    import corpus_pipeline as P
+
+    kept = P.run(spark, sf).select("doc_id").distinct().count()
+    assert kept > 0.5 * load(spark, sf, "documents").count()
+
+
 def test_entry_names():
     spec = importlib.util.spec_from_file_location("entry", os.path.join(os.path.dirname(__file__), "../../__spark_entry__.py"))
     module = importlib.util.module_from_spec(spec)
