@@ -15,6 +15,8 @@ from ..plans.staging import stage
 from .components import star_forest
 
 SHINGLE, PERMUTATIONS, BANDS, THETA = 5, 64, 16, 0.8
+#: Rows and shingles of a tile of an open bucket; vocabulary of one block of its matrix product.
+TILE, TILE_SHINGLES, BLOCK = 512, 500_000, 4096
 
 
 def permutation(i: int, seed: str = "perm") -> tuple[int, int]:
@@ -79,6 +81,12 @@ def star_candidates(buckets: DataFrame, key: str = "doc_id") -> DataFrame:
     return buckets.join(least.select("band", "bucket", "u"), ["band", "bucket"]).where(F.col(key) > F.col("u")).select("u", F.col(key).alias("v")).distinct()
 
 
+def all_candidates(buckets: DataFrame, key: str = "doc_id") -> DataFrame:
+    """(u, v), u < v: all pairs that share a bucket (costs the squared bucket sizes)."""
+    a, b = buckets.select("band", "bucket", F.col(key).alias("u")), buckets.select("band", "bucket", F.col(key).alias("v"))
+    return a.join(b, ["band", "bucket"]).where("u < v").select("u", "v").distinct()
+
+
 def verify(pairs: DataFrame, sets: DataFrame, theta: float = THETA, key: str = "doc_id") -> DataFrame:
     """(u, v, jaccard) of the pairs whose exact Jaccard reaches ``theta``."""
     left = sets.select(F.col(key).alias("u"), F.col("sh").alias("a"))
@@ -94,8 +102,105 @@ def estimate(pairs: DataFrame, sigs: DataFrame, key: str = "doc_id") -> DataFram
 
 
 def fuzzy_links(df: DataFrame, n: int = SHINGLE, perms: int = PERMUTATIONS, bands: int = BANDS, theta: float = THETA, key: str = "doc_id", text: str = "text") -> DataFrame:
+    """(u, v, jaccard), u < v: verified links of LSH buckets, closed inside each bucket (``closed_links``)."""
     sets = stage(shingle_sets(df, n, key, text), "shingles")
-    return verify(star_candidates(lsh_bands(minhash(sets, perms, key), bands, key), key), sets, theta, key)
+    return closed_links(stage(lsh_bands(minhash(sets, perms, key), bands, key), "buckets"), sets, theta, key)
+
+
+def closed_links(buckets: DataFrame, sets: DataFrame, theta: float = THETA, key: str = "doc_id") -> DataFrame:
+    """(u, v, jaccard), u < v, that connect what the links of all pairs inside buckets connect, and that lead each row which
+    has such a link to a smaller id to one. The star first; then, in buckets with members that aren't linked to the least,
+    these members against all others."""
+    star = stage(verify(star_candidates(buckets, key), sets, theta, key), "star-links")
+    return star.unionAll(_open_links(buckets, star, sets, theta, key))
+
+
+def _open_links(buckets: DataFrame, star: DataFrame, sets: DataFrame, theta: float, key: str) -> DataFrame:
+    """What the star misses. Two members that the star has linked to smaller ids, in the component of the bucket's least, need no
+    comparison; all other pairs are compared exactly. Equal sets count once; a bucket is cut into tiles and each pair of tiles
+    is one group of bounded size."""
+    at = ["band", "bucket"]
+    low = star.select(F.col("v").alias(key), F.lit(True).alias("low")).distinct()
+    state = stage(star_forest(star.select("u", "v")).select(F.col("u").alias(key), F.col("v").alias("root")).join(low, key, "left"), "star-state")
+
+    def root_of(rows: DataFrame, column: str) -> DataFrame:
+        known = state.select(F.col(key).alias(column), F.col("root").alias(f"root_{column}"), F.col("low").alias(f"low_{column}"))
+        return rows.join(known, column, "left").withColumn(f"root_{column}", F.coalesce(f"root_{column}", column))
+
+    many = buckets.groupBy(*at).agg(F.min(key).alias("u"), F.count("*").alias("n")).where("n > 2")
+    rows = root_of(buckets.join(root_of(many, "u").select(*at, "u", "root_u"), at).where(F.col(key) > F.col("u")), key)
+    rows = stage(rows.select(*at, key, ((F.col(f"root_{key}") != F.col("root_u")) | F.col(f"low_{key}").isNull()).alias("open")), "bucket-members")
+    rows = stage(rows.join(rows.where("open").select(*at).distinct(), at, "left_semi"), "open-members")
+    own = stage(sets.join(rows.select(key).distinct(), key, "left_semi").select(key, "sh", F.xxhash64("sh").alias("same")), "open-sets")
+    reps = own.groupBy("same").agg(F.min(key).alias("rep"))
+    of = stage(own.select(key, "same", F.size("sh").alias("w")).join(reps, "same").select(key, "rep", "w"), "copies")
+    copies = of.where(F.col(key) > F.col("rep")).select(F.col("rep").alias("u"), F.col(key).alias("v"), F.lit(1.0).alias("jaccard"))
+    members = stage(rows.join(of, key).groupBy(*at, "rep").agg(F.max("open").alias("open"), F.max("w").alias("w")), "members")
+    size = F.greatest(F.ceil(F.col("n") / TILE), F.ceil(F.col("all") / TILE_SHINGLES)).cast("int")
+    sizes = members.groupBy(*at).agg(F.count("*").alias("n"), F.sum("w").alias("all"), F.max("open").alias("some")).where("n > 1 and some")
+    tiled = members.join(sizes.select(*at, size.alias("tiles")), at).withColumn("own", (h32(F.concat(F.lit("tile:"), F.col("rep"))) % F.col("tiles")).cast("int"))
+    other = F.explode(F.sequence(F.lit(0), F.col("tiles") - 1))
+    sent = tiled.select(*at, "own", other.alias("o"), F.col("rep").alias(key), "open").join(own.select(key, "sh"), key)
+    pairs = sent.select(*at, F.least("own", "o").alias("ta"), F.greatest("own", "o").alias("tb"), "own", F.col(key).cast("bigint").alias("id"), "open", "sh")
+
+    def product(name, group):  # no hints: Spark would try to infer another kind of function from them
+        group = group.sort_by("id")
+        ids, own, free = (group.column(c).to_numpy() for c in ("id", "own", "open"))
+        sh = group.column("sh").combine_chunks()
+        values, lengths = sh.flatten().to_numpy(), sh.value_lengths().to_numpy().astype(np.int64)
+        row, sizes = np.repeat(np.arange(len(ids)), lengths), lengths.astype(float)
+        hit, sim = np.zeros((len(ids), len(ids)), bool), np.zeros((len(ids), len(ids)))
+        ta, tb = name[2].as_py(), name[3].as_py()
+        for left, right in {(ta, tb), (tb, ta)}:
+            i, j = np.flatnonzero((own == left) & free), np.flatnonzero(own == right)
+            if len(i) and len(j):
+                both = _shared(values, row, i, j)
+                alike = both / (sizes[i][:, None] + sizes[j] - both)
+                found = (alike >= theta) & (ids[i][:, None] != ids[j])
+                hit[np.ix_(i, j)] |= found
+                hit[np.ix_(j, i)] |= found.T
+                sim[np.ix_(i, j)], sim[np.ix_(j, i)] = alike, alike.T
+        links = {(int(hit[v, :v].argmax()), v) for v in range(len(ids)) if hit[v, :v].any()}  # the least of each row's partners
+        rest = np.ones(len(ids), bool)
+        while rest.any():  # and a spanning forest
+            todo = [int(rest.argmax())]
+            rest[todo[0]] = False
+            while todo:
+                at = todo.pop()
+                new = np.flatnonzero(hit[at] & rest)
+                rest[new] = False
+                todo.extend(new.tolist())
+                links.update((min(at, k), max(at, k)) for k in new.tolist())
+        a, b = (np.array([x[k] for x in sorted(links)], int) for k in (0, 1))
+        return pa.table({"u": ids[a], "v": ids[b], "jaccard": sim[a, b]})
+
+    found = pairs.groupBy(*at, "ta", "tb").applyInArrow(product, "u long, v long, jaccard double")
+    more = copies.select(F.col("u").cast("bigint").alias("u"), F.col("v").cast("bigint").alias("v"), "jaccard").unionAll(found)
+    needed = (F.col("root_u") != F.col("root_v")) | F.col("low_v").isNull()
+    return root_of(root_of(stage(more.dropDuplicates(["u", "v"]), "open-links"), "u"), "v").where(needed).select("u", "v", "jaccard")
+
+
+def _shared(values: np.ndarray, row: np.ndarray, left: np.ndarray, right: np.ndarray) -> np.ndarray:
+    """Numbers of values that rows ``left`` and ``right`` share, as dense products over blocks of their common vocabulary."""
+    place = np.full(row.max() + 1, -1)
+    sides = []
+    for side in (left, right):
+        place[:] = -1
+        place[side] = np.arange(len(side))
+        mine = place[row] >= 0
+        sides.append((values[mine], place[row[mine]]))
+    words = np.intersect1d(sides[0][0], sides[1][0])
+    out = np.zeros((len(left), len(right)), np.float64)
+    for at in range(0, len(words), BLOCK):
+        part, dense = words[at : at + BLOCK], []
+        for (v, r), side in zip(sides, (left, right), strict=True):
+            k = np.minimum(np.searchsorted(part, v), len(part) - 1)
+            known = part[k] == v
+            m = np.zeros((len(side), len(part)), np.float32)
+            m[r[known], k[known]] = 1
+            dense.append(m)
+        out += dense[0] @ dense[1].T
+    return out
 
 
 def fuzzy_components(df: DataFrame, links: DataFrame, key: str = "doc_id") -> DataFrame:

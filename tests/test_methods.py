@@ -268,3 +268,28 @@ def test_pipeline_stages_shrink(spark, sf):
     stages = pipeline.run_pipeline(load(spark, sf, "documents"))
     ids = [{r[0] for r in stages[n].select("doc_id").collect()} for n in pipeline.STAGES]
     assert all(b <= a for a, b in zip(ids, ids[1:], strict=False)) and ids[-1]
+
+
+def test_links_of_many_versions_equal_exact_pairs(spark, monkeypatch):
+    random.seed(11)
+    base = [f"w{i}" for i in range(200)]
+    rows = []
+    for i in range(80):
+        words = list(base)
+        for at in random.sample(range(200), 3):
+            words[at] = f"x{random.random()}"
+        rows.append((i, " ".join(words)))
+    rows += [(150 + i, rows[70][1]) for i in range(5)] + [(200 + i, rows[i][1] + " tail") for i in range(3)]
+    df = spark.createDataFrame(rows, "doc_id long, text string")
+    exact = fuzzy.exact_jaccard_pairs(fuzzy.shingle_sets(df), 0.8).cache()
+    found = {tuple(sorted(r)) for r in star_forest(exact.select("u", "v")).collect()}
+    for tile in (512, 20):
+        monkeypatch.setattr(fuzzy, "TILE", tile)
+        links = fuzzy.fuzzy_links(df).cache()
+        assert {(r["u"], r["v"]) for r in links.collect()} <= {(r["u"], r["v"]) for r in exact.collect()}
+        assert {tuple(sorted(r)) for r in star_forest(links.select("u", "v")).collect()} == found
+        assert {r["v"] for r in links.collect()} == {r["v"] for r in exact.collect()}
+    buckets = fuzzy.lsh_bands(fuzzy.minhash(fuzzy.shingle_sets(df)))
+    assert fuzzy.verify(fuzzy.all_candidates(buckets), fuzzy.shingle_sets(df)).count() == exact.count()
+    star = fuzzy.verify(fuzzy.star_candidates(buckets), fuzzy.shingle_sets(df))
+    assert star_forest(star.select("u", "v")).count() < len(found)
