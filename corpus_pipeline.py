@@ -7,10 +7,10 @@ from pyspark.sql import functions as F
 
 from sievework.llm.common import stage, table
 from sievework.llm.exact_dedup import drop_copies
+from sievework.llm.near_dedup import drop_alike
 from sievework.llm.packing import pack_table
 from sievework.llm.quality import CUT as QUALITY_CUT
 from sievework.llm.quality import learn_quality, score_quality
-from sievework.llm.simhash import drop_near_copies
 from sievework.llm.toxicity import CUT as TOXICITY_CUT
 from sievework.llm.toxicity import learn_lexicon, score_toxicity
 
@@ -35,8 +35,8 @@ def exact(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def near(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """One row of each component of near copies."""
-    return drop_near_copies(docs)
+    """One row of each component of near copies: Jaccard of five-word shingles of 0.8 or more."""
+    return drop_alike(docs)
 
 
 def packing(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

@@ -393,6 +393,27 @@ def test_pipeline_filters_what_it_should(spark):
     assert pieces.select("doc_id").distinct().count() == at.count()
 
 
+def test_pipeline_near_stage_links_jaccard_of_four_fifths(spark):
+    import corpus_pipeline as P
+
+    random.seed(4)
+    texts = []
+    for i in range(40):
+        words = [f"{i}w{random.randrange(10**6)}" for _ in range(150 + 10 * i)]
+        texts.append(" ".join(words))
+        for at in random.sample(range(len(words)), 1 + i % 10):
+            words[at] = "other"
+        texts.append(" ".join(words))
+    sets = [{tuple(t.split()[k : k + 5]) for k in range(len(t.split()) - 4)} for t in texts]
+    alike = [len(sets[i] & sets[i + 1]) / len(sets[i] | sets[i + 1]) for i in range(0, len(texts), 2)]
+    assert sum(0.8 <= x < 0.95 for x in alike) > 10 and sum(x < 0.8 for x in alike) > 3
+    want = {k for k in range(len(texts)) if k % 2 == 0 or alike[k // 2] < 0.8}
+    out = P.near(spark, spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string"), "")
+    assert {r["doc_id"] for r in out.collect()} == want
+    kept = P.near(spark, odd(spark), "")
+    assert kept.columns == odd(spark).columns and kept.count() == len({tuple((t or "").lower().split()) for t in ODD})
+
+
 def test_pipeline_keeps_rows_of_the_smallest_table(spark, sf):
     import corpus_pipeline as P
 
