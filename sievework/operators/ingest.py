@@ -10,6 +10,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from ..functions.text import ratio, tokens
+from ..plans.staging import stage
 
 #: Elements whose content is never main text, and block elements that end a line.
 DROPPED = ("script", "style", "noscript", "nav", "header", "footer", "aside", "form")
@@ -210,14 +211,27 @@ def text_share(extracted: DataFrame, pages: DataFrame) -> DataFrame:
 def near_identical_crawls(pages: DataFrame, vectors: DataFrame, sets: DataFrame, theta: float = 0.8, floor: float = 0.9) -> DataFrame:
     """(url_key, u, v, jaccard, sim): crawls of one address that stay under the LSH threshold though their vectors are alike.
 
-    Each crawl is held against the first of its address (a star), so an address with many crawls costs as many rows.
+    All crawls of an address are compared, through tiles of bounded size. Equal ones (vector and shingles) are compared once, by
+    their least id: a pair of such classes gives a row from each crawl of one class to the least of the other.
     """
-    from ..functions.text import dot, jaccard
+    from ..functions.text import jaccard
+    from .semantic import similarity_edges
 
     keyed = pages.select("page_id", normalize_url("url").alias("url_key"))
-    first = keyed.groupBy("url_key").agg(F.min("page_id").alias("u"), F.count("*").alias("n")).where("n > 1").drop("n")
-    pairs = keyed.join(first, "url_key").where("page_id > u").select("url_key", "u", F.col("page_id").alias("v"))
-    for side in "uv":
-        pairs = pairs.join(vectors.select(F.col("page_id").alias(side), F.col("vec").alias(f"vec_{side}")), side).join(sets.select(F.col("page_id").alias(side), F.col("sh").alias(f"sh_{side}")), side)
-    scored = pairs.select("url_key", "u", "v", jaccard(F.col("sh_u"), F.col("sh_v")).alias("jaccard"), dot(F.col("vec_u"), F.col("vec_v")).alias("sim"))
-    return scored.where((F.col("jaccard") < theta) & (F.col("sim") >= floor))
+    again = keyed.groupBy("url_key").agg(F.count("*").alias("n")).where("n > 1").select("url_key")
+    rows = keyed.join(again, "url_key").join(vectors, "page_id").join(sets, "page_id").withColumn("same", F.xxhash64("vec", "sh"))
+    rows = stage(rows.select("page_id", "url_key", "vec", "sh", "same"), "crawls")
+    reps = stage(rows.groupBy("url_key", "same").agg(F.min("page_id").alias("rep")), "crawl-classes")
+    kept = rows.join(reps.select(F.col("rep").alias("page_id")), "page_id", "left_semi")
+    edges = similarity_edges(kept.select("page_id", "vec", F.col("url_key").alias("cluster")), floor, key="page_id")
+    sides = {side: kept.select(F.col("page_id").alias(side), F.col("sh").alias(f"sh_{side}"), *(["url_key"] if side == "u" else [])) for side in "uv"}
+    scored = edges.join(sides["u"], "u").join(sides["v"], "v").select("url_key", "u", "v", jaccard(F.col("sh_u"), F.col("sh_v")).alias("jaccard"), "sim")
+    links = stage(scored.where(F.col("jaccard") < theta), "crawl-links")
+    members = rows.join(reps, ["url_key", "same"]).where("page_id > rep").select("rep", "page_id", "url_key", "sh")
+    out = links
+    for side, other in ("uv", "vu"):
+        more = links.join(members.select(F.col("rep").alias(side), F.col("page_id").alias("m")), side)
+        out = out.unionAll(more.select("url_key", F.least("m", other).alias("u"), F.greatest("m", other).alias("v"), "jaccard", "sim"))
+    # Equal texts too short for a shingle have no Jaccard.
+    short = members.where((F.size("sh") == 0) & F.lit(theta > 0)).select("url_key", F.col("rep").alias("u"), F.col("page_id").alias("v"), F.lit(0.0).alias("jaccard"), F.lit(1.0).alias("sim"))
+    return out.unionAll(short)

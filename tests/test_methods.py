@@ -293,3 +293,15 @@ def test_links_of_many_versions_equal_exact_pairs(spark, monkeypatch):
     assert fuzzy.verify(fuzzy.all_candidates(buckets), fuzzy.shingle_sets(df)).count() == exact.count()
     star = fuzzy.verify(fuzzy.star_candidates(buckets), fuzzy.shingle_sets(df))
     assert star_forest(star.select("u", "v")).count() < len(found)
+
+
+def test_later_crawls_are_compared_with_each_other(spark):
+    vec = lambda *x: [v / math.sqrt(sum(y * y for y in x)) for v in x]
+    a, b, c = vec(1.0, 0.0), vec(0.0, 1.0), vec(0.1, 1.0)
+    rows = [(1, a, [1, 2]), (2, b, [3, 4, 5]), (3, c, [3, 4, 9]), (4, c, [3, 4, 9]), (5, vec(0.05, 1.0), []), (6, vec(0.05, 1.0), [])]
+    pages = spark.createDataFrame([(i, "http://x.org/p") for i, _, _ in rows] + [(7, "http://x.org/q")], "page_id long, url string")
+    vectors = spark.createDataFrame([(i, v) for i, v, _ in rows] + [(7, b)], "page_id long, vec array<double>")
+    sets = spark.createDataFrame([(i, s) for i, _, s in rows] + [(7, [3, 4, 8])], "page_id long, sh array<bigint>")
+    got = ingest.near_identical_crawls(pages, vectors, sets)
+    assert got.columns == ["url_key", "u", "v", "jaccard", "sim"]
+    assert sorted((r["u"], r["v"]) for r in got.collect()) == [(2, 3), (2, 4), (2, 5), (2, 6), (3, 5), (3, 6), (4, 5), (5, 6)]
