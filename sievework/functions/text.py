@@ -14,6 +14,11 @@ def h32(value: Column) -> Column:
     return F.conv(F.substring(F.md5(value.cast("string")), 1, 8), 16, 10).cast("long")
 
 
+def h60(value: Column) -> Column:
+    """First 60 bits of MD5 as a non-negative long."""
+    return F.conv(F.substring(F.md5(value.cast("string")), 1, 15), 16, 10).cast("long")
+
+
 def unit(value: Column, seed: str) -> Column:
     """Uniform number in (0, 1) drawn from a key."""
     return (h32(F.concat(value.cast("string"), F.lit(f":{seed}"))) + 0.5) / 4294967296.0

@@ -10,7 +10,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from ..functions.text import PRIME, h32, jaccard, shingles, tokens
+from ..functions.text import PRIME, h32, h60, jaccard, shingles, tokens
 from ..plans.staging import stage
 from .components import star_forest
 
@@ -66,9 +66,10 @@ def minhash_native(sets: DataFrame, perms: int = 8, key: str = "doc_id", seed: s
 
 
 def lsh_bands(sigs: DataFrame, bands: int = BANDS, key: str = "doc_id") -> DataFrame:
-    """(key, band, bucket): one narrow row a band; the bucket is a hash of the band's part of the signature."""
+    """(key, band, bucket): one narrow row a band; the bucket is a 60-bit hash of the band's part of the signature, so that strangers
+    rarely share one, however many rows there are."""
     rows = F.size("sig") / bands
-    parts = F.transform(F.sequence(F.lit(0), F.lit(bands - 1)), lambda b: F.struct(b.alias("band"), h32(F.array_join(F.slice("sig", (b * rows + 1).cast("int"), rows.cast("int")), ":")).alias("bucket")))
+    parts = F.transform(F.sequence(F.lit(0), F.lit(bands - 1)), lambda b: F.struct(b.alias("band"), h60(F.array_join(F.slice("sig", (b * rows + 1).cast("int"), rows.cast("int")), ":")).alias("bucket")))
     return sigs.select(key, F.explode(parts).alias("x")).select(key, "x.band", "x.bucket")
 
 
@@ -107,11 +108,13 @@ def fuzzy_links(df: DataFrame, n: int = SHINGLE, perms: int = PERMUTATIONS, band
     return closed_links(stage(lsh_bands(minhash(sets, perms, key), bands, key), "buckets"), sets, theta, key)
 
 
-def closed_links(buckets: DataFrame, sets: DataFrame, theta: float = THETA, key: str = "doc_id") -> DataFrame:
+def closed_links(buckets: DataFrame, sets: DataFrame, theta: float = THETA, key: str = "doc_id", more: DataFrame | None = None) -> DataFrame:
     """(u, v, jaccard), u < v, that connect what the links of all pairs inside buckets connect, and that lead each row which
     has such a link to a smaller id to one. The star first; then, in buckets with members that aren't linked to the least,
-    these members against all others."""
-    star = stage(verify(star_candidates(buckets, key), sets, theta, key), "star-links")
+    these members against all others. ``more``: pairs (u, v), u < v, that another search found; they are verified with the star."""
+    pairs = star_candidates(buckets, key)
+    pairs = pairs if more is None else pairs.unionByName(more).distinct()
+    star = stage(verify(pairs, sets, theta, key), "star-links")
     return star.unionAll(_open_links(buckets, star, sets, theta, key))
 
 

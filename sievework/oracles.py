@@ -12,6 +12,10 @@ def h32(x: str) -> str:
     return f"CAST('0x' || substr(md5({x}), 1, 8) AS BIGINT)"
 
 
+def h60(x: str) -> str:
+    return f"CAST('0x' || substr(md5({x}), 1, 15) AS BIGINT)"
+
+
 def words(t: str) -> str:
     return f"list_filter(regexp_split_to_array(coalesce({t}, ''), '\\s+'), lambda x: x <> '')"
 
@@ -132,7 +136,7 @@ def fuzzy_pairs(src: str, n: int = fuzzy.SHINGLE, perms: int = fuzzy.PERMUTATION
 maps(i, a, b) AS (VALUES {maps}),
 sh_flat AS (SELECT doc_id, unnest(s) g FROM sh),
 sig AS (SELECT doc_id, i, min((a * (g % {fuzzy.PRIME}) + b) % {fuzzy.PRIME}) m FROM sh_flat, maps GROUP BY ALL),
-buckets AS (SELECT doc_id, i // {r} band, {h32("string_agg(CAST(m AS VARCHAR), ':' ORDER BY i)")} bucket FROM sig GROUP BY doc_id, i // {r}),
+buckets AS (SELECT doc_id, i // {r} band, {h60("string_agg(CAST(m AS VARCHAR), ':' ORDER BY i)")} bucket FROM sig GROUP BY doc_id, i // {r}),
 least AS (SELECT band, bucket, min(doc_id) u FROM buckets GROUP BY ALL HAVING count(*) > 1),
 cands AS (SELECT DISTINCT l.u, b.doc_id v FROM buckets b JOIN least l USING (band, bucket) WHERE b.doc_id > l.u),
 jac AS (SELECT u, v, len(list_intersect(a.s, b.s)) * 1.0 / (len(a.s) + len(b.s) - len(list_intersect(a.s, b.s))) jaccard
