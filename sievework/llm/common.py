@@ -12,11 +12,22 @@ from pyspark.sql import types as T
 from ..plans.staging import shared_dir, stage
 from ..sources.tables import load as table
 
-__all__ = ["held_out", "map_arrow", "shared_dir", "stage", "table", "with_score"]
+__all__ = ["held_out", "map_arrow", "shared_dir", "stage", "table", "unused", "with_score"]
 
 #: Rows of one inner batch; bounds what a Python worker holds beside the Arrow batch that Spark sends.
 INNER_ROWS = 512
 
+
+def unused(df: DataFrame, *names: str) -> list[str]:
+    """``names``, each with underscores in front until no column of ``df`` is called so."""
+    taken, out = {c.lower() for c in df.columns}, []
+    for name in names:
+        while name.lower() in taken:
+            name = f"_{name}"
+        out.append(name)
+    return out
+
+
 def map_arrow(
     df: DataFrame, make: Callable[[], Callable[[pa.RecordBatch], pa.RecordBatch]], schema
 ) -> DataFrame:

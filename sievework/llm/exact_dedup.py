@@ -11,10 +11,12 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import stage, table
+from .common import stage, table, unused
 
 #: Counters of a sketch and keys it may name: the bound of what is broadcast.
 CAPACITY = 256
+#: Groups of copies whose winners are broadcast when rows are dropped (about 100 bytes each); more are joined by a shuffle.
+BROADCAST_ROWS = 100_000
 #: Fan-in of the first merge level of the sketches.
 SKETCH_GROUPS = 64
 UPPER, LOWER = "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"
@@ -45,19 +47,9 @@ def group_copies(df: DataFrame, id_col: str = "doc_id", text_col: str = "text")
     the winning id with the same text are all marked kept: they are one row, written twice. An empty table
     gives no rows; other columns are ignored.
     """
-    digests = stage(
-        df.select(F.col(id_col).alias("id"), F.sha2(normalised(text_col), 256).alias("digest")).withColumn(
-            "h", F.xxhash64("digest")
-        ),
-        "digests",
-    )
-    frequent = F.broadcast(frequent_keys(digests, "h"))
-    winner = (F.max("id").alias("keep_id"), F.count("*").alias("group_size"))
-    # At most CAPACITY keys (two digests under one key in theory): counted over all rows, then small.
-    heavy = stage(digests.join(frequent, "h").groupBy("digest").agg(*winner), "heavy")
+    digests, heavy, rest = _split(df, id_col, text_col)
     by_heavy = digests.join(F.broadcast(heavy), "digest")
-    rest = digests.join(F.broadcast(heavy.select("digest")), "digest", "left_anti")
-    by_rest = rest.join(rest.groupBy("digest").agg(*winner), "digest")
+    by_rest = rest.join(rest.groupBy("digest").agg(*_winner()), "digest")
     cols = ("id", "keep_id", "group_size", "digest")
     return (
         by_heavy.select(*cols)
@@ -72,17 +64,46 @@ def group_copies(df: DataFrame, id_col: str = "doc_id", text_col: str = "text")
     )
 
 
+def _winner() -> tuple[Column, Column]:
+    return F.max("id").alias("keep_id"), F.count("*").alias("group_size")
+
+
+def _split(df: DataFrame, id_col: str, text_col: str) -> tuple[DataFrame, DataFrame, DataFrame]:
+    """(digests of all rows: id, digest, h; verified winners of the frequent ones; digests of the rows of all others)."""
+    digests = stage(
+        df.select(F.col(id_col).alias("id"), F.sha2(normalised(text_col), 256).alias("digest")).withColumn(
+            "h", F.xxhash64("digest")
+        ),
+        "digests",
+    )
+    frequent = F.broadcast(frequent_keys(digests, "h"))
+    # At most CAPACITY keys (two digests under one key in theory): counted over all rows, then small.
+    heavy = stage(digests.join(frequent, "h").groupBy("digest").agg(*_winner()), "heavy")
+    return digests, heavy, digests.join(F.broadcast(heavy.select("digest")), "digest", "left_anti")
+
+
 def drop_copies(df: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """``df`` with one row for each distinct normalised text: that with the largest id; columns as given.
 
     Rows with the same id and text count as copies too, so exactly one of them stays.
     """
-    keys = lambda c: (F.coalesce(F.col(c).cast("string"), F.lit("")).alias("__id"), F.col(c).isNull().alias("__null"))
-    groups = group_copies(df, id_col, text_col)
-    keep = groups.where("kept").select(*keys(id_col), F.col("text_sha256").alias("__digest"))
-    marked = df.select("*", *keys(id_col), F.sha2(normalised(text_col), 256).alias("__digest"))
-    on = ["__id", "__null", "__digest"]  # also the partitioning of the last step, so texts are shuffled once
-    return marked.join(keep, on, "left_semi").dropDuplicates(on).drop(*on)
+    digests, heavy, rest = _split(df, id_col, text_col)
+    several = stage(rest.groupBy("digest").agg(*_winner()).where("group_size > 1"), "several")
+    digest, kept, n = unused(df, "__digest", "__kept", "__n")
+    rows = df.withColumn(digest, F.sha2(normalised(text_col), 256))
+    for found, small in ((heavy, True), (several, several.count() <= BROADCAST_ROWS)):
+        # Losers of groups go where they are read; texts move only where there are too many groups to broadcast.
+        side = found.select(F.col("digest").alias(digest), F.col("keep_id").alias(kept), F.col("group_size").alias(n))
+        marked = rows.join(F.broadcast(side) if small else side, digest, "left")
+        rows = marked.where(F.col(n).isNull() | F.col(id_col).eqNullSafe(F.col(kept))).drop(kept, n)
+    # A winner that was written more than once: its rows alone are brought together.
+    won = digests.join(F.broadcast(heavy), "digest").select("id", "keep_id", "digest").unionAll(rest.join(several, "digest").select("id", "keep_id", "digest"))
+    again = stage(won.where(F.col("id").eqNullSafe(F.col("keep_id"))).groupBy("digest").agg(F.count("*").alias("n")).where("n > 1").select("digest"), "again")
+    if again.isEmpty():
+        return rows.select(*df.columns)
+    again = again.select(F.col("digest").alias(digest))
+    twice = rows.join(again, digest, "left_semi").dropDuplicates([digest])
+    return rows.join(again, digest, "left_anti").unionAll(twice).select(*df.columns)
 
 
 def op2_exact_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:

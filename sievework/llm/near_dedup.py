@@ -1,12 +1,14 @@
-"""Near-dedup by exact Jaccard: word shingles, MinHash buckets as candidates, links closed inside buckets.
+"""SimHash near-dedup at a similarity: one row of each group of texts whose word shingles have a Jaccard of ``theta`` or more.
 
-Shingles are of five words; fewer words make one shingle of all. Only rows that share a bucket have their sets made and moved.
+Shingles are of five words; fewer words make one shingle of all. Fingerprints of these shingles within TAU bits (the search of
+``simhash``) are candidates. Few of the pairs just over 0.8 lie so near (their fingerprints differ in 8 bits of 64 on average,
+beyond what a pigeonhole can search), so MinHash buckets of the same shingles add candidates, at a chance of 0.9998 for a
+pair at 0.8. All candidates are verified by exact Jaccard, and links are closed inside buckets. Texts are read once for both; only
+rows with a candidate have their sets made and moved.
 """
 
 from __future__ import annotations
 
-from itertools import accumulate
-
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
@@ -14,25 +16,20 @@ from pyspark.sql import functions as F
 
 from ..operators.components import star_forest
 from ..operators.fuzzy import BANDS, PERMUTATIONS, SHINGLE, THETA, closed_links
-from .common import map_arrow, stage
-from .simhash import SEED
+from .common import map_arrow, stage, unused
+from .simhash import SEED, TAU, majority, near_links
+from .simhash import shingle_hashes as hashes_of
 
 _MAPS = np.random.default_rng(SEED).integers(0, 2**63, (2, PERMUTATIONS), np.uint64) * np.uint64(2) + np.uint64(1)
 #: Multipliers that fold a band's values into one bucket.
 _FOLD = np.random.default_rng(SEED + 1).integers(0, 2**63, PERMUTATIONS // BANDS, np.uint64) * np.uint64(2) + np.uint64(1)
+#: The set of a text without words: one shingle, so that such texts are alike.
+_EMPTY = np.zeros(1, np.uint64)
 
 
-def shingle_hashes(text: str | None, size: int = SHINGLE) -> np.ndarray:
-    """Sorted distinct 64-bit hashes; no words: one shingle, the empty one."""
-    from xxhash import xxh64_intdigest
-
-    words = (text or "").lower().encode(errors="replace").split()
-    line = b" ".join(words)
-    if len(words) <= size:
-        return np.array([xxh64_intdigest(line, SEED)], np.uint64)
-    ends = list(accumulate(len(w) + 1 for w in words))
-    starts = [0, *ends[: len(words) - size]]
-    return np.unique(np.fromiter((xxh64_intdigest(line[a : b - 1], SEED) for a, b in zip(starts, ends[size - 1 :], strict=True)), np.uint64, len(starts)))
+def shingle_set(hashes: np.ndarray) -> np.ndarray:
+    """Sorted distinct hashes."""
+    return np.unique(hashes) if len(hashes) else _EMPTY
 
 
 def band_values(hashes: np.ndarray) -> np.ndarray:
@@ -48,32 +45,56 @@ def _lists(rows: list[np.ndarray]) -> pa.ListArray:
     return pa.ListArray.from_arrays(pa.array(cuts), pa.array(np.concatenate(rows).view(np.int64) if rows else np.zeros(0, np.int64)))
 
 
-def _per_text(df: DataFrame, make, name: str) -> DataFrame:
+def _signatures(df: DataFrame) -> DataFrame:
     def build():
-        return lambda batch: pa.RecordBatch.from_arrays([batch.column(0), _lists([make(t) for t in batch.column(1).to_pylist()])], ["key", name])
+        def one(batch: pa.RecordBatch) -> pa.RecordBatch:
+            each = [hashes_of(t, SHINGLE) for t in batch.column(1).to_pylist()]
+            prints = pa.array(np.array([majority(h) for h in each], np.uint64).view(np.int64))
+            return pa.RecordBatch.from_arrays([batch.column(0), prints, _lists([band_values(shingle_set(h)) for h in each])], ["key", "fp", "values"])
+
+        return one
+
+    return map_arrow(df.select("key", "text"), build, "key long, fp long, values array<long>")
+
+
+def _sets(df: DataFrame) -> DataFrame:
+    def build():
+        return lambda batch: pa.RecordBatch.from_arrays([batch.column(0), _lists([shingle_set(hashes_of(t, SHINGLE)) for t in batch.column(1).to_pylist()])], ["key", "sh"])
+
+    return map_arrow(df.select("key", "text"), build, "key long, sh array<long>")
+
 
-    return map_arrow(df, build, f"key long, {name} array<long>")
+def print_pairs(marks: DataFrame) -> DataFrame:
+    """(u, v), u < v: rows of one fingerprint with the least of them, and the least of two fingerprints that the search links."""
+    prints = stage(marks.groupBy("fp").agg(F.min("key").alias("first")), "near-prints")
+    same = marks.select("key", "fp").join(prints, "fp").where(F.col("key") > F.col("first")).select(F.col("first").alias("u"), F.col("key").alias("v"))
+    links = stage(near_links(prints.select("fp"), TAU), "near-links")
+    side = lambda c: prints.select(F.col("fp").alias(c), F.col("first").alias(f"{c}_first"))
+    far = links.join(side("u"), "u").join(side("v"), "v").select(F.least("u_first", "v_first").alias("u"), F.greatest("u_first", "v_first").alias("v"))
+    return stage(same.unionAll(far).distinct(), "near-candidates")
 
 
 def near_texts(df: DataFrame, theta: float = THETA) -> DataFrame:
     """(key, text), keys distinct -> (u, v): each key that isn't the least of its component, with that least key.
 
-    Components are those of the pairs with Jaccard >= ``theta`` that share a bucket.
+    Components are those of the pairs with Jaccard >= ``theta`` that are candidates by fingerprint or by bucket.
     """
-    bands = _per_text(df.select("key", "text"), lambda t: band_values(shingle_hashes(t)), "values")
-    buckets = stage(bands.select("key", F.posexplode("values").alias("band", "bucket")), "near-bands")
+    marks = stage(_signatures(df), "near-marks")
+    pairs = print_pairs(marks)
+    buckets = marks.select("key", F.posexplode("values").alias("band", "bucket"))
     shared = buckets.groupBy("band", "bucket").agg(F.count("*").alias("n")).where("n > 1").select("band", "bucket")
     buckets = stage(buckets.join(shared, ["band", "bucket"], "left_semi"), "near-buckets")
-    some = df.join(buckets.select("key").distinct(), "key", "left_semi").select("key", "text")
-    sets = stage(_per_text(some, shingle_hashes, "sh"), "near-sets")
-    return star_forest(closed_links(buckets, sets, theta, "key"))
+    some = buckets.select("key").unionAll(pairs.select("u")).unionAll(pairs.select("v")).distinct()
+    sets = stage(_sets(df.join(some, "key", "left_semi")), "near-sets")
+    return star_forest(closed_links(buckets, sets, theta, "key", pairs))
 
 
 def drop_alike(df: DataFrame, id_col: str = "doc_id", text_col: str = "text", theta: float = THETA) -> DataFrame:
     """``df`` with one row for each component of near copies, that with its least id; columns as given. A null id stays only where all are null."""
-    rows = stage(df.withColumn("__k", F.monotonically_increasing_id()), "near-rows")
-    tree = near_texts(rows.select(F.col("__k").alias("key"), F.col(text_col).alias("text")), theta)
-    placed = rows.select("__k", id_col).join(tree.select(F.col("u").alias("__k"), F.col("v").alias("__root")), "__k", "left")
-    rank = F.struct(F.col(id_col).isNull().alias("none"), F.col(id_col).alias("id"), F.col("__k").alias("k"))
-    best = placed.groupBy(F.coalesce("__root", "__k").alias("root")).agg(F.min(rank).alias("b")).select(F.col("b.k").alias("__k"))
-    return rows.join(best, "__k", "left_semi").select(*df.columns)
+    (k,) = unused(df, "__k")
+    rows = stage(df.withColumn(k, F.monotonically_increasing_id()), "near-rows")
+    tree = near_texts(rows.select(F.col(k).alias("key"), F.col(text_col).alias("text")), theta)
+    placed = rows.select(F.col(k).alias("k"), F.col(id_col).alias("id")).join(tree.select(F.col("u").alias("k"), F.col("v").alias("root")), "k", "left")
+    rank = F.struct(F.col("id").isNull().alias("none"), "id", "k")
+    best = placed.groupBy(F.coalesce("root", "k").alias("root")).agg(F.min(rank).alias("b")).select(F.col("b.k").alias(k))
+    return rows.join(best, k, "left_semi").select(*df.columns)

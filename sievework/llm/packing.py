@@ -29,7 +29,7 @@ GROUP_PIECES, GROUP_TOKENS = 50_000, 12_000_000
 FULL = 0.985
 #: Groups of the first pass whose leftovers one task of the second pass gets.
 FAN_IN = 32
-ROUNDS, TRIES = 6, 4000
+ROUNDS, TRIES, EACH = 6, 4, 1000
 
 
 class Bins:
@@ -65,27 +65,37 @@ class Bins:
         """Empty bins by moves and swaps among the underfull ones, the emptiest first, into the fullest first.
 
         Every step adds to the sum of squared fills. Ends at the least possible number of bins, when a round gains nothing, or
-        after ``rounds`` rounds of TRIES pairs of bins (what is left unpaired stays packed as it is).
+        after ``rounds`` rounds; a round looks at TRIES pairs of bins for each open bin at most, and at EACH for one source (what
+        is left unpaired stays packed as it is). A source that gave nothing is not tried again until others changed.
         """
         least = -(-sum(lengths) // self.capacity)
         used = sum(f > 0 for f in self.fill)
+        stuck: set[int] = set()
         for _ in range(rounds):
             open_bins = sorted((b for b in range(len(self.pieces)) if 0 < self.fill[b] < self.capacity), key=lambda b: self.fill[b])
-            gained, tries = False, 0
+            gained, tries, most = False, 0, TRIES * len(open_bins)
             for i, source in enumerate(open_bins):
-                if used <= least or tries > TRIES:
+                if used <= least or tries > most:
                     break
+                if source in stuck:
+                    continue
+                before, own = self.fill[source], 0
                 for target in reversed(open_bins[i + 1 :]):
-                    if self.fill[target] < self.fill[source]:
+                    if self.fill[target] < self.fill[source] or self.fill[target] == self.capacity:
                         continue
-                    tries += 1
+                    own += 1
                     while self.fill[source] and self._transfer(source, target, lengths):
                         gained = True
                     if not self.fill[source]:
                         used -= 1
                         break
-                    if tries > TRIES:
+                    if own >= EACH:
                         break
+                tries += own
+                if self.fill[source] == before:
+                    stuck.add(source)
+                else:
+                    stuck.clear()
             if used <= least or not gained:
                 return
 
@@ -221,7 +231,9 @@ def pack_documents(
 
     source = df.select(F.col(id_col).alias("__id"), F.col(text_col).alias("__text"))
     packed = stage(source.mapInArrow(first, schema), "packed")
-    again = packed.where("open").repartition(max(1, source.rdd.getNumPartitions() // FAN_IN), F.expr("sequence_id >> 36"))
+    left = packed.where("open")
+    groups = left.select(F.expr("sequence_id >> 36").alias("g")).distinct().count()  # tasks of the first pass that left some
+    again = left.repartition(max(1, -(-groups // FAN_IN)), F.expr("sequence_id >> 36"))
     both = packed.where("not open").unionAll(again.mapInArrow(second, schema))
     return both.select(F.col("__id").alias(id_col), "piece", "start", "length", "ids", "sequence_id", "offset")
 

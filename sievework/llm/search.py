@@ -1,11 +1,15 @@
-"""Exact BM25 top-k by block-max pruning on inverted indexes of shards.
+"""Exact BM25 top-k by block-max WAND on inverted indexes of shards.
 
 A shard is a bounded run of documents of one task, indexed by term hash (64 bits of XXH64). Statistics (rows, mean length,
 document frequencies) are global, so scores of different shards compare and their top-k lists merge exactly. In a shard,
-documents with alike frequent words stand together in blocks of BLOCK; each term has its largest impact in each block.
-Queries of a chunk go over the shard together. Postings of rare terms are added up; for frequent terms the block maxima bound
-what they can add, and both together bound every score in a block. Blocks are taken from the highest bound down, and one
-whose bound reaches no query's k-th best score so far is never scored on the frequent terms (a matrix product).
+documents with alike frequent words stand together, on one grid of blocks of BLOCK documents for all terms; each term has its
+largest impact in each block it occurs in.
+
+A query runs on a shard with one cursor a term, sorted by what a posting can add. Shallow moves add up block maxima, never
+reading postings; the cursors that can add most are moved over their postings. Both together bound every document. The pivot is
+the next document in document order whose bound reaches the k-th best score so far; all before it are skipped. Only pivots are
+scored on all their postings (the deep move), which feeds the heap of the best k and so raises the bar. As the grid of blocks is
+common to all terms, the moves of all cursors are vector sums, and some pivots are scored at a time.
 
 A fixed share of the shards is searched first; the k-th best score found there is where the search of the others starts from,
 so that these skip nearly all blocks and send on only documents that may be among the best of all.
@@ -13,7 +17,9 @@ so that these skip nearly all blocks and send on only documents that may be amon
 
 from __future__ import annotations
 
+import heapq
 import re
+import uuid
 from collections import Counter
 from collections.abc import Iterator
 from dataclasses import dataclass
@@ -23,24 +29,25 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from .common import map_arrow, stage, table
+from .common import map_arrow, shared_dir, stage, table
 
 K1, B = 1.2, 0.75
 TOP = 10
-#: Bounds of a shard, documents in a block, queries that share a pass over a shard, queries of a broadcast set.
+#: Bounds of a shard, documents in a block, pivots that are scored together, blocks that prime the heap.
 SHARD_DOCS, SHARD_POSTINGS = 8192, 6_000_000
-BLOCK = 32
-CHUNK = 64
-QUERY_SET = 4096
-#: A term in over this share of a shard's documents is kept as a dense row.
-DENSE = 0.05
+BLOCK = 16
+PIVOTS, PRIME = 64, 4
+#: Share of the floor that cursors may add together and still count by their block maxima only.
+LAZY = 0.2
+#: Bytes of query terms in a set that travels to the tasks.
+SET_BYTES = 32 << 20
 #: Terms whose frequencies travel as one row.
 SLICE = 4096
 #: One in so many shards is searched first.
 FIRST = 8
-#: Slack for single-precision bounds; what is within it is scored in double precision.
-SLACK = 1e-4
 DIGITS = 6
+#: Scores are ranked as rounded: what is within this of the bar may still tie with it.
+SLACK = 2e-6
 WORD = re.compile(r"[^\W_]+")
 
 INDEX = "n_docs int, n_words long, ids binary, lengths binary, terms binary, cuts binary, docs binary, counts binary"
@@ -159,14 +166,17 @@ def _query_bags(df: DataFrame, id_col: str, text_col: str) -> DataFrame:
 
 
 class Shard:
-    """The arrays of one index row, cut to the terms of a set of queries."""
+    """The postings of one index row, cut to the terms of a set of queries, with their block maxima.
+
+    Documents stand on one grid of blocks for all terms. Postings are kept by term (for the cursors) and by document (to score
+    a pivot). An entry is a term's run of postings in one block, with the largest impact in it.
+    """
 
     def __init__(self, row: dict, queries: Queries):
         self.ids = np.frombuffer(row["ids"], np.int64)
-        lengths = np.frombuffer(row["lengths"], np.int32)
+        n, lengths = len(self.ids), np.frombuffer(row["lengths"], np.int32)
         terms, cuts = np.frombuffer(row["terms"], np.uint64), np.frombuffer(row["cuts"], np.int64)
         docs, counts = np.frombuffer(row["docs"], np.int32), np.frombuffer(row["counts"], np.int32)
-        n = len(self.ids)
         self.blocks = -(-n // BLOCK)
         at = np.searchsorted(terms, queries.terms)
         at[at == len(terms)] = 0
@@ -176,80 +186,121 @@ class Shard:
         tf, self.doc = counts[flat].astype(float), docs[flat]
         norm = K1 * (1 - B + B * lengths / max(queries.mean, 1e-9))
         self.impact = tf * (K1 + 1) / (tf + norm[self.doc]) * np.repeat(queries.idf, size)
-        self.begin, self.size = np.concatenate([[0], np.cumsum(size)]), size
-        dense = np.flatnonzero(size > DENSE * n)
-        self.row_of = np.full(len(size), -1)
-        self.row_of[dense] = np.arange(len(dense))
-        self.dense = np.zeros((len(dense), n))
-        for r, t in enumerate(dense):
-            span = slice(self.begin[t], self.begin[t + 1])
-            self.dense[r, self.doc[span]] = self.impact[span]
-        self.dense32 = self.dense.astype(np.float32)
-        padded = np.zeros((len(dense), self.blocks * BLOCK), np.float32)
-        padded[:, :n] = self.dense32
-        self.dense_max = padded.reshape(len(dense), self.blocks, BLOCK).max(2)
-
-
-def _spans(begin: np.ndarray, terms: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    """Positions begin[t]..begin[t + 1] of all terms end to end, and how many each has."""
-    size = begin[terms + 1] - begin[terms]
-    return np.repeat(begin[terms] - np.concatenate([[0], np.cumsum(size)[:-1]]), size) + np.arange(size.sum()), size
+        self.begin = np.concatenate([[0], np.cumsum(size)])
+        block = self.doc // BLOCK
+        fresh = np.ones(len(block), bool)
+        fresh[1:] = block[1:] != block[:-1]
+        fresh[self.begin[:-1][size > 0]] = True
+        starts = np.flatnonzero(fresh)
+        self.block = block[starts]
+        self.peak = np.maximum.reduceat(self.impact, starts) if len(starts) else np.zeros(0)
+        self.entries = np.searchsorted(starts, self.begin)  # those of term t: entries[t] to entries[t + 1]
+        self.most = np.zeros(len(size))
+        np.maximum.at(self.most, np.repeat(np.arange(len(size)), np.diff(self.entries)), self.peak)
+        order = np.argsort(self.doc.astype(np.uint16) if n <= 1 << 16 else self.doc, kind="stable")
+        self.own_term, self.own_impact = np.repeat(np.arange(len(size), dtype=np.int32), size)[order], self.impact[order]
+        self.own_begin = np.concatenate([[0], np.cumsum(np.bincount(self.doc, minlength=n))])
+        self.weight = np.zeros(len(size))  # of the query at work
+
+
+def _spans(begin: np.ndarray, which: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Positions begin[i]..begin[i + 1] of all i end to end, and how many each has."""
+    size = begin[which + 1] - begin[which]
+    return np.repeat(begin[which] - np.concatenate([[0], np.cumsum(size)[:-1]]), size) + np.arange(size.sum()), size
+
+
+class Cursors:
+    """One query's cursors on a shard: a term each, sorted by what they can add for a posting, moved in document order."""
+
+    def __init__(self, shard: Shard, terms: np.ndarray, counts: np.ndarray):
+        self.shard, self.read = shard, 0
+        size = shard.begin[terms + 1] - shard.begin[terms]
+        order = np.argsort(counts * shard.most[terms] / np.maximum(size, 1), kind="stable")
+        order = order[size[order] > 0]
+        self.terms, self.counts = terms[order], counts[order].astype(float)
+        self.upto = np.cumsum(self.counts * shard.most[self.terms])
+        self.bound = self._shallow(0, len(self.terms))
+
+    def _shallow(self, a: int, b: int) -> np.ndarray:
+        """Sum of the block maxima of cursors a to b, for each block; no posting is read."""
+        own, size = _spans(self.shard.entries, self.terms[a:b])
+        return np.bincount(self.shard.block[own], np.repeat(self.counts[a:b], size) * self.shard.peak[own], self.shard.blocks)
+
+    def limits(self, floor: float) -> np.ndarray:
+        """An upper bound for each document. The last cursors, which can add most, are moved over their postings; the others
+        (together at most LAZY of ``floor``) count by the maximum of the document's block."""
+        lead = int(np.searchsorted(self.upto, LAZY * floor, "right"))
+        own, size = _spans(self.shard.begin, self.terms[lead:])
+        self.read += len(own)
+        exact = np.bincount(self.shard.doc[own], np.repeat(self.counts[lead:], size) * self.shard.impact[own], len(self.shard.ids))
+        return exact + np.repeat(self._shallow(0, lead), BLOCK)[: len(exact)]
+
+    def score(self, docs: np.ndarray) -> np.ndarray:
+        """The deep move: scores of the documents, from all their postings."""
+        shard = self.shard
+        shard.weight[self.terms] = self.counts
+        own, size = _spans(shard.own_begin, docs)
+        self.read += len(own)
+        out = np.bincount(np.repeat(np.arange(len(docs)), size), shard.weight[shard.own_term[own]] * shard.own_impact[own], len(docs))
+        shard.weight[self.terms] = 0.0
+        return out
+
+
+class Best:
+    """Heap of the best ``top`` (score, -id); ``floor`` is what a bound must reach to matter."""
+
+    def __init__(self, top: int, start: float):
+        self.top, self.heap, self.floor = top, [], max(start - SLACK, SLACK / 10)
+
+    def add(self, scores: np.ndarray, ids: np.ndarray) -> None:
+        for score, key in zip(np.round(scores, DIGITS).tolist(), ids.tolist(), strict=True):
+            if score <= 0 or len(self.heap) == self.top and (score, -key) <= self.heap[0]:
+                continue
+            (heapq.heappush if len(self.heap) < self.top else heapq.heapreplace)(self.heap, (score, -key))
+        if len(self.heap) == self.top:
+            self.floor = max(self.floor, self.heap[0][0] - SLACK)
+
+
+def search_one(cursors: Cursors, top: int, start: float = 0.0) -> list[tuple[float, int]]:
+    """(score, id) of the shard's best ``top`` for one query, of those that reach ``start``, best first.
+
+    Without a start, the blocks of the highest bounds prime the heap. Then the pivot is the next document, in document order, whose bound reaches
+    the floor; PIVOTS of them are scored together, which raises the floor for those behind.
+    """
+    shard, best = cursors.shard, Best(top, start)
+    if cursors.bound.size and cursors.bound.max() >= best.floor:
+        ahead = np.argsort(-cursors.bound, kind="stable")[: 0 if start else PRIME]
+        docs = (ahead[:, None] * BLOCK + np.arange(BLOCK)).ravel()
+        docs = docs[docs < len(shard.ids)]
+        best.add(cursors.score(docs), shard.ids[docs])
+        limit = cursors.limits(best.floor)
+        limit[docs] = 0.0
+        at = 0
+        while True:
+            pivots = at + np.flatnonzero(limit[at:] >= best.floor)[:PIVOTS]
+            if not len(pivots):
+                break
+            best.add(cursors.score(pivots), shard.ids[pivots])
+            at = int(pivots[-1]) + 1
+    return sorted(((s, -k) for s, k in best.heap if s >= start), key=lambda x: (-x[0], x[1]))
 
 
 def search_shard(shard: Shard, queries: Queries, top: int, start: np.ndarray | None = None) -> Iterator[tuple[np.ndarray, np.ndarray, np.ndarray, int]]:
-    """(query ids, document ids, scores, blocks scored) of each chunk: the shard's best ``top`` of each query, of those that
-    reach the query's ``start`` score."""
-    n, wide = len(shard.ids), shard.blocks * BLOCK
-    start = np.zeros(len(queries.ids)) if start is None else start
-    # Chunks of queries with alike words share the blocks they need.
-    lead = np.array([int(queries.terms[queries.which[a:b][np.argmax(queries.counts[a:b])]] >> np.uint64(1)) if b > a else 0 for a, b in zip(queries.cuts, queries.cuts[1:], strict=False)])
-    order = np.argsort(lead, kind="stable")
-    steps = np.unique([0, shard.blocks // 16, shard.blocks // 4, shard.blocks])
-    for at in range(0, len(order), CHUNK):
-        chunk = order[at : at + CHUNK]
-        flat, size = _spans(queries.cuts, chunk)
-        who, term, count = np.repeat(np.arange(len(chunk)), size), queries.which[flat], queries.counts[flat].astype(float)
-        rows = shard.row_of[term]
-        thick = rows >= 0
-        used, place = np.unique(rows[thick], return_inverse=True)
-        weight = np.zeros((len(chunk), len(used)))
-        weight[who[thick], place] = count[thick]
-        weight32 = weight.astype(np.float32)
-        thin = ~thick & (shard.size[term] > 0)
-        pos, reps = _spans(shard.begin, term[thin])
-        where = np.repeat(who[thin], reps) * wide + shard.doc[pos]
-        sparse = np.bincount(where, np.repeat(count[thin], reps) * shard.impact[pos], len(chunk) * wide).reshape(len(chunk), wide)
-        bound = sparse.reshape(len(chunk), shard.blocks, BLOCK).max(2) + weight32 @ shard.dense_max[used]
-        scores = np.zeros((len(chunk), wide))
-        floor = start[chunk] * (1 - SLACK)
-        ranked = np.argsort(-bound.max(0))
-        scored = 0
-        for a, b in zip(steps, steps[1:], strict=False):
-            now = ranked[a:b]
-            now = now[((bound[:, now] * (1 + SLACK) >= floor[:, None]) & (bound[:, now] > 0)).any(0)]
-            if not len(now):
-                continue
-            scored += len(now)
-            cols = (now[:, None] * BLOCK + np.arange(BLOCK)).ravel()
-            cols = cols[cols < n]
-            scores[:, cols] = weight32 @ shard.dense32[np.ix_(used, cols)] + sparse[:, cols]
-            if len(cols) > top and b < shard.blocks:
-                floor = np.maximum(floor, np.partition(scores[:, cols], len(cols) - top, 1)[:, len(cols) - top] * (1 - SLACK))
-        near = (scores >= floor[:, None]) & (scores > 0)
-        out_q, out_d, out_s = [], [], []
-        for q in np.flatnonzero(near.any(1)):
-            d = np.flatnonzero(near[q])
-            if len(d) > 4 * top:  # all within the slack of the k-th best, ties included
-                kth = np.partition(scores[q, d], len(d) - top)[len(d) - top]
-                d = d[scores[q, d] >= kth * (1 - SLACK)]
-            exact = np.round(weight[q] @ shard.dense[np.ix_(used, d)] + sparse[q, d], DIGITS)
-            best = np.lexsort((shard.ids[d], -exact))[:top]
-            best = best[(exact[best] > 0) & (exact[best] >= start[chunk[q]])]
-            out_q.append(np.full(len(best), queries.ids[chunk[q]]))
-            out_d.append(shard.ids[d[best]])
-            out_s.append(exact[best])
-        if out_q:
-            yield np.concatenate(out_q), np.concatenate(out_d), np.concatenate(out_s), scored
+    """(query ids, document ids, scores, postings read) of some hundred queries at a time."""
+    out: tuple[list, list, list] = ([], [], [])
+    read = 0
+    for q, key in enumerate(queries.ids):
+        cursors = Cursors(shard, queries.which[queries.cuts[q] : queries.cuts[q + 1]], queries.counts[queries.cuts[q] : queries.cuts[q + 1]])
+        found = search_one(cursors, top, 0.0 if start is None else start[q])
+        read += cursors.read
+        out[0].extend([key] * len(found))
+        out[1].extend(k for _, k in found)
+        out[2].extend(s for s, _ in found)
+        if len(out[0]) > 4096:
+            yield np.array(out[0], np.int64), np.array(out[1], np.int64), np.array(out[2], float), read
+            out, read = ([], [], []), 0
+    if out[0] or read:
+        yield np.array(out[0], np.int64), np.array(out[1], np.int64), np.array(out[2], float), read
 
 
 def _gather(bags: list, mean: float) -> Queries:
@@ -299,24 +350,25 @@ def search(index: DataFrame, queries: DataFrame, top: int = TOP, id_col: str = "
     A query is a whole text; each of its words counts as often as it occurs. Documents without a word of the query aren't
     returned, so an empty query has no rows. Of queries with one id the one with the least text is run; null ids are left out;
     documents with one id each stand for themselves. Scores are rounded to DIGITS decimals before they are ranked.
-    Queries go in bounded sets; each set makes one pass over the index.
+    Queries go in sets of bounded size; each set makes one pass over the index and is written before the next.
     """
     spark = index.sparkSession
     bags = _query_bags(queries, id_col, text_col)
     total = index.agg(F.sum("n_docs"), F.sum("n_words")).first()
     n_docs, mean = total[0] or 0, (total[1] or 0) / max(total[0] or 0, 1)
-    sets = max(1, -(-bags.count() // QUERY_SET))
-    hits, early = None, F.pmod(F.xxhash64("ids"), F.lit(FIRST)) == 0
-    for k in range(sets):
-        own = _gather(bags.where(F.pmod(F.xxhash64("id"), F.lit(sets)) == k).collect(), mean)  # bounded set
+    size = bags.agg(F.sum(F.length("terms") + F.length("counts"))).first()[0] or 0
+    sets, early = max(1, -(-size // SET_BYTES)), F.pmod(F.xxhash64("ids"), F.lit(FIRST)) == 0
+    path = f"{shared_dir(spark)}/hits-{uuid.uuid4().hex[:12]}"
+    for k in range(sets):  # each set is done before the next: plans and what tasks hold don't grow with the queries
+        own = _gather(bags.where(F.pmod(F.xxhash64("id"), F.lit(sets)) == k).collect(), mean)  # SET_BYTES on average
         df = _frequencies(index, own)
         own.idf = np.log(1 + (n_docs - df + 0.5) / (df + 0.5))
         first = stage(_best(_hits(index.where(early), own, np.zeros(len(own.ids)), top), top), "first-hits")
         kth = {r["query_id"]: r["score"] for r in first.where(F.col("rank") == top).collect()}  # one number a query of the set
         start = np.array([kth.get(int(q), 0.0) for q in own.ids])
-        part = first.drop("rank").unionAll(_hits(index.where(~early), own, start, top))
-        hits = part if hits is None else hits.unionAll(part)
-    return _best(hits, top).select("query_id", "rank", "doc_id", "score")
+        hits = _best(first.drop("rank").unionAll(_hits(index.where(~early), own, start, top)), top)
+        hits.select("query_id", "rank", "doc_id", "score").write.parquet(f"{path}/set={k}")
+    return spark.read.schema("query_id long, rank int, doc_id long, score double").parquet(*[f"{path}/set={k}" for k in range(sets)])
 
 
 def _best(hits: DataFrame, top: int) -> DataFrame:

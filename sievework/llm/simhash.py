@@ -27,7 +27,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..operators.components import star_forest
-from .common import map_arrow, stage, table
+from .common import map_arrow, stage, table, unused
 
 BITS = 64
 SEED = 42
@@ -41,26 +41,34 @@ MAX_SPLITS = 3
 #: Cost of moving a row to a bucket, in verified pairs.
 ROW_COST = 40.0
 SMALL = 48
+BROADCAST_ROWS = 100_000
 
 _BIT = ((np.arange(256)[:, None] >> np.arange(8)) & 1).astype(np.int64)
 
 
-def fingerprint(text: str | None, size: int = SHINGLE, seed: int = SEED) -> int:
-    """64-bit SimHash of the whole text; no words: zero; fewer words than ``size``: one shingle of all words."""
+def shingle_hashes(text: str | None, size: int = SHINGLE, seed: int = SEED) -> np.ndarray:
+    """XXH64 of each word shingle of the whole text, repeats included; no words: none; fewer than ``size``: one of all words."""
     from xxhash import xxh64_intdigest
 
-    words = (text or "").encode().lower().split()
-    if not words:
-        return 0
+    words = (text or "").encode(errors="replace").lower().split()
     line = b" ".join(words)
     if len(words) <= size:
-        return xxh64_intdigest(line, seed)
+        return np.array([xxh64_intdigest(line, seed)] * bool(words), np.uint64)
     ends = list(accumulate(len(w) + 1 for w in words))
     starts = [0, *ends[: len(words) - size]]
-    hashes = np.fromiter((xxh64_intdigest(line[a : b - 1], seed) for a, b in zip(starts, ends[size - 1 :], strict=True)), np.uint64, len(starts))
-    lanes = hashes.view(np.uint8).reshape(-1, 8)
+    return np.fromiter((xxh64_intdigest(line[a : b - 1], seed) for a, b in zip(starts, ends[size - 1 :], strict=True)), np.uint64, len(starts))
+
+
+def majority(hashes: np.ndarray) -> int:
+    """The bits that are set in over half of the hashes; zero without any."""
+    lanes = np.ascontiguousarray(hashes).view(np.uint8).reshape(-1, 8)
     ones = np.concatenate([np.bincount(lanes[:, k], minlength=256) @ _BIT for k in range(8)])
-    return int(np.packbits(2 * ones > len(starts), bitorder="little").view(np.uint64)[0])
+    return int(np.packbits(2 * ones > len(hashes), bitorder="little").view(np.uint64)[0])
+
+
+def fingerprint(text: str | None, size: int = SHINGLE, seed: int = SEED) -> int:
+    """64-bit SimHash of the whole text; no words: zero; fewer words than ``size``: one shingle of all words."""
+    return majority(shingle_hashes(text, size, seed))
 
 
 def fingerprints(df: DataFrame, id_col: str = "doc_id", text_col: str = "text", size: int = SHINGLE) -> DataFrame:
@@ -246,13 +254,15 @@ def _bucket_links(rows: DataFrame, tau: int, cap: int, depth: int) -> DataFrame:
     n = int(spark.conf.get("spark.sql.shuffle.partitions"))
     sizes = rows.groupBy("key").agg(F.count("*").alias("n"), F.min("fp").alias("pivot"))
     hot = stage(sizes.where(F.col("n") > cap).select("key", "pivot"), "hot-buckets") if depth < MAX_SPLITS else None
-    split = hot is not None and not hot.isEmpty()
-    # Hot keys are at most rows/cap: a bound that holds at any size.
-    cold = rows.join(F.broadcast(hot.select("key")), "key", "left_anti") if split else rows
+    found = hot.count() if hot is not None else 0
+    split = found > 0
+    # Hot keys are at most rows/cap; they are broadcast up to BROADCAST_ROWS of them.
+    near_by = F.broadcast if found <= BROADCAST_ROWS else lambda d: d
+    cold = rows.join(near_by(hot.select("key")), "key", "left_anti") if split else rows
     out = cold.repartition(n, "key").sortWithinPartitions("key", "fp").mapInArrow(_sweep(tau), "u long, v long")
     if not split:
         return out
-    inside = rows.join(F.broadcast(hot), "key")
+    inside = rows.join(near_by(hot), "key")
     near = F.bit_count(F.col("fp").bitwiseXOR(F.col("pivot"))) <= tau
     stars = inside.where(near & (F.col("fp") != F.col("pivot"))).select(F.col("pivot").alias("u"), F.col("fp").alias("v"))
     subs = []
@@ -299,11 +309,11 @@ def near_groups(df: DataFrame, id_col: str = "doc_id", text_col: str = "text", s
 def drop_near_copies(df: DataFrame, id_col: str = "doc_id", text_col: str = "text", size: int = SHINGLE, tau: int = TAU) -> DataFrame:
     """``df`` with one row for each component, that with its least id (one of them if repeated); columns as given."""
     groups = near_groups(df, id_col, text_col, size, tau)
-    keep = groups.where(F.col(id_col).eqNullSafe(F.col("component_id"))).groupBy("component_id").agg(F.min("fp").alias("__fp"))
-    keep = keep.select(F.coalesce(F.col("component_id").cast("string"), F.lit("")).alias("__id"), F.col("component_id").isNull().alias("__null"))
-    on = ["__id", "__null"]
-    marked = df.select("*", F.coalesce(F.col(id_col).cast("string"), F.lit("")).alias("__id"), F.col(id_col).isNull().alias("__null"))
-    return marked.join(keep, on, "left_semi").dropDuplicates(on).drop(*on)
+    name, null = unused(df, "__id", "__null")
+    key = lambda c: (F.coalesce(F.col(c).cast("string"), F.lit("")).alias(name), F.col(c).isNull().alias(null))
+    keep = groups.where(F.col(id_col).eqNullSafe(F.col("component_id"))).select("component_id").distinct().select(*key("component_id"))
+    marked = df.select("*", *key(id_col))
+    return marked.join(keep, [name, null], "left_semi").dropDuplicates([name, null]).drop(name, null)
 
 
 def op5_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -17,11 +17,12 @@ def labelled_sample(
     id_col: str = "doc_id", text_col: str = "text",
 ) -> DataFrame:
     """(text, y) of at most ``per_class`` labelled rows of each class that aren't held out, first by a hash of the id.
+    An id with several labels has the largest.
 
     The chosen ids (a bounded table) are broadcast, so the texts aren't shuffled for the join; the sample is staged.
     """
     pool = labels.where(F.col(label).isNotNull() & F.col(id_col).isNotNull() & ~held_out(id_col, mod, rest))
-    pool = pool.select(F.col(id_col).alias("__id"), F.col(label).cast("int").alias("y")).dropDuplicates(["__id"])
+    pool = pool.select(F.col(id_col).alias("__id"), F.col(label).cast("int").alias("y")).groupBy("__id").agg(F.max("y").alias("y"))
     order = F.md5(F.col("__id").cast("string"))
     chosen = pool.where("y = 1").orderBy(order, "__id").limit(per_class).unionAll(pool.where("y = 0").orderBy(order, "__id").limit(per_class))
     rows = docs.select(F.col(id_col).alias("__id"), F.coalesce(F.col(text_col), F.lit("")).alias("text"))
@@ -52,8 +53,9 @@ def without_near_copies(sample: DataFrame) -> DataFrame:
     """One of each set of near copies in a bounded sample: what many copies share must not look like what many texts
     share. Texts with one least shingle in common count as copies (three orders, so copies at 0.8 rarely pass)."""
     marked = sample.mapInArrow(_least_shingles, "text string, y int, m0 long, m1 long, m2 long")
-    for m in ("m0", "m1", "m2"):
-        marked = marked.dropDuplicates(["y", m])
+    first = F.struct(F.xxhash64("text").alias("h"), "text", "m0", "m1", "m2").alias("r")
+    for m in ("m0", "m1", "m2"):  # of copies the first by hash stays, so that every run learns the same
+        marked = marked.select("y", F.col(m).alias("m"), first).groupBy("y", "m").agg(F.min("r").alias("r")).select("y", "r.text", "r.m0", "r.m1", "r.m2")
     return stage(marked.select("text", "y").repartition(8, F.xxhash64("text")), "distinct-sample")
 
 
