@@ -13,8 +13,8 @@ from .functions import constants as C
 from .functions.text import distance, h32, jaccard, shingles, tokens, unit
 from .operators import filters, fuzzy, ingest, measures, relational, rules, sampling, semantic, signals
 from .operators.components import star_forest
-from .plans import pipeline, replay
-from .plans.staging import shared_dir, stage
+from .plans import comparison, pipeline, replay
+from .plans.staging import shared_dir, stage, staged_once
 from .sources.tables import assemble_conversations, load, union_snapshots
 from .streaming import monitor
 
@@ -133,6 +133,13 @@ def page_funnel(spark, d):
     return measures.funnel({"extracted": text, "url": kept, "exact": ingest.exact_dedup(kept, "page_id")})
 
 
+@query()
+def page_to_sample_funnel(spark, d):
+    """One funnel from raw pages over extraction, blacklist, exact, rules, model, fuzzy, semantic and value to the sample."""
+    hosts = spark.createDataFrame([(h,) for h in C.BLOCKED_HOSTS], "host string")
+    return comparison.whole_funnel(spark, load(spark, d, "pages"), hosts, C.BLOCKED_WORDS, pipeline.Config(language=None))
+
+
 @query("SELECT source, count(*) n, count(lang) with_lang FROM (SELECT 'documents' source, doc_id, lang FROM documents UNION ALL SELECT 'pages', page_id, NULL FROM pages) GROUP BY 1")
 def snapshot_union(spark, d):
     a = docs(spark, d).select(F.lit("documents").alias("source"), "doc_id", "lang")
@@ -185,10 +192,12 @@ def stratified_sample(spark, d):
 
 @query()
 def student_agreement(spark, d):
-    """The two-head student, distilled from the rule teacher: per-class agreement on rows it wasn't fitted on."""
-    rows = signals.annotate_quality(docs(spark, d), keep=("doc_id",)).join(docs(spark, d).select("doc_id", "text", "lang"), "doc_id")
-    rows = stage(rows.select("doc_id", "text", "writing", "knowledge", "lang"), "teacher")
-    student, _ = signals.fit_student(rows.where("doc_id % 5 <> 0"), ("writing", "knowledge", "lang"))
+    """The two-head student (nine scores; both levels of the taxonomy) distilled from the teacher's distributions: per-class agreement on
+    rows it wasn't fitted on."""
+    l1, l2 = signals.domain_columns()
+    tagged = docs(spark, d).select("doc_id", "text", l1.alias("domain_l1"), l2.alias("domain_l2"))
+    rows = stage(signals.annotate_soft(tagged, keep=("doc_id", "text", "domain_l1", "domain_l2")), "teacher")
+    student, _ = signals.fit_student(rows.where("doc_id % 5 <> 0"), (*C.SCORES, "domain_l1", "domain_l2"), loss="soft")
     scored = signals.score_student(rows.where("doc_id % 5 = 0"), student)
     out = None
     for t in student.tasks:
@@ -209,10 +218,12 @@ def rule_features(spark, d):
 
 def _hits(rs):
     def run(spark, d):
-        rows = rules.rule_features(docs(spark, d)).select("doc_id", rules.hits(rs).alias("h"))
+        features = rules.family_features if rs is rules.UNCHANGED else rules.rule_features
+        rows = features(docs(spark, d)).select("doc_id", rules.hits(rs).alias("h"))
         return rows.select("doc_id", F.array_join("h", ",").alias("rule_hits"))
 
-    return run, O.cte(O.features()) + f" SELECT doc_id, array_to_string({O.rule_hits(rs)}, ',') rule_hits FROM rf"
+    more = (O.family(), "rfx AS (SELECT * FROM rf JOIN fam USING (doc_id))") if rs is rules.UNCHANGED else ("rfx AS (SELECT * FROM rf)",)
+    return run, O.cte(O.features(), *more) + f" SELECT doc_id, array_to_string({O.rule_hits(rs)}, ',') rule_hits FROM rfx"
 
 
 for _n, _rs in (("rules_original_hits", rules.ORIGINAL), ("rules_optimized_hits", rules.OPTIMIZED), ("rules_unchanged_hits", rules.UNCHANGED)):
@@ -306,11 +317,29 @@ def rule_calibrated_cut(spark, d):
     return rules.calibrate(rules.calibration_curve(lab, rules.ORIGINAL[-1], _GRID), 0.5, 0.9).select("cut", "removed")
 
 
-@query()
+@query(O.cte(O.features(), O.family()) + " SELECT doc_id, round(dup_para_frac, 6) dup_para_frac, round(top_bigram_frac, 6) top_bigram_frac FROM fam")
+def rule_family_features(spark, d):
+    return rounded(rules.family_features(docs(spark, d)).select("doc_id", "dup_para_frac", "top_bigram_frac"), "dup_para_frac", "top_bigram_frac")
+
+
+@query(
+    O.cte(O.features(), f"""h0 AS (SELECT doc_id, {O.rule_hits(rules.ORIGINAL)} h FROM rf), m0 AS (SELECT h, quality FROM h0 LEFT JOIN labels USING (doc_id)), x0 AS (SELECT unnest(h) rule, quality FROM m0 WHERE len(h) > 0)""")
+    + """ SELECT * FROM (SELECT rule, count(*) removed, count(quality) labelled, round(count(CASE WHEN quality = 0 THEN 1 END) / nullif(count(quality), 0), 6) "precision",
+ round(1 - count(CASE WHEN quality = 1 THEN 1 END) / nullif((SELECT count(CASE WHEN quality = 1 THEN 1 END) FROM m0), 0), 6) hq_recall FROM x0 GROUP BY rule) WHERE "precision" < 0.5"""
+)
 def rule_retirement(spark, d):
     """Original rules whose labelled precision stays under one half."""
     feats = rules.rule_features(docs(spark, d)).select("doc_id", rules.hits(rules.ORIGINAL).alias("rule_hits"))
-    return rules.retire_rules(rules.rule_accuracy(feats, load(spark, d, "labels")), 0.5)
+    return rounded(rules.retire_rules(rules.rule_accuracy(feats, load(spark, d, "labels")), 0.5), "precision", "hq_recall")
+
+
+@query()
+def template_model(spark, d):
+    """The trained template classifier on rows it wasn't fitted on; low-quality labels stand for templated text."""
+    lab = docs(spark, d).select("doc_id", "text").join(load(spark, d, "labels").select("doc_id", "quality"), "doc_id")
+    lab = stage(lab.select("doc_id", "text", (1 - F.col("quality")).alias("template")), "template")
+    scored = rules.fit_template_model(lab.where("doc_id % 4 <> 0")).transform(lab.where("doc_id % 4 = 0"))
+    return scored.groupBy("template").agg(F.count("*").alias("n"), F.sum(F.col("prediction").cast("int")).alias("flagged"))
 
 
 @query(
@@ -420,14 +449,34 @@ def shingle_jaccard_pairs(spark, d):
     return rounded(fuzzy.exact_jaccard_pairs(stage(fuzzy.shingle_sets(docs(spark, d), 3), "sets"), 0.5), "jaccard")
 
 
-@query()
+@query(
+    O.cte(_SIG, "es AS (SELECT u, v, avg(CASE WHEN a.m = b.m THEN 1.0 ELSE 0.0 END) e FROM cands JOIN sig a ON a.doc_id = u JOIN sig b ON b.doc_id = v AND a.i = b.i GROUP BY ALL)")
+    + " SELECT count(*) pairs, round(avg(abs(e - jaccard)), 6) mean_error FROM es JOIN jac USING (u, v)"
+)
 def minhash_estimate_error(spark, d):
     """Estimated against exact Jaccard of the candidate pairs."""
     sets = stage(fuzzy.shingle_sets(docs(spark, d)), "sets")
     sigs = stage(fuzzy.minhash(sets), "sigs")
     pairs = stage(fuzzy.star_candidates(fuzzy.lsh_bands(sigs)), "pairs")
     both = fuzzy.estimate(pairs, sigs).join(fuzzy.verify(pairs, sets, 0.0), ["u", "v"])
-    return both.agg(F.count("*").alias("pairs"), F.avg(F.abs(F.col("estimate") - F.col("jaccard"))).alias("mean_error"))
+    return rounded(both.agg(F.count("*").alias("pairs"), F.avg(F.abs(F.col("estimate") - F.col("jaccard"))).alias("mean_error")), "mean_error")
+
+
+@query(
+    O.cte(
+        _SIG, O.components("links"), "xp AS (SELECT a.doc_id u, b.doc_id v, count(*) c FROM sh_flat a JOIN sh_flat b USING (g) WHERE a.doc_id < b.doc_id GROUP BY ALL)",
+        "xj AS (SELECT u, v FROM xp JOIN sh a ON a.doc_id = u JOIN sh b ON b.doc_id = v WHERE c / CAST(len(a.s) + len(b.s) - c AS DOUBLE) >= 0.8)",
+    )
+    + " SELECT count(*) pairs, count(CASE WHEN a.root = b.root THEN 1 END) connected, round(count(CASE WHEN a.root = b.root THEN 1 END) / nullif(count(*), 0), 6) recall FROM xj LEFT JOIN comp a ON a.doc_id = u LEFT JOIN comp b ON b.doc_id = v"
+)
+def fuzzy_recall(spark, d):
+    """Of all pairs of exact Jaccard 0.8 or more, those that the links connect."""
+    rows = docs(spark, d)
+    pairs = stage(fuzzy.exact_jaccard_pairs(stage(fuzzy.shingle_sets(rows), "sets"), 0.8), "pairs")
+    comp = stage(fuzzy.fuzzy_components(rows, stage(fuzzy.fuzzy_links(rows), "links")), "components")
+    side = lambda c: comp.select(F.col("doc_id").alias(c), F.col("component").alias(f"c{c}"))
+    both = pairs.join(side("u"), "u").join(side("v"), "v").agg(F.count("*").alias("pairs"), F.count(F.when(F.col("cu") == F.col("cv"), 1)).alias("connected"))
+    return both.withColumn("recall", F.round(F.col("connected") / F.nullif("pairs", F.lit(0)), 6))
 
 
 @query("SELECT i / 20.0 s, round(1 - power(1 - power(i / 20.0, 4), 16), 6) detected FROM range(21) r(i)")
@@ -437,11 +486,21 @@ def lsh_curve(spark, d):
 
 # --- semantic dedup ------------------------------------------------------------------------------
 
-_VEC = (O.vectors("documents"), O.clusters(16), O.edges())
+_VEC = (O.vectors("documents"), O.clusters(1), O.edges())
+
+
+def _cells(spark, d) -> DataFrame:
+    def make():
+        vectors = pipeline.vectors_of(docs(spark, d))
+        return semantic.kmeans_cells(vectors, semantic.cells_for(vectors.count()))
+
+    return staged_once(spark, d, ("documents",), "cells", make)
 
 
 def _clustered(spark, d) -> tuple[DataFrame, DataFrame]:
-    return pipeline.semantic_parts(docs(spark, d), pipeline.Config())
+    """Cells and all weighted edges of the documents, made once for the queries that read them."""
+    cells = _cells(spark, d)
+    return cells, staged_once(spark, d, ("documents",), "edges", lambda: semantic.weighted(semantic.similarity_edges(cells)))
 
 
 @query(O.cte(O.vectors("documents")) + " SELECT doc_id, round(v[1], 6) first, round(list_max(v), 6) top, len(list_filter(v, lambda x: x <> 0)) filled FROM vec")
@@ -456,6 +515,26 @@ def cluster_assign_seeds(spark, d):
     return semantic.assign_nearest(v, stage(semantic.seed_centroids(v, 16), "seeds")).select("doc_id", "cluster")
 
 
+@query(O.cte(O.vectors("documents"), O.lloyd("vec", 16)) + " SELECT doc_id, cluster FROM km")
+def kmeans_assign(spark, d):
+    """K-Means of all documents, 16 clusters."""
+    return semantic.kmeans_cells(pipeline.vectors_of(docs(spark, d)), 16).select("doc_id", "cluster")
+
+
+@query(
+    O.cte(O.vectors("documents"), O.lloyd("vec", 16), "near AS (SELECT a.cluster = b.cluster same, round(list_dot_product(a.v, b.v), 12) sim FROM km a JOIN km b ON a.doc_id < b.doc_id)")
+    + " SELECT count(*) pairs, count(CASE WHEN same THEN 1 END) inside, round(count(CASE WHEN same THEN 1 END) / nullif(count(*), 0), 6) recall FROM near WHERE sim >= 0.9"
+)
+def cell_edge_recall(spark, d):
+    """What cutting into cells costs: of all pairs of cosine 0.90 or more, those inside one of 16 K-Means cells (far more cells than
+    the semantic stage makes for so few rows)."""
+    cells = stage(semantic.kmeans_cells(pipeline.vectors_of(docs(spark, d)), 16), "cells-16")
+    every = stage(semantic.similarity_edges(cells.withColumn("cluster", F.lit(0).cast("long"))), "all-pairs")
+    inside = stage(semantic.similarity_edges(cells), "cell-pairs")
+    both = every.agg(F.count("*").alias("pairs")).crossJoin(inside.agg(F.count("*").alias("inside")))
+    return both.withColumn("recall", F.round(F.col("inside") / F.nullif("pairs", F.lit(0)), 6))
+
+
 @query(O.cte(*_VEC) + " SELECT u, v, round(sim, 6) sim, weight FROM edges")
 def cosine_edges(spark, d):
     return rounded(_clustered(spark, d)[1], "sim")
@@ -489,16 +568,28 @@ def soft_vote_retained(spark, d):
 
 @query(O.cte(*_VEC, O.votes()) + " SELECT id FROM votes WHERE redundant")
 def soft_vote_pruned(spark, d):
-    """The decisions from at most six edges a document."""
-    cut = semantic.prune_edges(_clustered(spark, d)[1])
+    """The decisions from at most six edges a document and pair of tiles, without making the others."""
+    cut = semantic.weighted(semantic.vote_edges(_cells(spark, d)))
     return cut.groupBy("id").agg(F.sum("weight").alias("score")).where(F.col("score") > C.TARGET).select("id")
 
 
 @query(O.cte(*_VEC, O.votes(), O.removed()) + " SELECT doc_id FROM documents WHERE doc_id NOT IN (SELECT doc_id FROM gone)")
 def soft_dedup_survivors(spark, d):
-    _, e = _clustered(spark, d)
-    votes = stage(semantic.soft_vote(e), "votes")
-    return semantic.remove_redundant(docs(spark, d), votes, e).select("doc_id")
+    return docs(spark, d).join(semantic.semantic_removed(_cells(spark, d)).select(F.col("id").alias("doc_id")), "doc_id", "left_anti").select("doc_id")
+
+
+@query(
+    O.cte(
+        *_VEC, O.votes(), O.removed(), O.shapes(), "rr AS (SELECT id, coalesce(root, id) root FROM votes LEFT JOIN rc ON doc_id = id WHERE redundant)",
+        "best AS (SELECT arg_min(id, (-(knowledge + education + helpfulness + reasoning), id)) id FROM rr JOIN signals ON doc_id = id GROUP BY root)",
+    )
+    + " SELECT doc_id FROM documents WHERE doc_id NOT IN (SELECT id FROM rr WHERE id NOT IN (SELECT id FROM best))"
+)
+def soft_dedup_best_quality(spark, d):
+    """Of each connected set of redundant documents the one of highest content value stays."""
+    rank = signals.annotate_quality(docs(spark, d)).select(F.col("doc_id").alias("id"), (-sampling.content_value()).alias("rank"))
+    gone = semantic.semantic_removed(_cells(spark, d), order=stage(rank, "ranks"))
+    return docs(spark, d).join(gone.select(F.col("id").alias("doc_id")), "doc_id", "left_anti").select("doc_id")
 
 
 @query(O.cte(*_VEC) + " SELECT DISTINCT v id FROM edges WHERE sim >= 0.95")
@@ -533,6 +624,16 @@ def band_fpr(spark, d):
     return rounded(semantic.band_fpr(e, pair_truth(spark, d, e), semantic.soft_vote(e)), "fpr_edge", "fpr_multi")
 
 
+@query(
+    O.cte(*_VEC, O.votes(), *_TRUTH, "dd AS (SELECT u id, weight, dup FROM edges JOIN truth USING (u, v) UNION ALL SELECT v, weight, dup FROM edges JOIN truth USING (u, v))", "pd AS (SELECT id, max(weight) weight, max(CASE WHEN dup THEN 1 ELSE 0 END) any_dup FROM dd WHERE id IN (SELECT id FROM votes WHERE redundant) GROUP BY id)")
+    + " SELECT weight, count(*) n_docs, round(avg(1.0 - any_dup), 6) fpr_docs FROM pd GROUP BY 1"
+)
+def document_fpr(spark, d):
+    """Redundant documents without a true duplicate, by the band of their heaviest edge."""
+    _, e = _clustered(spark, d)
+    return rounded(semantic.document_fpr(e, pair_truth(spark, d, e), semantic.soft_vote(e)), "fpr_docs")
+
+
 @query(
     O.cte(*_VEC, O.votes(), *_TRUTH, *_FPR, "f AS (SELECT weight, avg(CASE WHEN dup THEN 0.0 ELSE 1.0 END) fpr_edge FROM marked GROUP BY 1)", "m AS (SELECT *, max(fpr_edge) OVER (ORDER BY weight DESC ROWS UNBOUNDED PRECEDING) fpr_mono FROM f)")
     + " SELECT weight, round(fpr_edge, 6) fpr_edge, round(fpr_mono, 6) fpr_mono, CAST(2 + round(CASE WHEN max(fpr_mono) OVER () > min(fpr_mono) OVER () THEN (max(fpr_mono) OVER () - fpr_mono) / (max(fpr_mono) OVER () - min(fpr_mono) OVER ()) ELSE 1 END * 6) AS INT) new_weight FROM m"
@@ -551,18 +652,36 @@ def joint_error(spark, d):
     return rounded(semantic.joint_error(e, semantic.band_fpr(e, pair_truth(spark, d, e), semantic.soft_vote(e))), "expected")
 
 
-@query()
+@query(O.cte(O.provider_bench()) + " SELECT * FROM bench")
 def embedding_benchmark(spark, d):
     """Four providers over [0.90, 1.00]: error by step, rank correlation; the prefix provider is built to fail."""
     out = None
-    for p in ("word", "bigram", "char", "prefix"):
-        v = stage(semantic.hashed_vectors(docs(spark, d), p), "provider")
-        e = stage(semantic.weighted(semantic.similarity_edges(semantic.assign_nearest(v, stage(semantic.seed_centroids(v, 16), "seeds")))), "provider-edges")
+    for p in O.PROVIDERS:
+        v = pipeline.vectors_of(docs(spark, d), pipeline.Config(provider=p))
+        e = stage(semantic.weighted(semantic.similarity_edges(pipeline.cells_of(v))), "provider-edges")
         one = semantic.embedding_quality(semantic.similarity_benchmark(e, pair_truth(spark, d, e))).withColumn("provider", F.lit(p))
         out = one if out is None else out.unionAll(one)
     return rounded(out, "mean_fpr", "spearman")
 
 
+@query()
+def embedding_probes(spark, d):
+    """Prefix bias (share of texts with foreign first words that lie nearer to these) and discrimination (AUC of similarity against true
+    duplicates) of the four providers."""
+    rows, out = docs(spark, d), None
+    mixed = stage(semantic.chimeras(rows), "chimeras")
+    for p in O.PROVIDERS:
+        both = rows.select("doc_id", "text", F.lit(None).cast("long").alias("partner")).unionByName(mixed.select((-F.col("doc_id") - 1).alias("doc_id"), "text", "partner"))
+        v = stage(semantic.hashed_vectors(both, p).join(both.select("doc_id", "partner"), "doc_id"), "probe-vectors")
+        own = v.where("doc_id >= 0").select("doc_id", "vec")
+        bias = semantic.prefix_bias(own, v.where("doc_id < 0").select((-F.col("doc_id") - 1).alias("doc_id"), "partner", "vec"))
+        e = stage(semantic.similarity_edges(pipeline.cells_of(own), 0.8), "probe-edges")
+        score = semantic.auc(e.join(pair_truth(spark, d, e), ["u", "v"])).select("auc")
+        one = bias.crossJoin(score).withColumn("provider", F.lit(p))
+        out = one if out is None else out.unionAll(one)
+    return rounded(out, "bias", "auc")
+
+
 @query(O.cte(*_VEC, *_TRUTH) + " SELECT CAST(least(floor((sim - 0.9) / 0.01 + 1e-9), 9) AS INT) step, count(*) n, round(avg(CASE WHEN dup THEN 0.0 ELSE 1.0 END), 6) fpr FROM edges JOIN truth USING (u, v) GROUP BY 1")
 def similarity_steps(spark, d):
     _, e = _clustered(spark, d)
@@ -592,16 +711,51 @@ def embedding_pairs_topk(spark, d):
     return relational.top_per_group(both, "vec_id", [F.desc("sim"), "other"], 3).select("vec_id", "other", "sim")
 
 
-@query()
+_EM0 = "em0 AS (SELECT vec_id doc_id, CAST(embedding AS DOUBLE[]) v FROM embeddings)"
+
+
+def _given(spark, d) -> DataFrame:
+    return load(spark, d, "embeddings").select("vec_id", F.col("embedding").cast("array<double>").alias("vec"))
+
+
+@query(O.cte(_EM0, O.lloyd("em0", 10)) + " SELECT cluster, count(*) members FROM km GROUP BY 1")
 def kmeans_fit(spark, d):
-    rows = load(spark, d, "embeddings").select("vec_id", F.col("embedding").alias("vec"))
-    return semantic.kmeans(rows, 10, key="vec_id").groupBy("cluster").agg(F.count("*").alias("members"))
+    return semantic.kmeans_cells(_given(spark, d), 10, key="vec_id").groupBy("cluster").agg(F.count("*").alias("members"))
 
 
 @query()
+def kmeans_library(spark, d):
+    """pyspark.ml K-Means on the same vectors: mean squared distance to the centre, next to that of the passes used here."""
+    rows = stage(_given(spark, d), "given")
+    parts = {"library": semantic.kmeans(rows, 10, key="vec_id"), "passes": semantic.kmeans_cells(rows, 10, passes=8, key="vec_id")}
+    out = None
+    for name, c in parts.items():
+        centers = sampling.label_centroids(c)
+        one = c.join(F.broadcast(centers), "cluster").agg(F.avg(F.pow(distance(F.col("vec"), F.col("center")), 2)).alias("mean_square")).withColumn("method", F.lit(name))
+        out = one if out is None else out.unionAll(one)
+    return rounded(out, "mean_square")
+
+
+_NEAR = "arg_max(cluster_id, (round(list_dot_product(v, center) - list_dot_product(center, center) / 2, 9), -cluster_id))"
+_TWO = (
+    _EM0, O.lloyd("em0", 4, "ck"), "sz AS MATERIALIZED (SELECT cluster g, count(*) n FROM ck GROUP BY 1)",
+    "fs AS MATERIALIZED (SELECT cluster g, doc_id cluster_id, v center FROM ck JOIN sz ON g = cluster WHERE (" + O.h32("doc_id || ':fine'") + " + 0.5) / 4294967296.0 < ceil(16 * n / (SELECT sum(n) FROM sz)) / n)",
+    "fc0 AS MATERIALIZED (SELECT * FROM fs UNION ALL SELECT g, -1 - g, center FROM sz JOIN ck_c3 ON cluster_id = g WHERE g NOT IN (SELECT g FROM fs))",
+    *[
+        x
+        for i in range(3)
+        for x in (
+            f"fa{i} AS MATERIALIZED (SELECT doc_id, any_value(v) v, any_value(g) g, {_NEAR} AS cluster FROM ck JOIN fc{i} ON g = ck.cluster GROUP BY doc_id)",
+            f"fc{i + 1} AS MATERIALIZED (SELECT any_value(g) g, cluster cluster_id, list(m ORDER BY i) center FROM (SELECT any_value(g) g, cluster, i, sum(CAST(round(x * 1e9) AS BIGINT)) / count(*) / 1e9 m FROM (SELECT g, cluster, unnest(v) x, unnest(range(len(v))) i FROM fa{i}) GROUP BY cluster, i) GROUP BY cluster)",
+        )
+    ],
+    f"fk AS (SELECT doc_id, {_NEAR} AS cluster FROM ck JOIN fc3 ON g = ck.cluster GROUP BY doc_id)",
+)
+
+
+@query(O.cte(*_TWO) + " SELECT cluster, count(*) members FROM fk GROUP BY 1")
 def kmeans_two_level(spark, d):
-    rows = load(spark, d, "embeddings").select("vec_id", F.col("embedding").alias("vec"))
-    return semantic.kmeans_two_level(rows, 4, 4, key="vec_id").groupBy("cluster").agg(F.count("*").alias("members"))
+    return semantic.kmeans_cells(_given(spark, d), 16, key="vec_id", flat=4).groupBy("cluster").agg(F.count("*").alias("members"))
 
 
 _LOW = tuple((round(0.40 - 0.05 * i, 2), 8 - i) for i in range(7))
@@ -621,13 +775,16 @@ def embedding_band_fpr(spark, d):
     return tagged.groupBy("weight").agg(F.count("*").alias("n_edge"), F.round(F.avg(F.when(F.col("lu") == F.col("lv"), 0.0).otherwise(1.0)), 6).alias("fpr_edge"))
 
 
-@query()
+@query(O.cte(O.provider_bench()) + " SELECT * FROM bench ORDER BY mean_fpr > 0.4, coalesce(spearman, 1.0), mean_fpr, provider LIMIT 1")
 def embedding_choice(spark, d):
     """The provider chosen by the benchmark."""
     return semantic.select_embedding(QUERIES["embedding_benchmark"](spark, d))
 
 
-@query()
+@query(
+    O.cte(*_VEC, *_TRUTH, "ac AS (SELECT floor(sim * 1000) cell, sum(CASE WHEN dup THEN 1.0 ELSE 0.0 END) p, sum(CASE WHEN dup THEN 0.0 ELSE 1.0 END) n FROM edges JOIN truth USING (u, v) GROUP BY 1)", "ab AS (SELECT p, n, coalesce(sum(n) OVER (ORDER BY cell ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0) b FROM ac)")
+    + " SELECT round(CAST(sum(p * (b + n / 2)) AS DOUBLE) / nullif(CAST(sum(p) * sum(n) AS DOUBLE), 0), 6) auc, CAST(sum(p) AS DOUBLE) pos, CAST(sum(n) AS DOUBLE) neg FROM ab"
+)
 def embedding_auc(spark, d):
     _, e = _clustered(spark, d)
     return rounded(semantic.auc(e.join(pair_truth(spark, d, e), ["u", "v"])), "auc")
@@ -636,8 +793,7 @@ def embedding_auc(spark, d):
 @query()
 def word2vec_edges(spark, d):
     v = stage(semantic.word2vec_vectors(docs(spark, d)), "w2v")
-    e = semantic.weighted(semantic.similarity_edges(semantic.assign_nearest(v, stage(semantic.seed_centroids(v, 16), "seeds"))))
-    return e.groupBy("weight").agg(F.count("*").alias("n"))
+    return semantic.weighted(semantic.similarity_edges(pipeline.cells_of(v))).groupBy("weight").agg(F.count("*").alias("n"))
 
 
 @query()
@@ -653,7 +809,20 @@ def minhash_library_pairs(spark, d):
     return pairs.select(F.col("datasetA.doc_id").alias("u"), F.col("datasetB.doc_id").alias("v"), F.round(1 - F.col("distance"), 6).alias("jaccard"))
 
 
-@query()
+_KEY_SQL = """kb AS (SELECT page_id, regexp_replace(regexp_extract(lower(u), '^[a-z][a-z0-9+.-]*://(?:[^/?#@]*@)?([^/?#:]*)', 1), '^(www|m)\\.', '') host,
+ regexp_replace(regexp_extract(u, '^[^:]*://[^/?]*([^?]*)', 1), '/+$', '') path,
+ array_to_string(list_sort(list_filter(string_split(regexp_extract(u, '\\?(.*)$', 1), '&'), lambda p: p <> '' AND NOT starts_with(p, 'utm_'))), '&') q FROM (SELECT page_id, regexp_replace(url, '#.*$', '') u FROM pages)),
+keyed AS (SELECT page_id, host || path || CASE WHEN q <> '' THEN '?' || q ELSE '' END url_key FROM kb)"""
+
+
+@query(
+    O.cte(
+        f"ptext AS MATERIALIZED (SELECT page_id doc_id, {_strip_sql()} AS text FROM pages)", _KEY_SQL, O.vectors("ptext"), O.shingle_sets("ptext", 5),
+        "cr AS MATERIALIZED (SELECT url_key, vec.doc_id id, v, list_sort(s) s, min(vec.doc_id) OVER (PARTITION BY url_key, v, list_sort(s)) rep FROM vec JOIN keyed ON page_id = vec.doc_id JOIN sh ON sh.doc_id = vec.doc_id)",
+        "pr AS (SELECT a.url_key, a.id u, b.id v, a.rep = b.rep same, a.id = a.rep OR b.id = b.rep least, coalesce(len(list_intersect(a.s, b.s)) / nullif(CAST(len(a.s) + len(b.s) - len(list_intersect(a.s, b.s)) AS DOUBLE), 0), 0) j, least(round(list_dot_product(a.v, b.v), 12), 1.0) sim FROM cr a JOIN cr b ON a.url_key = b.url_key AND a.id < b.id)",
+    )
+    + " SELECT url_key, u, v, round(j, 6) jaccard, round(CASE WHEN same THEN 1.0 ELSE sim END, 6) sim FROM pr WHERE least AND sim >= 0.9 AND j < 0.8"
+)
 def redundant_crawls(spark, d):
     """Addresses crawled again whose texts slip under the LSH threshold."""
     pages = ingest.extract_main_text(load(spark, d, "pages"), "strip_all")
@@ -664,38 +833,49 @@ def redundant_crawls(spark, d):
 # --- sampling ------------------------------------------------------------------------------------
 
 _FRAME = (
-    O.shapes(), O.TAGS,
-    "em AS (SELECT vec_id doc_id, label cluster, CAST(embedding AS DOUBLE[]) v FROM embeddings)",
-    "cf AS (SELECT cluster, i, avg(x) m FROM (SELECT cluster, unnest(v) x, unnest(range(len(v))) i FROM em) GROUP BY ALL)",
-    "cen AS (SELECT cluster, list(m ORDER BY i) c FROM cf GROUP BY cluster)",
-    "intra AS (SELECT cluster, count(*) members, avg(list_distance(v, c)) intra FROM em JOIN cen USING (cluster) GROUP BY ALL)",
-    "inter AS (SELECT a.cluster, avg(list_distance(a.c, b.c)) inter, min(list_distance(a.c, b.c)) nearest FROM cen a JOIN cen b ON a.cluster <> b.cluster GROUP BY ALL)",
-    "dv AS (SELECT cluster, members, intra, inter, nearest, intra * inter d FROM intra JOIN inter USING (cluster))",
-    "base AS (SELECT s.*, domain_l1, domain_l2, cluster, d, CAST(knowledge + education + helpfulness + reasoning AS DOUBLE) q, CASE WHEN least(writing, coherence, completeness, logicality) <= 0 THEN 0.0 ELSE 4 / (1.0 / writing + 1.0 / coherence + 1.0 / completeness + 1.0 / logicality) END wq FROM signals s JOIN em USING (doc_id) JOIN dv USING (cluster) JOIN tags USING (doc_id))",
+    O.shapes(), O.TAGS, O.vectors("documents"), O.lloyd("vec", 16), O.diversity("km"),
+    "base AS MATERIALIZED (SELECT s.*, domain_l1, domain_l2, cluster, coalesce(d, 0) d, CAST(knowledge + education + helpfulness + reasoning AS DOUBLE) q, CASE WHEN least(writing, coherence, completeness, logicality) <= 0 THEN 0.0 ELSE 4 / (1.0 / writing + 1.0 / coherence + 1.0 / completeness + 1.0 / logicality) END wq FROM signals s JOIN tags USING (doc_id) LEFT JOIN km USING (doc_id) LEFT JOIN dv USING (cluster))",
     "n1 AS (SELECT *, (q - min(q) OVER ()) / (max(q) OVER () - min(q) OVER ()) q_n, (d - min(d) OVER ()) / (max(d) OVER () - min(d) OVER ()) d_n FROM base)",
     "n2 AS (SELECT *, 0.6 * q_n + 0.4 * d_n s FROM n1)",
     "n3 AS (SELECT *, (s - min(s) OVER ()) / (max(s) OVER () - min(s) OVER ()) x FROM n2)",
-    "pw AS (SELECT *, w / sum(w) OVER () p FROM (SELECT *, power(x, 2) / (1 + exp(-10 * (x - 0.5))) w FROM n3))",
+    "pw AS MATERIALIZED (SELECT *, w / sum(w) OVER () p FROM (SELECT *, power(x, 2) / (1 + exp(-10 * (x - 0.5))) w FROM n3))",
 )
+#: The given vectors in the place of those of the documents: their labels are the clusters.
+_EMB = ("em AS (SELECT vec_id doc_id, label cluster, CAST(embedding AS DOUBLE[]) v FROM embeddings)", O.diversity("em"))
 
 
 def frame(spark, d, quality: str = "value", alpha: float = C.ALPHA) -> DataFrame:
-    """Documents with an embedding: signals, tags, diversity of their label's cluster, score."""
+    """All documents: signals, tags, diversity of their K-Means group, score."""
+
+    def make():
+        groups = pipeline.groups_of(pipeline.vectors_of(docs(spark, d)))
+        dv = sampling.cluster_diversity(groups, sampling.label_centroids(groups)).select("cluster", "d")
+        rows = signals.annotate(docs(spark, d)).join(groups.select("doc_id", "cluster"), "doc_id", "left").join(F.broadcast(dv), "cluster", "left")
+        return rows.withColumn("d", F.coalesce("d", F.lit(0.0)))
+
+    return sampling.sampling_score(staged_once(spark, d, ("documents",), "sampling-frame", make), alpha, quality)
+
+
+@query(
+    O.cte(O.shapes(), *_EMB, "gb AS (SELECT doc_id, CAST(knowledge + education + helpfulness + reasoning AS DOUBLE) q, d FROM signals JOIN em USING (doc_id) JOIN dv USING (cluster))")
+    + " SELECT doc_id, round(0.6 * (q - min(q) OVER ()) / (max(q) OVER () - min(q) OVER ()) + 0.4 * (d - min(d) OVER ()) / (max(d) OVER () - min(d) OVER ()), 6) s FROM gb"
+)
+def sampling_score_given_vectors(spark, d):
+    """The score over the given embeddings and their labels: only documents that have one."""
     vectors = load(spark, d, "embeddings").select(F.col("vec_id").alias("doc_id"), F.col("label").alias("cluster"), F.col("embedding").alias("vec"))
-    centers = sampling.label_centroids(vectors)
-    dv = sampling.cluster_diversity(vectors, centers).select("cluster", "d")
+    dv = sampling.cluster_diversity(vectors, sampling.label_centroids(vectors)).select("cluster", "d")
     rows = signals.annotate(docs(spark, d)).join(vectors.select("doc_id", "cluster"), "doc_id").join(F.broadcast(dv), "cluster")
-    return stage(sampling.sampling_score(rows, alpha, quality), "frame")
+    return rounded(sampling.sampling_score(stage(rows, "given-frame")).select("doc_id", "s"), "s")
 
 
-@query(O.cte(*_FRAME[2:5], "s AS (SELECT em.*, arg_max(cen.cluster, (round(list_dot_product(v, c), 12), -cen.cluster)) own FROM em, cen GROUP BY ALL)") + " SELECT own cluster, count(*) n, count(CASE WHEN own = cluster THEN 1 END) agree FROM s GROUP BY 1")
+@query(O.cte(*_EMB, "s AS (SELECT em.*, arg_max(cen.cluster, (round(list_dot_product(v, c), 12), -cen.cluster)) own FROM em, cen GROUP BY ALL)") + " SELECT own cluster, count(*) n, count(CASE WHEN own = cluster THEN 1 END) agree FROM s GROUP BY 1")
 def cluster_assign_fixed(spark, d):
     vectors = load(spark, d, "embeddings").select(F.col("vec_id").alias("doc_id"), F.col("label"), F.col("embedding").cast("array<double>").alias("vec"))
     centers = sampling.label_centroids(vectors.withColumnRenamed("label", "cluster")).select(F.col("cluster").cast("bigint").alias("cluster_id"), "center")
     return semantic.assign_nearest(vectors, centers).groupBy("cluster").agg(F.count("*").alias("n"), F.sum(F.when(F.col("cluster") == F.col("label"), 1).otherwise(0)).alias("agree"))
 
 
-@query(O.cte(*_FRAME[2:8]) + " SELECT cluster, members, round(intra, 6) intra, round(inter, 6) inter, round(d, 6) d, round(intra * nearest, 6) d_nearest FROM dv")
+@query(O.cte(*_EMB) + " SELECT cluster, members, round(intra, 6) intra, round(inter, 6) inter, round(d, 6) d, round(intra * nearest, 6) d_nearest FROM dv")
 def diversity_scores(spark, d):
     vectors = load(spark, d, "embeddings").select(F.col("label").alias("cluster"), F.col("embedding").alias("vec"))
     centers = sampling.label_centroids(vectors)
@@ -723,12 +903,12 @@ def sampling_score(spark, d):
     return rounded(frame(spark, d).select("doc_id", "q_n", "d_n", "s"), "q_n", "d_n", "s")
 
 
-@query(O.cte(*_FRAME[:9], "c AS (SELECT doc_id, d, wq * q q FROM base)") + " SELECT doc_id, round(0.6 * (q - min(q) OVER ()) / (max(q) OVER () - min(q) OVER ()) + 0.4 * (d - min(d) OVER ()) / (max(d) OVER () - min(d) OVER ()), 6) s FROM c")
+@query(O.cte(*_FRAME[:6], "c AS (SELECT doc_id, d, wq * q q FROM base)") + " SELECT doc_id, round(0.6 * (q - min(q) OVER ()) / (max(q) OVER () - min(q) OVER ()) + 0.4 * (d - min(d) OVER ()) / (max(d) OVER () - min(d) OVER ()), 6) s FROM c")
 def sampling_score_combined(spark, d):
     return rounded(frame(spark, d, "combined").select("doc_id", "s"), "s")
 
 
-@query(O.cte(*_FRAME[:9], "c AS (SELECT doc_id, d, writing + coherence + completeness + logicality + q q FROM base)") + " SELECT doc_id, round(0.6 * (q - min(q) OVER ()) / (max(q) OVER () - min(q) OVER ()) + 0.4 * (d - min(d) OVER ()) / (max(d) OVER () - min(d) OVER ()), 6) s FROM c")
+@query(O.cte(*_FRAME[:6], "c AS (SELECT doc_id, d, writing + coherence + completeness + logicality + q q FROM base)") + " SELECT doc_id, round(0.6 * (q - min(q) OVER ()) / (max(q) OVER () - min(q) OVER ()) + 0.4 * (d - min(d) OVER ()) / (max(d) OVER () - min(d) OVER ()), 6) s FROM c")
 def sampling_score_linear(spark, d):
     return rounded(frame(spark, d, "linear_all").select("doc_id", "s"), "s")
 
@@ -743,7 +923,7 @@ def softmax_probabilities(spark, d):
     return sampling.softmax_probabilities(frame(spark, d)).select("doc_id", F.round("p", 9).alias("p"))
 
 
-@query(O.cte(*_FRAME[2:3]) + " SELECT doc_id, round(1.0 / count(*) OVER (), 9) p FROM em")
+@query("SELECT doc_id, round(1.0 / count(*) OVER (), 9) p FROM documents")
 def uniform_probabilities(spark, d):
     return sampling.uniform_probabilities(frame(spark, d)).select("doc_id", F.round("p", 9).alias("p"))
 
@@ -766,6 +946,37 @@ def sampler_sharpness(spark, d):
 _DRAW = "dr AS (SELECT *, 100000.0 / sum(p * n_words) OVER () * p expected FROM pw), cp AS (SELECT *, CAST(floor(expected) + CASE WHEN (" + O.h32("doc_id || ':draw'") + " + 0.5) / 4294967296.0 < expected - floor(expected) THEN 1 ELSE 0 END AS INT) copies FROM dr)"
 
 
+_ENDS = "(SELECT quantile_disc(s, 0.9) FROM n2)", "(SELECT quantile_disc(s, 0.1) FROM n2)"
+
+
+@query(
+    O.cte(*_FRAME, "sm AS (SELECT s, exp((x - 1) / 1.0) / sum(exp((x - 1) / 1.0)) OVER () p FROM n3)")
+    + " UNION ALL ".join(f" SELECT '{k}' sampler, round(avg(CASE WHEN s >= {_ENDS[0]} THEN p END) / nullif(avg(CASE WHEN s <= {_ENDS[1]} THEN p END), 0), 3) decile_ratio FROM {t}" for k, t in (("power", "pw"), ("softmax", "sm")))
+)
+def sampler_deciles(spark, d):
+    """Mean probability of the top decile of scores by that of the bottom one."""
+    f, out = frame(spark, d), None
+    for name, fn in (("power", sampling.power_probabilities), ("softmax", sampling.softmax_probabilities)):
+        one = sampling.sampler_profile(fn(f), "s").select(F.lit(name).alias("sampler"), F.round("decile_ratio", 3).alias("decile_ratio"))
+        out = one if out is None else out.unionAll(one)
+    return out
+
+
+def _filled() -> str:
+    """Water-filling by search over the sorted rates: the least lambda at which capped and other rows meet the budget."""
+    return (
+        "wf AS (SELECT p, n_words, 3 / p cap FROM pw WHERE p > 0), wl AS (SELECT cap, sum(3 * n_words) OVER (ORDER BY cap ROWS UNBOUNDED PRECEDING) - 3 * n_words capped, sum(p * n_words) OVER (ORDER BY cap ROWS BETWEEN CURRENT ROW AND UNBOUNDED FOLLOWING) free FROM wf),"
+        " lam AS (SELECT arg_min((100000.0 - capped) / free, cap) l FROM wl WHERE 100000.0 - capped > 0 AND (100000.0 - capped) / free <= cap * (1 + 1e-12)),"
+        " cq AS (SELECT doc_id, least(3.0, (SELECT l FROM lam) * p) e FROM pw)"
+    )
+
+
+@query(O.cte(*_FRAME, _filled()) + f" SELECT doc_id, round(e, 6) expected, CAST(floor(e) + CASE WHEN ({O.h32('doc_id || ' + chr(39) + ':draw' + chr(39))} + 0.5) / 4294967296.0 < e - floor(e) THEN 1 ELSE 0 END AS INT) copies FROM cq")
+def draw_copies_capped(spark, d):
+    """At most three copies each; what the cap takes goes to the others until the budget is met."""
+    return rounded(sampling.draw_copies(sampling.power_probabilities(frame(spark, d)), 100000, max_copies=3).select("doc_id", "expected", "copies"), "expected")
+
+
 @query(O.cte(*_FRAME, _DRAW) + " SELECT doc_id, round(expected, 6) expected, copies FROM cp")
 def draw_copies(spark, d):
     return rounded(sampling.draw_copies(sampling.power_probabilities(frame(spark, d)), 100000).select("doc_id", "expected", "copies"), "expected")
@@ -784,7 +995,7 @@ def draw_without_replacement(spark, d):
 
 
 @query(
-    O.cte(*_FRAME, "pc AS (SELECT cluster, sum(p) a, sum(p * n_words) b FROM pw GROUP BY 1)", f"x2 AS (SELECT doc_id, 100000.0 * a * p / b e, ({O.h32('doc_id || ' + chr(39) + ':cluster' + chr(39))} + 0.5) / 4294967296.0 u FROM pw JOIN pc USING (cluster))")
+    O.cte(*_FRAME, "pc AS (SELECT cluster, sum(p) a, sum(p * n_words) b FROM pw GROUP BY 1)", f"x2 AS (SELECT doc_id, 100000.0 * a * p / nullif(b, 0) e, ({O.h32('doc_id || ' + chr(39) + ':cluster' + chr(39))} + 0.5) / 4294967296.0 u FROM pw JOIN pc ON pc.cluster IS NOT DISTINCT FROM pw.cluster)")
     + " SELECT doc_id, round(e, 6) expected, CAST(floor(e) + CASE WHEN u < e - floor(e) THEN 1 ELSE 0 END AS INT) copies FROM x2"
 )
 def draw_by_cluster(spark, d):
@@ -809,7 +1020,8 @@ _STAGES = O.funnel_ctes()
 
 
 def staged(spark, d) -> DataFrame:
-    return stage(pipeline.stage_table(pipeline.run_pipeline(docs(spark, d))), "stages")
+    """The staged funnel, run once for all queries that read its stages."""
+    return staged_once(spark, d, ("documents",), "stages", lambda: pipeline.stage_table(pipeline.run_pipeline(docs(spark, d))))
 
 
 @query(
@@ -839,7 +1051,7 @@ def stem_ratio(spark, d):
     return rounded(measures.domain_ratio(staged(spark, d), by=("stage",), weight="copies"), *C.DOMAIN_SETS)
 
 
-_HQ = ("Computer Science", "Programming", "Mathematics", "Physics")
+_HQ = comparison.HQ_DOMAINS
 
 
 @query(
@@ -850,6 +1062,36 @@ def hq_retention(spark, d):
     return rounded(measures.hq_retention(staged(spark, d).where("stage = 'value'"), _HQ), "rate")
 
 
+_AT = "SELECT domain_l1 k, count(*) n FROM stage_docs WHERE stage = '{}' GROUP BY 1"
+
+
+@query(
+    O.cte(_STAGES, f"wb AS ({_AT.format('exact')}), wa AS ({_AT.format('rule')})", "wr AS (SELECT domain_l1 k, count(*) n FROM stage_docs WHERE stage = 'exact' AND doc_id NOT IN (SELECT doc_id FROM st_rule) GROUP BY 1)")
+    + """ SELECT wb.k "domain", round(wb.n / (SELECT sum(n) FROM wb), 6) share_before, round(coalesce(wa.n, 0) / (SELECT sum(n) FROM wa), 6) share_after, round(coalesce(wr.n, 0) / coalesce((SELECT sum(n) FROM wr), 1), 6) share_removed,
+ round(coalesce(wa.n, 0) / (SELECT sum(n) FROM wa) - wb.n / (SELECT sum(n) FROM wb), 6) delta, round(1 - coalesce(wa.n, 0) / wb.n, 6) filter_rate FROM wb LEFT JOIN wa ON wa.k = wb.k LEFT JOIN wr ON wr.k = wb.k"""
+)
+def rule_stage_shares(spark, d):
+    """Domain shares before and after the rules, and of what they removed."""
+    s = staged(spark, d)
+    return rounded(comparison.rule_stage_shares(s.where("stage = 'exact'"), s.where("stage = 'rule'")), "share_before", "share_after", "share_removed", "delta", "filter_rate")
+
+
+@query(
+    O.cte(
+        _STAGES, f"xe AS ({_AT.format('exact')}), xr AS ({_AT.format('rule')}), xm AS ({_AT.format('model')})",
+        "xf AS (SELECT domain_l1 k, CASE WHEN writing < 1 THEN 'writing' WHEN coherence < 1 THEN 'coherence' WHEN completeness < 1 THEN 'completeness' WHEN safety < 1 THEN 'safety' END why FROM stage_docs WHERE stage = 'rule' AND doc_id NOT IN (SELECT doc_id FROM st_model))",
+        "xw AS (SELECT k, arg_min(why, (-n, why)) main_reason FROM (SELECT k, why, count(*) n FROM xf GROUP BY ALL) GROUP BY k)",
+        "xs AS (SELECT xe.k, xe.n / (SELECT sum(n) FROM xe) se, coalesce(xr.n, 0) / (SELECT sum(n) FROM xr) sr, coalesce(xm.n, 0) / (SELECT sum(n) FROM xm) sm, coalesce(xr.n, 0) nr, coalesce(xm.n, 0) nm FROM xe LEFT JOIN xr ON xr.k = xe.k LEFT JOIN xm ON xm.k = xe.k)",
+    )
+    + ' SELECT xs.k "domain", round(se, 6) share_exact, round(sr, 6) share_rule, round(sm, 6) share_model, round(coalesce((sm - sr) / nullif(sr, 0), 0), 6) rel_change, round(coalesce(1 - nm / nullif(nr, 0), 0), 6) filter_rate, main_reason FROM xs LEFT JOIN xw ON xw.k = xs.k'
+)
+def model_stage_shares(spark, d):
+    """Domain shares over three stages; change, rate and main reason of the model filter."""
+    s = staged(spark, d)
+    out = comparison.model_stage_shares(*[s.where(F.col("stage") == n) for n in ("exact", "rule", "model")])
+    return rounded(out, "share_exact", "share_rule", "share_model", "rel_change", "filter_rate")
+
+
 _SHIFT = """b AS (SELECT domain_l1 k, count(*) n FROM stage_docs WHERE stage = '{0}' GROUP BY 1), a AS (SELECT domain_l1 k, count(*) n FROM stage_docs WHERE stage = '{1}' GROUP BY 1),
 j AS (SELECT coalesce(a.k, b.k) "domain", coalesce(b.n, 0) / (SELECT sum(n) FROM b) sb, coalesce(a.n, 0) / (SELECT sum(n) FROM a) sa, coalesce(1 - coalesce(a.n, 0) / nullif(b.n, 0), 1) fr, 1 - (SELECT sum(n) FROM a) / (SELECT sum(n) FROM b) ov FROM b FULL JOIN a ON a.k = b.k)"""
 
@@ -877,8 +1119,16 @@ def upsample_topk(spark, d):
     + " SELECT x.stage, docs, coalesce(total, 0) total, coalesce(n, 0) \"unique\", round(n / nullif(total, 0), 6) r_n, round(coalesce(total, 0) / docs, 6) per_doc FROM (SELECT stage, CAST(sum(copies) AS BIGINT) docs FROM g GROUP BY 1) x LEFT JOIN (SELECT stage, CAST(sum(copies) AS BIGINT) total, count(DISTINCT w) n FROM g JOIN tk USING (doc_id) GROUP BY 1) y USING (stage)"
 )
 def lexical_diversity(spark, d):
-    s = staged(spark, d).select("stage", "doc_id", "copies").join(docs(spark, d).select("doc_id", "text"), "doc_id")
-    return rounded(measures.lexical_diversity(s, 1, weight="copies", by=("stage",)), "r_n", "per_doc")
+    return rounded(measures.lexical_table(docs(spark, d), staged(spark, d).select("stage", "doc_id", "copies")).drop("n"), "r_n", "per_doc")
+
+
+@query(
+    O.cte(_STAGES, "arms AS MATERIALIZED (SELECT stage arm, doc_id, copies FROM stage_docs)", O.lexical((1, 2, 3)))
+    + " UNION ALL ".join(f' SELECT {n} n, a.arm stage, docs, coalesce(total, 0) total, coalesce(uniq, 0) "unique", round(uniq / nullif(total, 0), 6) r_n FROM (SELECT arm, CAST(sum(copies) AS BIGINT) docs FROM arms GROUP BY 1) a LEFT JOIN lx{n} USING (arm)' for n in (1, 2, 3))
+)
+def lexical_table_by_stage(spark, d):
+    """Unique n-grams of each stage for n = 1, 2, 3."""
+    return rounded(measures.lexical_table(docs(spark, d), staged(spark, d).select("stage", "doc_id", "copies"), (1, 2, 3)).drop("per_doc"), "r_n")
 
 
 def _grams_sql(n: int) -> str:
@@ -887,11 +1137,8 @@ def _grams_sql(n: int) -> str:
 
 @query(O.cte(f"kk AS (SELECT {O.toks('text')} k FROM documents)", "gg AS (" + " UNION ALL ".join(map(_grams_sql, (1, 2, 3))) + ")") + " SELECT n, (SELECT count(*) FROM documents) docs, count(*) total, count(DISTINCT g) \"unique\", round(count(DISTINCT g) / count(*), 6) r_n FROM gg GROUP BY n")
 def ngram_diversity(spark, d):
-    out = None
-    for n in (1, 2, 3):
-        one = measures.lexical_diversity(docs(spark, d), n).withColumn("n", F.lit(n))
-        out = one if out is None else out.unionAll(one)
-    return rounded(out, "r_n").drop("per_doc")
+    whole = docs(spark, d).select("doc_id", F.lit("all").alias("stage"), F.lit(1).alias("copies"))
+    return rounded(measures.lexical_table(docs(spark, d), whole, (1, 2, 3)).drop("per_doc", "stage"), "r_n")
 
 
 @query()
@@ -920,9 +1167,31 @@ def mean_pair_jaccard_exact(spark, d):
     return fuzzy.mean_jaccard_exact(docs(spark, d)).select(F.round("mean_jaccard", 9).alias("mean_jaccard"))
 
 
-@query()
+@query(
+    O.cte(
+        O.shingle_sets("documents", 3), "jn AS (SELECT greatest(1, count(*)) n FROM documents)",
+        "jl AS (SELECT doc_id, s, k, " + O.h32("'pairs:' || k || ':' || doc_id || ':l'") + " % n slot FROM sh, jn, range(1, 5) r(k))", "jr AS (SELECT doc_id, s, k, " + O.h32("'pairs:' || k || ':' || doc_id || ':r'") + " % n slot FROM sh, jn, range(1, 5) r(k))",
+    )
+    + " SELECT round(avg(coalesce(len(list_intersect(a.s, b.s)) / nullif(CAST(len(a.s) + len(b.s) - len(list_intersect(a.s, b.s)) AS DOUBLE), 0), 0)), 9) mean_jaccard, count(*) pairs FROM jl a JOIN jr b ON a.k = b.k AND a.slot = b.slot AND a.doc_id <> b.doc_id"
+)
 def mean_pair_jaccard(spark, d):
-    return fuzzy.mean_jaccard(docs(spark, d))
+    return rounded(fuzzy.mean_jaccard(docs(spark, d)), "mean_jaccard", digits=9)
+
+
+@query(
+    O.cte(
+        *_VEC, O.votes(), O.removed(), O.shingle_sets("documents", 3), "jf AS (SELECT doc_id, unnest(s) g FROM sh)",
+        "jp AS MATERIALIZED (SELECT u, v, c / CAST(len(x.s) + len(y.s) - c AS DOUBLE) j FROM (SELECT a.doc_id u, b.doc_id v, count(*) c FROM jf a JOIN jf b USING (g) WHERE a.doc_id < b.doc_id GROUP BY ALL) JOIN sh x ON x.doc_id = u JOIN sh y ON y.doc_id = v)",
+        "jm(arm, n, t) AS (SELECT 'before', (SELECT count(*) FROM documents), sum(j) FROM jp UNION ALL SELECT 'after', (SELECT count(*) FROM documents WHERE doc_id NOT IN (SELECT doc_id FROM gone)), sum(j) FROM jp WHERE u NOT IN (SELECT doc_id FROM gone) AND v NOT IN (SELECT doc_id FROM gone))",
+    )
+    + " SELECT arm, n docs, round(coalesce(t, 0) / (CAST(n AS DOUBLE) * (n - 1) / 2), 9) mean_jaccard FROM jm"
+)
+def vote_mean_jaccard(spark, d):
+    """Mean Jaccard of all pairs before and after the soft vote."""
+    rows = docs(spark, d).select("doc_id", "text")
+    kept = rows.join(semantic.semantic_removed(_cells(spark, d)).select(F.col("id").alias("doc_id")), "doc_id", "left_anti")
+    parts = [fuzzy.mean_jaccard_exact(r).select(F.round("mean_jaccard", 9).alias("mean_jaccard")).crossJoin(r.agg(F.count("*").alias("docs"))).withColumn("arm", F.lit(k)) for k, r in (("before", rows), ("after", stage(kept, "voted")))]
+    return parts[0].unionAll(parts[1])
 
 
 @query(
@@ -955,37 +1224,169 @@ def benchmark_overlap(spark, d):
 # --- ablations and comparison corpora ------------------------------------------------------------
 
 
-@query()
+_SG = "sg AS MATERIALIZED (SELECT s.*, domain_l1, domain_l2 FROM signals s JOIN tags USING (doc_id))"
+
+
+def _signals(spark, d) -> DataFrame:
+    return staged_once(spark, d, ("documents",), "arm-signals", lambda: comparison.arm_signals(docs(spark, d)))
+
+
+def _texts(spark, d) -> DataFrame:
+    return docs(spark, d).select("doc_id", "text")
+
+
+_FILTERS = {"all": "true", "rule_only": "n_hits = 0", "model_only": _PASS, "rule_model": f"n_hits = 0 AND {_PASS}", "original_rules": "n_orig = 0", "single_score": "writing >= 2", "mean_score": "(writing + coherence + completeness + safety) / 4.0 >= 1.5"}
+
+
+@query(
+    O.cte(
+        O.shapes(), O.TAGS, O.features(), _SG, f"fh AS (SELECT sg.*, len({O.rule_hits(rules.OPTIMIZED)}) n_hits, len({O.rule_hits(rules.ORIGINAL)}) n_orig FROM sg JOIN rf USING (doc_id))",
+        "arms AS MATERIALIZED (" + " UNION ALL ".join(f"SELECT '{k}' arm, doc_id, 1 copies FROM fh WHERE {c}" for k, c in _FILTERS.items()) + ")", O.measured(),
+    )
+    + " SELECT * FROM measured"
+)
+def filter_arm_measures(spark, d):
+    """The filters side by side: entropy, top shares, values, STEM, unique words."""
+    s = _signals(spark, d)
+    return comparison.measure_arms(comparison.reach_of(comparison.filter_arms(s)), s, _texts(spark, d))
+
+
+_DEDUP = (
+    "ex_ids AS (SELECT min(doc_id) doc_id FROM documents GROUP BY sha256(coalesce(text, '')))", "ex_docs AS MATERIALIZED (SELECT doc_id, text FROM documents WHERE doc_id IN (SELECT doc_id FROM ex_ids))",
+    O.fuzzy_pairs("ex_docs"), O.components("links"), "fz_docs AS MATERIALIZED (SELECT doc_id, text FROM ex_docs WHERE doc_id NOT IN (SELECT doc_id FROM comp WHERE root <> doc_id))",
+    O.vectors("fz_docs"), O.clusters(1), O.edges(), O.votes(), O.removed(),
+    O.vectors("ex_docs", name="xvec"), "xe AS MATERIALIZED (SELECT * FROM (SELECT a.doc_id u, b.doc_id v, least(round(list_dot_product(a.v, b.v), 12), 1.0) sim FROM xvec a JOIN xvec b ON a.doc_id < b.doc_id) WHERE sim >= 0.9)",
+    "xd AS (SELECT u id, CASE " + " ".join(f"WHEN sim >= {lo} THEN {w}" for lo, w in C.BANDS) + " END weight FROM xe UNION ALL SELECT v, CASE " + " ".join(f"WHEN sim >= {lo} THEN {w}" for lo, w in C.BANDS) + " END FROM xe)",
+    "xv AS (SELECT id FROM xd GROUP BY id HAVING sum(weight) > 10)", "xr AS (SELECT u, v FROM xe WHERE u IN (SELECT id FROM xv) AND v IN (SELECT id FROM xv))", O.components("xr", "xc"),
+    """arms AS MATERIALIZED (SELECT 'none' arm, doc_id, 1 copies FROM documents UNION ALL SELECT 'exact', doc_id, 1 FROM ex_docs UNION ALL SELECT 'fuzzy', doc_id, 1 FROM fz_docs
+ UNION ALL SELECT 'fuzzy_hard', doc_id, 1 FROM fz_docs WHERE doc_id NOT IN (SELECT v FROM edges WHERE sim >= 0.95) UNION ALL SELECT 'fuzzy_soft', doc_id, 1 FROM fz_docs WHERE doc_id NOT IN (SELECT doc_id FROM gone)
+ UNION ALL SELECT 'soft_alone', doc_id, 1 FROM ex_docs WHERE doc_id NOT IN (SELECT doc_id FROM xc WHERE root <> doc_id))""",
+)
+
+
+@query(O.cte(O.shapes(), O.TAGS, _SG, *_DEDUP, O.measured()) + " SELECT *, round(docs / (SELECT count(*) FROM documents), 6) kept FROM measured")
 def dedup_ablation(spark, d):
-    """None, exact, fuzzy, hard and soft semantic dedup: documents, yield, unique words, entropy."""
-    return replay.dedup_ablation(docs(spark, d))
+    """None, exact, fuzzy, soft vote alone, fuzzy with the hard threshold and with the soft vote: yield and all measures."""
+    out = comparison.measure_arms(comparison.reach_of(comparison.dedup_arms(docs(spark, d))), _signals(spark, d), _texts(spark, d))
+    return out.crossJoin(docs(spark, d).agg(F.count("*").alias("all"))).withColumn("kept", F.round(F.col("docs") / F.col("all"), 6)).drop("all")
 
 
-@query()
+_QUALITY = {"value": "q", "combined": "wq * q", "linear": "writing + coherence + completeness + logicality + q"}
+_POWER_ARMS = {"power": ("value", 0.6), "quality_only": ("value", 1.0), "diversity_only": ("value", 0.0), "linear_sum": ("linear", 0.6), "combined": ("combined", 0.6)}
+
+
+def _sampler_ctes() -> tuple[str, ...]:
+    """sp(arm, doc_id, p, n_words) of all samplers."""
+    out, norm = [], lambda c: f"({c} - min({c}) OVER ()) / (max({c}) OVER () - min({c}) OVER ())"
+    for k, (q, alpha) in _POWER_ARMS.items():
+        out.append(f"s0_{k} AS (SELECT doc_id, n_words, {_QUALITY[q]} y, d FROM base), s1_{k} AS (SELECT *, {alpha} * {norm('y')} + {round(1 - alpha, 6)} * {norm('d')} s FROM s0_{k}), s2_{k} AS (SELECT *, {norm('s')} x FROM s1_{k}), s3_{k} AS MATERIALIZED (SELECT doc_id, n_words, w / sum(w) OVER () p FROM (SELECT *, power(x, 2) / (1 + exp(-10 * (x - 0.5))) w FROM s2_{k}))")
+    rows = [f"SELECT '{k}' arm, doc_id, n_words, p FROM s3_{k}" for k in _POWER_ARMS]
+    rows += ["SELECT 'softmax', doc_id, n_words, exp(x - 1) / sum(exp(x - 1)) OVER () FROM s2_power", "SELECT 'uniform', doc_id, n_words, 1.0 / count(*) OVER () FROM s2_power"]
+    return (*out, "sp AS MATERIALIZED (" + " UNION ALL ".join(rows) + ")")
+
+
+@query(
+    O.cte(*_FRAME[:6], *_sampler_ctes(), "sb AS (SELECT arm, sp.p, b.* FROM sp JOIN base b USING (doc_id))", "st AS (SELECT arm, -sum(m * log2(m)) h FROM (SELECT arm, domain_l1, sum(p) m FROM sb GROUP BY ALL) WHERE m > 0 GROUP BY 1)")
+    + " SELECT arm, round(sum(p * q), 6) \"value\", round(sum(p * wq), 6) presentation, round(any_value(h), 6) h_l1, round(sum(CASE WHEN p > 0 THEN -p * log2(p) ELSE 0 END), 6) entropy_bits, round(1 / sum(p * p), 6) effective_size, round(max(p), 6) top_p FROM sb JOIN st USING (arm) GROUP BY arm"
+)
 def sampler_ablation(spark, d):
     """Uniform, softmax, power, quality only, diversity only, linear sum, combined: value, entropy, sharpness."""
     return replay.sampler_ablation(frame(spark, d), {"quality_only": frame(spark, d, alpha=1.0), "diversity_only": frame(spark, d, alpha=0.0), "linear_sum": frame(spark, d, "linear_all"), "combined": frame(spark, d, "combined")})
 
 
-@query()
+def _drawn(src: str, budget: str, arm: str = "arm") -> str:
+    """arms(arm, doc_id, copies) drawn from ``src`` (arm, doc_id, n_words, p) at a budget."""
+    return (
+        f"ex AS (SELECT {arm}, doc_id, {budget} / sum(p * n_words) OVER (PARTITION BY {arm}) * p e FROM {src}), arms AS MATERIALIZED (SELECT * FROM (SELECT {arm}, doc_id,"
+        f" CAST(floor(e) + CASE WHEN ({O.h32('doc_id || ' + chr(39) + ':draw' + chr(39))} + 0.5) / 4294967296.0 < e - floor(e) THEN 1 ELSE 0 END AS INT) copies FROM ex) WHERE copies > 0)"
+    )
+
+
+@query(O.cte(*_FRAME[:6], *_sampler_ctes(), _SG, _drawn("sp", "100000.0"), O.measured()) + " SELECT * FROM measured")
+def sampler_arm_measures(spark, d):
+    """Corpora drawn by each sampler at one budget: entropy, values, STEM, unique words."""
+    arms = comparison.sampler_arms(lambda q, a: frame(spark, d, q, a), 100000)
+    return comparison.measure_arms(comparison.reach_of(arms), _signals(spark, d), _texts(spark, d))
+
+
+_FACTORS = (1, 2, 5)
+
+
+@query(
+    O.cte(*_FRAME, _SG, "bs AS (SELECT f || 'x' arm, doc_id, n_words, p, f FROM pw, (VALUES " + ", ".join(f"({f})" for f in _FACTORS) + ") t(f))", _drawn("bs", "(SELECT sum(n_words) FROM pw) * f"), O.measured((1, 2)))
+    + " SELECT m.*, \"distinct\", round(docs / \"distinct\", 6) mean_copies FROM measured m JOIN (SELECT arm, count(*) \"distinct\" FROM arms GROUP BY 1) USING (arm)"
+)
 def budget_scaling(spark, d):
-    return replay.budget_scaling(sampling.power_probabilities(frame(spark, d)), (1, 2, 5))
+    """Budgets of one, two and five times the tokens: repetition, entropy, values, unique words and pairs."""
+    p = stage(sampling.power_probabilities(frame(spark, d)), "scaling")
+    base = float(p.agg(F.sum("n_words")).first()[0] or 0)
+    reach = stage(comparison.reach_of({f"{f}x": sampling.draw_copies(p, base * f) for f in _FACTORS}).where("copies > 0"), "budgets")
+    out = comparison.measure_arms(reach, _signals(spark, d), _texts(spark, d), (1, 2))
+    return out.join(reach.groupBy("arm").agg(F.count("*").alias("distinct")), "arm").withColumn("mean_copies", F.round(F.col("docs") / F.col("distinct"), 6))
 
 
-@query()
+@query(
+    O.cte(
+        _STAGES, "sg AS MATERIALIZED (SELECT * FROM sig_all)", f"oh AS (SELECT doc_id FROM rf WHERE len({O.rule_hits(rules.ORIGINAL)}) = 0)",
+        """ca AS MATERIALIZED (SELECT 'raw' arm, doc_id, 1 copies FROM st_raw UNION ALL SELECT 'english', doc_id, 1 FROM st_english UNION ALL SELECT 'education', doc_id, 1 FROM st_english WHERE doc_id IN (SELECT doc_id FROM sig_all WHERE education >= 3)
+ UNION ALL SELECT 'original_rules', doc_id, 1 FROM st_english WHERE doc_id IN (SELECT doc_id FROM oh) UNION ALL SELECT 'ours', doc_id, copies FROM st_sampled WHERE copies > 0)""",
+        "cs AS (SELECT arm, sum(copies) size FROM ca GROUP BY 1)",
+        "arms AS MATERIALIZED (SELECT arm, doc_id, count(*) copies FROM (SELECT arm, doc_id, unnest(range(1, copies + 1)) i, size FROM ca JOIN cs USING (arm)) WHERE (" + O.h32("'eq:' || doc_id || ':' || i") + " + 0.5) / 4294967296.0 < (SELECT min(size) FROM cs) / size GROUP BY ALL)",
+        O.measured((1, 2, 3)),
+    )
+    + " SELECT * FROM measured"
+)
+def corpus_comparison(spark, d):
+    """Our sampled corpus against stand-ins at about equal size: entropy, top-3 and long-tail shares, values, STEM retention, unique n-grams."""
+    sets = comparison.corpora(staged(spark, d), comparison.original_kept(docs(spark, d)))
+    return comparison.measure_arms(comparison.equal_size(comparison.reach_of(sets)), _signals(spark, d), _texts(spark, d), (1, 2, 3))
+
+
+@query(
+    O.cte(O.funnel_ctes(bypass=()), "f AS (SELECT pos, stage, count(*) docs, CAST(sum(n_words) AS BIGINT) words FROM stage_docs GROUP BY ALL)")
+    + " SELECT pos, stage, docs, CAST(words AS BIGINT) words, round(coalesce(docs / lag(docs) OVER (ORDER BY pos), 1), 6) kept, round(1 - coalesce(docs / lag(docs) OVER (ORDER BY pos), 1), 6) removed, round(docs / first_value(docs) OVER (ORDER BY pos), 6) cumulative FROM f"
+)
 def isolated_pipeline(spark, d):
     """The funnel without shared signals."""
     stages = pipeline.run_pipeline(docs(spark, d), pipeline.Config(shared_signals=False, bypass=()))
-    return measures.funnel({n: stages[n] for n in pipeline.STAGES})
+    return rounded(measures.funnel({n: stages[n] for n in pipeline.STAGES}), "kept", "removed", "cumulative")
 
 
-@query()
+@query(
+    O.cte(
+        O.shapes(), O.TAGS,
+        f"""cb AS MATERIALIZED (SELECT 'raw' corpus, doc_id key, text, domain_l1 tag FROM documents JOIN tags USING (doc_id) UNION ALL SELECT 'english', doc_id, text, domain_l1 FROM documents JOIN tags USING (doc_id) WHERE lang = 'en'
+ UNION ALL SELECT 'single_score', doc_id, text, domain_l1 FROM documents JOIN tags USING (doc_id) JOIN signals USING (doc_id) WHERE writing >= 3
+ UNION ALL SELECT 'pages', page_id, {_strip_sql()}, string_split(regexp_extract(lower(url), '^[a-z][a-z0-9+.-]*://(?:[^/?#@]*@)?([^/?#:]*)', 1), '.')[-1] FROM pages
+ UNION ALL SELECT 'conversations', conv_id, string_agg(role || ': ' || coalesce(text, ''), chr(10) ORDER BY turn, role, text), 'turns' || least(count(*), 8) FROM conversations GROUP BY conv_id)""",
+        "cz AS (SELECT corpus, count(*) n FROM cb GROUP BY 1)", "ce AS MATERIALIZED (SELECT cb.* FROM cb JOIN cz USING (corpus) WHERE (" + O.h32("'eq:' || key") + " + 0.5) / 4294967296.0 < (SELECT min(n) FROM cz) / n)",
+        "cp AS (SELECT corpus, tag, n / sum(n) OVER (PARTITION BY corpus) p FROM (SELECT corpus, tag, count(*) n FROM ce GROUP BY corpus, tag))", "ct AS (SELECT corpus, sum(p) t FROM (SELECT *, row_number() OVER (PARTITION BY corpus ORDER BY p DESC, tag) r FROM cp) WHERE r <= 3 GROUP BY 1)",
+        f"cw AS (SELECT corpus, count(*) total, count(DISTINCT w) uniq FROM (SELECT corpus, unnest({O.toks('text')}) w FROM ce) GROUP BY 1)",
+    )
+    + " SELECT corpus, any_value(nd) docs, round(any_value(t), 6) top3_share, round(-sum(p * log2(p)), 6) h_tag, round(any_value(uniq) / any_value(total), 6) r_1 FROM cp JOIN ct USING (corpus) JOIN (SELECT corpus, count(*) nd FROM ce GROUP BY 1) USING (corpus) LEFT JOIN cw USING (corpus) GROUP BY corpus"
+)
 def corpus_balance(spark, d):
-    """Equal-size corpora: top-3 share and entropy of source tags, unique-word ratio."""
+    """Equal-size tables of other kinds of text: top-3 share and entropy of their own tags, unique-word ratio."""
     return replay.corpus_balance(spark, d)
 
 
-@query()
+_BIGRAMS = "list_transform(range(1, len(k)), lambda i: k[i] || ' ' || k[i + 1])"
+
+
+@query(
+    O.cte(
+        f"dk AS (SELECT doc_id, {O.toks('text')} k FROM documents), bk AS (SELECT item_id, {O.toks('text')} k FROM benchmark)",
+        *[f"{t}g AS (SELECT DISTINCT {i}, g FROM (SELECT {i}, unnest({O.grams(8)}) g FROM {t}k))" for t, i in (("d", "doc_id"), ("b", "item_id"))],
+        "pd AS MATERIALIZED (SELECT doc_id, k FROM dk WHERE doc_id NOT IN (SELECT doc_id FROM dg JOIN bg USING (g)))", O.shapes(), O.features(),
+        f"ps AS (SELECT signals.*, len({O.rule_hits(rules.OPTIMIZED)}) n_hits FROM signals JOIN rf USING (doc_id) JOIN pd USING (doc_id))",
+        "pa AS MATERIALIZED (" + " UNION ALL ".join(f"SELECT '{k}' arm, doc_id FROM ps WHERE {c}" for k, c in (("all", "true"), ("rule", "n_hits = 0"), ("model", _PASS), ("rule_model", f"n_hits = 0 AND {_PASS}"))) + ")",
+        "pu AS MATERIALIZED (SELECT arm, w, count(*) c FROM pa JOIN (SELECT doc_id, unnest(k) w FROM pd) USING (doc_id) GROUP BY ALL)",
+        f"pb AS MATERIALIZED (SELECT arm, g, count(*) cg FROM pa JOIN (SELECT doc_id, unnest({_BIGRAMS}) g FROM pd) USING (doc_id) GROUP BY ALL)",
+        "pt AS (SELECT arm, sum(c) tot, count(*) v FROM pu GROUP BY 1)", f"te AS (SELECT g, split_part(g, ' ', 1) a, split_part(g, ' ', 2) w FROM (SELECT unnest({_BIGRAMS}) g FROM bk))",
+    )
+    + """ SELECT arm, any_value(train_docs) train_docs, round(-avg(log2(0.7 * coalesce(cg / ca.c, 0) + (1 - 0.7) * (coalesce(cw.c, 0) + 1.0) / (tot + v + 1))), 6) bits
+ FROM te CROSS JOIN (SELECT arm, count(*) train_docs FROM pa GROUP BY 1) LEFT JOIN pb USING (arm, g) LEFT JOIN (SELECT arm, w a, c FROM pu) ca USING (arm, a) LEFT JOIN pu cw USING (arm, w) JOIN pt USING (arm) GROUP BY arm"""
+)
 def proxy_cross_entropy(spark, d):
     """Interpolated bigram models of the filter arms on the benchmark items; overlapping documents are left out."""
     return replay.proxy_language_models(spark, d)
@@ -1178,7 +1579,7 @@ def unique_words_sketch(spark, d):
     return each.agg(F.hll_sketch_estimate(F.hll_union_agg("s")).alias("unique_words"))
 
 
-@query()
+@query(" UNION ALL ".join(f"SELECT {i} pos, quantile_disc(n_chars, {q}) chars FROM documents" for i, q in enumerate((0.1, 0.5, 0.9))))
 def length_quantiles(spark, d):
     return docs(spark, d).agg(F.percentile_approx("n_chars", [0.1, 0.5, 0.9], 10000).alias("q")).select(F.posexplode("q").alias("pos", "chars"))
 
@@ -1224,7 +1625,11 @@ def streaming_soft_vote(spark, d):
     _, e = _clustered(spark, d)
     path = f"{shared_dir(spark)}/vote-stream-{uuid.uuid4().hex[:8]}"
     semantic.directed(e).select("id", "weight").write.parquet(path)
-    if "RocksDB" not in spark.conf.get("spark.sql.streaming.stateStore.providerClass", ""):
-        spark.conf.set("spark.sql.streaming.stateStore.providerClass", "org.apache.spark.sql.execution.streaming.state.RocksDBStateStoreProvider")
-    s = monitor.read_stream(spark, path, spark.read.parquet(path).schema, files=1000)
-    return monitor.run_once(monitor.soft_vote_stream(s), "update", "vote")
+    key = "spark.sql.streaming.stateStore.providerClass"
+    before = spark.conf.get(key, None)
+    spark.conf.set(key, "org.apache.spark.sql.execution.streaming.state.RocksDBStateStoreProvider")
+    try:
+        s = monitor.read_stream(spark, path, spark.read.parquet(path).schema, files=1000)
+        return monitor.run_once(monitor.soft_vote_stream(s), "update", "vote")
+    finally:
+        spark.conf.set(key, before) if before else spark.conf.unset(key)

@@ -164,9 +164,11 @@ def exact_groups(df: DataFrame, key: str = "doc_id", text: str = "text", normali
 
 
 def exact_dedup(df: DataFrame, key: str = "doc_id", text: str = "text", normalize: str = "none", order: Column | None = None) -> DataFrame:
-    """``df`` with one row of each digest and its number of copies. Keys are taken to be unique."""
-    groups = exact_groups(df, key, text, normalize, order)
-    return df.join(groups.select(F.col("keep").alias(key), "copies"), key)
+    """``df`` with one row of each digest and its number of copies. Null keys rank first; of rows that repeat a key and a digest one
+    stays. Ids and digests are joined back, null-safe, and the last step keeps that partitioning."""
+    groups = exact_groups(df, key, text, normalize, order).select(F.col("digest").alias("__digest"), F.col("keep").alias("__keep"), "copies")
+    marked = df.withColumn("__digest", digest(text, normalize))
+    return marked.join(groups, (marked["__digest"] == groups["__digest"]) & marked[key].eqNullSafe(groups["__keep"])).drop(groups["__digest"]).drop("__keep").dropDuplicates(["__digest"]).drop("__digest")
 
 
 def host_of(url: str) -> Column:

@@ -96,12 +96,39 @@ def lexical_diversity(df: DataFrame, n: int = 1, text: str = "text", weight: str
     if approx:
         counted = grams.groupBy(*by).agg(F.sum("__w").alias("total"), F.approx_count_distinct("g").alias("unique"))
     else:
-        counted = grams.groupBy(*by, F.md5("g").alias("h")).agg(F.sum("__w").alias("c")).groupBy(*by).agg(F.sum("c").alias("total"), F.count("*").alias("unique"))
+        counted = grams.groupBy(*by, F.xxhash64("g").alias("h"), F.xxhash64(F.lit(n), "g").alias("i")).agg(F.sum("__w").alias("c")).groupBy(*by).agg(F.sum("c").alias("total"), F.count("*").alias("unique"))
     joined = docs.join(counted, list(by), "left") if by else docs.crossJoin(counted)
     total, unique = F.coalesce("total", F.lit(0)), F.coalesce("unique", F.lit(0))
     return joined.select(*by, "docs", total.alias("total"), unique.alias("unique"), (unique / F.nullif(total, F.lit(0))).alias("r_n"), ratio(total, F.col("docs")).alias("per_doc"))
 
 
+def lexical_table(texts: DataFrame, reach: DataFrame, ns: Sequence[int] = (1,), by: str = "stage", key: str = "doc_id", text: str = "text") -> DataFrame:
+    """(n, by, docs, total, unique, r_n, per_doc) of several collections of the same documents, for each n.
+
+    ``reach``: (by, key, copies); collections are few. Every document is read once, with its copies in each collection as columns,
+    so an n-gram is one row of its 128-bit hash and as many sums, whatever the number of collections it is in.
+    """
+    names = [r[0] for r in reach.select(by).distinct().orderBy(by).collect()]
+    if not names:
+        return reach.select(F.lit(0).alias("n"), by, *[F.lit(0).cast("long").alias(c) for c in ("docs", "total", "unique")], *[F.lit(0.0).alias(c) for c in ("r_n", "per_doc")]).where("false")
+    cols = [f"c{i}" for i in range(len(names))]
+    wide = reach.groupBy(key).agg(*[F.coalesce(F.sum(F.when(F.col(by) == v, F.col("copies"))), F.lit(0)).cast("long").alias(c) for v, c in zip(names, cols, strict=True)])
+    docs = wide.agg(*[F.sum(c).alias(f"d{i}") for i, c in enumerate(cols)])
+    words = wide.join(texts.select(key, text), key).select(*cols, tokens(F.col(text)).alias("__k"))
+    out = None
+    for n in ns:
+        grams = words.select(*cols, F.explode(ngrams(F.col("__k"), n)).alias("g")).select(*cols, F.xxhash64("g").alias("a"), F.xxhash64(F.lit(n), "g").alias("b"))
+        sums = grams.groupBy("a", "b").agg(*[F.sum(c).alias(c) for c in cols])
+        row = sums.agg(*[e for i, c in enumerate(cols) for e in (F.coalesce(F.sum(c), F.lit(0)).alias(f"t{i}"), F.count(F.when(F.col(c) > 0, 1)).alias(f"u{i}"))]).crossJoin(docs)
+        quoted = [str(v).replace("'", "''") for v in names]
+        stacked = ", ".join(f"'{v}', d{i}, t{i}, u{i}" for i, v in enumerate(quoted))
+        one = row.selectExpr(f"stack({len(names)}, {stacked}) AS ({by}, docs, total, unique)").select(
+            F.lit(n).alias("n"), by, "docs", "total", "unique", (F.col("unique") / F.nullif("total", F.lit(0))).alias("r_n"), ratio(F.col("total"), F.col("docs")).alias("per_doc")
+        )
+        out = one if out is None else out.unionAll(one)
+    return out
+
+
 def composite(weights: Mapping[str, float] | None = None, intercept: float = 0.0) -> Column:
     """Mean of the value scores on [0, 1], or a linear preset."""
     weights = weights or {d: 1 / (3 * len(C.VALUE)) for d in C.VALUE}

@@ -44,6 +44,24 @@ def rule_features(df: DataFrame, text: str = "text", keep: Sequence[str] = ("doc
     )
 
 
+def family_features(df: DataFrame, text: str = "text", keep: Sequence[str] = ("doc_id",)) -> DataFrame:
+    """``rule_features`` with the shares that only the unchanged rules read: dup_para_frac (paragraphs that repeat another) and
+    top_bigram_frac (the most frequent pair of words, of all pairs)."""
+    body = F.coalesce(F.col(text), F.lit(""))
+    paras = F.filter(F.split(body, r"\n\s*\n"), lambda x: F.trim(x) != "")
+    first = df.select(*keep, text, paras.alias("__p"), words(body).alias("__v"))
+    pairs = F.when(F.size("__v") > 1, F.transform(F.sequence(F.lit(1), F.size("__v") - 1), lambda i: F.array_join(F.slice("__v", i, 2), " "))).otherwise(F.array().cast("array<string>"))
+    sorted_ = first.select(*keep, text, (1 - F.when(F.size("__p") > 0, ratio(F.size(F.array_distinct("__p")), F.size("__p"))).otherwise(1.0)).alias("dup_para_frac"), F.array_sort(pairs).alias("__g"))
+    zero = F.struct(F.lit("").alias("last"), F.lit(0).alias("run"), F.lit(0).alias("best"))
+
+    def count(state, gram):
+        run = F.when(gram == state["last"], state["run"] + 1).otherwise(1)
+        return F.struct(gram.alias("last"), run.alias("run"), F.greatest(state["best"], run).alias("best"))
+
+    more = sorted_.select(*keep, text, "dup_para_frac", ratio(F.aggregate("__g", zero, count, lambda st: st["best"]), F.size("__g")).alias("top_bigram_frac"))
+    return rule_features(more, text, (*keep, "dup_para_frac", "top_bigram_frac"))
+
+
 @dataclass(frozen=True)
 class Rule:
     """``feature op cut`` drops the document."""
@@ -79,6 +97,10 @@ UNCHANGED = (
     Rule("mean_word_length_high", "mean_word_len", ">", 12),
     Rule("duplicate_lines", "dup_line_frac", ">", 0.3),
     Rule("special_characters", "special_ratio", ">", 0.25),
+    Rule("duplicate_paragraphs", "dup_para_frac", ">", 0.3),
+    Rule("top_bigram", "top_bigram_frac", ">", 0.2),
+    Rule("short_lines", "short_line_frac", ">", 0.67),
+    Rule("little_punctuation", "punct_density", "<", 0.002),
 )
 
 
@@ -164,6 +186,22 @@ def template_score(features: DataFrame) -> Column:
     return 1 / (1 + F.exp(-z))
 
 
+def fit_template_model(df: DataFrame, text: str = "text", label: str = "template", features: int = 1 << 15):
+    """Trained template and advertisement classifier (pyspark.ml): hashed words, word pairs and signs, logistic regression. ``label``:
+    1 for templated text. The model's ``probability`` is the score."""
+    from pyspark.ml import Pipeline
+    from pyspark.ml.classification import LogisticRegression
+    from pyspark.ml.feature import HashingTF, NGram, RegexTokenizer, SQLTransformer, VectorAssembler
+
+    stages = [
+        SQLTransformer(statement=f"SELECT *, coalesce({text}, '') AS __t, CAST({label} AS DOUBLE) AS __y FROM __THIS__"),
+        RegexTokenizer(inputCol="__t", outputCol="__w", pattern=r"\w+|[^\w\s]", gaps=False), NGram(n=2, inputCol="__w", outputCol="__g"),
+        HashingTF(inputCol="__w", outputCol="__a", numFeatures=features, binary=True), HashingTF(inputCol="__g", outputCol="__b", numFeatures=features, binary=True),
+        VectorAssembler(inputCols=["__a", "__b"], outputCol="__f"), LogisticRegression(featuresCol="__f", labelCol="__y", maxIter=30, regParam=0.01),
+    ]
+    return Pipeline(stages=stages).fit(df)
+
+
 def deciles(features: DataFrame, feature: str, parts: int = 10) -> DataFrame:
     """(bucket, n, low, high) by a sketch of quantiles: no global sort."""
     cuts = features.agg(F.percentile_approx(feature, [i / parts for i in range(1, parts)], 10000).alias("cuts"))

@@ -6,13 +6,21 @@ and never a window over everything.
 
 from __future__ import annotations
 
-from collections.abc import Sequence
+from collections.abc import Iterator, Sequence
 
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from ..functions import constants as C
 from ..functions.text import distance, harmonic, sigmoid, unit
+from ..plans.staging import stage
+
+#: Centers, and numbers in them, that go to every task (200 MB).
+CENTERS, CENTER_VALUES = 1_000_000, 25_000_000
+#: Steps in which capped copies give their share to the others.
+FILL_STEPS = 100
 
 
 def content_value(dims: Sequence[str] = C.VALUE) -> Column:
@@ -45,14 +53,35 @@ def label_centroids(vectors: DataFrame, cluster: str = "cluster", vec: str = "ve
     return means.groupBy(cluster).agg(F.transform(F.array_sort(F.collect_list(F.struct("i", "m"))), lambda p: p["m"]).alias("center"))
 
 
+def center_gaps(centers: DataFrame, inter: str = "mean", cluster: str = "cluster") -> DataFrame:
+    """(cluster, inter): mean (or least) distance of each center to the others, none for a single one. The centers are sent to
+    the tasks (a table of checked size); each row is held against all of them as one array operation."""
+    rows = centers.orderBy(cluster).limit(CENTERS).collect()
+    if sum(len(r["center"]) for r in rows) > CENTER_VALUES:
+        raise ValueError("too many centers to hold in a task: cluster with fewer")
+    table = np.array([r["center"] for r in rows], float)
+    shared = centers.sparkSession.sparkContext.broadcast(table)
+    kind = centers.schema[cluster].dataType.simpleString()
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            out = []
+            for c in batch.column(1).to_pylist():
+                far = np.sqrt(((shared.value - np.array(c)) ** 2).sum(1))
+                own = int(far.argmin())  # itself, at distance zero
+                rest = np.delete(far, own)
+                out.append(None if not len(rest) else float(rest.mean() if inter == "mean" else rest.min()))
+            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(out, pa.float64())], [cluster, "inter"])
+
+    return centers.select(cluster, "center").mapInArrow(run, f"`{cluster}` {kind}, inter double").where("inter is not null")
+
+
 def cluster_diversity(vectors: DataFrame, centers: DataFrame, inter: str = "mean", cluster: str = "cluster", vec: str = "vec") -> DataFrame:
     """(cluster, members, intra, inter, d): intra is the mean distance of members to their center, inter the mean (or least)
-    distance to the other centers; d is their product. A single cluster has inter 1. Centers are a small table."""
+    distance to the other centers; d is their product. A single cluster has inter 1. Centers are a table of checked size."""
+    centers = stage(centers, "centers")
+    apart = center_gaps(centers, inter, cluster)  # checks the size
     intra = vectors.join(F.broadcast(centers), cluster).groupBy(cluster).agg(F.count("*").alias("members"), F.avg(distance(F.col(vec), F.col("center"))).alias("intra"))
-    others = centers.agg(F.array_sort(F.collect_list(F.struct(F.col(cluster).alias("k"), F.col("center").alias("c")))).alias("all"))
-    gaps = centers.crossJoin(F.broadcast(others)).select(cluster, F.explode("all").alias("o"), "center").where(F.col("o.k") != F.col(cluster)).groupBy(cluster)
-    agg = {"mean": F.avg, "nearest": F.min}[inter]
-    apart = gaps.agg(agg(distance(F.col("center"), F.col("o.c"))).alias("inter"))
     out = intra.join(apart, cluster, "left").withColumn("inter", F.coalesce("inter", F.lit(1.0)))
     return out.withColumn("d", F.col("intra") * F.col("inter"))
 
@@ -98,9 +127,19 @@ def domain_factor(df: DataFrame, target: DataFrame, strength: float = 1.0, domai
 
 def draw_copies(df: DataFrame, budget: float, tokens: str = "n_words", key: str = "doc_id", seed: str = "draw", max_copies: int | None = None) -> DataFrame:
     """``df`` with ``expected`` and whole ``copies`` whose expected tokens meet the budget: copies = floor of lambda p plus one
-    with the chance of the rest, by a draw from the key. ``max_copies`` clips (the budget is then an upper bound)."""
-    scale = df.agg((F.lit(float(budget)) / F.sum(F.col("p") * F.col(tokens))).alias("__lambda"))
-    out = df.crossJoin(F.broadcast(scale)).withColumn("expected", F.coalesce(F.col("__lambda") * F.col("p"), F.lit(0.0))).drop("__lambda")
+    with the chance of the rest, by a draw from the key. With ``max_copies`` lambda grows until rows at the cap and the others
+    together meet the budget again (water-filling); a budget over all rows at the cap gives just these."""
+    rate = df.agg((F.lit(float(budget)) / F.sum(F.col("p") * F.col(tokens))).alias("r")).first()["r"] or 0.0
+    if max_copies is not None:
+        for _ in range(FILL_STEPS):  # each step is one aggregate; what is at the cap stays there as lambda grows
+            full = F.lit(rate) * F.col("p") >= max_copies
+            at = df.agg(F.coalesce(F.sum(F.when(full, F.col(tokens))), F.lit(0)).alias("t"), F.coalesce(F.sum(F.when(~full, F.col("p") * F.col(tokens))), F.lit(0.0)).alias("f")).first()
+            left = float(budget) - max_copies * float(at["t"])
+            fresh = left / at["f"] if at["f"] and left > 0 else rate
+            if fresh <= rate * (1 + 1e-12):
+                break
+            rate = fresh
+    out = df.withColumn("expected", F.coalesce(F.lit(float(rate)) * F.col("p"), F.lit(0.0)))
     if max_copies is not None:
         out = out.withColumn("expected", F.least("expected", F.lit(float(max_copies))))
     rest = F.col("expected") - F.floor("expected")
@@ -123,14 +162,21 @@ def draw_without_replacement(df: DataFrame, budget: float, tokens: str = "n_word
 def cluster_allocation(df: DataFrame, budget: float, cluster: str = "cluster", tokens: str = "n_words", key: str = "doc_id") -> DataFrame:
     """Budget split over clusters by their summed p, then drawn inside each: the cluster-level variant."""
     per = df.groupBy(cluster).agg(F.sum("p").alias("__pc"), F.sum(F.col("p") * F.col(tokens)).alias("__ptc"))
-    inside = df.join(F.broadcast(per), cluster)
+    inside = df.join(F.broadcast(per.withColumnRenamed(cluster, "__c")), F.col(cluster).eqNullSafe(F.col("__c"))).drop("__c")
     rate = F.lit(float(budget)) * F.col("__pc") * F.col("p") / F.nullif("__ptc", F.lit(0.0))
     rest = rate - F.floor(rate)
     return inside.withColumn("expected", rate).withColumn("copies", (F.floor(rate) + F.when(unit(F.col(key), "cluster") < rest, 1).otherwise(0)).cast("int")).drop("__pc", "__ptc")
 
 
-def sampler_profile(df: DataFrame) -> DataFrame:
-    """(entropy_bits, effective_size, top_p, rows): how sharp a sampler is."""
+def sampler_profile(df: DataFrame, order: str | None = None) -> DataFrame:
+    """(entropy_bits, effective_size, top_p, rows): how sharp a sampler is. With ``order`` (a score) also decile_ratio: the mean
+    probability of the rows at or over the ninth decile of the score, by that of the rows at or under the first."""
     p = F.col("p")
     bits = F.sum(F.when(p > 0, -p * F.log2(p)).otherwise(0.0))
-    return df.agg(bits.alias("entropy_bits"), (1 / F.sum(p * p)).alias("effective_size"), F.max(p).alias("top_p"), F.count("*").alias("rows"))
+    aggs = [bits.alias("entropy_bits"), (1 / F.sum(p * p)).alias("effective_size"), F.max(p).alias("top_p"), F.count("*").alias("rows")]
+    if order is None:
+        return df.agg(*aggs)
+    ends = df.agg(F.percentile_approx(order, [0.1, 0.9], 10000).alias("__e"))
+    low, high = F.col(order) <= F.col("__e")[0], F.col(order) >= F.col("__e")[1]
+    ratio = F.avg(F.when(high, p)) / F.nullif(F.avg(F.when(low, p)), F.lit(0.0))
+    return df.crossJoin(F.broadcast(ends)).agg(*aggs, ratio.alias("decile_ratio"))

@@ -20,6 +20,19 @@ def _flags(*conditions: Column) -> Column:
     return sum((F.when(c, 1).otherwise(0) for c in conditions[1:]), F.when(conditions[0], 1).otherwise(0)).cast("int")
 
 
+def _chances(conditions: Sequence[tuple], width: float) -> list[Column]:
+    """Chance that each condition (column, sign, cut) holds, by how far the column is from its cut: a sigmoid as wide as ``width`` of the cut.
+    A condition without a cut is a boolean column, which is believed to ``1 - width / 2``."""
+    out = []
+    for column, sign, cut in conditions:
+        if cut is None:
+            out.append(F.when(column, 1 - width / 2).otherwise(width / 2))
+        else:
+            z = (column - cut) / (width * max(abs(cut), 1e-9)) * (1 if sign == ">" else -1)
+            out.append(1 / (1 + F.exp(-F.greatest(F.lit(-30.0), F.least(F.lit(30.0), z)))))
+    return out
+
+
 def text_features(df: DataFrame, text: str = "text", keep: Sequence[str] = ("doc_id",)) -> DataFrame:
     """Shapes of a text that the teacher reads; one pass, no shuffle. Null texts count as empty."""
     body = F.coalesce(F.col(text), F.lit(""))
@@ -45,23 +58,46 @@ def text_features(df: DataFrame, text: str = "text", keep: Sequence[str] = ("doc
     )
 
 
-def teacher_scores() -> dict[str, Column]:
-    """Score expressions over ``text_features``: the deterministic stand-in for a labelling model."""
+def _conditions() -> dict[str, tuple[tuple, ...]]:
+    """Score -> its conditions (column, sign, cut); a cut of None is a boolean."""
     c = F.col
-    per_sentence = ratio(c("n_words"), c("sentences"))
+    per_sentence, per_comma = ratio(c("n_words"), c("sentences")), ratio(c("commas"), c("sentences"))
     return {
-        "writing": _flags(c("upper") < 0.3, c("symbols") < 0.1, c("terminal") >= 0.5),
-        "coherence": _flags(c("token_variety") >= 0.25, c("line_variety") >= 0.7, c("n_lines") >= 2),
-        "completeness": _flags(c("n_words") >= 50, c("closed"), c("n_words") >= 200),
-        "logicality": _flags(c("function_share") >= 0.05, c("function_share") >= 0.15, c("sentences") >= 3),
-        "safety": F.when(c("toxic_words") == 0, 1).otherwise(0),
-        "knowledge": _flags(c("long_share") >= 0.1, c("long_share") >= 0.2, c("long_share") >= 0.35),
-        "education": _flags((per_sentence >= 4) & (per_sentence <= 40), c("n_words") >= 100, c("function_share") >= 0.1),
-        "helpfulness": _flags(c("n_lines") >= 3, c("n_words") >= 150, c("token_variety") >= 0.5),
-        "reasoning": _flags(c("commas") >= 3, ratio(c("commas"), c("sentences")) >= 0.3, c("n_words") >= 300),
+        "writing": ((c("upper"), "<", 0.3), (c("symbols"), "<", 0.1), (c("terminal"), ">", 0.5)),
+        "coherence": ((c("token_variety"), ">", 0.25), (c("line_variety"), ">", 0.7), (c("n_lines"), ">", 2)),
+        "completeness": ((c("n_words"), ">", 50), (c("closed"), ">", None), (c("n_words"), ">", 200)),
+        "logicality": ((c("function_share"), ">", 0.05), (c("function_share"), ">", 0.15), (c("sentences"), ">", 3)),
+        "safety": ((c("toxic_words") == 0, ">", None),),
+        "knowledge": ((c("long_share"), ">", 0.1), (c("long_share"), ">", 0.2), (c("long_share"), ">", 0.35)),
+        "education": (((per_sentence >= 4) & (per_sentence <= 40), ">", None), (c("n_words"), ">", 100), (c("function_share"), ">", 0.1)),
+        "helpfulness": ((c("n_lines"), ">", 3), (c("n_words"), ">", 150), (c("token_variety"), ">", 0.5)),
+        "reasoning": ((c("commas"), ">", 3), (per_comma, ">", 0.3), (c("n_words"), ">", 300)),
     }
 
 
+def teacher_scores() -> dict[str, Column]:
+    """Score expressions over ``text_features``: the deterministic stand-in for a labelling model. ``>`` includes the cut."""
+    return {k: _flags(*[x if cut is None else x >= cut if sign == ">" else x < cut for x, sign, cut in own]) for k, own in _conditions().items()}
+
+
+def teacher_distributions(width: float = 0.15) -> dict[str, Column]:
+    """Score -> array of the chances of its classes (0 to the number of conditions): what the teacher would give as soft targets. Flags
+    near their cut are uncertain, and the score is the number of them that hold (independently)."""
+    out = {}
+    for k, own in _conditions().items():
+        mass = [F.lit(1.0)]
+        for q in _chances(own, width):
+            mass = [(mass[i] * (1 - q) if i < len(mass) else F.lit(0.0)) + (mass[i - 1] * q if i else F.lit(0.0)) for i in range(len(mass) + 1)]
+        out[k] = F.array(*mass)
+    return out
+
+
+def annotate_soft(df: DataFrame, text: str = "text", keep: Sequence[str] = ("doc_id",), width: float = 0.15) -> DataFrame:
+    """Hard scores and soft_<score> arrays, one pass over the text."""
+    hard, soft = teacher_scores(), teacher_distributions(width)
+    return text_features(df, text, keep).select(*keep, "n_words", *[e.alias(n) for n, e in hard.items()], *[e.alias(f"soft_{n}") for n, e in soft.items()])
+
+
 def annotate_quality(df: DataFrame, text: str = "text", keep: Sequence[str] = ("doc_id",)) -> DataFrame:
     return text_features(df, text, keep).select(*keep, "n_words", *[e.alias(n) for n, e in teacher_scores().items()])
 
@@ -173,9 +209,12 @@ def fit_student(df: DataFrame, tasks: Sequence[str], epochs: int = 15, rate: flo
     """Distil teacher columns into a Student; returns it with each epoch's task losses and eta.
 
     The features are staged once. Each epoch is one pass: tasks sum gradients over their rows, and only sums of
-    WIDTH x classes numbers go to the driver. ``soft`` spreads ``smoothing`` over the classes next to the teacher's.
+    WIDTH x classes numbers go to the driver. ``hard``: the teacher's class; ``smooth``: ``smoothing`` of it spread over all classes;
+    ``soft``: the teacher's distribution, from the column soft_<task> where there is one (classes 0, 1, ... in order).
     """
-    values = {t: [r[0] for r in df.select(t).distinct().orderBy(t).collect()] for t in tasks}  # classes of a task: few
+    soft = {t for t in tasks if loss == "soft" and f"soft_{t}" in df.columns}
+    first = df.select(*[F.size(f"soft_{t}").alias(t) for t in soft]).first() if soft else None
+    values = {t: list(range(first[t])) if t in soft and first else [r[0] for r in df.select(t).distinct().orderBy(t).collect()] for t in tasks}  # classes of a task: few
     student = Student(values, weighting)
     place = {t: {v: i for i, v in enumerate(vs)} for t, vs in values.items()}
 
@@ -183,11 +222,19 @@ def fit_student(df: DataFrame, tasks: Sequence[str], epochs: int = 15, rate: flo
         for batch in batches:
             rows = batch.to_pylist()
             yield pa.RecordBatch.from_arrays(
-                [pa.array([_hashed(r[text]).astype(np.float32).tobytes() for r in rows], pa.binary()), pa.array([[place[t][r[t]] for t in tasks] for r in rows], pa.list_(pa.int32()))],
-                ["x", "y"],
+                [
+                    pa.array([_hashed(r[text]).astype(np.float32).tobytes() for r in rows], pa.binary()), pa.array([[place[t][r[t]] for t in tasks] for r in rows], pa.list_(pa.int32())),
+                    pa.array([[v for t in tasks if t in soft for v in r[f"soft_{t}"]] for r in rows], pa.list_(pa.float64())),
+                ],
+                ["x", "y", "z"],
             )
 
-    data = stage(df.select(text, *tasks).mapInArrow(encode, "x binary, y array<int>"), "student")
+    data = stage(df.select(text, *tasks, *[f"soft_{t}" for t in tasks if t in soft]).mapInArrow(encode, "x binary, y array<int>, z array<double>"), "student")
+    spans, at = {}, 0
+    for t in tasks:
+        if t in soft:
+            spans[t] = slice(at, at + len(values[t]))
+            at += len(values[t])
     history = []
     for _ in range(epochs):
         heads = student.heads
@@ -198,10 +245,13 @@ def fit_student(df: DataFrame, tasks: Sequence[str], epochs: int = 15, rate: flo
             for batch in batches:
                 x = np.stack([np.frombuffer(b, np.float32) for b in batch.column(0).to_pylist()]).astype(float) if batch.num_rows else np.zeros((0, WIDTH))
                 y = np.array(batch.column(1).to_pylist()).reshape(-1, len(heads))
+                z = np.array(batch.column(2).to_pylist(), float).reshape(len(x), -1) if len(x) else np.zeros((0, 0))
                 n += len(x)
                 for k, (t, w) in enumerate(heads.items()):
                     p, goal = _softmax(x @ w) if len(x) else np.zeros((0, w.shape[1])), np.eye(w.shape[1])[y[:, k]]
-                    if loss == "soft" and w.shape[1] > 1:
+                    if t in spans and len(x):
+                        goal = z[:, spans[t]]
+                    elif loss == "smooth" and w.shape[1] > 1:
                         goal = (1 - smoothing) * goal + smoothing / w.shape[1]
                     sums[t] += x.T @ (p - goal)
                     total[t] -= (goal * np.log(p + 1e-12)).sum()

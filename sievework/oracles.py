@@ -103,6 +103,14 @@ rf AS (SELECT doc_id,
  {ratio("len(list_filter(l, lambda x: length(x) < 30))", 'len(l)')} short_line_frac FROM rf_b)"""
 
 
+def family(src: str = "documents") -> str:
+    """fam(doc_id, dup_para_frac, top_bigram_frac)."""
+    return f"""fam_a AS (SELECT doc_id, list_filter(regexp_split_to_array(coalesce(text, ''), '\\n\\s*\\n'), lambda x: trim(x) <> '') p, {words('text')} w FROM {src}),
+fam_b AS (SELECT doc_id, p, list_transform(range(1, len(w)), lambda i: w[i] || ' ' || w[i + 1]) g FROM fam_a),
+fam AS (SELECT doc_id, 1 - CASE WHEN len(p) > 0 THEN {ratio('len(list_distinct(p))', 'len(p)')} ELSE 1 END dup_para_frac,
+ CASE WHEN len(g) > 0 THEN list_max(map_values(list_histogram(g))) / CAST(len(g) AS DOUBLE) ELSE 0 END top_bigram_frac FROM fam_b)"""
+
+
 def rule_case(r: rules.Rule) -> str:
     return f"CASE WHEN {r.feature} {r.op} {r.cut} THEN '{r.name}' END"
 
@@ -126,7 +134,7 @@ lang AS (SELECT doc_id, CASE WHEN {total} > 0 THEN CASE {case} END ELSE 'und' EN
 def shingle_sets(src: str, n: int, name: str = "sh") -> str:
     gram = h32(f"array_to_string(k[i:i + {n - 1}], ' ')")
     return f"""{name}_k AS (SELECT doc_id, {toks('text')} k FROM {src}),
-{name} AS (SELECT doc_id, list_distinct(list_transform(range(1, len(k) - {n - 2}), lambda i: {gram})) s FROM {name}_k)"""
+{name} AS MATERIALIZED (SELECT doc_id, list_distinct(list_transform(range(1, len(k) - {n - 2}), lambda i: {gram})) s FROM {name}_k)"""
 
 
 def fuzzy_pairs(src: str, n: int = fuzzy.SHINGLE, perms: int = fuzzy.PERMUTATIONS, bands: int = fuzzy.BANDS, theta: float = fuzzy.THETA) -> str:
@@ -151,17 +159,18 @@ def components(links: str, name: str = "comp") -> str:
 {name} AS (SELECT doc_id, min(root) root FROM {name}_r GROUP BY doc_id)"""
 
 
-def vectors(src: str, dims: int = 256, cells: int = 65536, term: str = "unnest({k})", name: str = "vec") -> str:
-    terms = term.format(k=toks("text"))
-    return f"""{name}_t AS (SELECT doc_id, w, count(*) tf FROM (SELECT doc_id, {terms} w FROM {src}) GROUP BY ALL),
+def vectors(src: str, dims: int = 256, cells: int = 65536, term: str = "unnest(k)", name: str = "vec") -> str:
+    chars = ", CASE WHEN coalesce(text, '') = '' THEN [] ELSE string_split(lower(text), '') END c" if "(c)" in term else ""
+    return f"""{name}_k AS MATERIALIZED (SELECT doc_id, {toks("text")} k{chars} FROM {src}),
+{name}_t AS (SELECT doc_id, w, count(*) tf FROM (SELECT doc_id, {term} w FROM {name}_k) GROUP BY ALL),
 {name}_h AS (SELECT doc_id, tf, {h32('w')} h FROM {name}_t),
 {name}_d AS (SELECT h % {cells} cell, count(*) df FROM {name}_h GROUP BY ALL),
 {name}_n AS (SELECT count(*) n FROM {src}),
-{name}_x AS (SELECT doc_id, h % {dims} i, CAST(sum(CAST((CASE WHEN (h >> 16) % 2 = 0 THEN 1.0 ELSE -1.0 END) * (1 + ln(tf)) * ln(1 + n / CAST(df AS DOUBLE)) AS DECIMAL(30,14))) AS DOUBLE) x
+{name}_x AS (SELECT doc_id, h % {dims} i, CAST(sum(CAST((CASE WHEN (h >> 16) % 2 = 0 THEN 1.0 ELSE -1.0 END) * (1 + ln(tf)) * ln(1 + n / CAST(df AS DOUBLE)) AS DECIMAL(30,12))) AS DOUBLE) x
  FROM {name}_h JOIN {name}_d ON cell = h % {cells}, {name}_n GROUP BY ALL),
 {name}_l AS (SELECT doc_id, sqrt(sum(x * x)) norm FROM {name}_x GROUP BY doc_id HAVING norm > 0),
 {name}_f AS (SELECT l.doc_id, r.i, coalesce(x.x, 0) / l.norm x FROM {name}_l l CROSS JOIN range({dims}) r(i) LEFT JOIN {name}_x x ON x.doc_id = l.doc_id AND x.i = r.i),
-{name} AS (SELECT doc_id, list(x ORDER BY i) v FROM {name}_f GROUP BY doc_id)"""
+{name} AS MATERIALIZED (SELECT doc_id, list(x ORDER BY i) v FROM {name}_f GROUP BY doc_id)"""
 
 
 def clusters(k: int, vec: str = "vec") -> str:
@@ -169,10 +178,33 @@ def clusters(k: int, vec: str = "vec") -> str:
 assign AS (SELECT doc_id, v, arg_max(cluster_id, (round(list_dot_product(v, center), 12), -cluster_id)) AS cluster FROM {vec}, seeds GROUP BY doc_id, v)"""
 
 
+def lloyd(src: str, k: int, name: str = "km", passes: int = 3) -> str:
+    """K-Means of ``src`` (doc_id, v): <name>(doc_id, v, cluster). Sums in fixed point; nearest by inner product less half the length."""
+    near = "arg_max(cluster_id, (round(list_dot_product(v, center) - list_dot_product(center, center) / 2, 9), -cluster_id))"
+    parts = [f"{name}_c0 AS MATERIALIZED (SELECT doc_id cluster_id, v center FROM {src} ORDER BY {h32("'seed:' || doc_id")}, doc_id LIMIT {k})"]
+    for i in range(passes):
+        parts.append(f"{name}_a{i} AS MATERIALIZED (SELECT doc_id, any_value(v) v, {near} AS cluster FROM {src}, {name}_c{i} GROUP BY doc_id)")
+        parts.append(
+            f"{name}_c{i + 1} AS MATERIALIZED (SELECT cluster cluster_id, list(m ORDER BY i) center FROM (SELECT cluster, i, sum(CAST(round(x * 1e9) AS BIGINT)) / count(*) / 1e9 m"
+            f" FROM (SELECT cluster, unnest(v) x, unnest(range(len(v))) i FROM {name}_a{i}) GROUP BY ALL) GROUP BY cluster)"
+        )
+    parts.append(f"{name} AS MATERIALIZED (SELECT doc_id, any_value(v) v, {near} AS cluster FROM {src}, {name}_c{passes} GROUP BY doc_id)")
+    return ",\n".join(parts)
+
+
+def diversity(src: str) -> str:
+    """cen, intra, inter and dv(cluster, members, intra, inter, nearest, d) of ``src`` (doc_id, v, cluster)."""
+    return f"""cf AS (SELECT cluster, i, avg(x) m FROM (SELECT cluster, unnest(v) x, unnest(range(len(v))) i FROM {src}) GROUP BY ALL),
+cen AS (SELECT cluster, list(m ORDER BY i) c FROM cf GROUP BY cluster),
+intra AS (SELECT s.cluster, count(*) members, avg(list_distance(v, c)) intra FROM {src} s JOIN cen USING (cluster) GROUP BY ALL),
+inter AS (SELECT a.cluster, avg(list_distance(a.c, b.c)) inter, min(list_distance(a.c, b.c)) nearest FROM cen a JOIN cen b ON a.cluster <> b.cluster GROUP BY ALL),
+dv AS (SELECT cluster, members, intra, coalesce(inter, 1) inter, nearest, intra * coalesce(inter, 1) d FROM intra LEFT JOIN inter USING (cluster))"""
+
+
 def edges(floor: float = 0.90, src: str = "assign") -> str:
     case = " ".join(f"WHEN sim >= {lo} THEN {w}" for lo, w in C.BANDS)
     return f"""edges_s AS (SELECT a.doc_id u, b.doc_id v, least(round(list_dot_product(a.v, b.v), 12), 1.0) sim FROM {src} a JOIN {src} b ON a.cluster = b.cluster AND a.doc_id < b.doc_id),
-edges AS (SELECT u, v, sim, CASE {case} ELSE 0 END weight FROM edges_s WHERE sim >= {floor}),
+edges AS MATERIALIZED (SELECT u, v, sim, CASE {case} ELSE 0 END weight FROM edges_s WHERE sim >= {floor}),
 dir AS (SELECT u id, v other, sim, weight FROM edges UNION ALL SELECT v, u, sim, weight FROM edges)"""
 
 
@@ -187,14 +219,14 @@ def removed(name: str = "gone") -> str:
 {name} AS (SELECT doc_id FROM rc WHERE root <> doc_id)"""
 
 
-def funnel_ctes(ruleset=rules.OPTIMIZED, k: int = 16, budget: float = 1.0) -> str:
+def funnel_ctes(ruleset=rules.OPTIMIZED, k: int = 16, budget: float = 1.0, bypass=C.BYPASS) -> str:
     """Every stage of the pipeline as CTEs st_<stage>(doc_id), the sampled one with copies, and stage_docs over all."""
     n, kk, a = C.POWER["n"], C.POWER["k"], C.POWER["a"]
     return ",\n".join(
         [
             shapes(), TAGS, features(), language(),
             f"""sig_all AS (SELECT s.*, t.domain_l1, t.domain_l2, g.lang_guess, g.lang_conf, sha256(coalesce(d.text, '')) digest,
- CASE WHEN t.domain_l1 IN {in_list(C.BYPASS)} THEN 0 ELSE len({rule_hits(ruleset)}) END n_hits
+ CASE WHEN {f'domain_l1 IN {in_list(bypass)}' if bypass else 'false'} THEN 0 ELSE len({rule_hits(ruleset)}) END n_hits
  FROM signals s JOIN tags t USING (doc_id) JOIN lang g USING (doc_id) JOIN rf USING (doc_id) JOIN documents d USING (doc_id)),
 st_raw AS (SELECT doc_id FROM sig_all), st_english AS (SELECT doc_id FROM sig_all WHERE lang_guess = 'en' AND lang_conf > 0.5),
 st_exact AS (SELECT min(doc_id) doc_id FROM sig_all WHERE lang_guess = 'en' AND lang_conf > 0.5 GROUP BY digest),
@@ -204,16 +236,14 @@ model_docs AS (SELECT doc_id, text FROM documents WHERE doc_id IN (SELECT doc_id
             fuzzy_pairs("model_docs"), components("links"),
             """st_fuzzy AS (SELECT doc_id FROM st_model WHERE doc_id NOT IN (SELECT doc_id FROM comp WHERE root <> doc_id)),
 fuzzy_docs AS (SELECT doc_id, text FROM documents WHERE doc_id IN (SELECT doc_id FROM st_fuzzy))""",
-            vectors("fuzzy_docs"), clusters(k), edges(), votes(), removed(),
+            vectors("fuzzy_docs"), clusters(1), edges(), votes(), removed(),
             f"""st_semantic AS (SELECT doc_id FROM st_fuzzy WHERE doc_id NOT IN (SELECT doc_id FROM gone)),
 st_value AS (SELECT doc_id FROM sig_all WHERE doc_id IN (SELECT doc_id FROM st_semantic) AND knowledge + education + helpfulness + reasoning > 1),
-mem AS (SELECT doc_id, v, cluster FROM assign WHERE doc_id IN (SELECT doc_id FROM st_value)),
-mem_f AS (SELECT cluster, i, avg(x) m FROM (SELECT cluster, unnest(v) x, unnest(range(len(v))) i FROM mem) GROUP BY ALL),
-cen AS (SELECT cluster, list(m ORDER BY i) c FROM mem_f GROUP BY cluster),
-intra AS (SELECT m.cluster, avg(list_distance(m.v, cen.c)) intra FROM mem m JOIN cen USING (cluster) GROUP BY ALL),
-inter AS (SELECT a.cluster, avg(list_distance(a.c, b.c)) inter FROM cen a JOIN cen b ON a.cluster <> b.cluster GROUP BY ALL),
-divers AS (SELECT cluster, intra * coalesce(inter, 1) d FROM intra LEFT JOIN inter USING (cluster)),
-fr_a AS (SELECT m.doc_id, n_words, CAST(knowledge + education + helpfulness + reasoning AS DOUBLE) q, d FROM mem m JOIN divers USING (cluster) JOIN sig_all USING (doc_id)),
+surv AS MATERIALIZED (SELECT doc_id, v FROM vec WHERE doc_id IN (SELECT doc_id FROM st_semantic)),
+{lloyd("surv", k)},
+mem AS (SELECT doc_id, v, cluster FROM km WHERE doc_id IN (SELECT doc_id FROM st_value)),
+{diversity("mem")},
+fr_a AS (SELECT s.doc_id, n_words, CAST(knowledge + education + helpfulness + reasoning AS DOUBLE) q, coalesce(d, 0) d FROM sig_all s LEFT JOIN mem m USING (doc_id) LEFT JOIN dv USING (cluster) WHERE s.doc_id IN (SELECT doc_id FROM st_value)),
 fr_b AS (SELECT *, CASE WHEN max(q) OVER () > min(q) OVER () THEN (q - min(q) OVER ()) / (max(q) OVER () - min(q) OVER ()) ELSE 1 END q_n,
  CASE WHEN max(d) OVER () > min(d) OVER () THEN (d - min(d) OVER ()) / (max(d) OVER () - min(d) OVER ()) ELSE 1 END d_n FROM fr_a),
 fr_c AS (SELECT *, {C.ALPHA} * q_n + (1 - {C.ALPHA}) * d_n s FROM fr_b),
@@ -226,3 +256,57 @@ stage_ids AS ("""
             + " UNION ALL SELECT 8, 'sampled', doc_id, copies FROM st_sampled WHERE copies > 0),\nstage_docs AS (SELECT i.pos, i.stage, i.copies, s.* FROM stage_ids i JOIN sig_all s USING (doc_id))",
         ]
     )
+
+
+def grams(n: int, k: str = "k") -> str:
+    """List of the n-grams of a list of tokens."""
+    return k if n == 1 else f"list_transform(range(1, len({k}) - {n - 2}), lambda i: array_to_string({k}[i:i + {n - 1}], ' '))"
+
+
+def lexical(ns, arms: str = "arms", texts: str = "documents") -> str:
+    """lx<n>(arm, total, uniq) of ``arms`` (arm, doc_id, copies) for each n."""
+    parts = [f"lx_k AS MATERIALIZED (SELECT doc_id, {toks('text')} k FROM {texts})"]
+    parts += [f"lx{n} AS MATERIALIZED (SELECT arm, CAST(sum(c) AS BIGINT) total, count(*) uniq FROM (SELECT arm, g, sum(copies) c FROM {arms} JOIN (SELECT doc_id, unnest({grams(n)}) g FROM lx_k) USING (doc_id) GROUP BY ALL) GROUP BY 1)" for n in ns]
+    return ",\n".join(parts)
+
+
+def measured(ns=(1,)) -> str:
+    """``measured`` (arm, docs, measures): of ``arms`` (arm, doc_id, copies) with ``sg`` (scores and tags by doc_id)."""
+    hq = "('Computer Science', 'Programming', 'Mathematics', 'Physics')"
+    level = lambda i: f"""m{i} AS (SELECT arm, k, n / sum(n) OVER (PARTITION BY arm) p FROM (SELECT arm, domain_l{i} k, sum(copies) n FROM ar GROUP BY ALL)),
+e{i} AS (SELECT arm, -sum(p * log2(p)) h FROM m{i} GROUP BY 1)"""
+    means = ", ".join(f"sum({c} * copies) / sum(copies) {c}" for c in ("education", "knowledge", "helpfulness", "reasoning"))
+    sets = ", ".join(f"sum(CASE WHEN domain_l1 IN {in_list(v)} THEN copies ELSE 0 END) / sum(copies) {k}" for k, v in C.DOMAIN_SETS.items())
+    shown = ", ".join(f"round({c}, 6) {c}" for c in ("education", "knowledge", "helpfulness", "reasoning"))
+    rn = ", ".join(f"round(lx{n}.uniq / nullif(lx{n}.total, 0), 6) r_{n}" for n in ns)
+    joins = " ".join(f"LEFT JOIN lx{n} ON lx{n}.arm = vm.arm" for n in ns)
+    return f"""ar AS MATERIALIZED (SELECT a.arm, a.copies, s.* FROM arms a JOIN sg s USING (doc_id)),
+{level(1)},
+{level(2)},
+t3 AS (SELECT arm, sum(p) t FROM (SELECT arm, p, row_number() OVER (PARTITION BY arm ORDER BY p DESC) r FROM m1) WHERE r <= 3 GROUP BY 1),
+vm AS (SELECT arm, CAST(sum(copies) AS BIGINT) docs, {means}, sum((education + knowledge + helpfulness + reasoning) * copies) / 12.0 / sum(copies) composite, {sets} FROM ar GROUP BY 1),
+hm AS (SELECT arm, avg(r) hq_mean FROM (SELECT arm, domain_l1, sum(CASE WHEN education >= 2 THEN copies ELSE 0 END) / sum(copies) r FROM ar WHERE domain_l1 IN {hq} GROUP BY ALL) GROUP BY 1),
+{lexical(ns)},
+measured AS (SELECT vm.arm, docs, round(e1.h, 6) h_l1, round(e2.h, 6) h_l2, round(t, 6) top3_share, round(1 - t, 6) longtail_share, {shown}, round(composite, 6) composite,
+ round(code, 6) code, round(math, 6) math, round(stem, 6) stem, round(hq_mean, 6) hq_mean, {rn} FROM vm JOIN e1 USING (arm) JOIN e2 USING (arm) JOIN t3 USING (arm) LEFT JOIN hm USING (arm) {joins})"""
+
+
+PROVIDERS = {
+    "word": "unnest(k)", "prefix": "unnest(k[1:20])", "bigram": "unnest(CASE WHEN len(k) > 1 THEN list_transform(range(1, len(k)), lambda i: k[i] || ' ' || k[i + 1]) ELSE k END)",
+    "char": "unnest(CASE WHEN len(c) > 2 THEN list_transform(range(1, len(c) - 1), lambda i: c[i] || c[i + 1] || c[i + 2]) WHEN len(c) > 0 THEN [array_to_string(c, '')] ELSE [] END)",
+}
+
+
+def provider_bench(names=tuple(PROVIDERS)) -> str:
+    """bench(provider, steps, mean_fpr, spearman) over the pairs of cosine 0.90 or more of all documents."""
+    parts = [shingle_sets("documents", 3)]
+    for p in names:
+        parts.append(vectors("documents", term=PROVIDERS[p], name=f"v_{p}"))
+        parts.append(
+            f"""e_{p} AS MATERIALIZED (SELECT * FROM (SELECT a.doc_id u, b.doc_id v, least(round(list_dot_product(a.v, b.v), 12), 1.0) sim FROM v_{p} a JOIN v_{p} b ON a.doc_id < b.doc_id) WHERE sim >= 0.9),
+s_{p} AS (SELECT CAST(least(floor((sim - 0.9) / 0.01 + 1e-9), 9) AS INT) step, count(*) n, avg(CASE WHEN coalesce(len(list_intersect(a.s, b.s)) / nullif(CAST(len(a.s) + len(b.s) - len(list_intersect(a.s, b.s)) AS DOUBLE), 0), 0) >= 0.5 THEN 0.0 ELSE 1.0 END) fpr
+ FROM e_{p} JOIN sh a ON a.doc_id = u JOIN sh b ON b.doc_id = v GROUP BY 1),
+r_{p} AS (SELECT n, fpr, rank() OVER (ORDER BY step) + (count(*) OVER (PARTITION BY step) - 1) / 2.0 a, rank() OVER (ORDER BY fpr) + (count(*) OVER (PARTITION BY fpr) - 1) / 2.0 b FROM s_{p})"""
+        )
+    rows = " UNION ALL ".join(f"SELECT '{p}' provider, count(*) steps, round(sum(n * fpr) / sum(n), 6) mean_fpr, round(CASE WHEN isnan(corr(a, b)) THEN NULL ELSE corr(a, b) END, 6) spearman FROM r_{p}" for p in names)
+    return ",\n".join([*parts, f"bench AS MATERIALIZED ({rows})"])

@@ -10,7 +10,7 @@ from pyspark.sql import functions as F
 from ..functions import constants as C
 from ..operators import filters, fuzzy, ingest, rules, sampling, semantic, signals
 from ..operators.fuzzy import THETA
-from .staging import stage
+from .staging import drop_staging, stage
 
 STAGES = ("raw", "english", "exact", "rule", "model", "fuzzy", "semantic", "value", "sampled")
 
@@ -27,10 +27,14 @@ class Config:
     thresholds: dict = field(default_factory=lambda: dict(filters.THRESHOLDS))
     fuzzy: bool = True
     theta: float = THETA
+    per_cell: int = semantic.ROWS_PER_CELL  # rows of a cell inside which the semantic stage compares
+    per_group: int = 131_072  # rows of a group of the diversity score; the cells of either grow in number with the rows
+    groups: int = 16  # groups at least
+    provider: str = "word"
+    vectors: DataFrame | None = None  # (doc_id, vec) of unit length: given embeddings in place of the provider's
     semantic: str = "soft"  # soft, hard, none
     target: float = C.TARGET
     keep: str = "component_best"
-    clusters: int = 16
     sampler: str = "power"  # power, softmax, uniform
     quality: str = "value"
     alpha: float = C.ALPHA
@@ -48,13 +52,27 @@ def signals_table(docs: DataFrame, config: Config = Config()) -> DataFrame:
     return joined.withColumn("bypassed", skip).withColumn("rule_hits", F.when(skip, F.array().cast("array<string>")).otherwise(F.col("__hits"))).drop("__hits")
 
 
+def vectors_of(docs: DataFrame, config: Config = Config()) -> DataFrame:
+    """(doc_id, vec) of the documents, from the provider or the vectors given."""
+    if config.vectors is not None:
+        return stage(config.vectors.join(docs.select("doc_id"), "doc_id", "left_semi").select("doc_id", F.col("vec").cast("array<double>").alias("vec")), "vectors")
+    return stage(semantic.hashed_vectors(docs, config.provider), "vectors")
+
+
+def cells_of(vectors: DataFrame, config: Config = Config()) -> DataFrame:
+    """Vectors with the K-Means cells of the semantic stage."""
+    return stage(semantic.kmeans_cells(vectors, semantic.cells_for(vectors.count(), config.per_cell)), "cells")
+
+
+def groups_of(vectors: DataFrame, config: Config = Config()) -> DataFrame:
+    """Vectors with the K-Means groups of the diversity score."""
+    return stage(semantic.kmeans_cells(vectors, max(config.groups, semantic.cells_for(vectors.count(), config.per_group))), "groups")
+
+
 def semantic_parts(docs: DataFrame, config: Config) -> tuple[DataFrame, DataFrame]:
-    """(clustered vectors, weighted edges) of the documents given."""
-    vectors = stage(semantic.hashed_vectors(docs), "vectors")
-    seeds = stage(semantic.seed_centroids(vectors, config.clusters), "seeds")  # k rows
-    clustered = stage(semantic.assign_nearest(vectors, seeds), "clustered")
-    edges = stage(semantic.weighted(semantic.similarity_edges(clustered)), "edges")
-    return clustered, edges
+    """(vectors in their cells, all weighted edges) of the documents given: for audits; the pipeline doesn't make all edges."""
+    clustered = cells_of(vectors_of(docs, config), config)
+    return clustered, stage(semantic.weighted(semantic.similarity_edges(clustered)), "edges")
 
 
 def run_pipeline(docs: DataFrame, config: Config = Config()) -> dict[str, DataFrame]:
@@ -79,26 +97,26 @@ def run_pipeline(docs: DataFrame, config: Config = Config()) -> dict[str, DataFr
         out["fuzzy"] = stage(fuzzy.fuzzy_dedup(out["model"], links), "fuzzy")
     else:
         out["fuzzy"] = out["model"]
-    clustered, edges = semantic_parts(text_of(out["fuzzy"]), config)
+    cells = cells_of(vectors_of(text_of(out["fuzzy"]), config), config)
     if config.semantic == "soft":
-        votes = stage(semantic.soft_vote(edges, config.target), "votes")
-        out["semantic"] = stage(semantic.remove_redundant(out["fuzzy"], votes, edges, config.keep), "semantic")
+        gone = semantic.semantic_removed(cells, config.target, config.keep)
+        out["semantic"] = stage(out["fuzzy"].join(gone.select(F.col("id").alias("doc_id")), "doc_id", "left_anti"), "semantic")
     elif config.semantic == "hard":
-        gone = semantic.hard_removed(edges).select(F.col("id").alias("doc_id"))
+        gone = semantic.hard_removed(semantic.similarity_edges(cells, C.HARD_THRESHOLD)).select(F.col("id").alias("doc_id"))
         out["semantic"] = stage(out["fuzzy"].join(gone, "doc_id", "left_anti"), "semantic")
     else:
         out["semantic"] = out["fuzzy"]
     out["value"] = sampling.value_filter(out["semantic"])
-    out["sampled"] = sample(out["value"], clustered, config)
+    groups = groups_of(cells.drop("cluster").join(out["semantic"].select("doc_id"), "doc_id", "left_semi"), config)
+    out["sampled"] = sample(out["value"], groups, config)
     return out
 
 
 def sampling_frame(value: DataFrame, clustered: DataFrame, config: Config = Config()) -> DataFrame:
-    """Rows with q_n, d_n and s; diversity comes from the clusters that the semantic stage made."""
+    """Rows with q_n, d_n and s; diversity comes from the groups, a text without a vector has none (d 0)."""
     members = stage(clustered.join(value.select("doc_id"), "doc_id", "left_semi"), "members")
-    centers = stage(sampling.label_centroids(members), "centers")
-    diversity = sampling.cluster_diversity(members, centers).select("cluster", "d")
-    placed = value.join(members.select("doc_id", "cluster"), "doc_id").join(F.broadcast(diversity), "cluster")
+    diversity = sampling.cluster_diversity(members, sampling.label_centroids(members)).select("cluster", "d")
+    placed = value.join(members.select("doc_id", "cluster"), "doc_id", "left").join(F.broadcast(diversity), "cluster", "left").withColumn("d", F.coalesce("d", F.lit(0.0)))
     return sampling.sampling_score(placed, config.alpha, config.quality)
 
 
@@ -109,6 +127,11 @@ def sample(value: DataFrame, clustered: DataFrame, config: Config = Config()) ->
     return stage(sampling.draw_copies(p, float(budget)), "sampled").where("copies > 0")
 
 
+def finish(spark) -> None:
+    """Delete all that a run staged, once its results are written elsewhere."""
+    drop_staging(spark)
+
+
 def stage_table(stages: dict[str, DataFrame]) -> DataFrame:
     """(stage, doc_id, tags, scores, n_words, copies) of all stages."""
     cols = ("doc_id", "domain_l1", "domain_l2", *C.SCORES, "n_words", "copies")

@@ -9,9 +9,8 @@ from pyspark.sql import functions as F
 
 from ..functions import constants as C
 from ..functions.text import h32, tokens
-from ..operators import filters, fuzzy, ingest, measures, rules, sampling, semantic, signals
+from ..operators import filters, ingest, measures, rules, sampling, signals
 from ..sources.tables import assemble_conversations, load
-from . import pipeline
 from .staging import stage
 
 #: Stage, documents in billions, printed share of the stage before (percent).
@@ -52,30 +51,6 @@ def _union(parts: Sequence[DataFrame]) -> DataFrame:
     return out
 
 
-def dedup_ablation(docs: DataFrame) -> DataFrame:
-    """(arm, docs, words, kept, r_1, h_l1) of the arms none, exact, +fuzzy, +hard, +soft; edges are made once."""
-    base = stage(docs.select("doc_id", "text", signals.domain_columns()[0].alias("domain_l1")), "ablation")
-    exact = stage(ingest.exact_dedup(base).select(*base.columns), "exact")
-    links = stage(fuzzy.fuzzy_links(exact), "links")
-    fz = stage(fuzzy.fuzzy_dedup(exact, links), "fuzzy")
-    _, edges = pipeline.semantic_parts(fz, pipeline.Config())
-    votes = stage(semantic.soft_vote(edges), "votes")
-    arms = {
-        "none": base, "exact": exact, "fuzzy": fz,
-        "fuzzy_hard": fz.join(semantic.hard_removed(edges).select(F.col("id").alias("doc_id")), "doc_id", "left_anti"),
-        "fuzzy_soft": semantic.remove_redundant(fz, votes, edges),
-    }
-    rows = _union([a.select(F.lit(k).alias("arm"), "doc_id", "text", "domain_l1") for k, a in arms.items()])
-    rows = stage(rows, "arms")
-    lexical = measures.lexical_diversity(rows, 1, by=("arm",)).select("arm", "docs", F.col("total").alias("words"), F.col("r_n").alias("r_1"))
-    tags = rows.groupBy("arm", "domain_l1").agg(F.count("*").alias("n"))
-    total = tags.groupBy("arm").agg(F.sum("n").alias("all"))
-    share = F.col("n") / F.col("all")
-    h = tags.join(total, "arm").groupBy("arm").agg(F.round(F.sum(-share * F.log2(share)), 6).alias("h_l1"))
-    first = base.agg(F.count("*").alias("n0"))
-    return lexical.join(h, "arm").crossJoin(F.broadcast(first)).select("arm", "docs", "words", F.round(F.col("docs") / F.col("n0"), 6).alias("kept"), F.round("r_1", 6).alias("r_1"), "h_l1")
-
-
 def sampler_ablation(frame: DataFrame, others: Mapping[str, DataFrame]) -> DataFrame:
     """(arm, expected value, presentation, entropy of tags, sharpness): the same frame and draws in all arms."""
     arms = {"uniform": sampling.uniform_probabilities(frame), "softmax": sampling.softmax_probabilities(frame), "power": sampling.power_probabilities(frame)}
@@ -89,17 +64,6 @@ def sampler_ablation(frame: DataFrame, others: Mapping[str, DataFrame]) -> DataF
     return _union(parts)
 
 
-def budget_scaling(p: DataFrame, factors: Sequence[float]) -> DataFrame:
-    """(factor, distinct, drawn, mean_copies): how repetition grows with the budget."""
-    p = stage(p, "scaling")
-    base = float(p.agg(F.sum("n_words")).first()[0] or 0)
-    parts = []
-    for f in factors:
-        drawn = sampling.draw_copies(p, base * f)
-        parts.append(drawn.agg(F.lit(float(f)).alias("factor"), F.count(F.when(F.col("copies") > 0, 1)).alias("distinct"), F.sum("copies").alias("drawn"), F.round(F.sum("copies") / F.count(F.when(F.col("copies") > 0, 1)), 6).alias("mean_copies")))
-    return _union(parts)
-
-
 def corpora(spark: SparkSession, sf_dir: str) -> dict[str, DataFrame]:
     """(key, text, tag) stand-ins of the compared corpora: raw, English, single-score filtered, pages, conversations."""
     docs = load(spark, sf_dir, "documents")

@@ -4,9 +4,12 @@ from __future__ import annotations
 
 import uuid
 
+from collections.abc import Callable, Sequence
+
 from pyspark.sql import DataFrame, SparkSession
 
 _roots: dict[str, str] = {}
+_once: dict[tuple, DataFrame] = {}
 
 
 def shared_dir(spark: SparkSession) -> str:
@@ -27,7 +30,26 @@ def stage(df: DataFrame, name: str) -> DataFrame:
     return df.sparkSession.read.schema(df.schema).parquet(path)
 
 
+def staged_once(spark: SparkSession, sf_dir: str, tables: Sequence[str], name: str, make: Callable[[], DataFrame]) -> DataFrame:
+    """``make()`` staged, once for an application and state of its input files; made again if these or the staged files changed."""
+    jvm, conf = spark._jvm, spark._jsc.hadoopConfiguration()
+    stamp = []
+    for t in tables:
+        path = jvm.org.apache.hadoop.fs.Path(f"{sf_dir.rstrip('/')}/{t}.parquet")
+        status = path.getFileSystem(conf).getFileStatus(path)
+        stamp.append((t, status.getLen(), status.getModificationTime()))
+    key = (shared_dir(spark), sf_dir, name, tuple(stamp))
+    if key in _once:
+        path = jvm.org.apache.hadoop.fs.Path(_once[key].inputFiles()[0]) if _once[key].inputFiles() else None
+        if path is not None and path.getFileSystem(conf).exists(path):
+            return _once[key]
+    _once[key] = stage(make(), name)
+    return _once[key]
+
+
 def drop_staging(spark: SparkSession) -> None:
-    """Delete this application's staged tables; DataFrames that read them become invalid."""
+    """Delete this application's staged tables; DataFrames that read them become invalid. For the end of a run, when its results
+    are written."""
+    _once.clear()
     root = spark._jvm.org.apache.hadoop.fs.Path(shared_dir(spark))
     root.getFileSystem(spark._jsc.hadoopConfiguration()).delete(root, True)

@@ -2,8 +2,10 @@
 
 import gzip
 import math
+import os
 import random
 
+import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
@@ -11,7 +13,9 @@ from sievework.functions import constants as C
 from sievework.functions.sql import register
 from sievework.operators import filters, fuzzy, ingest, measures, relational, rules, sampling, semantic, signals
 from sievework.operators.components import star_forest
-from sievework.plans import pipeline
+from sievework.catalog import QUERIES
+from sievework.plans import comparison, pipeline
+from sievework.plans.staging import staged_once
 from sievework.sources.tables import load, load_files, require, union_snapshots, write_jsonl, write_rejects
 from sievework.sources.warc import read_warc, record_bytes
 from sievework.streaming import monitor
@@ -305,3 +309,178 @@ def test_later_crawls_are_compared_with_each_other(spark):
     got = ingest.near_identical_crawls(pages, vectors, sets)
     assert got.columns == ["url_key", "u", "v", "jaccard", "sim"]
     assert sorted((r["u"], r["v"]) for r in got.collect()) == [(2, 3), (2, 4), (2, 5), (2, 6), (3, 5), (3, 6), (4, 5), (5, 6)]
+
+
+def _cloud(spark, groups, each, dims=8, noise=0.05, seed=3):
+    rng = np.random.default_rng(seed)
+    x = np.repeat(rng.normal(size=(groups, dims)), each, 0) + noise * rng.normal(size=(groups * each, dims))
+    x /= np.linalg.norm(x, axis=1, keepdims=True)
+    rows = [(i, v.tolist()) for i, v in enumerate(x)]
+    random.Random(seed).shuffle(rows)
+    return spark.createDataFrame(rows, "doc_id long, vec array<double>"), x
+
+
+def test_cells_are_the_same_in_any_order_and_keep_near_pairs_together(spark):
+    df, x = _cloud(spark, 30, 40)
+    for flat in (256, 4):  # one level, two levels
+        a, b = ({r["doc_id"]: r["cluster"] for r in semantic.kmeans_cells(df.repartition(n), 25, flat=flat).collect()} for n in (1, 7))
+        assert a == b and 10 <= len(set(a.values())) <= 40
+        near = np.argwhere(np.triu(x @ x.T >= 0.9, 1))
+        assert np.mean([a[i] == a[j] for i, j in near]) >= 0.8
+    assert {r["cluster"] for r in semantic.kmeans_cells(df, 1).collect()} == {r["cluster_id"] for r in semantic.seed_centroids(df, 1).collect()}
+    assert semantic.kmeans_cells(df.where("false"), 3).count() == 0
+    assert semantic.cells_for(10) == 1 and semantic.cells_for(10**7) == 153 and semantic.cells_for(10**13) == semantic.CENTROID_VALUES // semantic.DIMS
+
+
+def test_passes_are_as_good_as_the_library(spark, sf):
+    got = {r["method"]: r["mean_square"] for r in QUERIES["kmeans_library"](spark, sf).collect()}
+    assert got["passes"] <= 1.05 * got["library"]
+
+
+@pytest.mark.parametrize("tile", [16384, 37])
+def test_bounded_vote_removes_what_all_edges_remove(spark, tile, monkeypatch):
+    monkeypatch.setattr(semantic, "BLOCK", 50)
+    df, _ = _cloud(spark, 40, 9, noise=0.09)
+    cells = df.withColumn("cluster", (F.col("doc_id") / 90).cast("long"))
+    edges = semantic.weighted(semantic.similarity_edges(cells)).cache()
+    votes = semantic.soft_vote(edges)
+    want = {r["id"] for r in semantic.redundant_ids(votes, edges).collect()}
+    assert {r["id"] for r in semantic.semantic_removed(cells, tile=tile).collect()} == want and want
+    rank = df.select(F.col("doc_id").alias("id"), (-F.col("doc_id")).alias("rank"))
+    assert {r["id"] for r in semantic.semantic_removed(cells, tile=tile, order=rank).collect()} == {r["id"] for r in semantic.redundant_ids(votes, edges, order=rank).collect()}
+
+
+def test_template_cluster_stays_linear(spark):
+    n = 50_000
+    df = spark.range(n).select(F.col("id").alias("doc_id"), F.lit(0).cast("long").alias("cluster"), F.array(F.lit(1.0), F.lit(0.0)).alias("vec"))
+    pruned = semantic.weighted(semantic.vote_edges(df)).groupBy("id").agg(F.count("*").alias("n"), F.sum("weight").alias("s"))
+    r = pruned.agg(F.count("*").alias("rows"), F.max("n").alias("most"), F.min("s").alias("least")).first()
+    tiles = -(-n // semantic.TILE)
+    assert r["rows"] == n and r["most"] <= 6 * tiles and r["least"] > C.TARGET
+    assert semantic.semantic_removed(df).count() == n - 1
+
+
+def test_links_with_colliding_buckets_equal_exact_pairs(spark):
+    random.seed(12)
+    rows = []
+    for i in range(30):
+        words = [f"{i}w{random.randrange(10**6)}" for _ in range(120)]
+        rows.append((2 * i, " ".join(words)))
+        words[random.randrange(120)] = "x"
+        rows.append((2 * i + 1, " ".join(words)))
+    sets = fuzzy.shingle_sets(spark.createDataFrame(rows, "doc_id long, text string")).cache()
+    strangers = sets.select("doc_id", F.lit(0).alias("band"), F.lit(7).cast("long").alias("bucket"))  # all in one bucket
+    found = {(r["u"], r["v"]) for r in fuzzy.closed_links(strangers, sets).collect()}
+    assert found == {(r["u"], r["v"]) for r in fuzzy.exact_jaccard_pairs(sets, 0.8).collect()} and len(found) == 30
+
+
+def test_exact_dedup_with_null_and_repeated_ids(spark):
+    df = spark.createDataFrame([(1, "a"), (1, "a"), (None, "b"), (None, "b"), (2, "b"), (3, "c"), (None, None)], "doc_id long, text string")
+    got = [(r["doc_id"], r["text"], r["copies"]) for r in ingest.exact_dedup(df).collect()]
+    assert sorted(got, key=str) == sorted([(1, "a", 2), (None, "b", 3), (3, "c", 1), (None, None, 1)], key=str)
+
+
+def test_capped_copies_meet_the_budget(spark):
+    df = spark.range(1000).select(F.col("id").alias("doc_id"), (F.col("id") % 50).cast("double").alias("s"), F.lit(10).alias("n_words"))
+    p = sampling.power_probabilities(df)
+    drawn = sampling.draw_copies(p, 12000, max_copies=3)
+    row = drawn.agg(F.sum(F.col("expected") * 10).alias("t"), F.max("copies").alias("m")).first()
+    assert abs(row["t"] - 12000) < 1e-6 and row["m"] == 3
+    full = sampling.draw_copies(p, 10**9, max_copies=3).where("p > 0").agg(F.min("copies")).first()[0]
+    assert full == 3
+
+
+def test_teacher_distributions(spark, sf):
+    rows = signals.annotate_soft(load(spark, sf, "documents"), width=0.01)
+    for c in C.SCORES:
+        mean = F.aggregate(F.transform(f"soft_{c}", lambda x, i: x * i), F.lit(0.0), lambda a, x: a + x)
+        r = rows.agg(F.max(F.abs(F.aggregate(f"soft_{c}", F.lit(0.0), lambda a, x: a + x) - 1)).alias("mass"), F.avg(F.abs(mean - F.col(c))).alias("off")).first()
+        assert r["mass"] < 1e-9 and r["off"] < 0.1
+
+
+def test_student_learns_from_distributions(spark, sf):
+    rows = signals.annotate_soft(load(spark, sf, "documents"), keep=("doc_id", "text"))
+    student, history = signals.fit_student(rows, ("writing", "completeness"), epochs=6, loss="soft")
+    assert all(history[-1]["loss"][t] < history[0]["loss"][t] for t in ("writing", "completeness"))
+    assert student.tasks["writing"] == [0, 1, 2, 3]
+    scored = signals.score_student(rows, student)
+    assert scored.where("student_completeness = cast(completeness as string)").count() > 0.5 * scored.count()
+
+
+def test_student_has_heads_for_all_signals(spark, sf):
+    got = {r["task"] for r in QUERIES["student_agreement"](spark, sf).collect()}
+    assert got >= {*C.SCORES, "domain_l1", "domain_l2"}
+
+
+def test_template_model_on_unseen_rows(spark):
+    rows = {r["template"]: (r["n"], r["flagged"]) for r in QUERIES["template_model"](spark, "/root/testdata/sf0.1").collect()}
+    assert rows[1][1] >= 0.8 * rows[1][0] and rows[0][1] <= 0.05 * rows[0][0]
+
+
+def test_language_model_on_unseen_rows(spark):
+    assert all(r["accuracy"] >= 0.9 for r in QUERIES["language_model"](spark, "/root/testdata/sf0.01").collect())
+
+
+def test_page_funnel_by_loop(spark, sf):
+    pages = load(spark, sf, "pages").collect()
+    ok = [r for r in pages if not any((h := (r["url"] or "").lower().split("://")[-1].split("/")[0]) == b or h.endswith("." + b) for b in C.BLOCKED_HOSTS) and not any(w in (r["url"] or "").lower() for w in C.BLOCKED_WORDS)]
+    got = {r["stage"]: r["docs"] for r in QUERIES["page_funnel"](spark, sf).collect()}
+    assert got == {"extracted": len(pages), "url": len(ok), "exact": len({ingest.dense_text(r["html"])[0] for r in ok})}
+    whole = [r["docs"] for r in QUERIES["page_to_sample_funnel"](spark, sf).orderBy("pos").collect()]
+    assert whole[:2] == [len(pages), len(ok)] and whole == sorted(whole, reverse=True) and len(whole) == 10
+
+
+def test_embedding_probes_find_the_prefix_bias(spark, sf):
+    got = {r["provider"]: r for r in QUERIES["embedding_probes"](spark, sf).collect()}
+    assert got["prefix"]["bias"] > 0.9 and got["word"]["bias"] < 0.1 and got["char"]["auc"] > 0.9
+
+
+def test_sketches_are_near_the_exact_counts(spark, sf):
+    docs = load(spark, sf, "documents")
+    exact = measures.lexical_diversity(docs, 2).first()
+    assert abs(QUERIES["lexical_diversity_sketch"](spark, sf).first()["unique"] - exact["unique"]) < 0.1 * exact["unique"]
+    words = measures.lexical_diversity(docs, 1).first()["unique"]
+    assert abs(QUERIES["unique_words_sketch"](spark, sf).first()["unique_words"] - words) < 0.05 * words
+    top = {r["g"]: r["docs"] for r in QUERIES["heavy_shingles"](spark, sf).collect()}
+    sketch = {r["g"]: r["docs"] for r in QUERIES["heavy_shingles_sketch"](spark, sf).collect()}
+    assert sketch and all(n >= min(top.values()) for n in sketch.values())
+
+
+def test_library_pairs_are_true_and_many(spark, sf):
+    exact = {(r["u"], r["v"]) for r in fuzzy.exact_jaccard_pairs(fuzzy.shingle_sets(load(spark, sf, "documents")), 0.8).collect()}
+    got = {(r["u"], r["v"]) for r in QUERIES["minhash_library_pairs"](spark, sf).collect()}
+    assert got <= exact and len(got) >= 0.8 * len(exact)
+
+
+def test_word2vec_of_equal_texts(spark):
+    df = spark.createDataFrame([(1, "a b c a b"), (2, "a b c a b"), (3, "x y z x y z"), (4, None)], "doc_id long, text string")
+    v = {r["doc_id"]: r["vec"] for r in semantic.word2vec_vectors(df, 8).collect()}
+    assert np.allclose(v[1], v[2]) and 4 not in v and abs(sum(x * x for x in v[3]) - 1) < 1e-9
+    assert QUERIES["word2vec_edges"](spark, "/root/testdata/sf0.001").agg(F.sum("n")).first()[0] > 0
+
+
+def test_staged_once_is_made_again_when_the_files_change(spark, tmp_path):
+    made = []
+
+    def make():
+        made.append(1)
+        return spark.range(len(made))
+
+    (tmp_path / "t.parquet").mkdir()
+    a = staged_once(spark, str(tmp_path), ("t",), "n", make)
+    assert staged_once(spark, str(tmp_path), ("t",), "n", make).count() == a.count() == 1
+    os.utime(tmp_path / "t.parquet", (1, 1))
+    assert staged_once(spark, str(tmp_path), ("t",), "n", make).count() == 2
+
+
+def test_equal_size_corpora(spark):
+    reach = spark.range(3000).select(F.lit("big").alias("arm"), F.col("id").alias("doc_id"), F.lit(2).cast("long").alias("copies")).unionAll(spark.range(500).select(F.lit("small"), "id", F.lit(1).cast("long")))
+    got = {r["arm"]: r["n"] for r in comparison.equal_size(reach).groupBy("arm").agg(F.sum("copies").alias("n")).collect()}
+    assert got["small"] == 500 and 400 < got["big"] < 600
+
+
+def test_given_vectors_take_the_place_of_the_provider(spark, sf):
+    docs = load(spark, sf, "documents")
+    given = load(spark, sf, "embeddings").select(F.col("vec_id").alias("doc_id"), F.col("embedding").alias("vec"))
+    stages = pipeline.run_pipeline(docs, pipeline.Config(vectors=given))
+    assert stages["semantic"].count() == stages["fuzzy"].count() and stages["sampled"].count() > 0  # no cosine of 0.90 among them
