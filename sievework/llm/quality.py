@@ -258,22 +258,20 @@ def relabel(chains: list[Chain], theta: np.ndarray) -> None:
 
 
 def _chains(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """(text, y) -> one row a training chain: its features and line lengths as bytes, the document's digest, the label. A document of
-    more than CHAINS chains gives CHAINS of them, at even distances."""
+    """(text, y) -> one row a training chain: features of its lines and of the one before and behind as bytes, whether there is one before,
+    line lengths, the document's digest, the label. A document of more than CHAINS chains gives CHAINS of them, at even distances."""
     from xxhash import xxh64_intdigest
 
     for batch in batches:
+        rows = []
         for text, y in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), strict=True):
             lines = text.split("\n")
-            n = -(-len(lines) // CHAIN)
-            doc, xs, sizes = xxh64_intdigest(text.encode(errors="replace")) >> 1, [], []
-            for c in sorted({k * n // min(n, CHAINS) for k in range(min(n, CHAINS))}):
-                a = c * CHAIN
-                around = lines[max(0, a - 1) : a + CHAIN + 1]
-                x = with_neighbours(line_table(around))[min(a, 1) :][:CHAIN]
-                xs.append(x.astype(np.float32).tobytes())
-                sizes.append(np.array([len(v) + 1 for v in lines[a : a + CHAIN]], np.float32).tobytes())
-            yield pa.RecordBatch.from_arrays([pa.array(xs, pa.binary()), pa.array(sizes, pa.binary()), pa.array([doc] * len(xs), pa.int64()), pa.array([y] * len(xs), pa.int32())], ["x", "sizes", "doc", "y"])
+            n, doc = -(-len(lines) // CHAIN), xxh64_intdigest(text.encode(errors="replace")) >> 1
+            for a in sorted({k * n // min(n, CHAINS) * CHAIN for k in range(min(n, CHAINS))}):
+                own = line_table(lines[max(0, a - 1) : a + CHAIN + 1]).astype(np.float32).tobytes()
+                rows.append((own, min(a, 1), np.array([len(v) + 1 for v in lines[a : a + CHAIN]], np.float32).tobytes(), doc, y))
+        cols = list(zip(*rows, strict=True)) if rows else [[]] * 5
+        yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(cols, (pa.binary(), pa.int32(), pa.binary(), pa.int64(), pa.int32()), strict=True)], ["own", "before", "sizes", "doc", "y"])
 
 
 def learn_quality(docs: DataFrame, labels: DataFrame, label: str = "quality", mod: int = 4, rest: int = 2, per_class: int = PER_CLASS) -> LineModel:
@@ -281,14 +279,15 @@ def learn_quality(docs: DataFrame, labels: DataFrame, label: str = "quality", mo
     mod ``mod`` = ``rest`` are never seen. Without labelled rows nothing is known against any text: all score 0.95; with one
     class only all lean to it."""
     sample = labelled_sample(docs, labels, label, mod, rest, per_class)
-    rows = sample.mapInArrow(_chains, "x binary, sizes binary, doc long, y int").orderBy("doc", "x").collect()  # bounded in rows and lines
+    rows = sample.mapInArrow(_chains, "own binary, before int, sizes binary, doc long, y int").collect()  # bounded in rows and lines
     width = 3 * FEATURES + 1
     if not rows:
         return LineModel(np.zeros(width), np.zeros((2, 2)), np.array([0.0, 3.0]))
     chains = []
-    for r in rows:
-        x = np.frombuffer(r["x"], np.float32).reshape(-1, width).astype(float)
-        chains.append(Chain(x, np.frombuffer(r["sizes"], np.float32).astype(float), np.full(len(x), r["y"]), r["doc"], r["y"]))
+    for r in sorted(rows, key=lambda r: (r["doc"], r["own"])):
+        sizes = np.frombuffer(r["sizes"], np.float32).astype(float)
+        x = with_neighbours(np.frombuffer(r["own"], np.float32).reshape(-1, FEATURES).astype(float))[r["before"] :][: len(sizes)]
+        chains.append(Chain(x, sizes, np.full(len(x), r["y"]), r["doc"], r["y"]))
     theta = fit_chain(chains)
     for _ in range(ROUNDS):
         relabel(chains, theta)
@@ -299,7 +298,7 @@ def learn_quality(docs: DataFrame, labels: DataFrame, label: str = "quality", mo
         for batch in batches:
             yield pa.RecordBatch.from_arrays([pa.array(model.shares(batch.column(0).to_pylist())), batch.column(1)], ["q", "y"])
 
-    points = sample.mapInArrow(measure, "q double, y int").orderBy("q", "y").toPandas()
+    points = sample.mapInArrow(measure, "q double, y int").toPandas().sort_values(["q", "y"])
     model.calibration = fit_logistic(_logit(points["q"].to_numpy())[:, None], points["y"].to_numpy())
     return model
 

@@ -202,7 +202,7 @@ def learn_lexicon(docs: DataFrame, labels: DataFrame, label: str = "toxic", mod:
             x = lexicon.features(batch.column(0).to_pylist(), machines)
             yield pa.RecordBatch.from_arrays([pa.array(x[:, 0]), pa.array(x[:, 1]), batch.column(1)], ["a", "b", "y"])
 
-    points = sample.mapInArrow(measure, "a double, b double, y int").orderBy("a", "b", "y").toPandas()  # two numbers a sampled row
+    points = sample.mapInArrow(measure, "a double, b double, y int").toPandas().sort_values(["a", "b", "y"])  # two numbers a sampled row
     w = fit_logistic(points[["a", "b"]].to_numpy(), points["y"].to_numpy())
     # Matches never lower a score, and a text without any isn't toxic, also where the sample taught no entries.
     lexicon.logistic = [max(w[0], 0.0), max(w[1], 0.0), min(w[2], NO_MATCH)]
