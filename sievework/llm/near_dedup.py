@@ -82,7 +82,8 @@ def near_texts(df: DataFrame, theta: float = THETA) -> DataFrame:
     marks = stage(_signatures(df), "near-marks")
     pairs = print_pairs(marks)
     buckets = marks.select("key", F.posexplode("values").alias("band", "bucket"))
-    shared = buckets.groupBy("band", "bucket").agg(F.count("*").alias("n")).where("n > 1").select("band", "bucket")
+    # Staged, so that both sides of the join are plain tables and a bucket with very many rows can be split.
+    shared = stage(buckets.groupBy("band", "bucket").agg(F.count("*").alias("n")).where("n > 1").select("band", "bucket"), "near-shared")
     buckets = stage(buckets.join(shared, ["band", "bucket"], "left_semi"), "near-buckets")
     some = buckets.select("key").unionAll(pairs.select("u")).unionAll(pairs.select("v")).distinct()
     sets = stage(_sets(df.join(some, "key", "left_semi")), "near-sets")
