@@ -140,7 +140,7 @@ def test_url_rules_by_brute_force(spark):
 
 @pytest.mark.parametrize("name,label,rare,least", [("op4_quality", "quality", 0, 0.97), ("op10_toxicity", "toxic", 1, 0.92)])
 def test_classifiers_on_held_out(spark, name, label, rare, least):
-    """Recall and precision of the rarer class on rows that weren't learned from (6 of 97 toxic ones hold no word of any lexicon)."""
+    """Recall and precision of the rarer class on rows that weren't learned from (7 of 97 toxic ones hold no entry of the lexicon)."""
     sf = "/root/testdata/sf0.1"
     rows = QUERIES[name](spark, sf).where("held_out").join(load(spark, sf, "labels"), "doc_id").select("predicted", label).collect()
     hit = sum(r[0] == r[1] == rare for r in rows)
