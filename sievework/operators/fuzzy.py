@@ -76,10 +76,11 @@ def lsh_bands(sigs: DataFrame, bands: int = BANDS, key: str = "doc_id") -> DataF
 def star_candidates(buckets: DataFrame, key: str = "doc_id") -> DataFrame:
     """(u, v), u < v: each member with its bucket's least. Linear in the rows whatever the bucket sizes.
 
-    The least member of each bucket is found with map-side combining and joined back, so no bucket is gathered.
+    The least member of each bucket is found with map-side combining, staged and joined back: no bucket is gathered, few least
+    members are broadcast by their known size, and in a join of two plain exchanges Spark can split a bucket with very many rows.
     """
     least = buckets.groupBy("band", "bucket").agg(F.min(key).alias("u"), F.count("*").alias("n")).where("n > 1")
-    return buckets.join(least.select("band", "bucket", "u"), ["band", "bucket"]).where(F.col(key) > F.col("u")).select("u", F.col(key).alias("v")).distinct()
+    return buckets.join(stage(least.select("band", "bucket", "u"), "bucket-least"), ["band", "bucket"]).where(F.col(key) > F.col("u")).select("u", F.col(key).alias("v")).distinct()
 
 
 def all_candidates(buckets: DataFrame, key: str = "doc_id") -> DataFrame:
@@ -131,9 +132,9 @@ def _open_links(buckets: DataFrame, star: DataFrame, sets: DataFrame, theta: flo
         return rows.join(known, column, "left").withColumn(f"root_{column}", F.coalesce(f"root_{column}", column))
 
     many = buckets.groupBy(*at).agg(F.min(key).alias("u"), F.count("*").alias("n")).where("n > 2")
-    rows = root_of(buckets.join(root_of(many, "u").select(*at, "u", "root_u"), at).where(F.col(key) > F.col("u")), key)
+    rows = root_of(buckets.join(stage(root_of(many, "u").select(*at, "u", "root_u"), "bucket-roots"), at).where(F.col(key) > F.col("u")), key)
     rows = stage(rows.select(*at, key, ((F.col(f"root_{key}") != F.col("root_u")) | F.col(f"low_{key}").isNull()).alias("open")), "bucket-members")
-    rows = stage(rows.join(rows.where("open").select(*at).distinct(), at, "left_semi"), "open-members")
+    rows = stage(rows.join(stage(rows.where("open").select(*at).distinct(), "open-buckets"), at, "left_semi"), "open-members")
     own = stage(sets.join(rows.select(key).distinct(), key, "left_semi").select(key, "sh", F.xxhash64("sh").alias("same")), "open-sets")
     reps = own.groupBy("same").agg(F.min(key).alias("rep"))
     of = stage(own.select(key, "same", F.size("sh").alias("w")).join(reps, "same").select(key, "rep", "w"), "copies")
