@@ -124,7 +124,12 @@ def judge_urls(df: DataFrame, rules: DataFrame, default: str = DEFAULT, id_col:
         .agg(F.max_by("hit", F.struct(F.length("hit.rule"), F.instr("hit.key", END))).alias("hit"))
         .select("host", "path", F.col("hit.rule").alias("rule"), F.col("hit.verdict").alias("verdict"))
     )
-    return pages.join(hits, ["host", "path"], "left").select(
+    # Rows without a host, perhaps very many, are spread: no hit has their key. The hits are staged, so that both sides of the join
+    # are plain exchanges and an address with very many rows can be split.
+    n = int(df.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+    spread = F.when(F.col("host") == "", F.pmod(F.xxhash64(id_col), F.lit(n))).otherwise(F.lit(0)).cast("int")
+    hits = stage(hits, "url-hits").withColumn("__part", F.lit(0))
+    return pages.withColumn("__part", spread).join(hits, ["host", "path", "__part"], "left").select(
         id_col, "host", "path", "rule", F.coalesce("verdict", F.lit(default)).alias("verdict")
     )
 
