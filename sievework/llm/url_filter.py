@@ -128,7 +128,7 @@ def judge_urls(df: DataFrame, rules: DataFrame, default: str = DEFAULT, id_col:
     # are plain exchanges and an address with very many rows can be split.
     n = int(df.sparkSession.conf.get("spark.sql.shuffle.partitions"))
     spread = F.when(F.col("host") == "", F.pmod(F.xxhash64(id_col), F.lit(n))).otherwise(F.lit(0)).cast("int")
-    hits = stage(hits, "url-hits").withColumn("__part", F.lit(0))
+    hits = stage(hits, "url-hits").withColumn("__part", F.lit(0)).hint("merge")  # they grow with the rows: never broadcast
     return pages.withColumn("__part", spread).join(hits, ["host", "path", "__part"], "left").select(
         id_col, "host", "path", "rule", F.coalesce("verdict", F.lit(default)).alias("verdict")
     )
