@@ -15,7 +15,7 @@ from .operators import filters, fuzzy, ingest, measures, relational, rules, samp
 from .operators.components import star_forest
 from .plans import comparison, pipeline, replay
 from .plans.staging import shared_dir, stage, staged_once
-from .sources.tables import assemble_conversations, load, union_snapshots
+from .sources.tables import assemble_conversations, load, spread, union_snapshots
 from .streaming import monitor
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {}
@@ -36,6 +36,11 @@ def docs(spark: SparkSession, d: str) -> DataFrame:
     return load(spark, d, "documents")
 
 
+def wide(spark: SparkSession, d: str) -> DataFrame:
+    """``documents`` for heavy work on each row."""
+    return spread(docs(spark, d))
+
+
 def rounded(df: DataFrame, *columns: str, digits: int = 6) -> DataFrame:
     return df.withColumns({c: F.round(c, digits) for c in columns})
 
@@ -60,7 +65,7 @@ def exact_dedup_whitespace(spark, d):
 
 @query(O.cte(O.language()) + " SELECT lang_guess, count(*) n, count(CASE WHEN lang_conf > 0.5 THEN 1 END) confident, count(CASE WHEN lang_guess = lang THEN 1 END) agree FROM lang JOIN documents USING (doc_id) GROUP BY 1")
 def language_counts(spark, d):
-    marked = ingest.detect_language(docs(spark, d))
+    marked = ingest.detect_language(wide(spark, d))
     one = lambda c: F.sum(F.when(c, 1).otherwise(0))
     return marked.groupBy("lang_guess").agg(F.count("*").alias("n"), one(F.col("lang_conf") > 0.5).alias("confident"), one(F.col("lang_guess") == F.col("lang")).alias("agree"))
 
@@ -159,7 +164,7 @@ SCORES = ", ".join(C.SCORES)
 
 @query(O.cte(O.shapes()) + f" SELECT doc_id, n_words, {SCORES} FROM signals")
 def quality_signals(spark, d):
-    return signals.annotate_quality(docs(spark, d))
+    return signals.annotate_quality(wide(spark, d))
 
 
 @query(O.cte(O.TAGS) + " SELECT domain_l1, domain_l2, count(*) n FROM tags GROUP BY ALL")
@@ -173,12 +178,12 @@ _PAIRS = [(a, b) for i, a in enumerate(C.FOUR_POINT) for b in C.FOUR_POINT[i + 1
 
 @query(O.cte(O.shapes()) + " UNION ALL ".join(f" SELECT '{a}' x, '{b}' y, round(CASE WHEN isnan(corr({a}, {b})) THEN NULL ELSE corr({a}, {b}) END, 6) r FROM signals" for a, b in _PAIRS))
 def signal_pearson(spark, d):
-    return rounded(signals.signal_correlation(signals.annotate_quality(docs(spark, d))), "r")
+    return rounded(signals.signal_correlation(signals.annotate_quality(wide(spark, d))), "r")
 
 
 @query(O.cte(O.shapes()) + ", c AS (" + " UNION ALL ".join(f"SELECT corr({a}, {b}) r FROM signals" for a, b in _PAIRS) + ") SELECT round(max(abs(r)), 6) max_abs, round(avg(abs(r)), 6) mean_abs FROM c WHERE NOT isnan(r)")
 def signal_collinearity(spark, d):
-    return rounded(signals.collinearity(signals.signal_correlation(signals.annotate_quality(docs(spark, d)))), "max_abs", "mean_abs")
+    return rounded(signals.collinearity(signals.signal_correlation(signals.annotate_quality(wide(spark, d)))), "max_abs", "mean_abs")
 
 
 @query(
@@ -213,13 +218,13 @@ _FEATURES = ("median_word_len", "required_words", "text_len", "bullet_frac", "el
 
 @query(O.cte(O.features()) + " SELECT doc_id, " + ", ".join(f"round({f}, 6) {f}" if f not in ("required_words", "text_len", "word_count") else f for f in _FEATURES) + " FROM rf")
 def rule_features(spark, d):
-    return rounded(rules.rule_features(docs(spark, d)), *[f for f in _FEATURES if f not in ("required_words", "text_len", "word_count")])
+    return rounded(rules.rule_features(wide(spark, d)), *[f for f in _FEATURES if f not in ("required_words", "text_len", "word_count")])
 
 
 def _hits(rs):
     def run(spark, d):
         features = rules.family_features if rs is rules.UNCHANGED else rules.rule_features
-        rows = features(docs(spark, d)).select("doc_id", rules.hits(rs).alias("h"))
+        rows = features(wide(spark, d)).select("doc_id", rules.hits(rs).alias("h"))
         return rows.select("doc_id", F.array_join("h", ",").alias("rule_hits"))
 
     more = (O.family(), "rfx AS (SELECT * FROM rf JOIN fam USING (doc_id))") if rs is rules.UNCHANGED else ("rfx AS (SELECT * FROM rf)",)
@@ -242,7 +247,7 @@ _ARMS = [(n, u, rules.with_alpha_unit(rs, u)) for n, rs in (("original", rules.O
 )
 def rule_retention(spark, d):
     """Documents that each rule set keeps, by unit of the alphabetic rule and by scope; one pass over the text."""
-    rows = rules.rule_features(docs(spark, d), keep=("doc_id", "lang"))
+    rows = rules.rule_features(wide(spark, d), keep=("doc_id", "lang"))
     kept = [F.count(F.when(F.size(rules.hits(rs)) == 0, 1)).alias(f"{n}_{u}") for n, u, rs in _ARMS]
     scopes = F.explode(F.when(F.col("lang") == "en", F.array(F.lit("all"), F.lit("en"))).otherwise(F.array(F.lit("all"))))
     by = rows.withColumn("scope", scopes).groupBy("scope").agg(F.count("*").alias("docs"), *kept)
@@ -267,7 +272,7 @@ x{i} AS (SELECT unnest(list_concat(['all'], h)) rule, quality FROM m{i} WHERE le
     )
 )
 def rule_precision(spark, d):
-    feats, labels = rules.rule_features(docs(spark, d)), load(spark, d, "labels")
+    feats, labels = rules.rule_features(wide(spark, d)), load(spark, d, "labels")
     found = stage(feats.select("doc_id", rules.hits(rules.ORIGINAL).alias("original"), rules.hits(rules.OPTIMIZED).alias("optimized")), "rule-hits")
     parts = [rules.rule_accuracy(found.select("doc_id", F.col(n).alias("rule_hits")), labels).withColumn("ruleset", F.lit(n)) for n in ("original", "optimized")]
     return rounded(parts[0].unionAll(parts[1]), "precision", "hq_recall")
@@ -279,7 +284,7 @@ def rule_precision(spark, d):
  count(CASE WHEN len({O.rule_hits(rules.OPTIMIZED)}) = 0 THEN 1 END) kept_without FROM rf JOIN tags USING (doc_id) GROUP BY 1"""
 )
 def rule_bypass(spark, d):
-    feats = rules.rule_features(docs(spark, d).withColumn("domain_l1", signals.domain_columns()[0]), keep=("doc_id", "domain_l1"))
+    feats = rules.rule_features(wide(spark, d).withColumn("domain_l1", signals.domain_columns()[0]), keep=("doc_id", "domain_l1"))
     a = rules.apply_rules(feats, rules.OPTIMIZED, C.BYPASS, mode="annotate").withColumn("plain", rules.hits(rules.OPTIMIZED))
     one = lambda c: F.sum(F.when(c, 1).otherwise(0))
     return a.groupBy("bypassed").agg(F.count("*").alias("docs"), one(F.size("rule_hits") == 0).alias("kept"), one(F.size("plain") == 0).alias("kept_without"))
@@ -295,7 +300,7 @@ _CUTS = (("Shopping", "word_count", 100.0), ("Arts", "word_count", 10.0), ("Arts
     + "], lambda x: x IS NOT NULL), ',') rule_hits FROM rf JOIN tags USING (doc_id)"
 )
 def rule_domain_thresholds(spark, d):
-    feats = rules.rule_features(docs(spark, d).withColumn("domain_l1", signals.domain_columns()[0]), keep=("doc_id", "domain_l1"))
+    feats = rules.rule_features(wide(spark, d).withColumn("domain_l1", signals.domain_columns()[0]), keep=("doc_id", "domain_l1"))
     cuts = spark.createDataFrame(list(_CUTS), "domain string, rule string, value double")
     return rules.apply_rules(feats, rules.OPTIMIZED, mode="annotate", thresholds=cuts).select("doc_id", F.array_join("rule_hits", ",").alias("rule_hits"))
 
@@ -307,19 +312,19 @@ _CURVE = O.cte(O.features(), "lab AS (SELECT rf.*, quality FROM rf JOIN labels U
 
 @query(_CURVE + ' SELECT CAST(cut AS DOUBLE) cut, bad + good removed, bad, good, round(bad / nullif(bad + good, 0), 6) "precision", round(1 - good / nullif(allg, 0), 6) hq_recall FROM curve')
 def rule_calibration(spark, d):
-    lab = rules.rule_features(docs(spark, d)).join(load(spark, d, "labels").select("doc_id", "quality"), "doc_id")
+    lab = rules.rule_features(wide(spark, d)).join(load(spark, d, "labels").select("doc_id", "quality"), "doc_id")
     return rounded(rules.calibration_curve(lab, rules.ORIGINAL[-1], _GRID), "precision", "hq_recall")
 
 
 @query(_CURVE + " SELECT CAST(cut AS DOUBLE) cut, bad + good removed FROM curve WHERE bad / nullif(bad + good, 0) >= 0.5 AND 1 - good / nullif(allg, 0) >= 0.9 AND bad + good > 0 ORDER BY 2 DESC, 1 LIMIT 1")
 def rule_calibrated_cut(spark, d):
-    lab = rules.rule_features(docs(spark, d)).join(load(spark, d, "labels").select("doc_id", "quality"), "doc_id")
+    lab = rules.rule_features(wide(spark, d)).join(load(spark, d, "labels").select("doc_id", "quality"), "doc_id")
     return rules.calibrate(rules.calibration_curve(lab, rules.ORIGINAL[-1], _GRID), 0.5, 0.9).select("cut", "removed")
 
 
 @query(O.cte(O.features(), O.family()) + " SELECT doc_id, round(dup_para_frac, 6) dup_para_frac, round(top_bigram_frac, 6) top_bigram_frac FROM fam")
 def rule_family_features(spark, d):
-    return rounded(rules.family_features(docs(spark, d)).select("doc_id", "dup_para_frac", "top_bigram_frac"), "dup_para_frac", "top_bigram_frac")
+    return rounded(rules.family_features(wide(spark, d)).select("doc_id", "dup_para_frac", "top_bigram_frac"), "dup_para_frac", "top_bigram_frac")
 
 
 @query(
@@ -329,7 +334,7 @@ def rule_family_features(spark, d):
 )
 def rule_retirement(spark, d):
     """Original rules whose labelled precision stays under one half."""
-    feats = rules.rule_features(docs(spark, d)).select("doc_id", rules.hits(rules.ORIGINAL).alias("rule_hits"))
+    feats = rules.rule_features(wide(spark, d)).select("doc_id", rules.hits(rules.ORIGINAL).alias("rule_hits"))
     return rounded(rules.retire_rules(rules.rule_accuracy(feats, load(spark, d, "labels")), 0.5), "precision", "hq_recall")
 
 
@@ -347,7 +352,7 @@ def template_model(spark, d):
     + " SELECT quality, count(*) n, count(CASE WHEN 1 / (1 + exp(-(-4.0 + 8 * special_ratio + 6 * dup_line_frac + 2 * short_line_frac + 10 * greatest(0.0, 0.7 - alpha_ratio)))) > 0.5 THEN 1 END) flagged FROM rf JOIN labels USING (doc_id) GROUP BY 1"
 )
 def template_classifier(spark, d):
-    lab = rules.rule_features(docs(spark, d)).join(load(spark, d, "labels").select("doc_id", "quality"), "doc_id")
+    lab = rules.rule_features(wide(spark, d)).join(load(spark, d, "labels").select("doc_id", "quality"), "doc_id")
     return lab.groupBy("quality").agg(F.count("*").alias("n"), F.sum(F.when(rules.template_score(lab) > 0.5, 1).otherwise(0)).alias("flagged"))
 
 
@@ -358,12 +363,12 @@ _PASS = "writing >= 1 AND coherence >= 1 AND completeness >= 1 AND safety >= 1"
 
 @query(O.cte(O.shapes()) + f" SELECT doc_id FROM signals WHERE {_PASS}")
 def model_filter(spark, d):
-    return filters.model_filter(signals.annotate_quality(docs(spark, d))).select("doc_id")
+    return filters.model_filter(signals.annotate_quality(wide(spark, d))).select("doc_id")
 
 
 @query(O.cte(O.shapes()) + " SELECT CASE WHEN writing < 1 THEN 'writing' WHEN coherence < 1 THEN 'coherence' WHEN completeness < 1 THEN 'completeness' WHEN safety < 1 THEN 'safety' END first_failure, count(*) n FROM signals GROUP BY 1")
 def model_filter_reasons(spark, d):
-    return filters.model_filter(signals.annotate_quality(docs(spark, d)), mode="annotate").groupBy("first_failure").agg(F.count("*").alias("n"))
+    return filters.model_filter(signals.annotate_quality(wide(spark, d)), mode="annotate").groupBy("first_failure").agg(F.count("*").alias("n"))
 
 
 _ARMS_SQL = {
@@ -378,8 +383,8 @@ _ARMS_SQL = {
 )
 def filter_ablation(spark, d):
     """Rule only, model only, both, original rules, one score, mean score."""
-    sig = signals.annotate_quality(docs(spark, d))
-    feats = rules.rule_features(docs(spark, d)).select("doc_id", rules.hits(rules.OPTIMIZED).alias("rule_hits"), F.size(rules.hits(rules.ORIGINAL)).alias("n_orig"))
+    sig = signals.annotate_quality(wide(spark, d))
+    feats = rules.rule_features(wide(spark, d)).select("doc_id", rules.hits(rules.OPTIMIZED).alias("rule_hits"), F.size(rules.hits(rules.ORIGINAL)).alias("n_orig"))
     s = stage(sig.join(feats, "doc_id").join(load(spark, d, "labels").select("doc_id", "quality"), "doc_id", "left"), "arms")
     arms = {
         "rule_only": filters.cascade(s, ("rule",)), "model_only": filters.cascade(s, ("model",)), "rule_model": filters.cascade(s), "original_rules": s.where("n_orig = 0"),
@@ -397,7 +402,7 @@ def filter_ablation(spark, d):
 
 @query(O.cte(O.shingle_sets("documents", 5)) + " SELECT doc_id, len(s) n, list_min(s) least FROM sh")
 def shingle_sets(spark, d):
-    return fuzzy.shingle_sets(docs(spark, d)).select("doc_id", F.size("sh").alias("n"), F.array_min("sh").alias("least"))
+    return fuzzy.shingle_sets(wide(spark, d)).select("doc_id", F.size("sh").alias("n"), F.array_min("sh").alias("least"))
 
 
 _SIG = O.fuzzy_pairs("documents")
@@ -405,39 +410,39 @@ _SIG = O.fuzzy_pairs("documents")
 
 @query(O.cte(_SIG) + " SELECT doc_id, md5(string_agg(CAST(m AS VARCHAR), ',' ORDER BY i)) sig_md5 FROM sig GROUP BY 1")
 def minhash_signature(spark, d):
-    return fuzzy.minhash(fuzzy.shingle_sets(docs(spark, d))).select("doc_id", F.md5(F.array_join("sig", ",")).alias("sig_md5"))
+    return fuzzy.minhash(fuzzy.shingle_sets(wide(spark, d))).select("doc_id", F.md5(F.array_join("sig", ",")).alias("sig_md5"))
 
 
 @query(O.cte(O.fuzzy_pairs("documents", perms=8, bands=2)) + " SELECT doc_id, string_agg(CAST(m AS VARCHAR), ',' ORDER BY i) sig FROM sig GROUP BY 1")
 def minhash_native(spark, d):
-    return fuzzy.minhash_native(stage(fuzzy.shingle_sets(docs(spark, d)), "sets"), 8).select("doc_id", F.array_join("sig", ",").alias("sig"))
+    return fuzzy.minhash_native(stage(fuzzy.shingle_sets(wide(spark, d)), "sets"), 8).select("doc_id", F.array_join("sig", ",").alias("sig"))
 
 
 @query(O.cte(_SIG) + " SELECT u, v FROM cands")
 def lsh_candidates(spark, d):
-    sigs = fuzzy.minhash(fuzzy.shingle_sets(docs(spark, d)))
+    sigs = fuzzy.minhash(fuzzy.shingle_sets(wide(spark, d)))
     return fuzzy.star_candidates(fuzzy.lsh_bands(sigs))
 
 
 @query(O.cte(_SIG) + " SELECT u, v, round(jaccard, 6) jaccard FROM links")
 def fuzzy_links(spark, d):
-    return rounded(fuzzy.fuzzy_links(docs(spark, d)), "jaccard")
+    return rounded(fuzzy.fuzzy_links(wide(spark, d)), "jaccard")
 
 
 @query(O.cte(_SIG, O.components("links")) + " SELECT d.doc_id, coalesce(c.root, d.doc_id) component FROM documents d LEFT JOIN comp c USING (doc_id)")
 def fuzzy_components(spark, d):
-    links = stage(fuzzy.fuzzy_links(docs(spark, d)), "links")
+    links = stage(fuzzy.fuzzy_links(wide(spark, d)), "links")
     return fuzzy.fuzzy_components(docs(spark, d), links)
 
 
 @query(O.cte(_SIG, O.components("links")) + " SELECT doc_id FROM documents WHERE doc_id NOT IN (SELECT doc_id FROM comp WHERE root <> doc_id)")
 def fuzzy_dedup(spark, d):
-    return fuzzy.fuzzy_dedup(docs(spark, d)).select("doc_id")
+    return fuzzy.fuzzy_dedup(wide(spark, d)).select("doc_id")
 
 
 @query(O.cte(_SIG) + " SELECT doc_id FROM documents WHERE doc_id NOT IN (SELECT v FROM links)")
 def fuzzy_dedup_greedy(spark, d):
-    return fuzzy.fuzzy_dedup(docs(spark, d), closure="greedy").select("doc_id")
+    return fuzzy.fuzzy_dedup(wide(spark, d), closure="greedy").select("doc_id")
 
 
 @query(
@@ -446,7 +451,7 @@ def fuzzy_dedup_greedy(spark, d):
 )
 def shingle_jaccard_pairs(spark, d):
     """All pairs of word 3-gram Jaccard >= 0.5, by prefix filtering."""
-    return rounded(fuzzy.exact_jaccard_pairs(stage(fuzzy.shingle_sets(docs(spark, d), 3), "sets"), 0.5), "jaccard")
+    return rounded(fuzzy.exact_jaccard_pairs(stage(fuzzy.shingle_sets(wide(spark, d), 3), "sets"), 0.5), "jaccard")
 
 
 @query(
@@ -455,7 +460,7 @@ def shingle_jaccard_pairs(spark, d):
 )
 def minhash_estimate_error(spark, d):
     """Estimated against exact Jaccard of the candidate pairs."""
-    sets = stage(fuzzy.shingle_sets(docs(spark, d)), "sets")
+    sets = stage(fuzzy.shingle_sets(wide(spark, d)), "sets")
     sigs = stage(fuzzy.minhash(sets), "sigs")
     pairs = stage(fuzzy.star_candidates(fuzzy.lsh_bands(sigs)), "pairs")
     both = fuzzy.estimate(pairs, sigs).join(fuzzy.verify(pairs, sets, 0.0), ["u", "v"])
@@ -491,7 +496,7 @@ _VEC = (O.vectors("documents"), O.clusters(1), O.edges())
 
 def _cells(spark, d) -> DataFrame:
     def make():
-        vectors = pipeline.vectors_of(docs(spark, d))
+        vectors = pipeline.vectors_of(wide(spark, d))
         return semantic.kmeans_cells(vectors, semantic.cells_for(vectors.count()))
 
     return staged_once(spark, d, ("documents",), "cells", make)
@@ -505,20 +510,20 @@ def _clustered(spark, d) -> tuple[DataFrame, DataFrame]:
 
 @query(O.cte(O.vectors("documents")) + " SELECT doc_id, round(v[1], 6) first, round(list_max(v), 6) top, len(list_filter(v, lambda x: x <> 0)) filled FROM vec")
 def hashed_vectors(spark, d):
-    v = semantic.hashed_vectors(docs(spark, d))
+    v = semantic.hashed_vectors(wide(spark, d))
     return v.select("doc_id", F.round(F.col("vec")[0], 6).alias("first"), F.round(F.array_max("vec"), 6).alias("top"), F.size(F.filter("vec", lambda x: x != 0)).alias("filled"))
 
 
 @query(O.cte(O.vectors("documents"), O.clusters(16)) + " SELECT doc_id, cluster FROM assign")
 def cluster_assign_seeds(spark, d):
-    v = stage(semantic.hashed_vectors(docs(spark, d)), "vectors")
+    v = stage(semantic.hashed_vectors(wide(spark, d)), "vectors")
     return semantic.assign_nearest(v, stage(semantic.seed_centroids(v, 16), "seeds")).select("doc_id", "cluster")
 
 
 @query(O.cte(O.vectors("documents"), O.lloyd("vec", 16)) + " SELECT doc_id, cluster FROM km")
 def kmeans_assign(spark, d):
     """K-Means of all documents, 16 clusters."""
-    return semantic.kmeans_cells(pipeline.vectors_of(docs(spark, d)), 16).select("doc_id", "cluster")
+    return semantic.kmeans_cells(pipeline.vectors_of(wide(spark, d)), 16).select("doc_id", "cluster")
 
 
 @query(
@@ -528,7 +533,7 @@ def kmeans_assign(spark, d):
 def cell_edge_recall(spark, d):
     """What cutting into cells costs: of all pairs of cosine 0.90 or more, those inside one of 16 K-Means cells (far more cells than
     the semantic stage makes for so few rows)."""
-    cells = stage(semantic.kmeans_cells(pipeline.vectors_of(docs(spark, d)), 16), "cells-16")
+    cells = stage(semantic.kmeans_cells(pipeline.vectors_of(wide(spark, d)), 16), "cells-16")
     every = stage(semantic.similarity_edges(cells.withColumn("cluster", F.lit(0).cast("long"))), "all-pairs")
     inside = stage(semantic.similarity_edges(cells), "cell-pairs")
     both = every.agg(F.count("*").alias("pairs")).crossJoin(inside.agg(F.count("*").alias("inside")))
@@ -553,7 +558,7 @@ def soft_vote_all_edges(spark, d):
 @query(O.cte(*_VEC, O.votes()) + " SELECT id, score, edges, redundant FROM votes")
 def soft_vote_collapsed(spark, d):
     """The same votes with equal texts counted, not paired."""
-    return semantic.collapsed_vote(docs(spark, d))
+    return semantic.collapsed_vote(wide(spark, d))
 
 
 @query(O.cte(*_VEC) + " SELECT id, CAST(sum(CASE WHEN other < id THEN weight ELSE 0 END) AS BIGINT) score, count(*) edges, sum(CASE WHEN other < id THEN weight ELSE 0 END) > 10 redundant FROM dir GROUP BY 1")
@@ -587,7 +592,7 @@ def soft_dedup_survivors(spark, d):
 )
 def soft_dedup_best_quality(spark, d):
     """Of each connected set of redundant documents the one of highest content value stays."""
-    rank = signals.annotate_quality(docs(spark, d)).select(F.col("doc_id").alias("id"), (-sampling.content_value()).alias("rank"))
+    rank = signals.annotate_quality(wide(spark, d)).select(F.col("doc_id").alias("id"), (-sampling.content_value()).alias("rank"))
     gone = semantic.semantic_removed(_cells(spark, d), order=stage(rank, "ranks"))
     return docs(spark, d).join(gone.select(F.col("id").alias("doc_id")), "doc_id", "left_anti").select("doc_id")
 
@@ -611,7 +616,7 @@ _FPR = ("marked AS (SELECT e.*, dup, u IN (SELECT id FROM votes WHERE redundant)
 
 def pair_truth(spark, d, edges: DataFrame, theta: float = 0.5) -> DataFrame:
     """(u, v, dup) of the edges: exact Jaccard of word 3-grams."""
-    sets = stage(fuzzy.shingle_sets(docs(spark, d), 3), "truth-sets")
+    sets = stage(fuzzy.shingle_sets(wide(spark, d), 3), "truth-sets")
     return fuzzy.verify(edges.select("u", "v"), sets, 0.0).select("u", "v", (F.col("jaccard") >= theta).alias("dup"))
 
 
@@ -657,7 +662,7 @@ def embedding_benchmark(spark, d):
     """Four providers over [0.90, 1.00]: error by step, rank correlation; the prefix provider is built to fail."""
     out = None
     for p in O.PROVIDERS:
-        v = pipeline.vectors_of(docs(spark, d), pipeline.Config(provider=p))
+        v = pipeline.vectors_of(wide(spark, d), pipeline.Config(provider=p))
         e = stage(semantic.weighted(semantic.similarity_edges(pipeline.cells_of(v))), "provider-edges")
         one = semantic.embedding_quality(semantic.similarity_benchmark(e, pair_truth(spark, d, e))).withColumn("provider", F.lit(p))
         out = one if out is None else out.unionAll(one)
@@ -792,7 +797,7 @@ def embedding_auc(spark, d):
 
 @query()
 def word2vec_edges(spark, d):
-    v = stage(semantic.word2vec_vectors(docs(spark, d)), "w2v")
+    v = stage(semantic.word2vec_vectors(wide(spark, d)), "w2v")
     return semantic.weighted(semantic.similarity_edges(pipeline.cells_of(v))).groupBy("weight").agg(F.count("*").alias("n"))
 
 
@@ -803,7 +808,7 @@ def minhash_library_pairs(spark, d):
     from pyspark.ml.linalg import SparseVector, VectorUDT
 
     vector = F.udf(lambda s: SparseVector(1 << 20, sorted({x % (1 << 20) for x in s}), [1.0] * len({x % (1 << 20) for x in s})), VectorUDT())
-    sets = stage(fuzzy.shingle_sets(docs(spark, d)), "ml-sets").where(F.size("sh") > 0).select("doc_id", vector("sh").alias("f"))
+    sets = stage(fuzzy.shingle_sets(wide(spark, d)), "ml-sets").where(F.size("sh") > 0).select("doc_id", vector("sh").alias("f"))
     model = MinHashLSH(inputCol="f", outputCol="h", numHashTables=5, seed=1).fit(sets)
     pairs = model.approxSimilarityJoin(sets, sets, 0.2, "distance").where("datasetA.doc_id < datasetB.doc_id")
     return pairs.select(F.col("datasetA.doc_id").alias("u"), F.col("datasetB.doc_id").alias("v"), F.round(1 - F.col("distance"), 6).alias("jaccard"))
@@ -848,9 +853,9 @@ def frame(spark, d, quality: str = "value", alpha: float = C.ALPHA) -> DataFrame
     """All documents: signals, tags, diversity of their K-Means group, score."""
 
     def make():
-        groups = pipeline.groups_of(pipeline.vectors_of(docs(spark, d)))
+        groups = pipeline.groups_of(pipeline.vectors_of(wide(spark, d)))
         dv = sampling.cluster_diversity(groups, sampling.label_centroids(groups)).select("cluster", "d")
-        rows = signals.annotate(docs(spark, d)).join(groups.select("doc_id", "cluster"), "doc_id", "left").join(F.broadcast(dv), "cluster", "left")
+        rows = signals.annotate(wide(spark, d)).join(groups.select("doc_id", "cluster"), "doc_id", "left").join(F.broadcast(dv), "cluster", "left")
         return rows.withColumn("d", F.coalesce("d", F.lit(0.0)))
 
     return sampling.sampling_score(staged_once(spark, d, ("documents",), "sampling-frame", make), alpha, quality)
@@ -864,7 +869,7 @@ def sampling_score_given_vectors(spark, d):
     """The score over the given embeddings and their labels: only documents that have one."""
     vectors = load(spark, d, "embeddings").select(F.col("vec_id").alias("doc_id"), F.col("label").alias("cluster"), F.col("embedding").alias("vec"))
     dv = sampling.cluster_diversity(vectors, sampling.label_centroids(vectors)).select("cluster", "d")
-    rows = signals.annotate(docs(spark, d)).join(vectors.select("doc_id", "cluster"), "doc_id").join(F.broadcast(dv), "cluster")
+    rows = signals.annotate(wide(spark, d)).join(vectors.select("doc_id", "cluster"), "doc_id").join(F.broadcast(dv), "cluster")
     return rounded(sampling.sampling_score(stage(rows, "given-frame")).select("doc_id", "s"), "s")
 
 
@@ -885,17 +890,17 @@ def diversity_scores(spark, d):
 
 @query(O.cte(O.shapes()) + " SELECT doc_id, CAST(knowledge + education + helpfulness + reasoning AS DOUBLE) q FROM signals")
 def content_value(spark, d):
-    return signals.annotate_quality(docs(spark, d)).select("doc_id", sampling.content_value().alias("q"))
+    return signals.annotate_quality(wide(spark, d)).select("doc_id", sampling.content_value().alias("q"))
 
 
 @query(O.cte(O.shapes()) + " SELECT doc_id, round(CASE WHEN least(writing, coherence, completeness, logicality) <= 0 THEN 0.0 ELSE 4 / (1.0 / writing + 1.0 / coherence + 1.0 / completeness + 1.0 / logicality) END, 6) w FROM signals")
 def writing_quality_harmonic(spark, d):
-    return signals.annotate_quality(docs(spark, d)).select("doc_id", F.round(sampling.writing_quality(), 6).alias("w"))
+    return signals.annotate_quality(wide(spark, d)).select("doc_id", F.round(sampling.writing_quality(), 6).alias("w"))
 
 
 @query(O.cte(O.shapes()) + " SELECT doc_id FROM signals WHERE knowledge + education + helpfulness + reasoning > 1")
 def value_filter(spark, d):
-    return sampling.value_filter(signals.annotate_quality(docs(spark, d))).select("doc_id")
+    return sampling.value_filter(signals.annotate_quality(wide(spark, d))).select("doc_id")
 
 
 @query(O.cte(*_FRAME) + " SELECT doc_id, round(q_n, 6) q_n, round(d_n, 6) d_n, round(s, 6) s FROM n2")
@@ -1021,7 +1026,7 @@ _STAGES = O.funnel_ctes()
 
 def staged(spark, d) -> DataFrame:
     """The staged funnel, run once for all queries that read its stages."""
-    return staged_once(spark, d, ("documents",), "stages", lambda: pipeline.stage_table(pipeline.run_pipeline(docs(spark, d))))
+    return staged_once(spark, d, ("documents",), "stages", lambda: pipeline.stage_table(pipeline.run_pipeline(wide(spark, d))))
 
 
 @query(
@@ -1119,7 +1124,7 @@ def upsample_topk(spark, d):
     + " SELECT x.stage, docs, coalesce(total, 0) total, coalesce(n, 0) \"unique\", round(n / nullif(total, 0), 6) r_n, round(coalesce(total, 0) / docs, 6) per_doc FROM (SELECT stage, CAST(sum(copies) AS BIGINT) docs FROM g GROUP BY 1) x LEFT JOIN (SELECT stage, CAST(sum(copies) AS BIGINT) total, count(DISTINCT w) n FROM g JOIN tk USING (doc_id) GROUP BY 1) y USING (stage)"
 )
 def lexical_diversity(spark, d):
-    return rounded(measures.lexical_table(docs(spark, d), staged(spark, d).select("stage", "doc_id", "copies")).drop("n"), "r_n", "per_doc")
+    return rounded(measures.lexical_table(wide(spark, d), staged(spark, d).select("stage", "doc_id", "copies")).drop("n"), "r_n", "per_doc")
 
 
 @query(
@@ -1128,7 +1133,7 @@ def lexical_diversity(spark, d):
 )
 def lexical_table_by_stage(spark, d):
     """Unique n-grams of each stage for n = 1, 2, 3."""
-    return rounded(measures.lexical_table(docs(spark, d), staged(spark, d).select("stage", "doc_id", "copies"), (1, 2, 3)).drop("per_doc"), "r_n")
+    return rounded(measures.lexical_table(wide(spark, d), staged(spark, d).select("stage", "doc_id", "copies"), (1, 2, 3)).drop("per_doc"), "r_n")
 
 
 def _grams_sql(n: int) -> str:
@@ -1138,12 +1143,12 @@ def _grams_sql(n: int) -> str:
 @query(O.cte(f"kk AS (SELECT {O.toks('text')} k FROM documents)", "gg AS (" + " UNION ALL ".join(map(_grams_sql, (1, 2, 3))) + ")") + " SELECT n, (SELECT count(*) FROM documents) docs, count(*) total, count(DISTINCT g) \"unique\", round(count(DISTINCT g) / count(*), 6) r_n FROM gg GROUP BY n")
 def ngram_diversity(spark, d):
     whole = docs(spark, d).select("doc_id", F.lit("all").alias("stage"), F.lit(1).alias("copies"))
-    return rounded(measures.lexical_table(docs(spark, d), whole, (1, 2, 3)).drop("per_doc", "stage"), "r_n")
+    return rounded(measures.lexical_table(wide(spark, d), whole, (1, 2, 3)).drop("per_doc", "stage"), "r_n")
 
 
 @query()
 def lexical_diversity_sketch(spark, d):
-    return measures.lexical_diversity(docs(spark, d), 2, approx=True)
+    return measures.lexical_diversity(wide(spark, d), 2, approx=True)
 
 
 @query(O.cte(O.TAGS) + " SELECT round(-sum(p * log2(p)), 6) h_bits, count(*) domains, round(log2(count(*)), 6) h_max FROM (SELECT count(*) / sum(count(*)) OVER () p FROM tags GROUP BY domain_l1)")
@@ -1164,7 +1169,7 @@ def top3_share(spark, d):
 )
 def mean_pair_jaccard_exact(spark, d):
     """Over all pairs, from those that share a shingle (others add nothing); for tables of moderate size."""
-    return fuzzy.mean_jaccard_exact(docs(spark, d)).select(F.round("mean_jaccard", 9).alias("mean_jaccard"))
+    return fuzzy.mean_jaccard_exact(wide(spark, d)).select(F.round("mean_jaccard", 9).alias("mean_jaccard"))
 
 
 @query(
@@ -1175,7 +1180,7 @@ def mean_pair_jaccard_exact(spark, d):
     + " SELECT round(avg(coalesce(len(list_intersect(a.s, b.s)) / nullif(CAST(len(a.s) + len(b.s) - len(list_intersect(a.s, b.s)) AS DOUBLE), 0), 0)), 9) mean_jaccard, count(*) pairs FROM jl a JOIN jr b ON a.k = b.k AND a.slot = b.slot AND a.doc_id <> b.doc_id"
 )
 def mean_pair_jaccard(spark, d):
-    return rounded(fuzzy.mean_jaccard(docs(spark, d)), "mean_jaccard", digits=9)
+    return rounded(fuzzy.mean_jaccard(wide(spark, d)), "mean_jaccard", digits=9)
 
 
 @query(
@@ -1218,7 +1223,7 @@ def semantic_beyond_fuzzy(spark, d):
     + " SELECT doc_id, item_id, count(*) grams FROM dg JOIN bg USING (g) GROUP BY ALL"
 )
 def benchmark_overlap(spark, d):
-    return measures.overlap(docs(spark, d), load(spark, d, "benchmark"))
+    return measures.overlap(wide(spark, d), load(spark, d, "benchmark"))
 
 
 # --- ablations and comparison corpora ------------------------------------------------------------
@@ -1228,7 +1233,7 @@ _SG = "sg AS MATERIALIZED (SELECT s.*, domain_l1, domain_l2 FROM signals s JOIN
 
 
 def _signals(spark, d) -> DataFrame:
-    return staged_once(spark, d, ("documents",), "arm-signals", lambda: comparison.arm_signals(docs(spark, d)))
+    return staged_once(spark, d, ("documents",), "arm-signals", lambda: comparison.arm_signals(wide(spark, d)))
 
 
 def _texts(spark, d) -> DataFrame:
@@ -1267,7 +1272,7 @@ _DEDUP = (
 @query(O.cte(O.shapes(), O.TAGS, _SG, *_DEDUP, O.measured()) + " SELECT *, round(docs / (SELECT count(*) FROM documents), 6) kept FROM measured")
 def dedup_ablation(spark, d):
     """None, exact, fuzzy, soft vote alone, fuzzy with the hard threshold and with the soft vote: yield and all measures."""
-    out = comparison.measure_arms(comparison.reach_of(comparison.dedup_arms(docs(spark, d))), _signals(spark, d), _texts(spark, d))
+    out = comparison.measure_arms(comparison.reach_of(comparison.dedup_arms(wide(spark, d))), _signals(spark, d), _texts(spark, d))
     return out.crossJoin(docs(spark, d).agg(F.count("*").alias("all"))).withColumn("kept", F.round(F.col("docs") / F.col("all"), 6)).drop("all")
 
 
@@ -1338,7 +1343,7 @@ def budget_scaling(spark, d):
 )
 def corpus_comparison(spark, d):
     """Our sampled corpus against stand-ins at about equal size: entropy, top-3 and long-tail shares, values, STEM retention, unique n-grams."""
-    sets = comparison.corpora(staged(spark, d), comparison.original_kept(docs(spark, d)))
+    sets = comparison.corpora(staged(spark, d), comparison.original_kept(wide(spark, d)))
     return comparison.measure_arms(comparison.equal_size(comparison.reach_of(sets)), _signals(spark, d), _texts(spark, d), (1, 2, 3))
 
 
@@ -1348,7 +1353,7 @@ def corpus_comparison(spark, d):
 )
 def isolated_pipeline(spark, d):
     """The funnel without shared signals."""
-    stages = pipeline.run_pipeline(docs(spark, d), pipeline.Config(shared_signals=False, bypass=()))
+    stages = pipeline.run_pipeline(wide(spark, d), pipeline.Config(shared_signals=False, bypass=()))
     return rounded(measures.funnel({n: stages[n] for n in pipeline.STAGES}), "kept", "removed", "cumulative")
 
 
@@ -1553,21 +1558,21 @@ def language_domain_cube(spark, d):
 
 @query(O.cte(O.features()) + f" SELECT doc_id FROM documents EXCEPT SELECT doc_id FROM rf WHERE len({O.rule_hits(rules.ORIGINAL)}) = 0")
 def removed_by_rules(spark, d):
-    kept = rules.apply_rules(rules.rule_features(docs(spark, d)), rules.ORIGINAL).select("doc_id")
+    kept = rules.apply_rules(rules.rule_features(wide(spark, d)), rules.ORIGINAL).select("doc_id")
     return docs(spark, d).select("doc_id").subtract(kept)
 
 
 @query(O.cte(O.shingle_sets("documents", 5), "f AS (SELECT unnest(s) g FROM sh)") + " SELECT g, count(*) docs FROM f GROUP BY 1 ORDER BY 2 DESC, 1 LIMIT 20")
 def heavy_shingles(spark, d):
     """The shingles that most documents share: where LSH buckets and joins grow hot."""
-    sets = stage(fuzzy.shingle_sets(docs(spark, d)), "sets")
+    sets = stage(fuzzy.shingle_sets(wide(spark, d)), "sets")
     return sets.select(F.explode("sh").alias("g")).groupBy("g").agg(F.count("*").alias("docs")).orderBy(F.desc("docs"), "g").limit(20)
 
 
 @query()
 def heavy_shingles_sketch(spark, d):
     """The same by a frequent-items sketch of fixed size."""
-    sets = stage(fuzzy.shingle_sets(docs(spark, d)), "sets")
+    sets = stage(fuzzy.shingle_sets(wide(spark, d)), "sets")
     return sets.select(F.explode("sh").alias("g")).agg(F.expr("approx_top_k(g, 20, 4096)").alias("top")).select(F.explode("top").alias("t")).select(F.col("t.item").alias("g"), F.col("t.count").alias("docs"))
 
 

@@ -11,6 +11,13 @@ def load(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir.rstrip('/')}/{name}.parquet")
 
 
+def spread(scan: DataFrame) -> DataFrame:
+    """A scan's rows over all cores where it has fewer partitions than they are; any larger scan as it is. For heavy work on each
+    row of small inputs: what is moved is under a partition's size (``spark.sql.files.maxPartitionBytes``) for each core."""
+    cores = scan.sparkSession.sparkContext.defaultParallelism
+    return scan.repartition(cores) if scan._jdf.queryExecution().toRdd().getNumPartitions() < cores else scan
+
+
 def load_files(spark: SparkSession, path: str, fmt: str, schema: T.StructType | str) -> DataFrame:
     """CSV, JSON, text, ORC or Parquet with a given schema; rows that don't fit land in ``_corrupt_record`` (CSV, JSON)."""
     reader = spark.read.format(fmt)
