@@ -484,3 +484,11 @@ def test_given_vectors_take_the_place_of_the_provider(spark, sf):
     given = load(spark, sf, "embeddings").select(F.col("vec_id").alias("doc_id"), F.col("embedding").alias("vec"))
     stages = pipeline.run_pipeline(docs, pipeline.Config(vectors=given))
     assert stages["semantic"].count() == stages["fuzzy"].count() and stages["sampled"].count() > 0  # no cosine of 0.90 among them
+
+
+def test_length_quantiles_are_exact(spark, tmp_path):
+    """30,011 distinct lengths: more than the sketch of 10,000 held apart."""
+    n = 30_011
+    spark.range(n).select(F.col("id").alias("doc_id"), (F.col("id") * 7919 % n * 3 + 1).alias("n_chars")).write.parquet(str(tmp_path / "documents.parquet"))
+    got = {r["pos"]: r["chars"] for r in QUERIES["length_quantiles"](spark, str(tmp_path)).collect()}
+    assert got == {i: (math.ceil(q * n / 10) - 1) * 3 + 1 for i, q in enumerate((1, 5, 9))}
