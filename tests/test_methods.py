@@ -492,3 +492,32 @@ def test_length_quantiles_are_exact(spark, tmp_path):
     spark.range(n).select(F.col("id").alias("doc_id"), (F.col("id") * 7919 % n * 3 + 1).alias("n_chars")).write.parquet(str(tmp_path / "documents.parquet"))
     got = {r["pos"]: r["chars"] for r in QUERIES["length_quantiles"](spark, str(tmp_path)).collect()}
     assert got == {i: (math.ceil(q * n / 10) - 1) * 3 + 1 for i, q in enumerate((1, 5, 9))}
+
+
+@pytest.mark.parametrize("dims", (4, 160))
+def test_counted_pairs_are_those_of_the_edges(spark, dims):
+    """By cosine and home, in one tile and in several, with copies; many dimensions go over the bound of the first ones."""
+    random.seed(3)
+    x = np.array([[random.gauss(0, 1) + 2 * (j % 7 == i % 5) for j in range(dims)] for i in range(90)])
+    x = np.concatenate([x / np.sqrt((x * x).sum(1))[:, None]] * 2)[:130]
+    rows = [(i, i % 2, i % 3, v.tolist()) for i, v in enumerate(x)]
+    df = spark.createDataFrame(rows, "doc_id long, cluster long, home long, vec array<double>")
+    for floor in (0.9, 0.2):
+        want = {}
+        for r in semantic.similarity_edges(df, floor).collect():
+            k = 2 * int(r["sim"] >= 0.95) + (r["u"] % 3 == r["v"] % 3)
+            want[k] = want.get(k, 0) + 1
+        for tile in (11, 1000):
+            got = semantic.pair_counts(df, lambda s, same: 2 * (s >= 0.95) + same, floor, tile, home="home")
+            assert want and dict(got) == want
+    edges = semantic.weighted(semantic.similarity_edges(df)).groupBy("weight").count().collect()
+    assert {r["weight"]: r["n"] for r in semantic.band_counts(df).collect()} == {r["weight"]: r["count"] for r in edges}
+
+
+@pytest.mark.parametrize("name", ("cell_edge_recall", "word2vec_edges"))
+def test_counts_of_pairs_make_no_pairs(spark, sf, name, monkeypatch):
+    def none(*_, **__):
+        raise AssertionError("lists pairs")
+
+    monkeypatch.setattr(semantic, "similarity_edges", none)
+    assert QUERIES[name](spark, sf).collect()
