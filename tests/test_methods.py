@@ -5,6 +5,7 @@ import math
 import os
 import random
 
+import duckdb
 import numpy as np
 import pytest
 from pyspark.sql import functions as F
@@ -13,7 +14,7 @@ from sievework.functions import constants as C
 from sievework.functions.sql import register
 from sievework.operators import filters, fuzzy, ingest, measures, relational, rules, sampling, semantic, signals
 from sievework.operators.components import star_forest
-from sievework.catalog import QUERIES
+from sievework.catalog import ORACLES, QUERIES
 from sievework.plans import comparison, pipeline
 from sievework.plans.staging import staged_once
 from sievework.sources.tables import load, load_files, require, union_snapshots, write_jsonl, write_rejects
@@ -521,3 +522,36 @@ def test_counts_of_pairs_make_no_pairs(spark, sf, name, monkeypatch):
 
     monkeypatch.setattr(semantic, "similarity_edges", none)
     assert QUERIES[name](spark, sf).collect()
+
+
+def test_nearest_in_clusters_equal_all_pairs(spark):
+    """With copies (ties) and small clusters, in one pair of tiles and in several."""
+    random.seed(4)
+    x = np.array([[random.gauss(0, 1) for _ in range(5)] for _ in range(40)])
+    x = np.concatenate([x / np.sqrt((x * x).sum(1))[:, None]] * 2)
+    rows = [(i, 9 if i < 2 else i % 3, v.tolist()) for i, v in enumerate(x)]
+    sims = np.round(np.minimum(np.round(x @ x.T, 12), 1.0), 9)
+    want = set()
+    for i, c, _ in rows:
+        near = sorted((-sims[i, j], j) for j, cj, _ in rows if cj == c and j != i)[:3]
+        want |= {(i, j, -s) for s, j in near}
+    df = spark.createDataFrame(rows, "doc_id long, cluster long, vec array<double>")
+    for tile in (6, 1000):
+        found = semantic.nearest_in_clusters(df, 3, tile=tile)
+        assert {tuple(r) for r in found.collect()} == want
+
+
+@pytest.mark.parametrize("name", ("embedding_pairs_topk", "embedding_benchmark", "embedding_choice", "embedding_probes"))
+def test_embedding_queries_list_no_pairs(spark, sf, name, monkeypatch):
+    def none(*_, **__):
+        raise AssertionError("lists pairs")
+
+    monkeypatch.setattr(semantic, "similarity_edges", none)
+    if name in ORACLES and name != "embedding_pairs_topk":
+        con = duckdb.connect()
+        con.sql(f"CREATE VIEW documents AS SELECT * FROM read_parquet('{sf}/documents.parquet')")
+        got, want = QUERIES[name](spark, sf), con.sql(ORACLES[name])
+        at = got.columns
+        assert sorted(map(str, map(tuple, got.collect()))) == sorted(map(str, want.select(", ".join(at)).fetchall()))
+    else:
+        assert QUERIES[name](spark, sf).collect()
