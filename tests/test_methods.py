@@ -555,3 +555,21 @@ def test_embedding_queries_list_no_pairs(spark, sf, name, monkeypatch):
         assert sorted(map(str, map(tuple, got.collect()))) == sorted(map(str, want.select(", ".join(at)).fetchall()))
     else:
         assert QUERIES[name](spark, sf).collect()
+
+
+def test_mean_jaccard_of_arms_pairs_no_copies(spark):
+    """Against all pairs, with copies, empty texts and an arm of one row; 3,000 copies of one text cost one class."""
+    words = "a b c d e f g h".split()
+    random.seed(6)
+    texts = [" ".join(random.choices(words, k=k)) for k in (0, 2, 5, 9, 12, 30, 30, 60)] * 3
+    rows = [(i, t, True, i % 3 > 0, i == 5) for i, t in enumerate(texts)]
+    sets = [{tuple(t.split()[i : i + 3]) for i in range(len(t.split()) - 2)} for t in texts]
+    df = spark.createDataFrame(rows, "doc_id long, text string, x boolean, y boolean, z boolean")
+    got = {r["arm"]: (r["docs"], r["mean_jaccard"]) for r in fuzzy.mean_jaccard_arms(df, ("x", "y", "z")).collect()}
+    for at, arm in ((2, "x"), (3, "y")):
+        own = [sets[r[0]] for r in rows if r[at]]
+        each = [len(a & b) / max(1, len(a | b)) for i, a in enumerate(own) for b in own[:i]]
+        assert got[arm][0] == len(own) and abs(got[arm][1] - sum(each) / len(each)) < 1e-12
+    assert got["z"] == (1, None)
+    copies = spark.range(3000).select(F.col("id").alias("doc_id"), F.lit("one two three four").alias("text"))
+    assert fuzzy.mean_jaccard_exact(copies).first()[0] == 1.0
