@@ -166,7 +166,7 @@ def upsampling(sampled: DataFrame, domain: str = "domain_l2", copies: str = "cop
 
 
 def overlap(df: DataFrame, items: DataFrame, n: int = 8, key: str = "doc_id", item: str = "item_id", text: str = "text") -> DataFrame:
-    """(key, item, grams): shared distinct n-grams of documents and (few) benchmark items."""
+    """(key, item, grams): shared distinct n-grams of documents and (few) benchmark items, whose n-grams are sent to the documents."""
     grams = lambda rows, k: rows.select(k, tokens(F.col(text)).alias("__k")).select(k, F.explode(F.array_distinct(ngrams(F.col("__k"), n))).alias("g"))
     left, right = grams(df, key), grams(items, item)
-    return left.join(right, "g").groupBy(key, item).agg(F.count("*").alias("grams"))
+    return left.join(F.broadcast(right), "g").groupBy(key, item).agg(F.count("*").alias("grams"))

@@ -573,3 +573,12 @@ def test_mean_jaccard_of_arms_pairs_no_copies(spark):
     assert got["z"] == (1, None)
     copies = spark.range(3000).select(F.col("id").alias("doc_id"), F.lit("one two three four").alias("text"))
     assert fuzzy.mean_jaccard_exact(copies).first()[0] == 1.0
+
+
+def test_overlap_shuffles_no_grams_of_documents(spark):
+    docs = spark.createDataFrame([(1, "a b c d"), (2, "x b c d"), (3, None)], "doc_id long, text string")
+    items = spark.createDataFrame([(7, "b c d e"), (8, "q")], "item_id long, text string")
+    found = measures.overlap(docs, items, 2)
+    assert {tuple(r) for r in found.collect()} == {(1, 7, 2), (2, 7, 2)}
+    plan = found._jdf.queryExecution().optimizedPlan().toString()
+    assert "rightHint=(strategy=broadcast)" in plan
