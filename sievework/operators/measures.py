@@ -105,21 +105,28 @@ def lexical_diversity(df: DataFrame, n: int = 1, text: str = "text", weight: str
 def lexical_table(texts: DataFrame, reach: DataFrame, ns: Sequence[int] = (1,), by: str = "stage", key: str = "doc_id", text: str = "text") -> DataFrame:
     """(n, by, docs, total, unique, r_n, per_doc) of several collections of the same documents, for each n.
 
-    ``reach``: (by, key, copies); collections are few. Every document is read once, with its copies in each collection as columns,
-    so an n-gram is one row of its 128-bit hash and as many sums, whatever the number of collections it is in.
+    ``reach``: (by, key, copies); collections are few (a pass takes 62). Totals come from the documents' lengths; so of an n-gram only its
+    128-bit hash and one number, a bit for each collection it is in, are shuffled.
     """
     names = [r[0] for r in reach.select(by).distinct().orderBy(by).collect()]
     if not names:
         return reach.select(F.lit(0).alias("n"), by, *[F.lit(0).cast("long").alias(c) for c in ("docs", "total", "unique")], *[F.lit(0.0).alias(c) for c in ("r_n", "per_doc")]).where("false")
+    if len(names) > 62:  # the bits of a number
+        halves = (names[:62], names[62:])
+        first, rest = (lexical_table(texts, reach.where(F.col(by).isin(half)), ns, by, key, text) for half in halves)
+        return first.unionByName(rest)
     cols = [f"c{i}" for i in range(len(names))]
     wide = reach.groupBy(key).agg(*[F.coalesce(F.sum(F.when(F.col(by) == v, F.col("copies"))), F.lit(0)).cast("long").alias(c) for v, c in zip(names, cols, strict=True)])
     docs = wide.agg(*[F.sum(c).alias(f"d{i}") for i, c in enumerate(cols)])
-    words = wide.join(texts.select(key, text), key).select(*cols, tokens(F.col(text)).alias("__k"))
+    reached = sum((F.when(F.col(c) > 0, 1 << i).otherwise(0) for i, c in enumerate(cols)), F.lit(0).cast("long"))  # a bit a collection
+    words = wide.select(key, *cols, reached.alias("__in")).where(F.col("__in") > 0).join(texts.select(key, text), key).select(*cols, "__in", tokens(F.col(text)).alias("__k"))
+    held = words.select(*cols, F.size("__k").alias("__n"))
+    totals = held.agg(*[F.coalesce(F.sum(F.col(c) * F.greatest(F.col("__n") - (n - 1), F.lit(0))), F.lit(0)).alias(f"t{n}_{i}") for n in ns for i, c in enumerate(cols)]).first()
     out = None
     for n in ns:
-        grams = words.select(*cols, F.explode(ngrams(F.col("__k"), n)).alias("g")).select(*cols, F.xxhash64("g").alias("a"), F.xxhash64(F.lit(n), "g").alias("b"))
-        sums = grams.groupBy("a", "b").agg(*[F.sum(c).alias(c) for c in cols])
-        row = sums.agg(*[e for i, c in enumerate(cols) for e in (F.coalesce(F.sum(c), F.lit(0)).alias(f"t{i}"), F.count(F.when(F.col(c) > 0, 1)).alias(f"u{i}"))]).crossJoin(docs)
+        grams = words.select("__in", F.explode(ngrams(F.col("__k"), n)).alias("g")).select("__in", F.xxhash64("g").alias("a"), F.xxhash64(F.lit(n), "g").alias("b"))
+        sums = grams.groupBy("a", "b").agg(F.bit_or("__in").alias("__in"))
+        row = sums.agg(*[e for i in range(len(cols)) for e in (F.lit(totals[f"t{n}_{i}"]).cast("long").alias(f"t{i}"), F.count(F.when(F.col("__in").bitwiseAND(1 << i) > 0, 1)).alias(f"u{i}"))]).crossJoin(docs)
         quoted = [str(v).replace("'", "''") for v in names]
         stacked = ", ".join(f"'{v}', d{i}, t{i}, u{i}" for i, v in enumerate(quoted))
         one = row.selectExpr(f"stack({len(names)}, {stacked}) AS ({by}, docs, total, unique)").select(

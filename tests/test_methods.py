@@ -582,3 +582,14 @@ def test_overlap_shuffles_no_grams_of_documents(spark):
     assert {tuple(r) for r in found.collect()} == {(1, 7, 2), (2, 7, 2)}
     plan = found._jdf.queryExecution().optimizedPlan().toString()
     assert "rightHint=(strategy=broadcast)" in plan
+
+
+def test_lexical_table_shuffles_one_number_a_gram(spark):
+    texts = spark.createDataFrame([(1, "a b a"), (2, "b c"), (3, ""), (4, None)], "doc_id long, text string")
+    reach = spark.createDataFrame([("x", 1, 2), ("x", 3, 1), ("y", 1, 1), ("y", 2, 3), ("z", 4, 1), ("w", 2, 0)], "stage string, doc_id long, copies long")
+    table = measures.lexical_table(texts, reach, (1, 2))
+    got = {(r["n"], r["stage"]): (r["docs"], r["total"], r["unique"]) for r in table.collect()}
+    assert got == {(1, "x"): (3, 6, 2), (1, "y"): (4, 9, 3), (1, "z"): (1, 0, 0), (1, "w"): (0, 0, 0), (2, "x"): (3, 4, 2), (2, "y"): (4, 5, 3), (2, "z"): (1, 0, 0), (2, "w"): (0, 0, 0)}
+    assert "bit_or" in table._jdf.queryExecution().optimizedPlan().toString()
+    many = spark.range(130).select(F.concat(F.lit("s"), "id").alias("stage"), F.lit(1).cast("long").alias("doc_id"), F.col("id").alias("copies"))
+    assert {r["stage"]: (r["docs"], r["total"], r["unique"]) for r in measures.lexical_table(texts, many).collect()} == {f"s{i}": (i, 3 * i, 2 * (i > 0)) for i in range(130)}
