@@ -11,6 +11,11 @@ the next document in document order whose bound reaches the k-th best score so f
 scored on all their postings (the deep move), which feeds the heap of the best k and so raises the bar. As the grid of blocks is
 common to all terms, the moves of all cursors are vector sums, and some pivots are scored at a time.
 
+Whole texts as queries share their common words: these have most of the postings, and each query would move its cursors over the
+same ones. Queries with many such postings go in batches. The impacts of a shard's common terms stand in a slab of bounded size,
+with their block maxima beside it, and one product moves the common cursors of a batch: over the block maxima first, then over the
+blocks that a query of the batch can still reach. Products in single precision are raised by their error, so they stay bounds.
+
 A fixed share of the shards is searched first; the k-th best score found there is where the search of the others starts from,
 so that these skip nearly all blocks and send on only documents that may be among the best of all.
 """
@@ -39,6 +44,9 @@ BLOCK = 16
 PIVOTS, PRIME = 64, 4
 #: Share of the floor that cursors may add together and still count by their block maxima only.
 LAZY = 0.2
+#: Queries of a batch. A term of one in COMMON documents is common; numbers in the slab of a shard's common terms; multiply-adds
+#: of a product that take as long as a posting.
+BATCH, COMMON, SLAB, DENSE = 32, 16, 8_000_000, 200
 #: Bytes of query terms in a set that travels to the tasks.
 SET_BYTES = 32 << 20
 #: Terms whose frequencies travel as one row.
@@ -64,6 +72,16 @@ class _Vocabulary(dict):
         return n
 
 
+def _narrow(numbers: np.ndarray) -> np.ndarray:
+    """As unsigned numbers of the least width that holds all: a shard's row is what the JVM holds whole."""
+    most = int(numbers.max()) if len(numbers) else 0
+    return numbers.astype(np.uint8 if most < 1 << 8 else np.uint16 if most < 1 << 16 else np.uint32)
+
+
+def _widened(blob, n: int) -> np.ndarray:
+    return np.frombuffer(blob, f"u{len(memoryview(blob)) // n}") if n else np.zeros(0, np.uint8)
+
+
 class _ShardBuilder:
     def __init__(self) -> None:
         self.vocab = _Vocabulary()
@@ -108,7 +126,7 @@ class _ShardBuilder:
             [
                 pa.array([len(self.ids)], pa.int32()), pa.array([int(sum(self.lengths))], pa.int64()),
                 blob(np.array(self.ids, np.int64)[order]), blob(np.array(self.lengths, np.int32)[order]),
-                blob(hashes[rank]), blob(cuts), blob(docs[by_term]), blob(counts[by_term]),
+                blob(hashes[rank]), blob(cuts), blob(_narrow(docs[by_term])), blob(_narrow(counts[by_term])),
             ],
             ["n_docs", "n_words", "ids", "lengths", "terms", "cuts", "docs", "counts"],
         )
@@ -176,14 +194,15 @@ class Shard:
         self.ids = np.frombuffer(row["ids"], np.int64)
         n, lengths = len(self.ids), np.frombuffer(row["lengths"], np.int32)
         terms, cuts = np.frombuffer(row["terms"], np.uint64), np.frombuffer(row["cuts"], np.int64)
-        docs, counts = np.frombuffer(row["docs"], np.int32), np.frombuffer(row["counts"], np.int32)
+        n_postings = int(cuts[-1])
+        docs, counts = _widened(row["docs"], n_postings), _widened(row["counts"], n_postings)
         self.blocks = -(-n // BLOCK)
         at = np.searchsorted(terms, queries.terms)
         at[at == len(terms)] = 0
         held = terms[at] == queries.terms if len(terms) else np.zeros(len(queries.terms), bool)
         begin, size = np.where(held, cuts[at] if len(terms) else 0, 0), np.where(held, cuts[at + 1] - cuts[at] if len(terms) else 0, 0)
         flat = np.repeat(begin - np.concatenate([[0], np.cumsum(size)[:-1]]), size) + np.arange(size.sum())
-        tf, self.doc = counts[flat].astype(float), docs[flat]
+        tf, self.doc = counts[flat].astype(float), docs[flat].astype(np.int32)
         norm = K1 * (1 - B + B * lengths / max(queries.mean, 1e-9))
         self.impact = tf * (K1 + 1) / (tf + norm[self.doc]) * np.repeat(queries.idf, size)
         self.begin = np.concatenate([[0], np.cumsum(size)])
@@ -201,6 +220,20 @@ class Shard:
         self.own_term, self.own_impact = np.repeat(np.arange(len(size), dtype=np.int32), size)[order], self.impact[order]
         self.own_begin = np.concatenate([[0], np.cumsum(np.bincount(self.doc, minlength=n))])
         self.weight = np.zeros(len(size))  # of the query at work
+        self._slab(size)
+
+    def _slab(self, size: np.ndarray) -> None:
+        """Impacts of the common terms (``column`` of the slab by term, else -1), a row a document, and the largest of each block."""
+        n = len(self.ids)
+        most = np.argsort(-size, kind="stable")[: SLAB // max(self.blocks * BLOCK, 1)]
+        common = most[size[most] * COMMON >= max(n, COMMON)]
+        self.column = np.full(len(size), -1, np.int32)
+        self.column[common] = np.arange(len(common), dtype=np.int32)
+        own, each = _spans(self.begin, common)
+        self.slab = np.zeros((self.blocks * BLOCK, len(common)), np.float32)
+        self.slab[self.doc[own], np.repeat(np.arange(len(common)), each)] = self.impact[own]
+        self.peaks = self.slab.reshape(self.blocks, BLOCK, len(common)).max(1)
+        self.raised = 1 + (len(common) + 8) * 2.0**-23  # all impacts are positive: more than a product can lose
 
 
 def _spans(begin: np.ndarray, which: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
@@ -212,9 +245,12 @@ def _spans(begin: np.ndarray, which: np.ndarray) -> tuple[np.ndarray, np.ndarray
 class Cursors:
     """One query's cursors on a shard: a term each, sorted by what they can add for a posting, moved in document order."""
 
-    def __init__(self, shard: Shard, terms: np.ndarray, counts: np.ndarray):
+    def __init__(self, shard: Shard, terms: np.ndarray, counts: np.ndarray, shallow: bool = True):
         self.shard, self.read = shard, 0
         size = shard.begin[terms + 1] - shard.begin[terms]
+        if not shallow:  # of a batch
+            self.terms, self.counts = terms[size > 0], counts[size > 0].astype(float)
+            return
         order = np.argsort(counts * shard.most[terms] / np.maximum(size, 1), kind="stable")
         order = order[size[order] > 0]
         self.terms, self.counts = terms[order], counts[order].astype(float)
@@ -235,6 +271,25 @@ class Cursors:
         exact = np.bincount(self.shard.doc[own], np.repeat(self.counts[lead:], size) * self.shard.impact[own], len(self.shard.ids))
         return exact + np.repeat(self._shallow(0, lead), BLOCK)[: len(exact)]
 
+    def moved(self, which: np.ndarray, places: int) -> np.ndarray:
+        """Sums of these cursors, moved over all their postings, by document."""
+        own, size = _spans(self.shard.begin, self.terms[which])
+        self.read += len(own)
+        return np.bincount(self.shard.doc[own], np.repeat(self.counts[which], size) * self.shard.impact[own], places)
+
+    def pivot(self, best: Best, limit: np.ndarray, docs: np.ndarray | None = None) -> None:
+        """Scores the documents (``docs``, or all) whose limit reaches the floor, PIVOTS at a time, in document order."""
+        at = 0
+        while True:
+            pivots = at + np.flatnonzero(limit[at:] >= best.floor)[:PIVOTS]
+            if not len(pivots):
+                return
+            self.deepen(best, pivots if docs is None else docs[pivots])
+            at = int(pivots[-1]) + 1
+
+    def deepen(self, best: Best, docs: np.ndarray) -> None:
+        best.add(self.score(docs), self.shard.ids[docs])
+
     def score(self, docs: np.ndarray) -> np.ndarray:
         """The deep move: scores of the documents, from all their postings."""
         shard = self.shard
@@ -260,6 +315,9 @@ class Best:
         if len(self.heap) == self.top:
             self.floor = max(self.floor, self.heap[0][0] - SLACK)
 
+    def found(self, start: float) -> list[tuple[float, int]]:
+        return sorted(((s, -k) for s, k in self.heap if s >= start), key=lambda x: (-x[0], x[1]))
+
 
 def search_one(cursors: Cursors, top: int, start: float = 0.0) -> list[tuple[float, int]]:
     """(score, id) of the shard's best ``top`` for one query, of those that reach ``start``, best first.
@@ -270,32 +328,82 @@ def search_one(cursors: Cursors, top: int, start: float = 0.0) -> list[tuple[flo
     shard, best = cursors.shard, Best(top, start)
     if cursors.bound.size and cursors.bound.max() >= best.floor:
         ahead = np.argsort(-cursors.bound, kind="stable")[: 0 if start else PRIME]
-        docs = (ahead[:, None] * BLOCK + np.arange(BLOCK)).ravel()
-        docs = docs[docs < len(shard.ids)]
-        best.add(cursors.score(docs), shard.ids[docs])
+        docs = _documents(ahead, len(shard.ids))
+        cursors.deepen(best, docs)
         limit = cursors.limits(best.floor)
         limit[docs] = 0.0
-        at = 0
-        while True:
-            pivots = at + np.flatnonzero(limit[at:] >= best.floor)[:PIVOTS]
-            if not len(pivots):
-                break
-            best.add(cursors.score(pivots), shard.ids[pivots])
-            at = int(pivots[-1]) + 1
-    return sorted(((s, -k) for s, k in best.heap if s >= start), key=lambda x: (-x[0], x[1]))
+        cursors.pivot(best, limit)
+    return best.found(start)
+
+
+def search_batch(shard: Shard, queries: list[Cursors], starts: list[float], top: int) -> list[list[tuple[float, int]]]:
+    """What ``search_one`` finds, for queries with many postings of common terms, whose common cursors move together.
+
+    The other cursors move over their postings. Their sums and the block maxima of the common terms bound each block; only blocks that a
+    query of the batch can reach are moved over document by document. Pivots are as in ``search_one``.
+    """
+    columns = [shard.column[q.terms] for q in queries]
+    weights = np.zeros((len(queries), shard.slab.shape[1]), np.float32)
+    for w, q, c in zip(weights, queries, columns, strict=True):
+        w[c[c >= 0]] = q.counts[c >= 0]
+    exact = np.zeros((len(queries), shard.blocks, BLOCK))
+    for x, q, c in zip(exact, queries, columns, strict=True):
+        x.ravel()[:] = q.moved(c < 0, shard.blocks * BLOCK)
+    bound = (weights @ shard.peaks.T) * shard.raised + exact.max(2)
+    best = [Best(top, s) for s in starts]
+    for q, x, b, h in zip(queries, exact, bound, best, strict=True):
+        if h.floor < SLACK:  # no start: the block of the highest bound primes the heap
+            docs = _documents(b.argmax()[None], len(shard.ids))
+            q.deepen(h, docs)
+            x.ravel()[docs] = -np.inf
+    blocks = np.flatnonzero((bound >= np.array([h.floor for h in best])[:, None]).any(0))
+    docs = _documents(blocks, len(shard.ids))
+    rows = shard.slab[: len(shard.ids)] if len(blocks) == shard.blocks else shard.slab[docs]
+    limits = (weights @ rows.T) * shard.raised
+    for q, x, limit, h in zip(queries, exact, limits, best, strict=True):
+        limit = limit + x.ravel()[docs]
+        ahead = np.flatnonzero(limit >= h.floor)
+        if len(ahead) > PIVOTS:  # those of the highest limits raise the floor for the others
+            high = ahead[np.argpartition(-limit[ahead], top)[:top]] if len(ahead) > top else ahead
+            q.deepen(h, docs[high])
+            limit[high] = -np.inf
+        q.pivot(h, limit, docs)
+    return [h.found(s) for h, s in zip(best, starts, strict=True)]
+
+
+def _documents(blocks: np.ndarray, n: int) -> np.ndarray:
+    docs = (blocks[:, None] * BLOCK + np.arange(BLOCK)).ravel()
+    return docs[docs < n]
 
 
 def search_shard(shard: Shard, queries: Queries, top: int, start: np.ndarray | None = None) -> Iterator[tuple[np.ndarray, np.ndarray, np.ndarray, int]]:
     """(query ids, document ids, scores, postings read) of some hundred queries at a time."""
+    size = np.diff(shard.begin)
+    common = np.where(shard.column >= 0, size, 0)
+    price = shard.slab.size / DENSE  # postings that take as long as the product
     out: tuple[list, list, list] = ([], [], [])
-    read = 0
-    for q, key in enumerate(queries.ids):
-        cursors = Cursors(shard, queries.which[queries.cuts[q] : queries.cuts[q + 1]], queries.counts[queries.cuts[q] : queries.cuts[q + 1]])
-        found = search_one(cursors, top, 0.0 if start is None else start[q])
-        read += cursors.read
-        out[0].extend([key] * len(found))
+    read, batch = 0, []
+
+    def add(q: int, found: list) -> None:
+        out[0].extend([queries.ids[q]] * len(found))
         out[1].extend(k for _, k in found)
         out[2].extend(s for s, _ in found)
+
+    last = len(queries.ids) - 1
+    for q in range(len(queries.ids)):
+        own = slice(queries.cuts[q], queries.cuts[q + 1])
+        terms, counts, floor = queries.which[own], queries.counts[own], 0.0 if start is None else start[q]
+        if common[terms].sum() > price:
+            batch.append((q, Cursors(shard, terms, counts, shallow=False), floor))
+        else:
+            cursors = Cursors(shard, terms, counts)
+            add(q, search_one(cursors, top, floor))
+            read += cursors.read
+        if batch and (len(batch) == BATCH or q == last):
+            for (k, cursors, _), found in zip(batch, search_batch(shard, [b[1] for b in batch], [b[2] for b in batch], top), strict=True):
+                add(k, found)
+                read += cursors.read
+            batch = []
         if len(out[0]) > 4096:
             yield np.array(out[0], np.int64), np.array(out[1], np.int64), np.array(out[2], float), read
             out, read = ([], [], []), 0
@@ -303,6 +411,11 @@ def search_shard(shard: Shard, queries: Queries, top: int, start: np.ndarray | N
         yield np.array(out[0], np.int64), np.array(out[1], np.int64), np.array(out[2], float), read
 
 
+def _row(batch: pa.RecordBatch, at: int) -> dict[str, pa.Buffer]:
+    """The binary columns of one row, not copied."""
+    return {f.name: batch.column(k)[at].as_buffer() for k, f in enumerate(batch.schema) if pa.types.is_binary(f.type) or pa.types.is_large_binary(f.type)}
+
+
 def _gather(bags: list, mean: float) -> Queries:
     ids = np.array([r["id"] for r in bags], np.int64)
     each = [np.frombuffer(r["terms"], np.uint64) for r in bags]
@@ -321,7 +434,7 @@ def _frequencies(index: DataFrame, queries: Queries) -> np.ndarray:
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         total = np.zeros(n, np.int64)
         for batch in batches:
-            for row in batch.to_pylist():
+            for row in (_row(batch, at) for at in range(batch.num_rows)):
                 own, cuts = np.frombuffer(row["terms"], np.uint64), np.frombuffer(row["cuts"], np.int64)
                 if len(own):
                     at = np.minimum(np.searchsorted(own, terms.value), len(own) - 1)
@@ -383,7 +496,7 @@ def _hits(index: DataFrame, queries: Queries, start: np.ndarray, top: int) -> Da
         for batch in batches:
             for at in range(batch.num_rows):
                 own, floor = shared.value
-                shard = Shard(batch.slice(at, 1).to_pylist()[0], own)
+                shard = Shard(_row(batch, at), own)
                 for q, d, s, _ in search_shard(shard, own, top, floor):
                     yield pa.RecordBatch.from_arrays([pa.array(q), pa.array(d), pa.array(s)], ["query_id", "doc_id", "score"])
 

@@ -426,6 +426,59 @@ def test_search_reads_few_postings_and_is_exact():
     assert read < 0.2 * held
 
 
+def test_search_of_whole_texts_moves_common_cursors_together(monkeypatch):
+    """Long queries, one above many copies, short and empty ones beside them; with a slab for a few of the common terms only, too."""
+    random.seed(8)
+    words, texts = [f"w{i}" for i in range(3000)], []
+    for i in range(1500):
+        texts.append(" ".join(random.choices(words, weights=[1 / (k + 3) for k in range(3000)], k=random.choice((40, 200, 400)))) if i % 9 else "w1 w2 w3 w0 w0 w9")
+    builder = search._ShardBuilder()
+    for i, text in enumerate(texts):
+        builder.add(i, text)
+    batch = builder.build()
+    row = {c: batch.column(c)[0].as_py() for c in batch.schema.names}
+    bags = [Counter(search.words_of(t)) for t in [*texts[:1500:25], "w0", "unknown", ""]]
+    from xxhash import xxh64_intdigest
+
+    blobs = [{"id": i, "terms": np.array([xxh64_intdigest(w) for w in b], np.uint64).tobytes(), "counts": np.array(list(b.values()), np.int32).tobytes()} for i, b in enumerate(bags)]
+    queries = search._gather(blobs, row["n_words"] / row["n_docs"])
+    size = dict(zip(np.frombuffer(row["terms"], np.uint64).tolist(), np.diff(np.frombuffer(row["cuts"], np.int64)).tolist(), strict=True))
+    df = np.array([size.get(int(t), 0) for t in queries.terms])
+    queries.idf = np.log(1 + (1500 - df + 0.5) / (df + 0.5))
+    for slab in (8_000_000, 1600 * 20):
+        monkeypatch.setattr(search, "SLAB", slab, raising=False)
+        shard, want, held = search.Shard(row, queries), {}, 0
+        for q in range(len(bags)):
+            own = slice(queries.cuts[q], queries.cuts[q + 1])
+            cursors = search.Cursors(shard, queries.which[own], queries.counts[own])
+            every = np.round(cursors.score(np.arange(1500)), search.DIGITS)
+            held += cursors.read
+            want[q] = sorted(((-s, int(k)) for s, k in zip(every, shard.ids, strict=True) if s > 0))[:10]
+        for start in (None, np.array([-want[q][4][0] if len(want[q]) > 4 else 0.0 for q in range(len(bags))])):
+            got, read = {q: [] for q in want}, 0
+            for q, d, s, n in search.search_shard(shard, queries, 10, start):
+                read += n
+                for k, x, y in zip(q.tolist(), d.tolist(), s.tolist(), strict=True):
+                    got[k].append((-y, x))
+            assert got == {q: [p for p in w if start is None or -p[0] >= start[q]] for q, w in want.items()}
+            assert slab < 1_000_000 or read < 0.5 * held
+
+
+def test_shards_are_narrow():
+    """Three bytes a posting of a usual shard; counts that need more have it."""
+    for most, width in ((200, 1), (300, 2), (70_000, 4)):
+        builder = search._ShardBuilder()
+        for i in range(400):
+            builder.add(i, f"a b{i % 7} c{i}")
+        builder.add(400, "a " * most)
+        row = builder.build().to_pylist()[0]
+        cuts = np.frombuffer(row["cuts"], np.int64)
+        assert len(row["docs"]) == 2 * cuts[-1] and len(row["counts"]) == width * cuts[-1]
+        terms = np.frombuffer(row["terms"], np.uint64)
+        shard = search.Shard(row, search.Queries(np.zeros(1, int), terms, np.ones(len(terms)), np.array([0, 1]), np.zeros(1, int), np.ones(1, int), 3.0))
+        assert shard.ids[shard.doc[shard.impact.argmax()]] == 400
+
+
 def test_search_of_odd_tables(spark):
     df = odd(spark).withColumn("rank", F.lit("clash")).withColumn("query_id", F.lit(0))
     got = search.search(search.build_index(df), df, 3)
