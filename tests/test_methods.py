@@ -1,9 +1,11 @@
 """Worked examples, boundaries, properties and odd inputs of the methods."""
 
 import gzip
+import hashlib
 import math
 import os
 import random
+from collections import Counter
 
 import duckdb
 import numpy as np
@@ -12,11 +14,12 @@ from pyspark.sql import functions as F
 
 from sievework.functions import constants as C
 from sievework.functions.sql import register
+from sievework.functions.text import tokens
 from sievework.operators import filters, fuzzy, ingest, measures, relational, rules, sampling, semantic, signals
 from sievework.operators.components import star_forest
 from sievework.catalog import ORACLES, QUERIES
 from sievework.plans import comparison, pipeline
-from sievework.plans.staging import staged_once
+from sievework.plans.staging import shared_dir, stage, staged_once
 from sievework.sources.tables import load, load_files, require, union_snapshots, write_jsonl, write_rejects
 from sievework.sources.warc import read_warc, record_bytes
 from sievework.streaming import monitor
@@ -593,3 +596,44 @@ def test_lexical_table_shuffles_one_number_a_gram(spark):
     assert "bit_or" in table._jdf.queryExecution().optimizedPlan().toString()
     many = spark.range(130).select(F.concat(F.lit("s"), "id").alias("stage"), F.lit(1).cast("long").alias("doc_id"), F.col("id").alias("copies"))
     assert {r["stage"]: (r["docs"], r["total"], r["unique"]) for r in measures.lexical_table(texts, many).collect()} == {f"s{i}": (i, 3 * i, 2 * (i > 0)) for i in range(130)}
+
+
+def test_terms_are_those_of_a_loop(spark):
+    """All providers and gram sets against plain counting: empty, short and null texts, other scripts."""
+    random.seed(9)
+    texts = [None, "", "a", "é x", "日本", "😀😀"] + [" ".join(random.choices(["a", "b", "Ça", "日本", "x" * 5], k=k)) for k in (1, 2, 3, 19, 21, 60)] * 3
+    df = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
+    h = lambda w: int(hashlib.md5(w.encode()).hexdigest()[:8], 16)
+    plain = {r["doc_id"]: (r["k"], r["c"]) for r in df.select("doc_id", tokens(F.col("text")).alias("k"), F.lower(F.coalesce("text", F.lit(""))).alias("c")).collect()}
+    for p in ("word", "bigram", "char", "prefix"):
+        for r in semantic.term_counts(df, p).collect():
+            k, c = plain[r["doc_id"]]
+            want = {"word": k, "prefix": k[:20], "bigram": [f"{a} {b}" for a, b in zip(k, k[1:])] or k, "char": [c[i : i + 3] for i in range(len(c) - 2)] or [c] * bool(c)}[p]
+            assert dict(zip(r["h"], r["tf"], strict=True)) == {h(w): n for w, n in Counter(want).items()}
+    for n in (1, 3):
+        assert semantic.gram_sets(df, n).exceptAll(fuzzy.shingle_sets(df, n)).count() == 0
+
+
+@pytest.mark.parametrize("name", ("embedding_choice", "embedding_probes"))
+def test_providers_leave_no_tables_behind(spark, name):
+    """What a provider stages is deleted before the next one's; the duplicates, which queries share, stay."""
+    folder = shared_dir(spark).removeprefix("file://")
+    before = set(os.listdir(folder)) if os.path.isdir(folder) else set()
+    QUERIES[name](spark, "/root/testdata/sf0.001").collect()
+    left = {f.rsplit("-", 1)[0] for f in set(os.listdir(folder)) - before}
+    assert left <= {"duplicates", "class-pairs", "chimeras"}
+
+
+def test_prefixes_join_no_shingle_without_partner(spark, monkeypatch):
+    """Against all pairs, with cells that many shingles share; what is alone in its cell isn't staged."""
+    random.seed(11)
+    sets = [sorted({random.randrange(90) for _ in range(random.choice((0, 1, 4, 30)))}) for _ in range(80)] + [list(range(10_000, 10_400))]
+    df = spark.createDataFrame([(i, s) for i, s in enumerate(sets)], "doc_id long, sh array<bigint>")
+    for cells in (1 << 6, 1 << 16):
+        monkeypatch.setattr(fuzzy, "CELLS", cells)
+        monkeypatch.setattr(fuzzy, "SLICE", min(cells, 1 << 6))
+        made = []
+        monkeypatch.setattr(fuzzy, "stage", lambda x, n, made=made: made.append(stage(x, n)) or made[-1])
+        got = {(r["u"], r["v"]) for r in fuzzy.exact_jaccard_pairs(df, 0.5).collect()}
+        assert got == {(i, j) for i in range(81) for j in range(i + 1, 81) if len({*sets[i]} & {*sets[j]}) >= 0.5 * len({*sets[i]} | {*sets[j]}) > 0}
+        assert len(made) == 1 and (cells < 1 << 16 or made[0].where("doc_id = 80").count() == 0)
