@@ -637,3 +637,19 @@ def test_prefixes_join_no_shingle_without_partner(spark, monkeypatch):
         got = {(r["u"], r["v"]) for r in fuzzy.exact_jaccard_pairs(df, 0.5).collect()}
         assert got == {(i, j) for i in range(81) for j in range(i + 1, 81) if len({*sets[i]} & {*sets[j]}) >= 0.5 * len({*sets[i]} | {*sets[j]}) > 0}
         assert len(made) == 1 and (cells < 1 << 16 or made[0].where("doc_id = 80").count() == 0)
+
+
+def test_library_pairs_carry_no_vectors_through_the_tables(spark, tmp_path, monkeypatch):
+    """Without the library's join; copies are expanded from one class."""
+    from pyspark.ml.feature import MinHashLSHModel
+
+    def none(*_, **__):
+        raise AssertionError("joins whole vectors")
+
+    monkeypatch.setattr(MinHashLSHModel, "approxSimilarityJoin", none)
+    words = [f"w{i}" for i in range(60)]
+    texts = [(7, " ".join(words)), (3, " ".join(words)), (5, " ".join([*words, "x"])), (4, " ".join(words[::-1])), (1, "a b"), (2, "a b"), (6, None)]
+    spark.createDataFrame(texts, "doc_id long, text string").write.parquet(str(tmp_path / "documents.parquet"))
+    got = {tuple(r) for r in QUERIES["minhash_library_pairs"](spark, str(tmp_path)).collect()}
+    near = round(56 / 57, 6)
+    assert (3, 7, 1.0) in got and got <= {(3, 7, 1.0), (3, 5, near), (5, 7, near)} and len(got) in (1, 3)
