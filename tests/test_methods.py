@@ -653,3 +653,10 @@ def test_library_pairs_carry_no_vectors_through_the_tables(spark, tmp_path, monk
     got = {tuple(r) for r in QUERIES["minhash_library_pairs"](spark, str(tmp_path)).collect()}
     near = round(56 / 57, 6)
     assert (3, 7, 1.0) in got and got <= {(3, 7, 1.0), (3, 5, near), (5, 7, near)} and len(got) in (1, 3)
+
+
+def test_embedding_quality_of_equal_ranks(spark):
+    """Steps of one error have no rank correlation; they don't fail."""
+    row = lambda fpr: semantic.embedding_quality(spark.createDataFrame([(k, 10, x) for k, x in enumerate(fpr)], "step int, n long, fpr double")).first()
+    assert row([0.5] * 4)["spearman"] is None and row([0.5])["spearman"] is None
+    assert abs(row([0.9, 0.5, 0.1])["spearman"] + 1) < 1e-12
