@@ -660,3 +660,12 @@ def test_embedding_quality_of_equal_ranks(spark):
     row = lambda fpr: semantic.embedding_quality(spark.createDataFrame([(k, 10, x) for k, x in enumerate(fpr)], "step int, n long, fpr double")).first()
     assert row([0.5] * 4)["spearman"] is None and row([0.5])["spearman"] is None
     assert abs(row([0.9, 0.5, 0.1])["spearman"] + 1) < 1e-12
+
+
+def test_embedding_queries_judge_all_pairs_whatever_the_size(spark, sf, monkeypatch):
+    """As if there were more rows than one cell takes: the results are those of all pairs all the same."""
+    monkeypatch.setattr(semantic, "cells_for", lambda *_, **__: 8)
+    con = duckdb.connect()
+    con.sql(f"CREATE VIEW documents AS SELECT * FROM read_parquet('{sf}/documents.parquet')")
+    got = QUERIES["embedding_benchmark"](spark, sf)
+    assert sorted(map(str, map(tuple, got.collect()))) == sorted(map(str, con.sql(ORACLES["embedding_benchmark"]).select(", ".join(got.columns)).fetchall()))
