@@ -664,8 +664,10 @@ def test_embedding_quality_of_equal_ranks(spark):
 
 def test_embedding_queries_judge_all_pairs_whatever_the_size(spark, sf, monkeypatch):
     """As if there were more rows than one cell takes: the results are those of all pairs all the same."""
+    probes = sorted(map(tuple, QUERIES["embedding_probes"](spark, sf).collect()))
     monkeypatch.setattr(semantic, "cells_for", lambda *_, **__: 8)
     con = duckdb.connect()
     con.sql(f"CREATE VIEW documents AS SELECT * FROM read_parquet('{sf}/documents.parquet')")
     got = QUERIES["embedding_benchmark"](spark, sf)
     assert sorted(map(str, map(tuple, got.collect()))) == sorted(map(str, con.sql(ORACLES["embedding_benchmark"]).select(", ".join(got.columns)).fetchall()))
+    assert sorted(map(tuple, QUERIES["embedding_probes"](spark, sf).collect())) == probes
