@@ -671,3 +671,26 @@ def test_embedding_queries_judge_all_pairs_whatever_the_size(spark, sf, monkeypa
     got = QUERIES["embedding_benchmark"](spark, sf)
     assert sorted(map(str, map(tuple, got.collect()))) == sorted(map(str, con.sql(ORACLES["embedding_benchmark"]).select(", ".join(got.columns)).fetchall()))
     assert sorted(map(tuple, QUERIES["embedding_probes"](spark, sf).collect())) == probes
+
+
+def test_pair_counts_at_the_borders_of_kinds(spark, monkeypatch):
+    """Cosines at the borders of kinds and at the floor, where single precision can't tell, with a bound and without; all pairs by a loop."""
+    rng = np.random.default_rng(3)
+    x = rng.normal(size=(40, 160)) * (np.arange(160) < 9)
+    x /= np.sqrt((x * x).sum(1))[:, None]
+    side = rng.normal(size=x.shape)
+    side -= (side * x).sum(1)[:, None] * x
+    side /= np.sqrt((side * side).sum(1))[:, None]
+    cos = np.array([0.8, 0.9, 0.95, 0.9 + 1e-9, 0.9 - 1e-9] * 8)[:, None]
+    x = np.concatenate([x, x[:10], cos * x + np.sqrt(1 - cos * cos) * side])
+    df = spark.createDataFrame([(i, 0, v.tolist()) for i, v in enumerate(x)], "doc_id long, cluster long, vec array<double>")
+    step = lambda s, _: np.floor(s * 1000).astype(np.int64)
+    once, x4 = np.tri(len(x), k=-1, dtype=bool), x.astype(np.float32)
+    xl = semantic._led(x4, semantic._turn(x))
+    for floor in (0.8, 0.9):
+        want = Counter(int(np.floor(s * 1000)) for i in range(len(x)) for j in range(i) if (s := min(round(float(np.einsum("i,i", x[i], x[j])), 12), 1.0)) >= floor)
+        assert dict(semantic.pair_counts(df, step, floor, 30)) == want
+        for sparse in (0.0, 1.0):
+            monkeypatch.setattr(semantic, "SPARSE", sparse)
+            got = semantic._block_counts(x, x4, xl, x, x4, xl, once, lambda i, j: i == j, step, floor)
+            assert {k: n for k, n in enumerate(got) if n} == want
