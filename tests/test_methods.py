@@ -694,3 +694,18 @@ def test_pair_counts_at_the_borders_of_kinds(spark, monkeypatch):
             monkeypatch.setattr(semantic, "SPARSE", sparse)
             got = semantic._block_counts(x, x4, xl, x, x4, xl, once, lambda i, j: i == j, step, floor)
             assert {k: n for k, n in enumerate(got) if n} == want
+
+
+def test_pairs_far_apart_are_dropped_where_they_meet(spark):
+    """All sets in one bucket: no pair of Jaccard 0.8 or more is lost, hardly any other is kept; empty and equal sets."""
+    rng = random.Random(6)
+    sets = [sorted(rng.sample(range(1 << 20), k)) for k in (300, 300, 40, 4, 0, 0)] * 2
+    for base, k in ((0, 30), (0, 33), (0, 34), (1, 120), (2, 4), (3, 1)):
+        sets.append(sorted({*sets[base][k:], *rng.sample(range(1 << 20), k if base else 0)}))
+    sets += [sorted(rng.sample(range(1 << 20), 300)) for _ in range(60)]
+    df = spark.createDataFrame(list(enumerate(sets)), "doc_id long, sh array<long>")
+    met = fuzzy.near_in_buckets(df.where(F.size("sh") > 0).select("doc_id", F.lit(1).cast("long").alias("bucket")), df, 0.8)
+    got = {tuple(r) for r in met.collect()}
+    alike = lambda i, j: len({*sets[i]} & {*sets[j]}) / max(1, len({*sets[i]} | {*sets[j]}))
+    near = {(i, j) for i in range(len(sets)) for j in range(i + 1, len(sets)) if alike(i, j) >= 0.8}
+    assert near and near <= got and len(got - near) <= 30
